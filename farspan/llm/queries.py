@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from farspan.llm import media, quality_rules
+from farspan.llm import media, ngram_join, quality_rules
 from farspan.llm.storage import documents
 
 
@@ -19,9 +19,14 @@ def op7_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.store_documents(documents(spark, sf_dir))
 
 
+def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngram_join.near_duplicates(documents(spark, sf_dir), k=5).select("doc_id", "n_shingles", "component_id")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_quality_rules": op3_quality_rules,
     "op7_media_columns": op7_media_columns,
+    "op9_ngram_jaccard": op9_ngram_jaccard,
 }
 
 ORACLES: dict[str, str] = {}
