@@ -29,12 +29,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from farspan.llm import sketch
 from farspan.llm.components import connected_components
 from farspan.llm.storage import texts, written
 from farspan.llm.textbatch import all_chunks, shingle_sets, signed
 
-SKETCH_BITS = 20
-SKETCH_BLOCKS = 64
 #: From this frequency class on (excess of at least 2**9 over the sketch's noise) a column is dealt in salted parts.
 HOT_CLASS = 10
 SALTS = 16
@@ -48,45 +47,21 @@ def shingle_classes(df: DataFrame, k: int) -> DataFrame:
     """One row (doc_id, n_shingles, node) per document, and the partial sketches as rows with a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sketch = np.zeros(1 << SKETCH_BITS, np.uint32)
+        seen = sketch.empty()
         names = ["doc_id", "n_shingles", "node", "block", "counts"]
         for part, chunk in all_chunks(batches):
             sets = list(shingle_sets(chunk, k))
             if sets:
-                flat = np.concatenate(sets) >> np.uint64(64 - SKETCH_BITS)
-                sketch += np.bincount(flat.astype(np.int64), minlength=len(sketch)).astype(np.uint32)
+                sketch.add(seen, np.concatenate(sets))
             n = len(sets)
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names=names)
-        if sketch.any():
-            blocks = [b.tobytes() for b in np.split(sketch, SKETCH_BLOCKS)]
-            nothing = pa.nulls(SKETCH_BLOCKS, pa.int64())
-            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, pa.array(range(SKETCH_BLOCKS), pa.int32()), pa.array(blocks, pa.binary())], names=names)
+        if seen.any():
+            nothing = pa.nulls(sketch.BLOCKS, pa.int64())
+            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *sketch.block_rows(seen)], names=names)
 
     return df.mapInArrow(run, "doc_id long, n_shingles long, node long, block int, counts binary")
 
 
-def frequency_classes(sketches: DataFrame) -> np.ndarray:
-    """A class 0 to 40 for each counter: the bit length of its excess over the noise of the rest."""
-
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for block, counts in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                one = np.frombuffer(counts.as_buffer(), np.uint32).astype(np.uint64)
-                total[block] = total[block] + one if block in total else one
-        if total:
-            yield pa.RecordBatch.from_arrays([pa.array(list(total), pa.int32()), pa.array([x.tobytes() for x in total.values()], pa.binary())], names=["block", "counts"])
-
-    summed = sketches.select("block", "counts").repartition("block").mapInArrow(add, "block int, counts binary")
-    count = np.zeros((SKETCH_BLOCKS, (1 << SKETCH_BITS) // SKETCH_BLOCKS), np.uint64)
-    for row in summed.collect():
-        count[row.block] += np.frombuffer(row.counts, np.uint64)
-    count = count.ravel().astype(np.float64)
-    noise = np.median(count)
-    excess = np.maximum(0, count - noise - 5 * np.sqrt(noise) - 1)
-    return np.ceil(np.log2(excess + 1)).astype(np.uint8)
-
-
 def needed(m: F.Column, n: F.Column) -> F.Column:
     """Least overlap of two linked sets of these sizes: 100 * o >= 75 * (m + n - o)."""
     return F.floor((3 * (m + n) + 6) / 7)
@@ -115,7 +90,7 @@ def incidence_entries(df: DataFrame, k: int, classes) -> DataFrame:
                 if len(seen) > 500_000:
                     seen.clear()
                 seen.add(node)
-                kind = table[(own >> np.uint64(64 - SKETCH_BITS)).astype(np.int64)]
+                kind = table[sketch.cell(own)]
                 order = np.argsort((kind.astype(np.uint64) << np.uint64(58)) | (own >> np.uint64(6)), kind="stable")[: n - (3 * n + 3) // 4 + 1]
                 hot = kind[order] >= HOT_CLASS
                 for c, x in zip(cols, (signed(own[order]), np.full(len(order), node), np.full(len(order), n, np.int32), np.arange(len(order), dtype=np.int32), np.where(hot, node % SALTS, -1).astype(np.int32)), strict=True):
@@ -233,7 +208,7 @@ def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col:
     spark, rows = df.sparkSession, texts(df, id_col, text_col)
     measured = written(shingle_classes(rows, k), "shingles")
     documents = measured.where("block is null").select("doc_id", "n_shingles", "node")
-    table = spark.sparkContext.broadcast(frequency_classes(measured.where("block is not null")))
+    table = spark.sparkContext.broadcast(sketch.frequency_classes(measured.where("block is not null")))
     known = rows.where("doc_id is not null")
     shared = written(shared_columns(incidence_entries(known, k, table)), "entries")
     classes = documents.where("n_shingles > 0 and doc_id is not null").select("doc_id", "node")
