@@ -4,7 +4,8 @@ Rows of the matrix are distinct shingle sets, columns are shingles.  Columns are
 only those entries enter the product that can still decide it: with the columns ordered rare to frequent, two
 sets of sizes m and n that overlap in at least a(m, n) = ceil(3 (m + n) / 7) shingles (similarity 0.75) share one
 within the first m - a + 1 and n - a + 1 of them.  Column blocks give the row pairs whose partial counts are not
-yet excluded by these bounds; row blocks then count the full overlap.
+yet excluded by these bounds.  A histogram of each row's shingles over 2**b hash cells then bounds the overlap of
+a pair from above (the sum of cell minima), and row blocks count the full overlap of what is left.
 
 * Copies with equal sets are one row of the matrix, so groups of copies are never expanded.
 * The column order comes from a count sketch of fixed size (2**20 counters) over all shingles of all texts.
@@ -43,8 +44,27 @@ def set_signature(own: np.ndarray) -> int:
     return int.from_bytes(hashlib.blake2b(own.tobytes(), digest_size=8).digest(), "little", signed=True)
 
 
+def cell_bits(n: int) -> int:
+    """Cells of a set's histogram: about half its size, 16 to 4096."""
+    return min(12, max(4, (n // 2).bit_length()))
+
+
+def cell_counts(own: np.ndarray) -> bytes:
+    bits = cell_bits(len(own))
+    return np.minimum(255, np.bincount((own >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)).astype(np.uint8).tobytes()
+
+
+def overlap_bound(x: np.ndarray, y: np.ndarray) -> int | None:
+    """Sum of cell minima; the finer histogram is folded. None if a saturated cell makes it no bound."""
+    if len(x) == 0 or len(y) == 0 or x.max() == 255 or y.max() == 255:
+        return None
+    if len(x) != len(y):
+        x, y = (a.astype(np.int64).reshape(min(len(x), len(y)), -1).sum(axis=1) for a in (x, y))
+    return int(np.minimum(x, y).sum(dtype=np.int64))
+
+
 def shingle_classes(df: DataFrame, k: int) -> DataFrame:
-    """One row (doc_id, n_shingles, node) per document, and the partial sketches as rows with a block."""
+    """One row (doc_id, n_shingles, node, counts) per document, and the partial sketches as rows with a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = sketch.empty()
@@ -54,7 +74,7 @@ def shingle_classes(df: DataFrame, k: int) -> DataFrame:
             if sets:
                 sketch.add(seen, np.concatenate(sets))
             n = len(sets)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.nulls(n, pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary())], names=names)
         if seen.any():
             nothing = pa.nulls(sketch.BLOCKS, pa.int64())
             yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *sketch.block_rows(seen)], names=names)
@@ -165,6 +185,23 @@ def crossing_pairs(shared: DataFrame, roots: DataFrame, done: DataFrame) -> Data
     return pairs.join(done.select(*_pair("a", "b")), ["a", "b"], "left_anti")
 
 
+def within_cell_bound(pairs: DataFrame, cells: DataFrame) -> DataFrame:
+    """The pairs whose histograms don't exclude a link."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = np.ones(batch.num_rows, bool)
+            m, n, x, y = (batch.column(i) for i in range(2, 6))
+            for i, (p, q, u, v) in enumerate(zip(m.to_pylist(), n.to_pylist(), x, y, strict=True)):
+                bound = overlap_bound(np.frombuffer(u.as_buffer(), np.uint8), np.frombuffer(v.as_buffer(), np.uint8))
+                keep[i] = bound is None or 7 * bound >= 3 * (p + q)
+            yield batch.select([0, 1]).filter(pa.array(keep))
+
+    one = pairs.join(cells.select(F.col("node").alias("a"), F.col("n_shingles").alias("m"), F.col("counts").alias("x")), "a")
+    both = one.join(cells.select(F.col("node").alias("b"), F.col("n_shingles").alias("n"), F.col("counts").alias("y")), "b")
+    return both.select("a", "b", "m", "n", "x", "y").mapInArrow(run, "a long, b long")
+
+
 def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, k: int) -> DataFrame:
     """The pairs (a, b) of nodes whose full overlap reaches the threshold.
 
@@ -212,11 +249,12 @@ def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col:
     known = rows.where("doc_id is not null")
     shared = written(shared_columns(incidence_entries(known, k, table)), "entries")
     classes = documents.where("n_shingles > 0 and doc_id is not null").select("doc_id", "node")
+    cells = measured.where("block is null and n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("counts").alias("counts"))
     first = written(central_pairs(shared), "pairs")
-    links = written(verified(first, known, classes, k), "links")
+    links = written(verified(written(within_cell_bound(first, cells), "bounded"), known, classes, k), "links")
     roots = connected_components(links)
-    second = written(crossing_pairs(shared, roots, first), "pairs")
-    more = verified(second, known, classes, k)
+    second = written(within_cell_bound(crossing_pairs(shared, roots, first), cells), "pairs")
+    more = written(verified(second, known, classes, k), "links")
     roots = connected_components(roots.select(F.col("root").alias("a"), F.col("node").alias("b")).union(more))
     nodes = classes.groupBy("node").agg(F.min("doc_id").alias("class_id"))
     rooted = nodes.join(roots, "node", "left").select("node", "class_id", F.coalesce("root", "node").alias("root"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -18,9 +19,13 @@ def shared_dir(spark: SparkSession) -> str:
 def written(df: DataFrame, label: str) -> DataFrame:
     """df as a table in the shared folder: its lineage ends there and lost executors cost no recomputation."""
     spark = df.sparkSession
-    path = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}"
+    path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    # what the table was made from is no longer needed: let Spark's cleaner drop those shuffle files
+    del df
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+    return spark.read.schema(schema).parquet(path)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -70,3 +70,14 @@ def test_components_of_a_chain_and_a_star(spark):
     star = [(100, x) for x in range(101, 140)] + [(140, 100), (100, 100), (None, 3)]
     got = {r.node: r.root for r in connected_components(spark.createDataFrame(chain + star, "a long, b long")).collect()}
     assert got == {i: 0 for i in range(41)} | {i: 100 for i in range(100, 141)}
+
+
+def test_cell_bound_is_never_below_the_overlap():
+    import numpy as np
+
+    r = np.random.default_rng(5)
+    for n in (1, 3, 40, 700, 9000):
+        x = np.unique(r.integers(0, 2**63, n, dtype=np.uint64) * np.uint64(2))
+        y = np.unique(np.concatenate([x[: n // 2], r.integers(0, 2**63, n * 4 // 3 - n // 2, dtype=np.uint64)]))
+        bound = ngram_join.overlap_bound(*(np.frombuffer(ngram_join.cell_counts(s), np.uint8) for s in (x, y)))
+        assert bound is not None and bound >= len(np.intersect1d(x, y))
