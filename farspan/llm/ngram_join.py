@@ -8,7 +8,7 @@ yet excluded by these bounds.  A histogram of each row's shingles over 2**b hash
 a pair from above (the sum of cell minima), and row blocks count the full overlap of what is left.
 
 * Copies with equal sets are one row of the matrix, so groups of copies are never expanded.
-* The column order comes from a count sketch of fixed size (2**20 counters) over all shingles of all texts.
+* The column order comes from a count sketch of fixed size (2**22 counters) over all shingles of all texts.
   Its errors cost time only: any fixed order gives the exact result.
 * A column with many entries is not paired out: first every entry meets only the column's most central row,
   frequent columns through 16 salted parts; the links found merge most rows into components, and a second pass
@@ -67,17 +67,17 @@ def shingle_classes(df: DataFrame, k: int) -> DataFrame:
     """One row (doc_id, n_shingles, node, counts) per document, and the partial sketches as rows with a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = sketch.empty()
+        seen = sketch.Sketch()
         names = ["doc_id", "n_shingles", "node", "block", "counts"]
         for part, chunk in all_chunks(batches):
             sets = list(shingle_sets(chunk, k))
             if sets:
-                sketch.add(seen, np.concatenate(sets))
+                seen.add(np.concatenate(sets))
             n = len(sets)
             yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary())], names=names)
-        if seen.any():
+        if (blocks := seen.block_rows()) is not None:
             nothing = pa.nulls(sketch.BLOCKS, pa.int64())
-            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *sketch.block_rows(seen)], names=names)
+            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *blocks], names=names)
 
     return df.mapInArrow(run, "doc_id long, n_shingles long, node long, block int, counts binary")
 

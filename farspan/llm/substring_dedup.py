@@ -90,11 +90,11 @@ def _id_columns(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
 
 def anchor_sketch(rows: DataFrame, length: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen = sketch.empty()
+        seen = sketch.Sketch()
         for _, chunk in all_chunks(batches):
-            sketch.add(seen, anchors(chunk, length)[4])
-        if seen.any():
-            yield pa.RecordBatch.from_arrays(list(sketch.block_rows(seen)), names=["block", "counts"])
+            seen.add(anchors(chunk, length)[4])
+        if (blocks := seen.block_rows()) is not None:
+            yield pa.RecordBatch.from_arrays(list(blocks), names=["block", "counts"])
 
     return rows.select("text").mapInArrow(run, "block int, counts binary")
 
