@@ -75,7 +75,8 @@ def anchors(chunk: TextChunk, length: int) -> tuple[np.ndarray, ...]:
     new = np.concatenate([[True], (spot[1:] != spot[:-1]) | (text[1:] != text[:-1])])
     first = np.flatnonzero(new)
     last = np.concatenate([first[1:] - 1, [len(valid) - 1]])
-    return text[first], valid[first], valid[last], spot[first], gram[spot[first]]
+    # the least of many hashes lies near zero: mixed again, anchors spread evenly
+    return text[first], valid[first], valid[last], spot[first], mix64(gram[spot[first]] + np.uint64(1))
 
 
 NAMES = ["anchor", "context", "id", "th", "lo", "lead", "width", "kind"]
