@@ -7,9 +7,16 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from farspan.llm import media, ngram_join, quality_rules, substring_dedup
+from farspan.llm import bpe_stream, language_id, media, ngram_join, packing, quality_rules, substring_dedup, toxicity, url_templates
 from farspan.llm.storage import documents
 
+URL_RULES = [("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("allow", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", "/es/")]
+
+
+def fold(modulus: int) -> F.Column:
+    """Which fold a document is in: crc32 of its id as text, modulo."""
+    return F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))) % modulus
+
 
 def op2_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = substring_dedup.remove_repeats(documents(spark, sf_dir), length=100)
@@ -30,11 +37,47 @@ def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.near_duplicates(documents(spark, sf_dir), k=5).select("doc_id", "n_shingles", "component_id")
 
 
+def op4_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(documents(spark, sf_dir))
+
+
+def op5_bpe_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe_stream.round_trip(documents(spark, sf_dir))
+
+
+def op6_url_templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = spark.read.parquet(f"{sf_dir}/pages.parquet")
+    # a page shows the document whose number ends its path, and has that document's quality label
+    _, path = url_templates.split_url(F.col("url"))
+    shown = pages.select("page_id", F.regexp_extract(path, r"([0-9]{1,18})[^0-9/]*/?$", 1).try_cast("bigint").alias("doc_id"))
+    labels = shown.join(spark.read.parquet(f"{sf_dir}/labels.parquet"), "doc_id").select("page_id", (1 - F.col("quality")).alias("bad"))
+    return url_templates.judge(pages, labels, URL_RULES).select("page_id", "host", "path", "rule", "verdict", "template", F.round("purity", 9).alias("purity"))
+
+
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    lexicon = toxicity.fit(docs, labels.where(fold(4) != 2))
+    scored = toxicity.score(docs, lexicon)
+    return scored.select("doc_id", (fold(4) == 2).alias("held_out"), "score", (F.col("score") >= 0.3).cast("int").alias("predicted"))
+
+
+def op10_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = documents(spark, sf_dir)
+    model = language_id.fit(docs.where(fold(3) != 1))
+    return language_id.identify(docs, model).select("doc_id", (fold(3) == 1).alias("held_out"), "lang_pred", "score")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_substring_dedup": op2_substring_dedup,
     "op3_quality_rules": op3_quality_rules,
+    "op4_best_fit_packing": op4_best_fit_packing,
+    "op5_bpe_stream": op5_bpe_stream,
+    "op6_url_templates": op6_url_templates,
     "op7_media_columns": op7_media_columns,
+    "op8_toxicity": op8_toxicity,
     "op9_ngram_jaccard": op9_ngram_jaccard,
+    "op10_language_id": op10_language_id,
 }
 
 ORACLES: dict[str, str] = {}
