@@ -175,7 +175,7 @@ def fit(df: DataFrame, labels: DataFrame, sample: int = 20_000, candidates: int
     size = {r.toxic: r["count"] for r in chosen.groupBy("toxic").count().collect()}
     if len(size) < 2:
         return Lexicon({}, frozenset(), (-30.0, 0.0, 0.0))
-    least = max(2, size[1] // 400)
+    least = max(5, size[1] // 100)
     toxic = {r.stem: r.n for r in _counted(chosen, None, 1).where(F.col("n") >= least).orderBy(F.desc("n"), "stem").limit(candidates).collect()}
     clean = {r.stem: r.n for r in _counted(chosen, toxic, 0).collect()}
     weights = choose_stems(toxic, clean, size[1], size[0], lexicon)

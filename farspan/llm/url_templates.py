@@ -64,10 +64,10 @@ def raw_template(path: Column) -> Column:
     return F.when(F.size(shown) > DEPTH, F.concat(F.slice(shown, 1, DEPTH), F.array(F.lit("**")))).otherwise(shown)
 
 
-def template_tree(counted: DataFrame) -> DataFrame:
-    """counted (host, raw, labelled, bad) with the final template of each raw one."""
+def template_tree(counted: DataFrame, levels: int) -> DataFrame:
+    """counted (host, raw, labelled, bad) with the final template of each raw one; ``levels``: the longest raw one."""
     tree = counted.withColumn("template", F.array().cast("array<string>"))
-    for level in range(1, DEPTH + 2):
+    for level in range(1, levels + 1):
         seg = F.try_element_at("raw", F.lit(level))
         now = tree.withColumn("seg", seg)
         branch = now.where(F.col("seg").isNotNull()).groupBy("host", "template", "seg").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"))
@@ -79,7 +79,8 @@ def template_tree(counted: DataFrame) -> DataFrame:
         kept = branch.join(above, ["host", "template"]).select("host", "template", "seg", differs.alias("differs"))
         merged = now.join(kept, ["host", "template", "seg"], "left")
         step = F.when(F.col("seg").isNull(), F.col("template")).when(F.col("differs"), F.concat("template", F.array("seg"))).otherwise(F.concat("template", F.array(F.lit("*"))))
-        tree = merged.select("host", "raw", "labelled", "bad", step.alias("template"))
+        # written, as the next level reads it three times
+        tree = written(merged.select("host", "raw", "labelled", "bad", step.alias("template")), "url-tree")
     return tree
 
 
@@ -91,9 +92,9 @@ def judge(pages: DataFrame, labels: DataFrame, rules: list[Rule], id_col: str =
     marks = labels.select(F.col("page_id").cast("long").alias("page_id"), F.col("bad").cast("int").alias("bad")).where("page_id is not null and bad in (0, 1)").groupBy("page_id").agg(F.max("bad").alias("bad"))
     counted = seen.join(marks, "page_id", "left").groupBy("host", "raw").agg(F.count("bad").alias("labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("bad"))
     counted = written(counted, "url-templates")
-    whole = counted.agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b")).first()
+    whole = counted.agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"), F.coalesce(F.max(F.size("raw")), F.lit(0)).alias("levels")).first()
     overall = whole.b / whole.n if whole.n else 0.0
-    tree = template_tree(counted)
+    tree = template_tree(counted, whole.levels)
     final = tree.groupBy("host", "template").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"))
     hosts = counted.groupBy("host").agg(F.sum("labelled").alias("hn"), F.sum("bad").alias("hb"))
     base = (F.col("hb") + SMOOTHING * overall) / (F.col("hn") + SMOOTHING)
