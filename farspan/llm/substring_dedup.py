@@ -39,8 +39,9 @@ from farspan.llm.textbatch import TextChunk, all_chunks, mix64, signed
 LENGTH = 100
 K = 32
 BLOCK_BYTES = 1 << 20
-#: Frequency class (bit length of the excess over the sketch's noise) from which an anchor is dealt by context.
-HOT_CLASS = 10
+#: Frequency class (bit length of the excess over the sketch's noise) from which an anchor is dealt by context:
+#: below it, all contexts of an anchor (some 2**14 times 170 bytes) still fit in one block of a task.
+HOT_CLASS = 15
 #: Contexts of a frequent anchor that a task holds before it passes them on.
 HELD = 200_000
 NULL_ID = -(2**63)
@@ -304,6 +305,8 @@ def sorted_blocks(contexts: DataFrame, length: int) -> DataFrame:
 def hashed_strings(contexts: DataFrame, length: int) -> DataFrame:
     """Repeated strings among the contexts of frequent anchors: each string's earliest start by aggregation."""
 
+    names = ["s1", "s2", "id", "th", "lo", "hi"]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for a in range(0, whole.num_rows, 4096):
@@ -317,11 +320,24 @@ def hashed_strings(contexts: DataFrame, length: int) -> DataFrame:
                 begin = (np.cumsum(width + length) - (width + length)).astype(np.int64)[of] + start
                 digests = b"".join([hashlib.blake2b(flat[x : x + length], digest_size=16).digest() for x in begin.tolist()])
                 both = np.frombuffer(digests, np.int64).reshape(-1, 2)
-                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[:, 0])), pa.array(np.ascontiguousarray(both[:, 1])), pa.array(ids[of]), pa.array(ths[of]), pa.array((lo[of] + start).astype(np.int32))], names=["s1", "s2", "id", "th", "lo"])
-
-    strings = contexts.where(F.col("kind") == FREQUENT).mapInArrow(run, "s1 long, s2 long, id long, th int, lo int")
-    earliest = strings.groupBy("s1", "s2").agg(F.min(F.struct("id", "lo")).alias("e"), F.count("*").alias("c")).where("c > 1").select("s1", "s2", "e")
-    return strings.join(earliest, ["s1", "s2"]).where((F.col("id") != F.col("e.id")) | (F.col("lo") != F.col("e.lo"))).select("id", "th", "lo", F.col("lo").alias("hi"))
+                d, th, at = ids[of], ths[of], lo[of] + start
+                order = np.lexsort((at, d, both[:, 1], both[:, 0]))
+                both, d, th, at = both[order], d[order], th[order], at[order]
+                new = np.concatenate([[True], (both[1:] != both[:-1]).any(axis=1)])
+                first = np.flatnonzero(new)[np.cumsum(new) - 1]
+                later = (d != d[first]) | (at != at[first])
+                if later.any():  # repeated within this portion already
+                    nothing = pa.nulls(len(runs := _runs(d[later], th[later], at[later])), pa.int64())
+                    yield pa.RecordBatch.from_arrays([nothing, nothing, *runs.columns], names=names)
+                own = ~later
+                place = pa.array(at[own].astype(np.int32))
+                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(both[own, 0])), pa.array(np.ascontiguousarray(both[own, 1])), pa.array(d[own]), pa.array(th[own]), place, place], names=names)
+
+    strings = contexts.where(F.col("kind") == FREQUENT).mapInArrow(run, "s1 long, s2 long, " + INTERVAL)
+    single = strings.where("s1 is not null")
+    earliest = single.groupBy("s1", "s2").agg(F.min(F.struct("id", "lo")).alias("e"), F.count("*").alias("c")).where("c > 1").select("s1", "s2", "e")
+    later = single.join(earliest, ["s1", "s2"]).where((F.col("id") != F.col("e.id")) | (F.col("lo") != F.col("e.lo")))
+    return later.select("id", "th", "lo", "hi").union(strings.where("s1 is null").select("id", "th", "lo", "hi"))
 
 
 def repeated_strings(rows: DataFrame, length: int = LENGTH) -> DataFrame:
