@@ -192,35 +192,54 @@ def _has_letter(text: str | None) -> bool:
     return any(c.isalpha() for c in text or "")
 
 
+def label_texts(model: LanguageModel, chunk: TextChunk, text: pa.Array, penalty: float) -> tuple[list[str], np.ndarray, np.ndarray, Words]:
+    """Language and score of each text of a chunk, the label of each word, and the words."""
+    number, words = len(model.languages), Words(chunk)
+    texts_of = np.repeat(np.arange(len(chunk)), np.diff(words.first))
+    label = viterbi(emissions(model, words), words.first, penalty) if number else np.zeros(len(words.start), np.int16)
+    letters = np.bincount(texts_of * max(1, number) + label, words.letters, len(chunk) * max(1, number)).reshape(len(chunk), -1)
+    total, chosen = letters.sum(axis=1), letters.argmax(axis=1)
+    known = (total > 0) & (number > 0)
+    lang = [model.languages[c] if k else "und" for c, k in zip(chosen.tolist(), known.tolist(), strict=True)]
+    for d in np.flatnonzero(~known).tolist() if number else ():  # letters outside the script ranges
+        if _has_letter(text[d].as_py()):
+            lang[d] = model.languages[0]
+    return lang, np.where(known, letters.max(axis=1) / np.maximum(total, 1), 0.0), label, words
+
+
+def _limit(model: LanguageModel) -> int:
+    return max(1 << 18, CHUNK * 4 // max(4, len(model.languages)))
+
+
 def identify(df: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text", with_spans: bool = False, penalty: float = SWITCH_PENALTY) -> DataFrame:
     """(doc_id, lang_pred, score) of every row; ``with_spans`` adds array<struct<start, end, lang>> over word numbers."""
     held = df.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = held.value
-        number = len(own.languages)
-        for part, chunk in all_chunks(batches, limit=max(1 << 18, CHUNK * 4 // max(4, number))):
-            words = Words(chunk)
-            texts_of = np.repeat(np.arange(len(chunk)), np.diff(words.first))
-            label = viterbi(emissions(own, words), words.first, penalty) if number else np.zeros(len(words.start), np.int16)
-            letters = np.bincount(texts_of * max(1, number) + label, words.letters, len(chunk) * max(1, number)).reshape(len(chunk), -1)
-            total, chosen = letters.sum(axis=1), letters.argmax(axis=1)
-            known = (total > 0) & (number > 0)
-            odd = np.flatnonzero(~known) if number else []
-            text = part.column(1)
-            lang = [own.languages[c] if k else "und" for c, k in zip(chosen.tolist(), known.tolist(), strict=True)]
-            score = np.where(known, letters.max(axis=1) / np.maximum(total, 1), 0.0)
-            for d in odd:  # letters outside the script ranges
-                if _has_letter(text[int(d)].as_py()):
-                    lang[int(d)] = own.languages[0]
+        for part, chunk in all_chunks(batches, limit=_limit(own)):
+            lang, score, label, words = label_texts(own, chunk, part.column(1), penalty)
             columns = [part.column(0), pa.array(lang, pa.string()), pa.array(score, pa.float64())]
             if with_spans:
                 spans = []
                 for a, b in zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True):
-                    cut = [0, *(np.flatnonzero(np.diff(label[a:b])) + 1).tolist(), b - a] if b > a and number else []
+                    cut = [0, *(np.flatnonzero(np.diff(label[a:b])) + 1).tolist(), b - a] if b > a and own.languages else [0]
                     spans.append([{"start": x, "end": y, "lang": own.languages[label[a + x]]} for x, y in zip(cut[:-1], cut[1:], strict=True)])
                 columns.append(pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("lang", pa.string())]))))
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "lang_pred", "score", "spans"][: len(columns)])
 
     schema = "doc_id long, lang_pred string, score double" + (", spans array<struct<start: int, end: int, lang: string>>" if with_spans else "")
     return texts(df, id_col, text_col).mapInArrow(run, schema)
+
+
+def with_known_language(df: DataFrame, model: LanguageModel, least: float = 0.5, text_col: str = "text", penalty: float = SWITCH_PENALTY) -> DataFrame:
+    """The rows of df, whole, of which one learned language holds at least ``least`` of the letters."""
+    held = df.sparkSession.sparkContext.broadcast(model)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = held.value
+        for part, chunk in all_chunks(batches, text_col, _limit(own)):
+            lang, score, _, _ = label_texts(own, chunk, part.column(part.schema.get_field_index(text_col)), penalty)
+            yield part.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score.tolist(), strict=True)], pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)

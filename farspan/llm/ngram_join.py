@@ -27,7 +27,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from farspan.llm import sketch
@@ -64,22 +64,23 @@ def overlap_bound(x: np.ndarray, y: np.ndarray) -> int | None:
 
 
 def shingle_classes(df: DataFrame, k: int) -> DataFrame:
-    """One row (doc_id, n_shingles, node, counts) per document, and the partial sketches as rows with a block."""
+    """One row (doc_id, n_shingles, node, counts, text_hash) per document, and the partial sketches as rows with a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = sketch.Sketch()
-        names = ["doc_id", "n_shingles", "node", "block", "counts"]
+        names = ["doc_id", "n_shingles", "node", "block", "counts", "text_hash"]
         for part, chunk in all_chunks(batches):
             sets = list(shingle_sets(chunk, k))
             if sets:
                 seen.add(np.concatenate(sets))
             n = len(sets)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary())], names=names)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary()), part.column(2)], names=names)
         if (blocks := seen.block_rows()) is not None:
             nothing = pa.nulls(sketch.BLOCKS, pa.int64())
-            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *blocks], names=names)
+            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *blocks, nothing], names=names)
 
-    return df.mapInArrow(run, "doc_id long, n_shingles long, node long, block int, counts binary")
+    hashed = df.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"))
+    return hashed.mapInArrow(run, "doc_id long, n_shingles long, node long, block int, counts binary, text_hash long")
 
 
 def needed(m: F.Column, n: F.Column) -> F.Column:
@@ -238,13 +239,13 @@ def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, k: int) -> D
 
 
 def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, class_id, component_id) for every row: class_id is the smallest doc_id with an equal
+    """(doc_id, n_shingles, text_hash, class_id, component_id) for every row: class_id is the smallest doc_id with an equal
     shingle set, component_id the smallest doc_id reachable by links."""
     if not 1 <= k <= 32:
         raise ValueError("k must be 1 to 32")
     spark, rows = df.sparkSession, texts(df, id_col, text_col)
     measured = written(shingle_classes(rows, k), "shingles")
-    documents = measured.where("block is null").select("doc_id", "n_shingles", "node")
+    documents = measured.where("block is null").select("doc_id", "n_shingles", "node", "text_hash")
     table = spark.sparkContext.broadcast(sketch.frequency_classes(measured.where("block is not null")))
     known = rows.where("doc_id is not null")
     shared = written(shared_columns(incidence_entries(known, k, table)), "entries")
@@ -260,5 +261,22 @@ def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col:
     rooted = nodes.join(roots, "node", "left").select("node", "class_id", F.coalesce("root", "node").alias("root"))
     components = rooted.groupBy("root").agg(F.min("class_id").alias("component_id"))
     named = rooted.join(components, "root").select("node", "class_id", "component_id")
-    lone = documents.where("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("component_id"))
-    return documents.where("n_shingles > 0 and doc_id is not null").join(named, "node").select("doc_id", "n_shingles", "class_id", "component_id").union(lone)
+    lone = documents.where("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", "text_hash", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("component_id"))
+    return documents.where("n_shingles > 0 and doc_id is not null").join(named, "node").select("doc_id", "n_shingles", "text_hash", "class_id", "component_id").union(lone)
+
+
+def first_of_each_group(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of df, whole, that come first (by id, then by a hash of the text) in their component.
+
+    Rows without shingles or without an id stay, but for repeated equal rows under one id.
+    """
+    names = df.columns
+    th = F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+    grouped = near_duplicates(df, k, id_col, text_col)
+    kept = grouped.where("doc_id is not null and doc_id = component_id").select("doc_id", "n_shingles", "component_id", "text_hash")
+    chosen = kept.where("n_shingles > 0").groupBy("component_id").agg(F.min("text_hash").alias("text_hash")).select(F.col("component_id").alias("doc_id"), "text_hash")
+    chosen = chosen.union(kept.where("n_shingles = 0").select("doc_id", "text_hash")).distinct().select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_hash"))
+    rows = df.select(F.struct(*[F.col(c) for c in names]).alias("row"), F.col(id_col).cast("long").alias("own_id"), th.alias("own_hash"))
+    stay = rows.join(chosen, (F.col("own_id") == F.col("kept_id")) & (F.col("own_hash") == F.col("kept_hash")), "left_semi")
+    once = stay.withColumn("k", F.row_number().over(Window.partitionBy("own_id", "own_hash").orderBy("own_hash"))).where("k = 1")
+    return once.select("row").union(rows.where("own_id is null").select("row")).select(*[F.col("row").getField(c).alias(c) for c in names])

@@ -351,34 +351,68 @@ def repeated_strings(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     return written(parts.groupBy("id", "th").agg(F.sort_array(F.collect_set(F.struct("lo", "hi"))).alias("starts")), "repeats")
 
 
+def cut_out(chunk: TextChunk, starts: pa.Array, length: int) -> tuple[list[list[list[int]]], list[bytes]]:
+    """The removed spans of each text, and what is left of it."""
+    whole, spans_out, kept_out = chunk.data.tobytes(), [], []
+    for d, own in enumerate(starts.to_pylist()):
+        raw = whole[chunk.off[d] : chunk.off[d + 1]]
+        spans: list[list[int]] = []
+        for x in own or ():
+            a, b = x["lo"], x["hi"] + length
+            if spans and a <= spans[-1][1]:
+                spans[-1][1] = max(b, spans[-1][1])
+            else:
+                spans.append([a, b])
+        at, kept = 0, []
+        for a, b in spans:
+            kept.append(raw[at:a])
+            at = b
+        spans_out.append(spans)
+        kept_out.append(b"".join([*kept, raw[at:]]) if spans else raw)
+    return spans_out, kept_out
+
+
 def remove_repeats(df: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_bytes, spans, kept) for every row: the removed byte runs as array<struct<start, end>>, and the rest."""
     if length <= K:
         raise ValueError(f"length must be above {K}")
     rows = keyed(df, id_col, text_col)
     found = repeated_strings(rows, length)
+    spans_type = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, chunk in all_chunks(batches):
-            whole = chunk.data.tobytes()
-            spans_out, kept_out = [], []
-            for d, starts in enumerate(part.column(3).to_pylist()):
-                raw = whole[chunk.off[d] : chunk.off[d + 1]]
-                spans: list[list[int]] = []
-                for x in starts or ():
-                    a, b = x["lo"], x["hi"] + length
-                    if spans and a <= spans[-1][1]:
-                        spans[-1][1] = max(b, spans[-1][1])
-                    else:
-                        spans.append([a, b])
-                at, kept = 0, []
-                for a, b in spans:
-                    kept.append(raw[at:a])
-                    at = b
-                kept_out.append(b"".join([*kept, raw[at:]]) if spans else raw)
-                spans_out.append([{"start": a, "end": b} for a, b in spans])
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.diff(chunk.off), pa.int64()), pa.array(spans_out, pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))), pa.array(kept_out, pa.binary())], names=["id", "n_bytes", "spans", "kept"])
+            spans, kept = cut_out(chunk, part.column(3), length)
+            shown = [[{"start": a, "end": b} for a, b in own] for own in spans]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(np.diff(chunk.off), pa.int64()), pa.array(shown, spans_type), pa.array(kept, pa.binary())], names=["id", "n_bytes", "spans", "kept"])
 
     joined = rows.join(found, ["id", "th"], "left").select("id", "th", "text", "starts")
     out = joined.mapInArrow(run, "id long, n_bytes long, spans array<struct<start: long, end: long>>, kept binary")
     return out.select(F.when(F.col("id") != NULL_ID, F.col("id")).alias("doc_id"), "n_bytes", "spans", "kept")
+
+
+def without_repeats(df: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text", chars_col: str = "n_chars") -> DataFrame:
+    """df with its texts cut (characters broken by a cut go too) and the number of characters kept up to date;
+    rows of whose text nothing is left are dropped."""
+    key, names = keyed(df, id_col, text_col), df.columns
+    whole = df.select(F.struct(*[F.col(c) for c in names if c != text_col]).alias("rest"), F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).bitwiseAND(0x7FFFFFFF).cast("int").alias("th"), F.col(text_col).alias("text"))
+    joined = whole.join(repeated_strings(key, length), ["id", "th"], "left").select("rest", "text", "starts")
+    schema = joined.drop("starts").schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, chunk in all_chunks(batches):
+            starts = part.column(2)
+            spans, kept = cut_out(chunk, starts, length)
+            text = part.column(1).to_pylist()
+            cut = [k.decode(errors="ignore") if s else t for s, k, t in zip(spans, kept, text, strict=True)]
+            keep = [bool(t) or not s for s, t in zip(spans, cut, strict=True)]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(cut, pa.string())], names=["rest", "text"]).filter(pa.array(keep, pa.bool_()))
+
+    out = joined.mapInArrow(run, schema)
+
+    def column(c: str):
+        if c == text_col:
+            return F.col("text").alias(c)
+        return F.length("text").cast(df.schema[c].dataType).alias(c) if c == chars_col else F.col("rest").getField(c).alias(c)
+
+    return out.select(*[column(c) for c in names])

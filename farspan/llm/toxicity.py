@@ -225,3 +225,20 @@ def score(df: DataFrame, lexicon: Lexicon, id_col: str = "doc_id", text_col: str
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(scores, pa.float64()), pa.array(weights, pa.float64())], names=["doc_id", "score", "weight"])
 
     return texts(df, id_col, text_col).mapInArrow(run, "doc_id long, score double, weight double")
+
+
+def without_toxic(df: DataFrame, lexicon: Lexicon, threshold: float = 0.3, text_col: str = "text") -> DataFrame:
+    """The rows of df, whole, whose text scores below the threshold."""
+    model, at = df.sparkSession.sparkContext.broadcast(lexicon), df.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = model.value
+        matcher = Matcher(own.weights, own.exceptions)
+        for whole in batches:
+            for a in range(0, whole.num_rows, 500):
+                batch = whole.slice(a, 500)
+                folded = [fold(t or "") for t in batch.column(at).to_pylist()]
+                keep = [own.probability(matcher.weight(t), len(t.split())) < threshold for t in folded]
+                yield batch.filter(pa.array(keep, pa.bool_()))
+
+    return df.mapInArrow(run, df.schema)
