@@ -1,20 +1,24 @@
-"""Document likelihood by a subword lattice.
+"""Document likelihood by subword lattices.
 
 Every word is a lattice over its bytes (behind one blank): an arc for each vocabulary piece, so that a path is a
 segmentation.  Arc weights start from the scores of an existing vocabulary (a piece of rank r gets weight
 1 / (r + RANK_SHIFT)) and are re-estimated by forward-backward expectation over the distinct words of the training
 documents, with the existing scores as prior.  Beside the subword paths, a word seen in training has one arc that
 spans it whole, with absolutely discounted weight; the discounted mass weighs the subword paths.  The log-space
-forward recursion sums all paths: the result is the marginal probability of the word, and a document's is the
-product over its words and its end.  All weights are proper, so documents' probabilities sum to at most one.
+forward recursion sums all paths: the result is the marginal probability of the word.
+
+Documents come from classes (a column of the training rows, at most MAX_CLASSES values and the rest), each with
+its own weights; inside a document words are drawn by a Polya urn whose base is the class's lattice, so that a word
+used once is likelier afterwards.  A document's probability is the sum over classes of prior, urn and end.  All
+weights are proper, so documents' probabilities sum to at most one.  Scoring reads only the text.
 
 Words are counted in tasks, then by a shuffle on their 64-bit hash; a word's lattice is evaluated once.  Documents
 meet the words' values in two ways: the HEAD most frequent words at most are broadcast (a threshold is chosen from
 a histogram of counts so that they fit), all others are joined by a shuffle.
 
 Null and empty texts consist of their end only.  Repeated rows are counted and scored each on their own; an empty
-table gives an empty result, a table without training rows scores words by the vocabulary alone and ends as
-certain to stop; columns other than id and text are not read.
+table gives an empty result; without training rows words are scored by the vocabulary alone; other columns are
+not read.
 """
 
 from __future__ import annotations
@@ -24,6 +28,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -35,7 +40,12 @@ BYTE_WEIGHT = 1e-6
 PRIOR_WORDS = 1_000.0
 DISCOUNT = 0.75
 ROUNDS = 2
-#: Words whose values are broadcast, at most (24 bytes each).
+#: Share of a class's spare mass that goes to words of all classes before the lattice.
+SHARED = 0.3
+#: Strength of the base in a document's urn, in words.
+URN = 1_000.0
+MAX_CLASSES = 7
+#: Words whose values are broadcast, at most (16 bytes and 8 for each class).
 HEAD = 1 << 19
 COUNT_CHUNK = 16 << 20
 _CELLS = 1 << 21
@@ -136,48 +146,61 @@ def word_hashes(chunk: TextChunk) -> tuple[np.ndarray, np.ndarray, np.ndarray, n
     return start, end, first, chunk.span_hash(start, end, lower=True)
 
 
-def count_words(rows: DataFrame) -> DataFrame:
-    """(h, word, seen, total): occurrences of each lower-cased word in training rows and in all rows."""
+def log_gamma(x: np.ndarray) -> np.ndarray:
+    """For x >= 1: Stirling's series, six steps up."""
+    y = x + 6
+    series = (y - 0.5) * np.log(y) - y + 0.5 * math.log(2 * math.pi) + 1 / (12 * y) - 1 / (360 * y**3) + 1 / (1260 * y**5)
+    return series - np.log(x * (x + 1) * (x + 2) * (x + 3) * (x + 4) * (x + 5))
+
+
+def count_words(rows: DataFrame, classes: int) -> DataFrame:
+    """(h, word, total, seen_0, ..): occurrences of each lower-cased word in all rows, and in training rows by class.
+
+    rows: class (its number, -1 for rows that aren't learned from) and text.
+    """
+    seen = [f"seen_{z}" for z in range(classes)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, chunk in all_chunks(batches, limit=COUNT_CHUNK):
             start, end, first, h = word_hashes(chunk)
             if len(h) == 0:
                 continue
-            train = np.repeat(part.column(part.schema.get_field_index("train")).to_numpy(zero_copy_only=False), np.diff(first))
+            of = np.repeat(part.column(0).to_numpy(), np.diff(first))
             order = np.argsort(h)
-            ranked = h[order]
+            ranked, of = h[order], of[order]
             at = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]]))
             total = np.diff(np.concatenate([at, [len(h)]]))
-            seen = np.add.reduceat(train[order].astype(np.int64), at)
+            counts = [np.add.reduceat((of == z).astype(np.int64), at) for z in range(classes)]
             one = order[at]
             size = end[one] - start[one]
             offset = np.concatenate([[0], np.cumsum(size)])
             source = np.arange(offset[-1]) + np.repeat(start[one] - offset[:-1], size)
             words = pa.Array.from_buffers(pa.binary(), len(one), [None, pa.py_buffer(offset.astype(np.int32)), pa.py_buffer(LOWER[chunk.data[source]])])
-            yield pa.RecordBatch.from_arrays([pa.array(signed(ranked[at])), words, pa.array(seen), pa.array(total)], names=["h", "word", "seen", "total"])
+            yield pa.RecordBatch.from_arrays([pa.array(signed(ranked[at])), words, pa.array(total), *map(pa.array, counts)], names=["h", "word", "total", *seen])
 
-    counted = rows.select("train", "text").mapInArrow(run, "h long, word binary, seen long, total long")
-    return counted.groupBy("h").agg(F.first("word").alias("word"), F.sum("seen").alias("seen"), F.sum("total").alias("total"))
+    counted = rows.select("class", "text").mapInArrow(run, "h long, word binary, total long, " + ", ".join(f"{c} long" for c in seen))
+    return counted.groupBy("h").agg(F.first("word").alias("word"), *[F.sum(c).alias(c) for c in ("total", *seen)])
 
 
-def estimate(words: DataFrame, vocabulary: str | None, rounds: int) -> np.ndarray:
-    """Log-weights of the pieces from the distinct training words; one number a piece comes to the driver."""
+def estimate(words: DataFrame, classes: int, vocabulary: str | None, rounds: int) -> np.ndarray:
+    """(classes, pieces + 1) log-weights from the distinct training words; one number a piece and class comes to the driver."""
     pieces = Pieces(vocabulary)
-    weight = np.append(pieces.prior, -np.inf)
+    weight = np.tile(np.append(pieces.prior, -np.inf), (classes, 1))
     prior = np.exp(pieces.prior)
     spark = words.sparkSession
+    shape = weight.shape
     for _ in range(rounds):
         held = spark.sparkContext.broadcast(weight)
 
         def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
-            own, uses, found = Pieces(vocabulary), np.zeros(len(held.value)), False
+            own, uses = Pieces(vocabulary), np.zeros(shape)
             for batch in batches:
-                for a in range(0, batch.num_rows, 20_000):
-                    for _, lattices in by_length(batch.column(0).slice(a, 20_000).to_pylist(), own):
-                        uses += lattices.expected(held.value)
-                        found = True
-            if found:
+                for z in range(classes):
+                    mine = batch.column(0).filter(pc.greater(batch.column(1 + z), 0))
+                    for a in range(0, len(mine), 20_000):
+                        for _, lattices in by_length(mine.slice(a, 20_000).to_pylist(), own):
+                            uses[z] += lattices.expected(held.value[z])
+            if uses.any():
                 yield pa.RecordBatch.from_arrays([pa.array([0]), pa.array([uses.tobytes()])], names=["k", "uses"])
 
         def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -189,31 +212,35 @@ def estimate(words: DataFrame, vocabulary: str | None, rounds: int) -> np.ndarra
             if total is not None:
                 yield pa.RecordBatch.from_arrays([pa.array([0]), pa.array([total.tobytes()])], names=["k", "uses"])
 
-        partial = words.where("seen > 0").select("word").mapInArrow(run, "k long, uses binary").coalesce(4).mapInArrow(add, "k long, uses binary")
-        uses = sum((np.frombuffer(r.uses, np.float64) for r in partial.collect()), np.zeros(len(weight)))[:-1]
-        weight = np.append(np.log((uses + PRIOR_WORDS * prior) / (uses.sum() + PRIOR_WORDS)), -np.inf)
+        partial = words.select("word", *[f"seen_{z}" for z in range(classes)]).mapInArrow(run, "k long, uses binary").repartition(4).mapInArrow(add, "k long, uses binary")
+        uses = sum((np.frombuffer(r.uses, np.float64) for r in partial.collect()), np.zeros(weight.size)).reshape(shape)[:, :-1]
+        weight = np.concatenate([np.log((uses + PRIOR_WORDS * prior) / (uses.sum(axis=1, keepdims=True) + PRIOR_WORDS)), np.full((classes, 1), -np.inf)], axis=1)
     return weight
 
 
-def word_values(words: DataFrame, weight: np.ndarray, vocabulary: str | None, tokens: int, types: int) -> DataFrame:
-    """(h, seen, total, score): natural log of each word's marginal probability."""
+def word_values(words: DataFrame, weight: np.ndarray, vocabulary: str | None, tokens: list[int], types: list[int]) -> DataFrame:
+    """(h, total, seen, s_0, ..): natural logs of each word's marginal probability in each class."""
     held = words.sparkSession.sparkContext.broadcast(weight)
-    spare = math.log(DISCOUNT * types / tokens) if tokens else 0.0
+    classes, everywhere = len(weight), max(1, sum(tokens))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         pieces = Pieces(vocabulary)
         for whole in batches:
             for a in range(0, whole.num_rows, 20_000):
                 batch = whole.slice(a, 20_000)
-                score = np.empty(batch.num_rows)
+                paths = np.empty((classes, batch.num_rows))
                 for at, lattices in by_length(batch.column(1).to_pylist(), pieces):
-                    score[at] = lattices.forward(held.value)[:, -1]
-                seen = batch.column(2).to_numpy().astype(np.float64)
+                    for z in range(classes):
+                        paths[z, at] = lattices.forward(held.value[z])[:, -1]
+                seen = [batch.column(3 + z).to_numpy().astype(np.float64) for z in range(classes)]
+                total = sum(seen)
                 with np.errstate(divide="ignore"):
-                    arc = np.log(np.maximum(seen - DISCOUNT, 0) / max(1, tokens))
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), batch.column(3), pa.array(np.logaddexp(arc, spare + score))], names=["h", "seen", "total", "score"])
+                    shared = np.log(SHARED * total / everywhere)
+                    back = np.logaddexp(shared, math.log(1 - SHARED) + paths)
+                    values = [np.logaddexp(np.log(np.maximum(x - DISCOUNT, 0) / max(1, n)), (math.log(DISCOUNT * v / n) if n else 0.0) + b) for x, n, v, b in zip(seen, tokens, types, back, strict=True)]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(total.astype(np.int64)), *map(pa.array, values)], names=["h", "total", "seen", *(f"s_{z}" for z in range(classes))])
 
-    return words.select("h", "word", "seen", "total").mapInArrow(run, "h long, seen long, total long, score double")
+    return words.select("h", "word", "total", *[f"seen_{z}" for z in range(classes)]).mapInArrow(run, "h long, total long, seen long, " + ", ".join(f"s_{z} double" for z in range(classes)))
 
 
 def head_threshold(values: DataFrame, most: int) -> int:
@@ -227,58 +254,94 @@ def head_threshold(values: DataFrame, most: int) -> int:
     return 2**b
 
 
-def score_documents(df: DataFrame, train: Column, vocabulary: str | None = None, id_col: str = "doc_id", text_col: str = "text", rounds: int = ROUNDS, head: int = HEAD) -> DataFrame:
+def score_documents(df: DataFrame, train: Column, class_col: str | None = None, vocabulary: str | None = None, id_col: str = "doc_id", text_col: str = "text", rounds: int = ROUNDS, head: int = HEAD, urn: float = URN) -> DataFrame:
     """(doc_id, train, n_tokens, n_known, train_tokens, base_score, score) for every row of df; scores in log10.
 
-    ``train``: condition over df's columns; rows where it holds are learned from.
+    ``train``: condition over df's columns; rows where it holds are learned from, with their class if class_col is given.
     """
     spark = df.sparkSession
-    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), F.col(text_col).cast("string").alias("text"))
-    ends = rows.where("train").count()
-    words = written(count_words(rows), "words")
-    sums = words.agg(F.coalesce(F.sum("seen"), F.lit(0)).alias("n"), F.count_if(F.col("seen") > 0).alias("v")).first()
-    tokens, types = sums.n + ends, sums.v + (ends > 0)
-    weight = estimate(words, vocabulary, rounds)
+    label = F.coalesce(F.col(class_col).cast("string"), F.lit("")) if class_col else F.lit("")
+    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), label.alias("label"), F.col(text_col).cast("string").alias("text"))
+    ranked = rows.where("train").groupBy("label").count().orderBy(F.desc("count"), "label")
+    size = [(r.label, r["count"]) for r in ranked.limit(MAX_CLASSES).collect()]
+    rest = rows.where("train").count() - sum(n for _, n in size)
+    ends = [n for _, n in size] + [rest] * (rest > 0) or [0]
+    classes = len(ends)
+    number = F.lit(classes - 1)
+    for z, (name, _) in enumerate(size):
+        number = F.when(F.col("label") == name, z).otherwise(number)
+    rows = rows.select("doc_id", "train", F.when(F.col("train"), number).otherwise(-1).cast("int").alias("class"), "text")
+    words = written(count_words(rows, classes), "words")
+    seen = [F.col(f"seen_{z}") for z in range(classes)]
+    sums = words.agg(*[F.coalesce(F.sum(c), F.lit(0)) for c in seen], *[F.count_if(c > 0) for c in seen], F.count_if(sum(seen, F.lit(0)) > 0)).first()
+    tokens, types = [sums[z] + ends[z] for z in range(classes)], [sums[classes + z] + (ends[z] > 0) for z in range(classes)]
+    all_ends, all_tokens, all_types = sum(ends), sum(tokens), sums[2 * classes] + (sum(ends) > 0)
+    weight = estimate(words, classes, vocabulary, rounds)
     values = written(word_values(words, weight, vocabulary, tokens, types), "word-values")
     least = head_threshold(values, head)
-    top = values.where(F.col("total") >= least).select("h", "seen", "score").toArrow()
+    names = [f"s_{z}" for z in range(classes)]
+    top = values.where(F.col("total") >= least).select("h", "seen", *names).toArrow()
     order = np.argsort(top["h"].to_numpy())
-    frequent = spark.sparkContext.broadcast(tuple(top[c].to_numpy()[order] for c in ("h", "seen", "score")))
-    floor = math.log10(tokens + types + 1)
-    end_base = math.log10(ends + 1) - floor
-    end_score = math.log10((ends - DISCOUNT) / tokens) if ends else 0.0
+    frequent = spark.sparkContext.broadcast((top["h"].to_numpy()[order], top["seen"].to_numpy()[order], np.stack([top[c].to_numpy()[order] for c in names])))
+    floor, log_urn = math.log10(all_tokens + all_types + 1), math.log(urn)
+    end_base = math.log10(all_ends + 1) - floor
+    end_score = [math.log(e / n) + log_urn if e else log_urn for e, n in zip(ends, tokens, strict=True)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
         top_h, top_seen, top_score = frequent.value
         top_base = np.log10(top_seen + 1.0) - floor
-        number = TaskContext.get().partitionId() << 40
-        names = ["row", "doc_id", "train", "h", "n", "known", "base", "score"]
-        for part, chunk in all_chunks(batches, limit=COUNT_CHUNK // 4):
+        row_number = TaskContext.get().partitionId() << 40
+        columns = ["row", "doc_id", "train", "h", "n", "known", "base", *names]
+        for part, chunk in all_chunks(batches, limit=COUNT_CHUNK // 8):
             _, _, first, hashes = word_hashes(chunk)
-            h, n = signed(hashes), np.diff(first)
+            n = np.diff(first)
+            text = np.repeat(np.arange(len(n)), n)
+            order = np.lexsort((hashes, text))
+            h, text = hashes[order], text[order]
+            new = np.concatenate([[True], (h[1:] != h[:-1]) | (text[1:] != text[:-1])]) if len(h) else np.zeros(0, bool)
+            once = np.flatnonzero(new)
+            c = np.diff(np.concatenate([once, [len(h)]]))
+            h, text = signed(h[once]), text[once]
             at = np.searchsorted(top_h, h)
             at[at == len(top_h)] = 0
             found = top_h[at] == h if len(top_h) else np.zeros(len(h), bool)
-            text = np.repeat(np.arange(len(n)), n)
-            own, value = text[found], at[found]
-            known = np.bincount(own, top_seen[value] > 0, len(n)).astype(np.int64) + (ends > 0)
-            base = np.bincount(own, top_base[value], len(n)) + end_base
-            score = np.bincount(own, top_score[value] / LOG10, len(n)) + end_score
-            row = number + np.arange(len(n))
-            number += len(n)
-            nothing = pa.nulls(len(n), pa.int64())
-            yield pa.RecordBatch.from_arrays([pa.array(row), part.column(0), part.column(1), nothing, pa.array(n + 1), pa.array(known), pa.array(base), pa.array(score)], names=names)
+            own, value, times = text[found], at[found], c[found]
+            known = np.bincount(own, times * (top_seen[value] > 0), len(n)).astype(np.int64) + (all_ends > 0)
+            base = np.bincount(own, times * top_base[value], len(n)) + end_base
+            again = np.flatnonzero(times > 1)
+            scores = []
+            for z in range(classes):
+                log_p = top_score[z][value]
+                gain = log_p + log_urn
+                mass = np.exp(gain[again])
+                gain[again] += log_gamma(times[again] + mass) - log_gamma(1 + mass)
+                scores.append(np.bincount(own, gain, len(n)) + end_score[z])
+            row = row_number + np.arange(len(n))
+            row_number += len(n)
+            yield pa.RecordBatch.from_arrays([pa.array(row), part.column(0), part.column(1), pa.nulls(len(n), pa.int64()), pa.array(n + 1), pa.array(known), pa.array(base), *map(pa.array, scores)], names=columns)
             rare = np.flatnonzero(~found)
             if len(rare):
                 k = len(rare)
-                yield pa.RecordBatch.from_arrays([pa.array(row[text[rare]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), pa.array(h[rare]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.int64()), pa.nulls(k, pa.float64()), pa.nulls(k, pa.float64())], names=names)
+                yield pa.RecordBatch.from_arrays([pa.array(row[text[rare]]), pa.nulls(k, pa.int64()), pa.nulls(k, pa.bool_()), pa.array(h[rare]), pa.array(c[rare]), pa.nulls(k, pa.int64()), *[pa.nulls(k, pa.float64())] * (1 + classes)], names=columns)
+
+    parts = written(rows.select("doc_id", "train", "text").mapInArrow(run, "row long, doc_id long, train boolean, h long, n long, known long, base double, " + ", ".join(f"{c} double" for c in names)), "parts")
+    rare = values.where(F.col("total") < least).select("h", "seen", *names)
+    joined = parts.where("h is not null").select("row", "h", F.col("n").alias("c")).join(rare, "h")
+    c = F.col("c")
+
+    def drawn(log_p: Column) -> Column:
+        """Log of the urn's factor for c draws of one word."""
+        more = F.aggregate(F.sequence(F.lit(1).cast("long"), c - 1), F.lit(0.0), lambda total, k: total + F.ln(urn * F.exp(log_p) + k))
+        return log_p + log_urn + F.when(c > 1, more).otherwise(0.0)
 
-    parts = written(rows.mapInArrow(run, "row long, doc_id long, train boolean, h long, n long, known long, base double, score double"), "parts")
-    rare = values.where(F.col("total") < least).select("h", (F.col("seen") > 0).cast("long").alias("known"), (F.log10(F.col("seen") + 1.0) - floor).alias("base"), (F.col("score") / LOG10).alias("score"))
-    tail = parts.where("h is not null").select("row", "h").groupBy("row", "h").agg(F.count("*").alias("c")).join(rare, "h")
-    tails = tail.groupBy("row").agg(*[F.sum(F.col("c") * F.col(x)).alias(f"tail_{x}") for x in ("known", "base", "score")])
+    tails = joined.groupBy("row").agg(F.sum(F.when(F.col("seen") > 0, c).otherwise(0)).alias("t_known"), F.sum(c * (F.log10(F.col("seen") + 1.0) - floor)).alias("t_base"), *[F.sum(drawn(F.col(x))).alias(f"t_{x}") for x in names])
     whole = parts.where("h is null").join(tails, "row", "left")
-    both = lambda x: F.col(x) + F.coalesce(F.col(f"tail_{x}"), F.lit(0))
-    return whole.select("doc_id", "train", F.col("n").alias("n_tokens"), both("known").cast("long").alias("n_known"), F.lit(tokens).cast("long").alias("train_tokens"), both("base").alias("base_score"), both("score").alias("score"))
+    both = lambda x: F.col(x) + F.coalesce(F.col(f"t_{x}"), F.lit(0))
+    prior = [math.log(max(e, 1e-9) / max(1, all_ends)) if all_ends else -math.log(classes) for e in ends]
+    logs = [both(x) + F.lit(q) for x, q in zip(names, prior, strict=True)]
+    best = F.greatest(*logs) if classes > 1 else logs[0]
+    mixed = best + F.ln(sum((F.exp(x - best) for x in logs), F.lit(0.0)))
+    spent = F.aggregate(F.sequence(F.lit(0).cast("long"), F.col("n") - 1), F.lit(0.0), lambda total, k: total + F.ln(urn + k))
+    return whole.select("doc_id", "train", F.col("n").alias("n_tokens"), both("known").cast("long").alias("n_known"), F.lit(all_tokens).cast("long").alias("train_tokens"), both("base").alias("base_score"), ((mixed - spent) / LOG10).alias("score"))

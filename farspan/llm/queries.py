@@ -19,7 +19,7 @@ def fold(modulus: int) -> F.Column:
 
 
 def op1_lattice_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
-    scored = lattice_lm.score_documents(documents(spark, sf_dir), train=fold(7) != 2)
+    scored = lattice_lm.score_documents(documents(spark, sf_dir), train=fold(7) != 2, class_col="lang")
     return scored.select("doc_id", (~F.col("train")).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 

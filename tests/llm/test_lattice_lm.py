@@ -48,9 +48,9 @@ def test_expected_uses_cover_every_byte(pieces):
 
 
 def score(spark, head):
-    rows = [(i, t, 5, i % 3 != 2) for i, t in enumerate(TEXTS * 2)]
-    df = spark.createDataFrame(rows, "doc_id long, text string, row int, learn boolean").repartition(3)
-    return rows, {r.doc_id: r for r in lattice_lm.score_documents(df, F.col("learn"), head=head).collect()}
+    rows = [(i, t, "xyz"[i % 3], i % 5 != 2) for i, t in enumerate(TEXTS * 2)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, row string, learn boolean").repartition(3)
+    return rows, {r.doc_id: r for r in lattice_lm.score_documents(df, F.col("learn"), class_col="row", head=head).collect()}
 
 
 @pytest.mark.parametrize("head", [0, 4, 1000])
@@ -69,6 +69,7 @@ def test_counts_and_base(spark, head):
 def test_probabilities_sum_to_at_most_one(spark, pieces):
     _, got = score(spark, 1000)
     assert 10 ** got[3].score < 1 and got[0].score < got[7].score < got[3].score
+    assert np.allclose(lattice_lm.log_gamma(np.array([1.0, 1.5, 2, 50, 3e5])), [math.lgamma(x) for x in (1, 1.5, 2, 50, 3e5)])
     assert abs(sum(np.exp(pieces.prior)) - 1) < 1e-9
 
 
