@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-CHUNK_BYTES = 2 << 20
+CHUNK_BYTES = 1 << 19
 
 _rng = np.random.default_rng(20240607)
 _BYTE_CODE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -40,7 +40,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
 def _grown(n: int) -> tuple[np.ndarray, np.ndarray]:
     global _powers, _inverses
     if len(_powers) < n:
-        size = 1 << (n - 1).bit_length()
+        size = -(-n // 65_536) * 65_536
         powers, inverses = np.full(size, _BASE, np.uint64), np.full(size, _BASE_INVERSE, np.uint64)
         powers[0] = inverses[0] = 1
         _powers, _inverses = np.cumprod(powers), np.cumprod(inverses)
