@@ -33,7 +33,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from farspan.llm.storage import written
-from farspan.llm.textbatch import LOWER, TextChunk, all_chunks, signed
+from farspan.llm.textbatch import IS_SPACE, LOWER, TextChunk, all_chunks, signed
 
 RANK_SHIFT = 10.0
 BYTE_WEIGHT = 1e-6
@@ -47,8 +47,9 @@ URN = 1_000.0
 MAX_CLASSES = 7
 #: Words whose values are broadcast, at most (16 bytes and 8 for each class).
 HEAD = 1 << 19
-COUNT_CHUNK = 16 << 20
-_CELLS = 1 << 21
+#: Distinct words that a task gathers before it passes their counts on.
+GATHERED = 400_000
+_CELLS = 1 << 19
 LOG10 = math.log(10)
 
 
@@ -160,23 +161,40 @@ def count_words(rows: DataFrame, classes: int) -> DataFrame:
     """
     seen = [f"seen_{z}" for z in range(classes)]
 
+    def counted_in(chunk: TextChunk, label: np.ndarray) -> tuple[np.ndarray, np.ndarray, pa.Array]:
+        start, end, first, h = word_hashes(chunk)
+        of = np.repeat(label, np.diff(first))
+        order = np.argsort(h)
+        ranked, of = h[order], of[order]
+        at = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]]))
+        counts = np.stack([np.diff(np.concatenate([at, [len(h)]])), *(np.add.reduceat((of == z).astype(np.int64), at) for z in range(classes))])
+        one = order[at]
+        size = end[one] - start[one]
+        offset = np.concatenate([[0], np.cumsum(size)])
+        source = np.arange(offset[-1]) + np.repeat(start[one] - offset[:-1], size)
+        words = pa.Array.from_buffers(pa.binary(), len(one), [None, pa.py_buffer(offset.astype(np.int32)), pa.py_buffer(LOWER[chunk.data[source]])])
+        return ranked[at], counts, words
+
+    def merged(parts: list[tuple[np.ndarray, np.ndarray, pa.Array]]) -> pa.RecordBatch:
+        h = np.concatenate([p[0] for p in parts])
+        order = np.argsort(h, kind="stable")
+        at = np.flatnonzero(np.concatenate([[True], h[order][1:] != h[order][:-1]]))
+        counts = np.add.reduceat(np.concatenate([p[1] for p in parts], axis=1)[:, order], at, axis=1)
+        words = pa.concat_arrays([p[2] for p in parts]).take(pa.array(order[at]))
+        return pa.RecordBatch.from_arrays([pa.array(signed(h[order[at]])), words, *map(pa.array, counts)], names=["h", "word", "total", *seen])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, chunk in all_chunks(batches, limit=COUNT_CHUNK):
-            start, end, first, h = word_hashes(chunk)
-            if len(h) == 0:
+        parts, size = [], 0
+        for part, chunk in all_chunks(batches):
+            if IS_SPACE[chunk.data].all():
                 continue
-            of = np.repeat(part.column(0).to_numpy(), np.diff(first))
-            order = np.argsort(h)
-            ranked, of = h[order], of[order]
-            at = np.flatnonzero(np.concatenate([[True], ranked[1:] != ranked[:-1]]))
-            total = np.diff(np.concatenate([at, [len(h)]]))
-            counts = [np.add.reduceat((of == z).astype(np.int64), at) for z in range(classes)]
-            one = order[at]
-            size = end[one] - start[one]
-            offset = np.concatenate([[0], np.cumsum(size)])
-            source = np.arange(offset[-1]) + np.repeat(start[one] - offset[:-1], size)
-            words = pa.Array.from_buffers(pa.binary(), len(one), [None, pa.py_buffer(offset.astype(np.int32)), pa.py_buffer(LOWER[chunk.data[source]])])
-            yield pa.RecordBatch.from_arrays([pa.array(signed(ranked[at])), words, pa.array(total), *map(pa.array, counts)], names=["h", "word", "total", *seen])
+            parts.append(counted_in(chunk, part.column(0).to_numpy()))
+            size += len(parts[-1][0])
+            if size >= GATHERED:
+                yield merged(parts)
+                parts, size = [], 0
+        if parts:
+            yield merged(parts)
 
     counted = rows.select("class", "text").mapInArrow(run, "h long, word binary, total long, " + ", ".join(f"{c} long" for c in seen))
     return counted.groupBy("h").agg(F.first("word").alias("word"), *[F.sum(c).alias(c) for c in ("total", *seen)])
@@ -294,7 +312,7 @@ def score_documents(df: DataFrame, train: Column, class_col: str | None = None,
         top_base = np.log10(top_seen + 1.0) - floor
         row_number = TaskContext.get().partitionId() << 40
         columns = ["row", "doc_id", "train", "h", "n", "known", "base", *names]
-        for part, chunk in all_chunks(batches, limit=COUNT_CHUNK // 8):
+        for part, chunk in all_chunks(batches):
             _, _, first, hashes = word_hashes(chunk)
             n = np.diff(first)
             text = np.repeat(np.arange(len(n)), n)
