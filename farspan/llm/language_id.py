@@ -192,23 +192,44 @@ def _has_letter(text: str | None) -> bool:
     return any(c.isalpha() for c in text or "")
 
 
-def label_texts(model: LanguageModel, chunk: TextChunk, text: pa.Array, penalty: float) -> tuple[list[str], np.ndarray, np.ndarray, Words]:
-    """Language and score of each text of a chunk, the label of each word, and the words."""
-    number, words = len(model.languages), Words(chunk)
-    texts_of = np.repeat(np.arange(len(chunk)), np.diff(words.first))
-    label = viterbi(emissions(model, words), words.first, penalty) if number else np.zeros(len(words.start), np.int16)
-    letters = np.bincount(texts_of * max(1, number) + label, words.letters, len(chunk) * max(1, number)).reshape(len(chunk), -1)
-    total, chosen = letters.sum(axis=1), letters.argmax(axis=1)
-    known = (total > 0) & (number > 0)
-    lang = [model.languages[c] if k else "und" for c, k in zip(chosen.tolist(), known.tolist(), strict=True)]
-    for d in np.flatnonzero(~known).tolist() if number else ():  # letters outside the script ranges
-        if _has_letter(text[d].as_py()):
-            lang[d] = model.languages[0]
-    return lang, np.where(known, letters.max(axis=1) / np.maximum(total, 1), 0.0), label, words
-
-
-def _limit(model: LanguageModel) -> int:
-    return max(1 << 18, CHUNK * 4 // max(4, len(model.languages)))
+def labelled(model: LanguageModel, batches: Iterator[pa.RecordBatch], penalty: float, text_col: str = "text") -> Iterator[tuple[pa.RecordBatch, list[str], np.ndarray, np.ndarray, np.ndarray]]:
+    """(rows, language and score of each text, label of each word, index of each text's first word).
+
+    Words are scored in small chunks; the recursion runs over several of them at once, as it is cheaper the more
+    texts go side by side.
+    """
+    number = len(model.languages)
+    held: list[tuple[pa.RecordBatch, Words, np.ndarray]] = []
+    size, most = 0, max(1 << 19, CHUNK * 4 // max(4, number))
+
+    def resolve() -> tuple[pa.RecordBatch, list[str], np.ndarray, np.ndarray, np.ndarray]:
+        rows = pa.Table.from_batches([p for p, _, _ in held]).combine_chunks().to_batches()[0]
+        counts = np.concatenate([np.diff(w.first) for _, w, _ in held])
+        first = np.concatenate([[0], np.cumsum(counts)])
+        letters_of = np.concatenate([w.letters for _, w, _ in held])
+        label = viterbi(np.concatenate([e for _, _, e in held]), first, penalty) if number else np.zeros(first[-1], np.int16)
+        texts_of, n = np.repeat(np.arange(len(counts)), counts), len(counts)
+        letters = np.bincount(texts_of * max(1, number) + label, letters_of, n * max(1, number)).reshape(n, -1)
+        total, chosen = letters.sum(axis=1), letters.argmax(axis=1)
+        known = (total > 0) & (number > 0)
+        lang = [model.languages[c] if k else "und" for c, k in zip(chosen.tolist(), known.tolist(), strict=True)]
+        if number:  # letters outside the script ranges
+            text = rows.column(rows.schema.get_field_index(text_col))
+            for d in np.flatnonzero(~known).tolist():
+                if _has_letter(text[d].as_py()):
+                    lang[d] = model.languages[0]
+        return rows, lang, np.where(known, letters.max(axis=1) / np.maximum(total, 1), 0.0), label, first
+
+    for part, chunk in all_chunks(batches, text_col):
+        words = Words(chunk)
+        held.append((part, words, emissions(model, words)))
+        words.data = None  # no longer needed
+        size += len(chunk.data)
+        if size >= most:
+            yield resolve()
+            held, size = [], 0
+    if held:
+        yield resolve()
 
 
 def identify(df: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text", with_spans: bool = False, penalty: float = SWITCH_PENALTY) -> DataFrame:
@@ -217,12 +238,11 @@ def identify(df: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_c
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = held.value
-        for part, chunk in all_chunks(batches, limit=_limit(own)):
-            lang, score, label, words = label_texts(own, chunk, part.column(1), penalty)
-            columns = [part.column(0), pa.array(lang, pa.string()), pa.array(score, pa.float64())]
+        for rows, lang, score, label, first in labelled(own, batches, penalty):
+            columns = [rows.column(0), pa.array(lang, pa.string()), pa.array(score, pa.float64())]
             if with_spans:
                 spans = []
-                for a, b in zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True):
+                for a, b in zip(first[:-1].tolist(), first[1:].tolist(), strict=True):
                     cut = [0, *(np.flatnonzero(np.diff(label[a:b])) + 1).tolist(), b - a] if b > a and own.languages else [0]
                     spans.append([{"start": x, "end": y, "lang": own.languages[label[a + x]]} for x, y in zip(cut[:-1], cut[1:], strict=True)])
                 columns.append(pa.array(spans, pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32()), ("lang", pa.string())]))))
@@ -238,8 +258,7 @@ def with_known_language(df: DataFrame, model: LanguageModel, least: float = 0.5,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = held.value
-        for part, chunk in all_chunks(batches, text_col, _limit(own)):
-            lang, score, _, _ = label_texts(own, chunk, part.column(part.schema.get_field_index(text_col)), penalty)
-            yield part.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score.tolist(), strict=True)], pa.bool_()))
+        for rows, lang, score, _, _ in labelled(own, batches, penalty, text_col):
+            yield rows.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score.tolist(), strict=True)], pa.bool_()))
 
     return df.mapInArrow(run, df.schema)
