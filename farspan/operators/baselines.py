@@ -6,6 +6,7 @@ The segment scorer is a reconstruction from its two named ingredients, relative
 from __future__ import annotations
 
 import math
+import time
 from collections import Counter
 
 from pyspark.sql import Column, DataFrame
@@ -72,6 +73,7 @@ def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int
     total, types = sum(counts.values()), len(counts)
 
     def compute(toks: list[str]) -> list[dict]:
+        began = time.process_time()
         m = len(toks) // length
         parts = [toks[i * length : (i + 1) * length] for i in range(m)]
         units = [p if order == 1 else [f"{a}\u0001{b}" for a, b in zip(["", *p], p, strict=False)] for p in parts]
@@ -85,9 +87,9 @@ def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int
                 ppl = math.exp(-alone[i] / length)
                 given = math.exp(-(alone[i] + length * math.log(1 - beta) + more) / length)
                 found.append(max(0.0, (ppl - given) / ppl) * (i - j) / m)
-        return [{"len": len(toks), "spb": sum(found) / len(found), "model_calls": len(found)}] if found else []
+        return [{"len": len(toks), "spb": sum(found) / len(found), "model_calls": len(found), "cpu_ms": (time.process_time() - began) * 1e3}] if found else []
 
-    return per_window(windows, compute, "len int, spb double, model_calls long")
+    return per_window(windows, compute, "len int, spb double, model_calls long, cpu_ms double")
 
 
 def linguistic(windows: DataFrame, unit: int = 32) -> DataFrame:

@@ -119,6 +119,9 @@ ORACLES: dict[str, str] = {
  placed as (select *, sum(n) over (partition by category, bucket order by key, doc_id) - n as b from dealt)
  select category, (sum(n) // {L})::bigint as windows, sum(n)::bigint as tokens, bucket::int as bucket from dealt group by category, bucket""",
     "attention_scores": with_(*SCORED) + "select doc_id, category, start, round(ds * 1e6)::bigint as ds_e6, round(du * 1e9)::bigint as du_e9, round(sink * 1e6)::bigint as sink_e6 from raw",
+    "attention_multi_k": with_(*BASE, cells())
+    + ", by_k as (select doc_id, start, k, sum(case when i <= q - k then w / tot else 0 end) as fs, sum(case when i <= q - k then (w / tot) * (w / tot) else 0 end) as ss from cell join row_stat using (doc_id, category, start, q), (select unnest([16, 32, 64])::int as k) group by all), "
+    + f"sc as (select k, fs / {L} as ds, ({L} - k) * ({L} - k + 1) / 2 as n, fs, ss from by_k) select k, count(*) as windows, round(avg(ds), 6) as ds, round(avg(-(ss / n - (fs / n) * (fs / n))), 9) as du from sc group by k",
     "token_strength": with_(*BASE, cells()) + "select doc_id, start, q::int as q, round(f / tot * 1e6)::bigint as ds_e6 from row_stat",
     "attention_variants": with_(*SCORED)
     + f"""select r.doc_id, r.start, round(r.ss * 0 - (r.ss / {(L - K) ** 2} - (r.fs / {(L - K) ** 2}) * (r.fs / {(L - K) ** 2})) * 1e9)::bigint as square_e9,
@@ -162,7 +165,7 @@ ORACLES: dict[str, str] = {
  words as (select method, unnest(toks) as tok from pt)
  select method, count(*) as windows, count(distinct doc_id) as documents, count(distinct md5(array_to_string(toks, ' '))) as distinct_windows, (select count(distinct tok) from words x where x.method = pt.method) as types, (select count(*) from words x where x.method = pt.method) as tokens from pt group by method""",
     "cost_model": with_(*BASE)
-    + """, n as (select count(*)::bigint as windows from win), m as (select * from (values ('small', 128, 4, 2, 32), ('large', 512, 8, 2, 64)) t(model, d, heads, kv, width)),
+    + """, n as (select count(*)::bigint as windows from win), m as (select model, d::bigint as d, heads::bigint as heads, kv::bigint as kv, width::bigint as width from (values ('small', 128, 4, 2, 32), ('large', 512, 8, 2, 64)) t(model, d, heads, kv, width)),
  c as (select model, windows, heads * width * 128 * 129 // 2 + 128 * d * width * (heads + kv) as ops from m, n)
  select 'attention' as method, model, windows, windows as model_calls, windows * 128 as token_evaluations, round(ops::double * windows)::bigint as multiplications, 1 / 32.0 as share_of_pass from c
  union all select 'segments', model, windows, windows * 6, windows * 512, round((ops * 32 * 512 // 128)::double * windows)::bigint, 1.0 from c""",
