@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import texts
+from farspan.llm.storage import lean_batches, texts
 from farspan.llm.textbatch import LOWER, TextChunk, all_chunks
 
 MAX_LANGUAGES = 64
@@ -98,7 +98,7 @@ class LanguageModel:
 
 def fit(df: DataFrame, per_language: int = 4_000, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> LanguageModel:
     """Trigram and script counts of the languages; (CELLS + scripts) counts a language come to the driver."""
-    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("lang is not null and text is not null")
+    rows = lean_batches(df).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("lang is not null and text is not null")
     size = {r.lang: r["count"] for r in rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(MAX_LANGUAGES).collect()}
     languages = sorted(size)
     if not languages:
@@ -261,4 +261,4 @@ def with_known_language(df: DataFrame, model: LanguageModel, least: float = 0.5,
         for rows, lang, score, _, _ in labelled(own, batches, penalty, text_col):
             yield rows.filter(pa.array([x != "und" and s >= least for x, s in zip(lang, score.tolist(), strict=True)], pa.bool_()))
 
-    return df.mapInArrow(run, df.schema)
+    return lean_batches(df).mapInArrow(run, df.schema)

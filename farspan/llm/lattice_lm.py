@@ -32,7 +32,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import written
+from farspan.llm.storage import lean_batches, written
 from farspan.llm.textbatch import IS_SPACE, LOWER, TextChunk, all_chunks, signed
 
 RANK_SHIFT = 10.0
@@ -279,7 +279,7 @@ def score_documents(df: DataFrame, train: Column, class_col: str | None = None,
     """
     spark = df.sparkSession
     label = F.coalesce(F.col(class_col).cast("string"), F.lit("")) if class_col else F.lit("")
-    rows = df.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), label.alias("label"), F.col(text_col).cast("string").alias("text"))
+    rows = lean_batches(df).select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), label.alias("label"), F.col(text_col).cast("string").alias("text"))
     ranked = rows.where("train").groupBy("label").count().orderBy(F.desc("count"), "label")
     size = [(r.label, r["count"]) for r in ranked.limit(MAX_CLASSES).collect()]
     rest = rows.where("train").count() - sum(n for _, n in size)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import written
+from farspan.llm.storage import lean_batches, written
 from farspan.llm.textbatch import IS_SPACE, TextChunk, all_chunks, mix64, signed, word_shingles
 
 BINS = 64
@@ -97,7 +97,7 @@ COUNT_NAMES = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_wo
 def measure(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", stratum_col: str | None = "lang") -> DataFrame:
     """doc_id, stratum and the counts of every row of df."""
     stratum = F.coalesce(F.col(stratum_col).cast("string"), F.lit("")) if stratum_col else F.lit("")
-    source = df.select(F.col(id_col).cast("long").alias("doc_id"), stratum.alias("stratum"), F.col(text_col).cast("string").alias("text"))
+    source = lean_batches(df).select(F.col(id_col).cast("long").alias("doc_id"), stratum.alias("stratum"), F.col(text_col).cast("string").alias("text"))
     names = ["doc_id", "stratum", *COUNT_NAMES]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

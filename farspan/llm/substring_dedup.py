@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farspan.llm import sketch
-from farspan.llm.storage import written
+from farspan.llm.storage import lean_batches, written
 from farspan.llm.suffix_array import equal_classes, suffix_order
 from farspan.llm.textbatch import TextChunk, all_chunks, mix64, signed
 
@@ -51,7 +51,7 @@ _POSITION = np.uint64((1 << 34) - 1)
 def keyed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, th, text): th tells apart texts under one id."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return df.select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(text).bitwiseAND(0x7FFFFFFF).cast("int").alias("th"), text.alias("text"))
+    return lean_batches(df).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(text).bitwiseAND(0x7FFFFFFF).cast("int").alias("th"), text.alias("text"))
 
 
 def anchors(chunk: TextChunk, length: int) -> tuple[np.ndarray, ...]:

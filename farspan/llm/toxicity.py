@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import texts, written
+from farspan.llm.storage import lean_batches, texts, written
 
 #: Characters that are written for a Latin letter.  "l" and "1" share the skeleton of "i".
 LOOKALIKES = {
@@ -241,4 +241,4 @@ def without_toxic(df: DataFrame, lexicon: Lexicon, threshold: float = 0.3, text_
                 keep = [own.probability(matcher.weight(t), len(t.split())) < threshold for t in folded]
                 yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return df.mapInArrow(run, df.schema)
+    return lean_batches(df).mapInArrow(run, df.schema)
