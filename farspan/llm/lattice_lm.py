@@ -81,12 +81,18 @@ class Pieces:
         hashes = flat.span_hash(flat.off[:-1], flat.off[1:])
         self.order = np.argsort(hashes)
         self.hashes = hashes[self.order]
+        self.maybe = np.zeros(1 << 20, bool)  # most substrings are no piece: seen here before they are looked up
+        self.maybe[hashes >> np.uint64(44)] = True
 
     def number(self, hashes: np.ndarray) -> np.ndarray:
         """Piece number of each hash, or len(texts) where none has it."""
-        at = np.searchsorted(self.hashes, hashes)
+        out = np.full(len(hashes), len(self.texts), np.int32)
+        hit = np.flatnonzero(self.maybe[hashes >> np.uint64(44)])
+        wanted = hashes[hit]
+        at = np.searchsorted(self.hashes, wanted)
         at[at == len(self.hashes)] = 0
-        return np.where(self.hashes[at] == hashes, self.order[at], len(self.texts))
+        out[hit] = np.where(self.hashes[at] == wanted, self.order[at], len(self.texts))
+        return out
 
 
 class Lattices:
@@ -100,14 +106,17 @@ class Lattices:
         for size in range(1, min(pieces.longest, length) + 1):
             start = base + np.arange(length - size + 1)
             self.arcs.append(pieces.number(chunk.span_hash(start.ravel(), (start + size).ravel())).reshape(start.shape))
+        # sizes of the arcs that start at each place in any of the words
+        there = [(a < len(pieces.texts)).any(axis=0) for a in self.arcs]
+        self.leaving = [[s for s in range(1, min(len(there), length - i) + 1) if there[s - 1][i]] for i in range(length)]
+        self.entering = [[s for s in range(1, min(len(there), j) + 1) if there[s - 1][j - s]] for j in range(length + 1)]
 
     def forward(self, weight: np.ndarray) -> np.ndarray:
         """Log of the summed weight of all paths to each place; weight has a last entry of -inf for missing arcs."""
         alpha = np.full((self.n, self.length + 1), -np.inf)
         alpha[:, 0] = 0
         for j in range(1, self.length + 1):
-            sizes = range(1, min(len(self.arcs), j) + 1)
-            into = np.stack([alpha[:, j - s] + weight[self.arcs[s - 1][:, j - s]] for s in sizes])
+            into = np.stack([alpha[:, j - s] + weight[self.arcs[s - 1][:, j - s]] for s in self.entering[j]])
             top = into.max(axis=0)
             alpha[:, j] = top + np.log(np.exp(into - top).sum(axis=0))
         return alpha
@@ -120,7 +129,7 @@ class Lattices:
         total = alpha[:, -1]
         uses = np.zeros(len(weight))
         for i in range(self.length - 1, -1, -1):
-            sizes = range(1, min(len(self.arcs), self.length - i) + 1)
+            sizes = self.leaving[i]
             number = np.stack([self.arcs[s - 1][:, i] for s in sizes])
             out = np.stack([beta[:, i + s] for s in sizes]) + weight[number]
             top = out.max(axis=0)
