@@ -145,7 +145,7 @@ def emissions(model: LanguageModel, words: Words) -> np.ndarray:
     """(words, languages): log-scores relative to the word's best candidate, at least -WORD_FLOOR."""
     cells, begin = words.cells()
     out = np.zeros((len(begin), len(model.languages)), np.float32)
-    if len(begin):
+    if out.size:
         for i in range(out.shape[1]):
             out[:, i] = np.add.reduceat(model.scores[i][cells], begin)
         may = model.allowed[words.script]

@@ -210,7 +210,7 @@ def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, k: int) -> D
     """
     ends = pairs.select("a").union(pairs.select(F.col("b").alias("a"))).distinct().select(F.col("a").alias("node"))
     chosen = classes.join(ends, "node").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    held = written(rows.join(chosen, "doc_id").select("node", "text"), "candidates")
+    held = written(rows.join(chosen, "doc_id").select("node", "text"), "candidates", release=True)
     salt = F.pmod("b", F.lit(SALTS)).cast("int").alias("salt")
     members = pairs.select("a", "b", salt).join(held.select(F.col("node").alias("b"), "text"), "b").select("a", "salt", "b", "text")
     blocks = pairs.select("a", salt).distinct()
@@ -248,7 +248,7 @@ def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col:
     documents = measured.where("block is null").select("doc_id", "n_shingles", "node", "text_hash")
     table = spark.sparkContext.broadcast(sketch.frequency_classes(measured.where("block is not null")))
     known = rows.where("doc_id is not null")
-    shared = written(shared_columns(incidence_entries(known, k, table)), "entries")
+    shared = written(shared_columns(incidence_entries(known, k, table)), "entries", release=True)
     classes = documents.where("n_shingles > 0 and doc_id is not null").select("doc_id", "node")
     cells = measured.where("block is null and n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("counts").alias("counts"))
     first = written(central_pairs(shared), "pairs")

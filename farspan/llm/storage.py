@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import gc
+import time
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -16,15 +17,21 @@ def shared_dir(spark: SparkSession) -> str:
     return (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or FALLBACK_DIR).rstrip("/")
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
-    """df as a table in the shared folder: its lineage ends there and lost executors cost no recomputation."""
+def written(df: DataFrame, label: str, release: bool = False) -> DataFrame:
+    """df as a table in the shared folder: its lineage ends there and lost executors cost no recomputation.
+
+    ``release``: give Spark's cleaner time to drop the shuffle files that df was made from before going on.
+    """
     spark = df.sparkSession
     path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
     df.write.parquet(path)
     # what the table was made from is no longer needed: let Spark's cleaner drop those shuffle files
     del df
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for again in range(2 if release else 1):
+        time.sleep(0.3 * release)
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3 * again)
     return spark.read.schema(schema).parquet(path)
 
 

@@ -86,6 +86,23 @@ ENTRY = "anchor long, context long, id long, th int, lo int, lead int, width int
 PLAIN, FREQUENT, CUT = 0, 1, 2
 
 
+#: Entries on their way: place is lo and th, shape is lead, width and kind, in one number each.
+PACKED = "anchor long, context long, id long, place long, shape int"
+PACKED_NAMES = ["anchor", "context", "id", "place", "shape"]
+
+
+def packed(anchor, context, d, th, lo, lead, width, kind) -> pa.RecordBatch:
+    th, lo, lead, width, kind = (np.asarray(x, np.int64) for x in (th, lo, lead, width, kind))
+    place, shape = lo << 31 | th, (lead | width << 7 | kind << 14).astype(np.int32)
+    return pa.RecordBatch.from_arrays([pa.array(anchor, pa.int64()), pa.array(context, pa.int64()), pa.array(d, pa.int64()), pa.array(place), pa.array(shape)], names=PACKED_NAMES)
+
+
+def unpacked(columns: list[np.ndarray]) -> list[np.ndarray]:
+    anchor, context, d, place, shape = columns
+    lo, th = (place >> 31).astype(np.int32), (place & 0x7FFFFFFF).astype(np.int32)
+    return [anchor, context, d, th, lo, shape & 127, shape >> 7 & 127, shape >> 14]
+
+
 def _id_columns(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
     return part.column(0).to_numpy(), part.column(1).to_numpy()
 
@@ -108,14 +125,10 @@ def context_entries(rows: DataFrame, length: int, classes) -> DataFrame:
         table = classes.value
         held: dict[tuple[int, int], tuple[int, int, int, int, int]] = {}
 
-        def batch_of(columns: list) -> pa.RecordBatch:
-            kinds = [pa.int64()] * 3 + [pa.int32()] * 5
-            return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], names=NAMES)
-
         def passed_on() -> pa.RecordBatch:
             rows_out = [(a, c, d, th, lo, lead, width, FREQUENT) for (a, c), (d, lo, th, lead, width) in held.items()]
             held.clear()
-            return batch_of(list(zip(*rows_out, strict=True)))
+            return packed(*zip(*rows_out, strict=True))
 
         for part, chunk in all_chunks(batches):
             text, lo, hi, spot, gram = anchors(chunk, length)
@@ -129,7 +142,7 @@ def context_entries(rows: DataFrame, length: int, classes) -> DataFrame:
             cold = ~hot
             if cold.any():
                 own = [c[cold] for c in columns]
-                yield batch_of([*own, np.zeros(len(own[0]), np.int32)])
+                yield packed(*own, np.zeros(len(own[0])))
             cut: list[tuple] = []
             for a, c, d, th, at, led, width in zip(*(x[hot].tolist() for x in columns), strict=True):
                 before = held.get((a, c))
@@ -144,13 +157,13 @@ def context_entries(rows: DataFrame, length: int, classes) -> DataFrame:
                 elif now[2] != before[2]:  # same id and place in another text: neither is earlier
                     cut.append((a, c, now[0], now[2], now[1], now[3], now[4], FREQUENT))
             if cut:
-                yield batch_of(list(zip(*cut, strict=True)))
+                yield packed(*zip(*cut, strict=True))
             if len(held) >= HELD:
                 yield passed_on()
         if held:
             yield passed_on()
 
-    return rows.mapInArrow(run, ENTRY)
+    return rows.mapInArrow(run, PACKED)
 
 
 def first_contexts(entries: DataFrame) -> DataFrame:
@@ -172,7 +185,7 @@ def first_contexts(entries: DataFrame) -> DataFrame:
         for batch in batches:
             if batch.num_rows == 0:
                 continue
-            columns = [c.to_numpy() for c in batch.columns]
+            columns = unpacked([c.to_numpy() for c in batch.columns])
             if carry is not None:
                 columns = [np.concatenate(x) for x in zip(carry, columns, strict=True)]
             anchor, context, kind = columns[0], columns[1], columns[7]
@@ -188,9 +201,10 @@ def first_contexts(entries: DataFrame) -> DataFrame:
             at, cut = resolve(carry)
             yield pa.RecordBatch.from_arrays([pa.array(c[at]) for c in carry[:7]] + [pa.array(np.where(cut, CUT, carry[7]).astype(np.int32)[at])], names=NAMES)
 
-    spread = F.when(F.col("kind") == PLAIN, F.lit(0)).when(F.col("kind") == FREQUENT, F.col("context")).otherwise(F.col("id") + F.col("lo"))
+    kind = F.shiftright("shape", 14)
+    spread = F.when(kind == PLAIN, F.lit(0)).when(kind == FREQUENT, F.col("context")).otherwise(F.xxhash64("id", "place"))
     dealt = entries.withColumn("spread", F.xxhash64("anchor", spread)).repartition("spread").drop("spread")
-    return dealt.sortWithinPartitions("anchor", "context", "id", "lo").mapInArrow(run, ENTRY)
+    return dealt.sortWithinPartitions("anchor", "context", "id", "place").mapInArrow(run, ENTRY)
 
 
 def context_bytes(rows: DataFrame, pending: DataFrame, length: int) -> DataFrame:
@@ -344,8 +358,8 @@ def repeated_strings(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     """(id, th, starts): sorted array of inclusive intervals of starts of repeated strings, for texts that have any."""
     spark = rows.sparkSession
     classes = spark.sparkContext.broadcast(sketch.frequency_classes(anchor_sketch(rows, length)))
-    marked = written(first_contexts(context_entries(rows, length, classes)), "contexts")
-    contexts = written(context_bytes(rows, marked.where(F.col("kind") != CUT), length), "context-bytes")
+    marked = written(first_contexts(context_entries(rows, length, classes)), "contexts", release=True)
+    contexts = written(context_bytes(rows, marked.where(F.col("kind") != CUT), length), "context-bytes", release=True)
     whole = marked.where(F.col("kind") == CUT).select("id", "th", "lo", (F.col("lo") + F.col("width")).alias("hi"))
     parts = whole.union(sorted_blocks(contexts, length)).union(hashed_strings(contexts, length))
     return written(parts.groupBy("id", "th").agg(F.sort_array(F.collect_set(F.struct("lo", "hi"))).alias("starts")), "repeats")

@@ -140,7 +140,12 @@ def choose_stems(toxic: dict[str, int], clean: dict[str, int], n_toxic: int, n_c
     def purity(s: str) -> float:
         return toxic[s] / (toxic[s] + clean.get(s, 0))
 
-    likely = [s for s in toxic if purity(s) >= 0.5 and purity(s) >= 3 * n_toxic / (n_toxic + n_clean) and odds(s) >= 1.5]
+    def surprise(s: str) -> float:
+        """How far the toxic share of a stem's documents lies above the share of all, in standard deviations."""
+        n, rate = toxic[s] + clean.get(s, 0), n_toxic / (n_toxic + n_clean)
+        return (toxic[s] - n * rate) / math.sqrt(n * rate * (1 - rate))
+
+    likely = [s for s in toxic if purity(s) >= 0.5 and odds(s) >= 1 and surprise(s) >= 4.5]
     chosen: dict[str, float] = {}
     for s in sorted(likely, key=lambda s: (len(s), s)):
         shorter = [s[:n] for n in range(3, len(s)) if s[:n] in chosen]

@@ -4,7 +4,7 @@ A url gets the verdict of the longest explicit rule that fits; any other gets th
 Templates form a tree per host: variable segments (numbers, hexadecimal runs, dates, words that hold digits) are
 wildcards from the start; then, level by level from the host down, branches whose labelled rate of bad pages
 doesn't differ significantly from that of their siblings together, or that have too few labels to tell, become
-one wildcard branch.  A final template is blocked if its smoothed share of bad labelled pages reaches a threshold:
+one wildcard branch; of the others, those that are alike on the worse or the better side become one branch each.  A final template is blocked if its smoothed share of bad labelled pages reaches a threshold:
 the share is drawn towards the host's, and the host's towards that of all pages.
 
 Urls are counted per host and raw template before anything is compared, so the tree is built from one row per
@@ -64,6 +64,13 @@ def raw_template(path: Column) -> Column:
     return F.when(F.size(shown) > DEPTH, F.concat(F.slice(shown, 1, DEPTH), F.array(F.lit("**")))).otherwise(shown)
 
 
+def _differs(n: str, b: str, nn: str, bb: str) -> Column:
+    """Does the bad rate b of n differ from that of the rest of bb of nn, both large enough to tell?"""
+    n, b, m, c, p = F.col(n), F.col(b), F.col(nn) - F.col(n), F.col(bb) - F.col(b), F.col(bb) / F.col(nn)
+    spread = F.sqrt(p * (1 - p) * (1 / n + 1 / m))
+    return F.when((n >= LEAST_LABELS) & (m >= LEAST_LABELS), F.when(spread > 0, F.abs(b / n - c / m) >= Z * spread).otherwise(False)).otherwise(False)
+
+
 def template_tree(counted: DataFrame, levels: int) -> DataFrame:
     """counted (host, raw, labelled, bad) with the final template of each raw one; ``levels``: the longest raw one."""
     tree = counted.withColumn("template", F.array().cast("array<string>"))
@@ -72,13 +79,14 @@ def template_tree(counted: DataFrame, levels: int) -> DataFrame:
         now = tree.withColumn("seg", seg)
         branch = now.where(F.col("seg").isNotNull()).groupBy("host", "template", "seg").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"))
         above = branch.groupBy("host", "template").agg(F.sum("n").alias("nn"), F.sum("b").alias("bb"))
-        n, b, m, c = F.col("n"), F.col("b"), F.col("nn") - F.col("n"), F.col("bb") - F.col("b")
-        p = F.col("bb") / F.col("nn")
-        spread = F.sqrt(p * (1 - p) * (1 / n + 1 / m))
-        differs = F.when((n >= LEAST_LABELS) & (m >= LEAST_LABELS), F.when(spread > 0, F.abs(b / n - c / m) >= Z * spread).otherwise(False)).otherwise(False)
-        kept = branch.join(above, ["host", "template"]).select("host", "template", "seg", differs.alias("differs"))
-        merged = now.join(kept, ["host", "template", "seg"], "left")
-        step = F.when(F.col("seg").isNull(), F.col("template")).when(F.col("differs"), F.concat("template", F.array("seg"))).otherwise(F.concat("template", F.array(F.lit("*"))))
+        beside = branch.join(above, ["host", "template"]).withColumn("differs", _differs("n", "b", "nn", "bb"))
+        beside = beside.withColumn("side", F.col("differs") & (F.col("b") * F.col("nn") > F.col("bb") * F.col("n")))
+        sides = beside.where("differs").groupBy("host", "template", "side").agg(F.sum("n").alias("sn"), F.sum("b").alias("sb"))
+        named = beside.join(sides, ["host", "template", "side"], "left")
+        alone = (F.col("sn") == F.col("n")) | _differs("n", "b", "sn", "sb")
+        name = F.when(~F.col("differs"), "*").when(alone, F.col("seg")).when(F.col("side"), "*worse").otherwise("*better")
+        merged = now.join(named.select("host", "template", "seg", name.alias("name")), ["host", "template", "seg"], "left")
+        step = F.when(F.col("seg").isNull(), F.col("template")).otherwise(F.concat("template", F.array("name")))
         # written, as the next level reads it three times
         tree = written(merged.select("host", "raw", "labelled", "bad", step.alias("template")), "url-tree")
     return tree
