@@ -114,7 +114,8 @@ def probe(task: str, number: int, depth: float, haystack: list[str], length: int
     if many:
         hay = [w for i in range(room // 3 + 1) for w in (f"key-{_word('hex', f'{seeds[0]}d{i}')[:6]}", "is", f"value-{_word(kind, f'{seeds[0]}e{i}')}")][:room]
     else:
-        hay = ((filler if task == "single_1" else haystack or filler) * (room // max(1, len(haystack or filler)) + 1))[:room]
+        source = filler if task == "single_1" or not haystack else haystack
+        hay = (source * (room // len(source) + 1))[:room]
     places = sorted({min(room, int(room * ((depth + i / len(needles)) % 1.0001))) for i in range(len(needles))})
     while len(places) < len(needles):
         places.append(places[-1])

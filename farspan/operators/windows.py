@@ -97,6 +97,6 @@ def clean(df: DataFrame, most_marks: float = 0.3) -> DataFrame:
     """Before selection: blank texts, texts full of marks, and exact copies (the least id stays) go."""
     text = F.coalesce(F.col("text"), F.lit(""))
     marks = F.length(F.regexp_replace(text, r"[\p{L}\p{N}\s]", ""))
-    kept = df.where((F.trim(text) != "") & (marks <= most_marks * F.length(text)))
+    kept = df.where(text.rlike(r"[^\x20\x09-\x0D]") & (marks <= most_marks * F.length(text)))
     first = kept.groupBy(F.md5("text").alias("h")).agg(F.min("doc_id").alias("doc_id")).select("doc_id")
     return kept.join(first, "doc_id", "left_semi")
