@@ -86,4 +86,28 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op10_language_id": op10_language_id,
 }
 
-ORACLES: dict[str, str] = {}
+_WORDS = r"[^\x20\x09-\x0D]+"
+_LOWERED = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
+
+#: The others learn weights, hash with Python's formats or pack greedily: tests hold them against brute force.
+ORACLES: dict[str, str] = {
+    "op2_substring_dedup": """with d as (select doc_id, hex(encode(coalesce(text, ''))) as h, (length(hex(encode(coalesce(text, '')))) // 2)::bigint as n from documents),
+ w as (select doc_id, unnest(range(0, n - 99)) as p, h from d where n >= 100),
+ s as (select doc_id, p, md5(substr(h, (2 * p + 1)::bigint, 200)) as s from w),
+ later as (select doc_id, p from (select doc_id, p, row_number() over (partition by s order by doc_id, p) as k from s) where k > 1),
+ flag as (select doc_id, p, case when p > lag(p) over (partition by doc_id order by p) + 100 then 1 else 0 end as f from later),
+ isle as (select doc_id, p, sum(f) over (partition by doc_id order by p) as g from flag),
+ runs as (select doc_id, g, min(p) as a, max(p) + 100 as b from isle group by doc_id, g),
+ cut as (select r.doc_id, a, b, substr(h, (2 * coalesce(lag(b) over (partition by r.doc_id order by a), 0) + 1)::bigint, (2 * (a - coalesce(lag(b) over (partition by r.doc_id order by a), 0)))::bigint) as piece from runs r join d using (doc_id)),
+ summed as (select doc_id, sum(b - a)::bigint as n_removed, count(*)::bigint as n_spans, max(b) as last, string_agg(piece, '' order by a) as before from cut group by doc_id)
+ select d.doc_id, d.n as n_bytes, coalesce(n_removed, 0)::bigint as n_removed, coalesce(n_spans, 0)::bigint as n_spans, sha256(unhex(coalesce(before, '') || substr(h, (2 * coalesce(last, 0) + 1)::bigint))) as kept_sha256
+ from d left join summed using (doc_id)""",
+    "op9_ngram_jaccard": f"""with recursive w as (select doc_id, regexp_extract_all({_LOWERED}, '{_WORDS}') as w from documents),
+ sets as (select doc_id, case when len(w) = 0 then [] when len(w) < 5 then [array_to_string(w, ' ')] else list_distinct(list_transform(range(1, len(w) - 3), lambda i: array_to_string(list_slice(w, i, i + 4), ' '))) end as s from w),
+ sh as (select doc_id, unnest(s) as g, len(s) as n from sets),
+ met as (select a.doc_id as x, b.doc_id as y, any_value(a.n) as m, any_value(b.n) as n, count(*) as o from sh a join sh b on a.g = b.g and a.doc_id < b.doc_id group by a.doc_id, b.doc_id),
+ link as (select x, y from met where 100 * o >= 75 * (m + n - o)),
+ both_ways as (select x, y from link union select y, x from link),
+ reach as (select x, y from both_ways union select r.x, b.y from reach r join both_ways b on r.y = b.x)
+ select s.doc_id, len(s.s)::bigint as n_shingles, least(s.doc_id, coalesce(min(r.y), s.doc_id)) as component_id from sets s left join reach r on r.x = s.doc_id group by s.doc_id, s.s""",
+}
