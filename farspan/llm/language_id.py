@@ -29,7 +29,7 @@ MAX_LANGUAGES = 64
 CELLS = 1 << 16
 SWITCH_PENALTY = 6.0
 WORD_FLOOR = 8.0
-CHUNK = 8 << 20
+CHUNK = 4 << 20
 
 #: First code points of script ranges; a range ends where the next begins. "" holds no letters.
 SCRIPT_STARTS = [

@@ -10,6 +10,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 FALLBACK_DIR = "/tmp/checkpoints"
+#: For folders under file: only. Hadoop's checksummed local files start four processes a file to set permissions,
+#: each beside a large executor; raw ones start one. Other file systems don't look at these options.
+PLAIN_FILES = {"fs.file.impl": "org.apache.hadoop.fs.RawLocalFileSystem", "fs.file.impl.disable.cache": "true"}
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -24,7 +27,7 @@ def written(df: DataFrame, label: str, release: bool = False) -> DataFrame:
     """
     spark = df.sparkSession
     path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
-    df.write.parquet(path)
+    df.write.options(**PLAIN_FILES).parquet(path)
     # what the table was made from is no longer needed: let Spark's cleaner drop those shuffle files
     del df
     for again in range(2 if release else 1):
