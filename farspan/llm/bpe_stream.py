@@ -28,7 +28,7 @@ from farspan.llm.storage import texts
 from farspan.llm.textbatch import all_chunks
 
 #: Fixed value: the pre-token pattern of byte-level BPE, with white space spelled out.
-_S = r"\t-\r \x85\xa0  -     　"
+_S = r"\t-\r \x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000"
 PATTERN = rf"'s|'t|'re|'ve|'m|'ll|'d| ?\p{{L}}+| ?\p{{N}}+| ?[^{_S}\p{{L}}\p{{N}}]+|[{_S}]+(?![^{_S}])|[{_S}]+"
 #: Encodings of pre-tokens that a worker keeps; the table starts afresh when it is full.
 KEPT = 400_000

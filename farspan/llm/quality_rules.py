@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farspan.llm.storage import lean_batches, written
-from farspan.llm.textbatch import IS_SPACE, TextChunk, all_chunks, mix64, signed, word_shingles
+from farspan.llm.textbatch import IS_SPACE, TextChunk, all_chunks, mix64, word_shingles
 
 BINS = 64
 POOLED = "*"
