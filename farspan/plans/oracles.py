@@ -140,6 +140,9 @@ ORACLES: dict[str, str] = {
     "select_ladder": with_(*RANKED, ladder("lds", BY_LDS, "attention")) + "select * from l_attention",
     "random_ladder": with_(*BASE, ladder("win", BY_HASH, "random")) + "select * from l_random",
     "spb_scores": with_(*BASE, WT, segment_scores()) + "select doc_id, category, start, round(spb, 6) as spb from spb",
+    "spb_parts": with_(*BASE, WT, segment_scores())
+    + f", both_ as (select doc_id, start, greatest(0, 1 - exp(-(l0 + {SEG} * ln(1 - {BETA}) + g) / {SEG}) / exp(-l0 / {SEG})) as gain, (si - sj) / {L // SEG} as dist from pair) select doc_id, start, round(avg(gain), 6) as gain, round(avg(dist), 6) as dist, round(avg(gain + dist), 6) as both from both_ group by doc_id, start",
+    "clean_documents": "with t as (select doc_id, lang as category, coalesce(text, '') as text from documents), k as (select * from t where regexp_matches(text, '[^\\x20\\x09-\\x0D]') and length(regexp_replace(text, '[\\p{L}\\p{N}\\s]', '', 'g')) <= 0.3 * length(text)) select min(doc_id) as doc_id from k group by md5(text)".replace("\\\\", "\\"),
     "select_spb": with_(*BASE, WT, segment_scores(), choice(5, "round(spb, 6) desc, doc_id, start", "spb", "best")) + "select category, doc_id, start, rnk from best",
     "linguistic_metrics": with_(*BASE, WT)
     + f""", pw as (select doc_id, category, start, tok, count(*) / {L}.0 as p from wt group by all),

@@ -90,6 +90,11 @@ def concat_pack(s: SparkSession, d: str) -> DataFrame:
     return placed.groupBy("category", "bucket").agg(F.floor(F.sum("n") / L).cast("long").alias("windows"), F.sum("n").alias("tokens"))
 
 
+def clean_documents(s: SparkSession, d: str) -> DataFrame:
+    """Documents that are neither blank nor mostly marks nor copies of one with a smaller id."""
+    return windows.clean(tables.read_corpus(s, d)).select("doc_id")
+
+
 # --- scores -------------------------------------------------------------------------------------------------
 
 
@@ -205,6 +210,13 @@ def spb_scores(s: SparkSession, d: str) -> DataFrame:
     return baselines.segment_scores(win(s, d)).select("doc_id", "category", "start", F.round("spb", 6).alias("spb"))
 
 
+def spb_parts(s: SparkSession, d: str) -> DataFrame:
+    """The segment scorer's ingredients alone, and their sum instead of their product."""
+    w, keys = win(s, d), ["doc_id", "start"]
+    part = lambda how, name: baselines.segment_scores(w, how=how).select(*keys, F.round("spb", 6).alias(name))
+    return part("gain", "gain").join(part("dist", "dist"), keys).join(part("sum", "both"), keys)
+
+
 def spb_scores_pairs_order2(s: SparkSession, d: str) -> DataFrame:
     """The larger stand-in model, window by window; its background holds the 200,000 commonest pairs at most."""
     w = win(s, d)
@@ -322,6 +334,12 @@ def profile_agreement(s: SparkSession, d: str) -> DataFrame:
     return same.join(F.broadcast(ranks), F.lit(True))
 
 
+def corpus_profile_scores(s: SparkSession, d: str) -> DataFrame:
+    """Scores with token vectors learned from the corpus."""
+    learned = profiles.from_corpus(tok(s, d))
+    return raw(s, d, learned).drop("cpu_ms")
+
+
 def planted_auc(s: SparkSession, d: str) -> DataFrame:
     """Does strength tell a window with a planted far link from its twin without one?"""
     made = evaluate.planted(win(s, d))
@@ -449,10 +467,10 @@ def benchmark_overlap(s: SparkSession, d: str) -> DataFrame:
 QUERIES: dict[str, Query] = {
     f.__name__: f
     for f in (
-        doc_tokens, window_spans, window_spans_char32k, window_branch_counts, window_coverage, naive_truncate, stride_windows, concat_pack,
+        doc_tokens, window_spans, window_spans_char32k, window_branch_counts, window_coverage, naive_truncate, stride_windows, concat_pack, clean_documents,
         attention_scores, attention_multi_k, token_strength, attention_variants, cells_reference, cumulative_attention, score_moments, lds_scores, lds_scores_by_category, lds_scores_robust, score_magnitudes, alpha_sweep, document_rollup, score_sampled,
-        select_top_budget, select_by_threshold, select_no_category, select_random, select_ladder, random_ladder, mix_short, spb_scores, spb_scores_pairs_order2, select_spb, linguistic_metrics,
-        label_rates, selection_agreement, alpha_ablation, diversity, scale_grid, fixed_scale, cost_model, cost_grid, attention_scores_small, attention_scores_large, profile_agreement, planted_auc, sink_by_layer, niah_probes, niah_accuracy, ruler_probes, longbench_groups, proxy_lm, short_guard,
+        select_top_budget, select_by_threshold, select_no_category, select_random, select_ladder, random_ladder, mix_short, spb_scores, spb_parts, spb_scores_pairs_order2, select_spb, linguistic_metrics,
+        label_rates, selection_agreement, alpha_ablation, diversity, scale_grid, fixed_scale, cost_model, cost_grid, attention_scores_small, attention_scores_large, corpus_profile_scores, profile_agreement, planted_auc, sink_by_layer, niah_probes, niah_accuracy, ruler_probes, longbench_groups, proxy_lm, short_guard,
         conversation_scores, event_sequence_scores, vector_attention, page_windows, benchmark_overlap,
     )
 }
