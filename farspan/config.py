@@ -19,7 +19,7 @@ class Config:
     ddof: int = 0
     std_scope: str = "global"
     category: str = "lang"
-    block: int = 512
+    block: int = 128
     seed: int = 7
 
     def __post_init__(self):

@@ -15,7 +15,7 @@ def far_cells(L: int, k: int) -> int:
     return max(0, L - k) * (max(0, L - k) + 1) // 2
 
 
-def token_strengths(profile, tokens: list, ks: list[int], block: int = 512, head_agg: str = "mean", chosen: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, float]:
+def token_strengths(profile, tokens: list, ks: list[int], block: int = 128, head_agg: str = "mean", chosen: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, float]:
     """(strength, squares): per k, head and row the far sum and far sum of squares; and the share of the first token.
 
     chosen: only these rows (a sorted array); all others stay zero.
@@ -38,13 +38,15 @@ def token_strengths(profile, tokens: list, ks: list[int], block: int = 512, head
             p = p[int(head_agg[5:])][None]
         sink += p[:, :, 0].mean(axis=0).sum()
         seen += b - a
-        total, twice = np.cumsum(p, axis=2), np.cumsum(p * p, axis=2)
         for j, k in enumerate(ks):
-            q = np.arange(a, b)
-            last = q - k
-            has = last >= 0
-            far[j, : p.shape[0], a:b][:, has] = total[:, has, last[has]]
-            squares[j, : p.shape[0], a:b][:, has] = twice[:, has, last[has]]
+            every, some = max(0, a - k + 1), max(0, b - k)  # columns far from all rows of the block, and from some
+            left = p[:, :, :every]
+            far[j, : p.shape[0], a:b] = left.sum(axis=2)
+            squares[j, : p.shape[0], a:b] = np.einsum("hqi,hqi->hq", left, left)
+            if some > every:
+                edge = p[:, :, every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
+                far[j, : p.shape[0], a:b] += edge.sum(axis=2)
+                squares[j, : p.shape[0], a:b] += np.einsum("hqi,hqi->hq", edge, edge)
     return far, squares, float(sink / max(1, seen))
 
 
@@ -69,7 +71,7 @@ def uniformity(far: np.ndarray, squares: np.ndarray, L: int, k: int, over: str =
     return float(np.mean(values)) + 0.0
 
 
-def score(profile, tokens: list, ks: list[int], block: int = 512, over: str = "triangle", ddof: int = 0, head_agg: str = "mean") -> list[dict]:
+def score(profile, tokens: list, ks: list[int], block: int = 128, over: str = "triangle", ddof: int = 0, head_agg: str = "mean") -> list[dict]:
     """One row of raw scores for each k."""
     began, L, out = time.process_time(), len(tokens), []
     far, squares, sink = token_strengths(profile, tokens, ks, block, head_agg) if L else (np.zeros((len(ks), 1, 0)),) * 2 + (0.0,)

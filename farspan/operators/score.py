@@ -48,7 +48,7 @@ def per_window(windows: DataFrame, compute, schema: str, tokens: str = "toks") -
     return windows.select(F.col("doc_id").cast("long"), "category", F.col("start").cast("long"), tokens).mapInArrow(run, whole)
 
 
-def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int = 512, var_over: str = "triangle", ddof: int = 0, head_agg: str = "mean") -> DataFrame:
+def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int = 128, var_over: str = "triangle", ddof: int = 0, head_agg: str = "mean") -> DataFrame:
     """raw_scores: one row per window and k.  Map only; nothing of size L x L is held."""
     ks = [ks] if isinstance(ks, int) else list(ks)
     name = profile.name
