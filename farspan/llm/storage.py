@@ -28,6 +28,7 @@ def written(df: DataFrame, label: str, release: bool = False) -> DataFrame:
     spark = df.sparkSession
     path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
     df.write.options(**PLAIN_FILES).parquet(path)
+    _made.append(path)
     # what the table was made from is no longer needed: let Spark's cleaner drop those shuffle files
     del df
     for again in range(2 if release else 1):
@@ -38,6 +39,19 @@ def written(df: DataFrame, label: str, release: bool = False) -> DataFrame:
     return spark.read.schema(schema).parquet(path)
 
 
+_made: list[str] = []
+
+
+def discard(spark: SparkSession) -> int:
+    """Delete the tables that written() made in this session; call it once results are saved."""
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    gone = 0
+    while _made:
+        path = jvm.org.apache.hadoop.fs.Path(_made.pop())
+        gone += bool(path.getFileSystem(conf).delete(path, True))
+    return gone
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
