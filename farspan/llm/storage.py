@@ -10,8 +10,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 FALLBACK_DIR = "/tmp/checkpoints"
-#: For folders under file: only. Hadoop's checksummed local files start four processes a file to set permissions,
-#: each beside a large executor; raw ones start one. Other file systems don't look at these options.
+#: For folders under file: only. Where Hadoop lacks its native library, checksummed local files start several processes
+#: each to set permissions, raw ones fewer. Other file systems don't look at these options.
 PLAIN_FILES = {"fs.file.impl": "org.apache.hadoop.fs.RawLocalFileSystem", "fs.file.impl.disable.cache": "true"}
 
 
