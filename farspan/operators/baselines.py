@@ -12,6 +12,7 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from farspan.llm.storage import written
 from farspan.operators.score import per_window
 
 
@@ -65,31 +66,57 @@ def segment_scores(windows: DataFrame, length: int = 32, beta: float = 0.3, how:
     return sized.groupBy("doc_id", "category", "start", "len").agg(F.avg(_combined(F.greatest(F.lit(0.0), F.col("gain")), dist, how)).alias("spb"))
 
 
+_LOCAL = "len int, spb double, model_calls long, cpu_ms double"
+
+
+def _scored_locally(toks: list[str], counts: dict[str, int], total: int, types: int, length: int, beta: float, order: int) -> list[dict]:
+    began = time.process_time()
+    m = len(toks) // length
+    parts = [toks[i * length : (i + 1) * length] for i in range(m)]
+    units = [p if order == 1 else [f"{a}\u0001{b}" for a, b in zip(["", *p], p, strict=False)] for p in parts]
+    bags = [Counter(u) for u in units]
+    p0 = {w: (counts.get(w, 0) + 1) / (total + types) for bag in bags for w in bag}
+    alone = [sum(c * math.log(p0[w]) for w, c in bag.items()) for bag in bags]
+    found = []
+    for i in range(m):
+        for j in range(i):
+            more = sum(c * math.log1p(bags[j][w] * beta / (p0[w] * length * (1 - beta))) for w, c in bags[i].items() if w in bags[j])
+            ppl = math.exp(-alone[i] / length)
+            given = math.exp(-(alone[i] + length * math.log(1 - beta) + more) / length)
+            found.append(max(0.0, (ppl - given) / ppl) * (i - j) / m)
+    return [{"len": len(toks), "spb": sum(found) / len(found), "model_calls": len(found), "cpu_ms": (time.process_time() - began) * 1e3}] if found else []
+
+
 def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int = 32, beta: float = 0.3, order: int = 1) -> DataFrame:
-    """The same score window by window, pairs never leaving the task; ``counts``: background of a checked size.
+    """The same score window by window, pairs never leaving the task; ``counts``: a whole background that is small.
 
     order 2 conditions each token on its left neighbour as well (the larger stand-in model).
     """
     total, types = sum(counts.values()), len(counts)
+    return per_window(windows, lambda toks: _scored_locally(toks, counts, total, types, length, beta, order), _LOCAL)
 
-    def compute(toks: list[str]) -> list[dict]:
-        began = time.process_time()
-        m = len(toks) // length
-        parts = [toks[i * length : (i + 1) * length] for i in range(m)]
-        units = [p if order == 1 else [f"{a}\u0001{b}" for a, b in zip(["", *p], p, strict=False)] for p in parts]
-        bags = [Counter(u) for u in units]
-        p0 = {w: (counts.get(w, 0) + 1) / (total + types) for bag in bags for w in bag}
-        alone = [sum(c * math.log(p0[w]) for w, c in bag.items()) for bag in bags]
-        found = []
-        for i in range(m):
-            for j in range(i):
-                more = sum(c * math.log1p(bags[j][w] * beta / (p0[w] * length * (1 - beta))) for w, c in bags[i].items() if w in bags[j])
-                ppl = math.exp(-alone[i] / length)
-                given = math.exp(-(alone[i] + length * math.log(1 - beta) + more) / length)
-                found.append(max(0.0, (ppl - given) / ppl) * (i - j) / m)
-        return [{"len": len(toks), "spb": sum(found) / len(found), "model_calls": len(found), "cpu_ms": (time.process_time() - began) * 1e3}] if found else []
-
-    return per_window(windows, compute, "len int, spb double, model_calls long, cpu_ms double")
+
+def segment_scores_joined(windows: DataFrame, length: int = 32, beta: float = 0.3, order: int = 1) -> DataFrame:
+    """segment_scores_local against the whole background, of any size: the units of the windows meet their counts in a
+    shuffle, and each window gets its own.
+
+    The background is written first, as its sums and the join read it; so both sides of the join are shuffled and a
+    common unit can be split.
+    """
+    counts = written(background(windows, order), f"background{order}")
+    total, types = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
+    held = F.slice("toks", F.lit(1), (F.floor(F.size("toks") / length) * length).cast("int"))
+    before = lambda i: F.when(i % length == 0, F.lit("")).otherwise(F.try_element_at("toks", i.cast("int")))
+    units = held if order == 1 else F.transform(held, lambda t, i: F.concat(before(i), F.lit("\u0001"), t))
+    own = windows.select(F.col("doc_id").alias("d"), F.col("start").alias("s"), F.explode(F.array_distinct(units)).alias("tok"))
+    met = own.join(counts, "tok").groupBy("d", "s").agg(F.collect_list(F.struct("tok", "c")).alias("known"))
+    both = windows.join(met, F.col("doc_id").eqNullSafe(F.col("d")) & F.col("start").eqNullSafe(F.col("s")), "left")
+
+    def compute(row: dict) -> list[dict]:
+        known = {x["tok"]: x["c"] for x in row["known"] or []}
+        return _scored_locally(row["toks"] or [], known, total, types, length, beta, order)
+
+    return per_window(both.withColumn("both", F.struct("toks", "known")), compute, _LOCAL, "both")
 
 
 def linguistic(windows: DataFrame, unit: int = 32) -> DataFrame:

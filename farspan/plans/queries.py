@@ -218,11 +218,8 @@ def spb_parts(s: SparkSession, d: str) -> DataFrame:
 
 
 def spb_scores_pairs_order2(s: SparkSession, d: str) -> DataFrame:
-    """The larger stand-in model, window by window; its background holds the 200,000 commonest pairs at most."""
-    w = win(s, d)
-    top = baselines.background(w, 2).orderBy(F.desc("c"), "tok").limit(200_000)
-    counts = {r.tok: r.c for r in top.collect()}
-    return baselines.segment_scores_local(w, counts, order=2).drop("cpu_ms")
+    """The larger stand-in model, window by window, against the counts of all neighbouring pairs."""
+    return baselines.segment_scores_joined(win(s, d), order=2).drop("cpu_ms")
 
 
 def select_spb(s: SparkSession, d: str) -> DataFrame:
@@ -309,9 +306,7 @@ def cost_grid(s: SparkSession, d: str) -> DataFrame:
         own = score.score_windows(w, profiles.named(name), K).agg(F.lit("attention").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("pair_ops").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
         rows = own if rows is None else rows.unionByName(own)
     for name, order in (("small", 1), ("large", 2)):
-        top = baselines.background(w, order).orderBy(F.desc("c"), "tok").limit(200_000)
-        counts = {r.tok: r.c for r in top.collect()}
-        own = baselines.segment_scores_local(w, counts, order=order).agg(F.lit("segments").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("model_calls").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
+        own = baselines.segment_scores_joined(w, order=order).agg(F.lit("segments").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("model_calls").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
         rows = rows.unionByName(own)
     return rows
 
