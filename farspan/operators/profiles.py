@@ -205,13 +205,12 @@ def named(name: str, **more):
     return Analytic(name)
 
 
-def from_corpus(tokens_df, dim: int = 32, seed: int = 7, most: int = 50_000) -> TableVectors:
-    """Vectors learned from the corpus; at most ``most`` words (the model's vocabulary bound) come to the driver."""
+def from_corpus(tokens_df, dim: int = 32, seed: int = 7):
+    """(word, vector): a vector for every word that stands twice or more in the corpus.  A table, as the vocabulary grows
+    with the corpus; ``score.score_with_vectors`` reads it."""
     from pyspark.ml.feature import Word2Vec
+    from pyspark.ml.functions import vector_to_array
     from pyspark.sql import functions as F
 
     model = Word2Vec(vectorSize=dim, seed=seed, minCount=2, inputCol="toks", outputCol="v", maxIter=1).fit(tokens_df.select("toks"))
-    counts = tokens_df.select(F.explode("toks").alias("word")).groupBy("word").count().orderBy(F.desc("count"), "word").limit(most)
-    rows = model.getVectors().join(counts, "word").select("word", "vector").collect()
-    scale = np.sqrt(dim)
-    return TableVectors({r.word: r.vector.toArray() * scale for r in rows}, dim)
+    return model.getVectors().select("word", vector_to_array(F.col("vector"), "float32").alias("vector"))

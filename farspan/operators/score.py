@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from farspan.operators import kernel
+from farspan.operators.profiles import TableVectors
 
 RAW = "doc_id long, category string, start long, len int, k int, profile string, ds double, du double, far_mean double, far_cells long, sink_share double, pair_ops long, cpu_ms double"
 _FIELDS = ("len", "k", "ds", "du", "far_mean", "far_cells", "sink_share", "pair_ops", "cpu_ms")
@@ -56,6 +57,33 @@ def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int =
     return per_window(windows, lambda t: [r | {"profile": name} for r in kernel.score(profile, t, ks, block, var_over, ddof, head_agg)], schema)
 
 
+def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int = 32, name: str = "corpus", block: int = 1024) -> DataFrame:
+    """raw_scores under a table of token vectors (word, vector) of any size; unknown tokens are the zero vector.
+
+    Windows are dealt into blocks of about ``block``; each block meets the vectors of its own words, so a task holds
+    no more than those.
+    """
+    n = max(1, -(-windows.count() // block))
+    dealt = windows.select(F.pmod(F.xxhash64("doc_id", "start"), F.lit(n)).alias("block"), F.col("doc_id").cast("long").alias("doc_id"), "category", F.col("start").cast("long").alias("start"), "toks")
+    words = dealt.select(F.col("block").alias("of"), F.explode("toks").alias("word")).distinct()
+    held = words.join(vectors, "word").select("of", "word", "vector")
+    scale = dim**0.5
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        vectors = right.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype("float64").reshape(-1, dim) * scale
+        profile = TableVectors(dict(zip(right.column("word").to_pylist(), vectors, strict=True)), dim, name)
+        out: dict[str, list] = {x.split()[0]: [] for x in RAW.split(", ")}
+        for at in range(0, left.num_rows, ROWS_AT_ONCE):
+            for w in left.slice(at, ROWS_AT_ONCE).to_pylist():
+                for row in kernel.score(profile, w["toks"] or [], [k]):
+                    for c, v in ({x: w[x] for x in ("doc_id", "category", "start")} | row | {"profile": name}).items():
+                        if c in out:
+                            out[c].append(v)
+        return pa.Table.from_batches([_arrow(out, RAW)])
+
+    return dealt.groupBy("block").cogroup(held.groupBy("of")).applyInArrow(run, RAW)
+
+
 def token_strength(windows: DataFrame, profile, k: int) -> DataFrame:
     """row_stats: one row per token; for inspection and tests."""
 

@@ -332,7 +332,7 @@ def profile_agreement(s: SparkSession, d: str) -> DataFrame:
 def corpus_profile_scores(s: SparkSession, d: str) -> DataFrame:
     """Scores with token vectors learned from the corpus."""
     learned = profiles.from_corpus(tok(s, d))
-    return raw(s, d, learned).drop("cpu_ms")
+    return score.score_with_vectors(win(s, d), learned, K).drop("cpu_ms")
 
 
 def planted_auc(s: SparkSession, d: str) -> DataFrame:

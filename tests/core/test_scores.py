@@ -128,6 +128,26 @@ def test_cells_agree_with_the_kernel(spark):
         cells.cells(w.withColumn("len", F.lit(2_000_000)))
 
 
+def test_learned_vectors_are_kept_for_all_words(spark):
+    """More words than the 50,000 that once kept their vectors, in several blocks; unknown words are zero."""
+    rng = np.random.default_rng(5)
+    table = {f"w{i}": x for i, x in enumerate(rng.standard_normal((60_000, 4)).astype(np.float32))}
+    vectors = spark.createDataFrame([(t, x.tolist()) for t, x in table.items()], "word string, vector array<float>")
+    rows = [(i, "en", 0, [f"w{59_999 - 2_000 * i - 7 * j}" for j in range(11)] + ["unknown"]) for i in range(20)]
+    w = spark.createDataFrame(rows, "doc_id long, category string, start long, toks array<string>")
+    whole = profiles.TableVectors({t: x.astype(float) * 2 for t, x in table.items()}, 4)
+    got = {r.doc_id: r for r in score.score_with_vectors(w, vectors, 3, 4, block=6).collect()}
+    assert len(got) == 20
+    for i, _, _, toks in rows:
+        one = kernel.score(whole, toks, [3])[0]
+        assert got[i].ds == pytest.approx(one["ds"]) and got[i].du == pytest.approx(one["du"]) and got[i].profile == "corpus"
+
+
+def test_corpus_profile_has_no_cap(spark):
+    toks = spark.createDataFrame([([f"t{i}" for i in range(a, a + 500)] * 2,) for a in range(0, 51_000, 500)], "toks array<string>")
+    assert profiles.from_corpus(toks, 2).count() == 51_000
+
+
 def test_standard_scores(spark):
     raw = spark.createDataFrame([(1, "a", 0, 1.0, -3.0), (2, "a", 0, 2.0, -1.0), (3, "a", 0, 3.0, -2.0)], "doc_id long, category string, start long, ds double, du double")
     got = {r.doc_id: (round(r.ds_z, 4), round(r.du_z, 4), round(r.lds, 4)) for r in score.combine(score.standardize(raw)).collect()}
