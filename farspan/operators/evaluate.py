@@ -7,6 +7,7 @@ import hashlib
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from farspan.llm.storage import lean_batches
 from farspan.operators import kernel
 from farspan.operators.score import per_window
 
@@ -84,10 +85,33 @@ def _word(kind: str, seed: str) -> str:
     return str(int(h[:12], 16) % 10**7).zfill(7) if kind == "number" else h
 
 
-def probe(task: str, number: int, depth: float, haystack: list[str], length: int) -> dict:
+def numbered(df: DataFrame, key: str, name: str) -> DataFrame:
+    """df with its rank from 0 in the order of a hexadecimal key, counted in 4,096 ranges of the key and added up."""
+    at = df.withColumn("range", F.substring(key, 1, 3))
+    before = F.coalesce(F.sum("count").over(Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    sizes = at.groupBy("range").count().select("range", before.alias("before"))
+    within = F.row_number().over(Window.partitionBy("range").orderBy(*dict.fromkeys([key, *df.columns])))
+    return at.withColumn("within", within).join(F.broadcast(sizes), "range").withColumn(name, F.col("before") + F.col("within") - 1).drop("range", "within", "before")
+
+
+def haystacks(windows: DataFrame, items: DataFrame) -> DataFrame:
+    """doc_id (a running number), toks, passage: every window (key, toks) with a test item (key, passage), and every item
+    with a window.
+
+    Both are ranked by key and paired by rank; the fewer ones begin anew.  Without windows the prose is empty, without
+    items the passage.
+    """
+    n, m = windows.count(), items.count()
+    pairs = windows.sparkSession.range(max(n, m)).select(F.col("id").alias("doc_id"), (F.col("id") % max(1, n)).alias("w"), (F.col("id") % max(1, m)).alias("i"))
+    none = F.array().cast("array<string>")
+    both = pairs.join(numbered(windows, "key", "w").select("w", "toks"), "w", "left").join(numbered(items, "key", "i").select("i", "passage"), "i", "left")
+    return both.select("doc_id", F.coalesce("toks", none).alias("toks"), F.coalesce("passage", none).alias("passage"))
+
+
+def probe(task: str, number: int, depth: float, haystack: list[str], length: int, passage: list[str] | tuple = ()) -> dict:
     """One probe of ``length`` tokens: needles in a haystack, a question at the end, and where the answers stand.
 
-    A needle is ``key is value``; the question repeats the key.  Positions count from 0.
+    The passage follows the first needle whole; if it leaves no room for a haystack, the probe is longer.  A needle is ``key is value``; the question repeats the key.  Positions count from 0.
     """
     kind = "hex" if task in ("single_3", "multikey_3") else "number"
     filler = ["grass", "is", "green", "sky", "is", "blue", "sun", "is", "yellow"]
@@ -110,7 +134,7 @@ def probe(task: str, number: int, depth: float, haystack: list[str], length: int
     elif task in ("common_words", "frequent_words"):
         needles = [[key(0), "is", value(0)]] * (3 if task == "common_words" else 5)
     question = ["what", "is", *asked]
-    room = length - len(question) - sum(map(len, needles))
+    room = max(0, length - len(question) - sum(map(len, needles)) - len(passage))
     if many:
         hay = [w for i in range(room // 3 + 1) for w in (f"key-{_word('hex', f'{seeds[0]}d{i}')[:6]}", "is", f"value-{_word(kind, f'{seeds[0]}e{i}')}")][:room]
     else:
@@ -124,6 +148,8 @@ def probe(task: str, number: int, depth: float, haystack: list[str], length: int
         toks += hay[last:p]
         spots.append(range(len(toks), len(toks) + len(needle)))
         toks += needle
+        if len(spots) == 1:
+            toks += passage
         last = p
     toks += hay[last:]
     at = len(toks) + 2
@@ -133,23 +159,25 @@ def probe(task: str, number: int, depth: float, haystack: list[str], length: int
 
 
 def probes(haystacks: DataFrame, tasks: tuple[str, ...] = NIAH, depths: tuple[float, ...] = DEPTHS, length: int = 256, each: int = 1) -> DataFrame:
-    """probes: for every haystack (doc_id, toks) one probe per task and depth."""
+    """probes: for every haystack (doc_id, toks, and a passage if there is one) one probe per task and depth."""
     schema = "task string, depth double, probe_id string, toks array<string>, query_pos array<int>, answer_pos array<int>, spans array<array<int>>, answers int"
 
     def run(batches):
         import pandas as pd
 
+        columns = ["task", "depth", "probe_id", "toks", "query_pos", "answer_pos", "spans", "answers"]
         for pdf in batches:
-            rows = []
-            for doc, toks in zip(pdf["doc_id"], pdf["toks"], strict=True):
+            for doc, toks, passage in zip(pdf["doc_id"], pdf["toks"], pdf["passage"], strict=True):
+                rows = []
                 for task in tasks:
                     for depth in depths:
                         for i in range(each):
-                            p = probe(task, int(doc) * each + i, depth, list(toks), length)
+                            p = probe(task, int(doc) * each + i, depth, list(toks), length, list(passage))
                             rows.append(p | {"probe_id": f"{task}:{doc}:{depth}:{i}"})
-            yield pd.DataFrame(rows, columns=["task", "depth", "probe_id", "toks", "query_pos", "answer_pos", "spans", "answers"])
+                yield pd.DataFrame(rows, columns=columns)
 
-    return haystacks.select("doc_id", "toks").mapInPandas(run, schema)
+    passage = F.col("passage") if "passage" in haystacks.columns else F.array().cast("array<string>")
+    return lean_batches(haystacks).select("doc_id", "toks", passage.alias("passage")).mapInPandas(run, schema)
 
 
 def probe_hits(asked: DataFrame, profile, k: int) -> DataFrame:

@@ -348,11 +348,11 @@ def sink_by_layer(s: SparkSession, d: str) -> DataFrame:
 
 
 def _haystacks(s: SparkSession, d: str) -> DataFrame:
-    """Each test item with the windows of prose it is hidden in: one window per item, by item number."""
-    prose = windows.cut(tok(s, d), L).where("category = 'en'").select("toks", F.md5(F.concat_ws(":", "doc_id", "start")).alias("key"))
-    numbered = prose.orderBy("key").limit(200).withColumn("item", F.row_number().over(Window.orderBy("key")) - 1)
-    items = tables.table(s, d, "benchmark", "item_id")
-    return items.join(F.broadcast(numbered), F.pmod(F.col("item_id"), F.lit(200)) == F.col("item")).select(F.col("item_id").alias("doc_id"), "toks")
+    """Every window of every category with the text of a test item to hide in it; see ``evaluate.haystacks``."""
+    key = lambda *c: F.md5(F.concat_ws(":", *c)).alias("key")
+    prose = windows.cut(tok(s, d), L).select(key("doc_id", "start"), "toks")
+    items = tables.table(s, d, "benchmark", "item_id", "text").select(key("item_id"), windows.tokens(F.col("text")).alias("passage"))
+    return evaluate.haystacks(prose, items).repartition(max(8, int(s.conf.get("spark.sql.shuffle.partitions"))))
 
 
 def niah_probes(s: SparkSession, d: str) -> DataFrame:
@@ -360,13 +360,13 @@ def niah_probes(s: SparkSession, d: str) -> DataFrame:
 
 
 def niah_accuracy(s: SparkSession, d: str) -> DataFrame:
-    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d)).repartition(8), profiles.HexDot(), 16)
+    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d)), profiles.HexDot(), 16)
     return evaluate.accuracy(hits)
 
 
 def ruler_probes(s: SparkSession, d: str) -> DataFrame:
     tasks = (*evaluate.NIAH, *evaluate.RULER_MORE)
-    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d), tasks, (0.0, 0.5)).repartition(8), profiles.HexDot(), 16)
+    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d), tasks, (0.0, 0.5)), profiles.HexDot(), 16)
     return evaluate.accuracy(hits)
 
 
@@ -377,7 +377,7 @@ def longbench_groups(s: SparkSession, d: str) -> DataFrame:
     """Six stand-in groups scored 0 to 100 by far attention, with the plain and the task-weighted mean."""
     hay, p = _haystacks(s, d), profiles.HexDot()
     tasks = {"single_1": "single_doc", "single_2": "single_doc", "multikey_1": "multi_doc", "qa_1": "multi_doc", "common_words": "summarising", "frequent_words": "few_shot", "variable_tracking": "synthetic", "multivalue": "synthetic", "multikey_2": "code"}
-    hits = evaluate.probe_hits(evaluate.probes(hay, tuple(tasks), (0.0, 0.5, 1.0)).repartition(8), p, 16)
+    hits = evaluate.probe_hits(evaluate.probes(hay, tuple(tasks), (0.0, 0.5, 1.0)), p, 16)
     name = F.create_map(*[x for t, g in tasks.items() for x in (F.lit(t), F.lit(g))])
     groups = hits.groupBy(F.try_element_at(name, F.col("task")).alias("group")).agg((100 * F.avg("hit")).alias("score")).withColumn("method", F.lit(p.name))
     means = evaluate.grouped_mean(groups, LONGBENCH)
