@@ -1,4 +1,4 @@
-"""Registered queries: every method, variant, baseline and workload over the whole given tables.
+"""Registered queries: methods, variants, baselines and workloads over the given tables; README lists what is missing.
 
 Window length 128 and far distance 32 (a quarter) stand for the published 32,768 and 8,192, as no document of the
 given tables is that long in words.
