@@ -12,7 +12,7 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import written
+from farspan.sources.intermediate import written
 from farspan.operators.score import per_window
 
 

@@ -7,7 +7,7 @@ import hashlib
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import lean_batches
+from farspan.sources.intermediate import lean_batches
 from farspan.operators import kernel
 from farspan.operators.score import per_window
 

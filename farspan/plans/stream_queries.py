@@ -10,14 +10,14 @@ from pyspark.sql import functions as F
 from farspan.functions.columns import scaled
 from farspan.operators import profiles
 from farspan.plans.oracles import SCORED, with_
+from farspan.sources.intermediate import shared_dir
 from farspan.streaming import streams
 
 L, K = 128, 32
 
 
 def _folder(spark: SparkSession) -> str:
-    root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "/tmp/checkpoints"
-    return f"{root.rstrip('/')}/farspan-stream-{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/farspan-stream-{uuid.uuid4().hex}"
 
 
 def _documents(s: SparkSession, d: str) -> DataFrame:
