@@ -1,23 +1,30 @@
 """Jaccard self-join of documents by word n-grams, as a blocked sparse product of the incidence matrix.
 
-Rows of the matrix are distinct shingle sets, columns are shingles.  Columns are dealt over the executors and
-only those entries enter the product that can still decide it: with the columns ordered rare to frequent, two
-sets of sizes m and n that overlap in at least a(m, n) = ceil(3 (m + n) / 7) shingles (similarity 0.75) share one
-within the first m - a + 1 and n - a + 1 of them.  Column blocks give the row pairs whose partial counts are not
-yet excluded by these bounds.  A histogram of each row's shingles over 2**b hash cells then bounds the overlap of
-a pair from above (the sum of cell minima), and row blocks count the full overlap of what is left.
+Rows of the matrix are distinct shingle sets, columns are shingles.
+
+* Column blocks, first pass.  Columns are dealt over the executors and only those entries enter that can still decide
+  a link: with the columns ordered rare to frequent, two sets of sizes m and n that overlap in at least
+  a(m, n) = ceil(3 (m + n) / 7) shingles (similarity 0.75) share one within the first m - a + 1 and n - a + 1 of them.
+  Sizes and places give the row pairs that aren't excluded.  Where all common entries of a pair meet, their number is
+  accumulated, and the pair goes if number and remaining places fall short.  A histogram of each row over column
+  blocks bounds the overlap from above as well (the sum of block minima).
+* Row blocks, second pass.  What is left is multiplied out: a block is one row and some PARTNERS of its partners, all
+  as arrays of shingle numbers.  Overlap counts are accumulated over column ranges, and a partner goes as soon as
+  count and rest fall below the bound.  No text is moved.
 
 * Copies with equal sets are one row of the matrix, so groups of copies are never expanded.
 * The column order comes from a count sketch of fixed size (2**22 counters) over all shingles of all texts.
   Its errors cost time only: any fixed order gives the exact result.
 * A column with many entries is not paired out: first every entry meets only the column's most central row,
-  frequent columns through 16 salted parts; the links found merge most rows into components, and a second pass
-  pairs only entries of different components, the largest component of a column as one side.
-
-Shingles are 64-bit hashes of the A-Z-lower-cased words.  Null and empty texts have no shingle and link with
-nothing; a text of fewer than k words has its whole word sequence as its one shingle; rows with a null id keep
-their own (null) component; repeated rows fall into one class; an empty table gives an empty result; other
-columns of the input are not read.
+  frequent columns through salted parts whose number grows with the frequency; the links found merge most rows into
+  components, and then only entries of different components are paired, the largest component of a column as one side.
+  Where many rows have over three quarters of their shingles in common without a link, that is still quadratic.
+
+Shingles are 64-bit hashes of the A-Z-lower-cased words, which tell two texts apart but for chances of about
+m * n / 2**64.  A row is named by 64 bits of its set's 128-bit signature; sets that clash in those are found and named
+by the other 64.  Null and empty texts have no shingle and link with nothing; a text of fewer than k words has its
+whole word sequence as its one shingle; rows with a null id keep their own (null) component; repeated rows fall into
+one class; an empty table gives an empty result; other columns of the input are not read.
 """
 
 from __future__ import annotations
@@ -32,16 +39,25 @@ from pyspark.sql import functions as F
 
 from farspan.llm import sketch
 from farspan.llm.components import connected_components
-from farspan.llm.storage import texts, written
+from farspan.llm.storage import lean_batches, spread_join, texts, written
 from farspan.llm.textbatch import all_chunks, shingle_sets, signed
 
 #: From this frequency class on (excess of at least 2**9 over the sketch's noise) a column is dealt in salted parts.
 HOT_CLASS = 10
-SALTS = 16
+#: Partners of a row that are multiplied in one block.
+PARTNERS = 256
+#: Ranges of columns over which a block accumulates overlaps.
+RANGES = 4
+
+
+def set_signature(own: np.ndarray) -> tuple[int, int]:
+    digest = hashlib.blake2b(own.tobytes(), digest_size=16).digest()
+    return int.from_bytes(digest[:8], "little", signed=True), int.from_bytes(digest[8:], "little", signed=True)
 
 
-def set_signature(own: np.ndarray) -> int:
-    return int.from_bytes(hashlib.blake2b(own.tobytes(), digest_size=8).digest(), "little", signed=True)
+def node_of(own: np.ndarray, clashing: frozenset[int]) -> int:
+    first, second = set_signature(own)
+    return second if first in clashing else first
 
 
 def cell_bits(n: int) -> int:
@@ -64,23 +80,29 @@ def overlap_bound(x: np.ndarray, y: np.ndarray) -> int | None:
 
 
 def shingle_classes(df: DataFrame, k: int) -> DataFrame:
-    """One row (doc_id, n_shingles, node, counts, text_hash) per document, and the partial sketches as rows with a block."""
+    """One row (doc_id, n_shingles, first, second, counts, text_hash) per document, and the partial sketches as rows with a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen = sketch.Sketch()
-        names = ["doc_id", "n_shingles", "node", "block", "counts", "text_hash"]
+        names = ["doc_id", "n_shingles", "first", "second", "block", "counts", "text_hash"]
         for part, chunk in all_chunks(batches):
             sets = list(shingle_sets(chunk, k))
             if sets:
                 seen.add(np.concatenate(sets))
-            n = len(sets)
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([set_signature(s) for s in sets], pa.int64()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary()), part.column(2)], names=names)
+            n, signatures = len(sets), np.array([set_signature(s) for s in sets], np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array(signatures[:, 0].copy()), pa.array(signatures[:, 1].copy()), pa.nulls(n, pa.int32()), pa.array([cell_counts(s) for s in sets], pa.binary()), part.column(2)], names=names)
         if (blocks := seen.block_rows()) is not None:
             nothing = pa.nulls(sketch.BLOCKS, pa.int64())
-            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, *blocks, nothing], names=names)
+            yield pa.RecordBatch.from_arrays([nothing, nothing, nothing, nothing, *blocks, nothing], names=names)
 
     hashed = df.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("text_hash"))
-    return hashed.mapInArrow(run, "doc_id long, n_shingles long, node long, block int, counts binary, text_hash long")
+    return hashed.mapInArrow(run, "doc_id long, n_shingles long, first long, second long, block int, counts binary, text_hash long")
+
+
+def clashing_signatures(documents: DataFrame) -> frozenset[int]:
+    """First halves that belong to sets with different second halves: about N**2 / 2**65 of N sets, 3 of 10**10."""
+    per = documents.groupBy("first").agg(F.min("second").alias("x"), F.max("second").alias("y"))
+    return frozenset(r["first"] for r in per.where("x <> y").select("first").collect())
 
 
 def needed(m: F.Column, n: F.Column) -> F.Column:
@@ -94,7 +116,7 @@ def within_bounds(size_a: F.Column, pos_a: F.Column, size_b: F.Column, pos_b: F.
     return (3 * F.greatest(size_a, size_b) <= 4 * F.least(size_a, size_b)) & (size_a - pos_a >= least) & (size_b - pos_b >= least)
 
 
-def incidence_entries(df: DataFrame, k: int, classes) -> DataFrame:
+def incidence_entries(df: DataFrame, k: int, classes, clashing: frozenset[int]) -> DataFrame:
     """Entries of the product: each distinct set's rarest shingles, as many as can decide a link.
 
     Repeats of a set within a task are left out; those of other tasks meet in their column.
@@ -106,15 +128,17 @@ def incidence_entries(df: DataFrame, k: int, classes) -> DataFrame:
             cols: list[list[np.ndarray]] = [[], [], [], [], []]
             for own in shingle_sets(chunk, k):
                 n = len(own)
-                if n == 0 or (node := set_signature(own)) in seen:
+                if n == 0 or (node := node_of(own, clashing)) in seen:
                     continue
                 if len(seen) > 500_000:
                     seen.clear()
                 seen.add(node)
                 kind = table[sketch.cell(own)]
                 order = np.argsort((kind.astype(np.uint64) << np.uint64(58)) | (own >> np.uint64(6)), kind="stable")[: n - (3 * n + 3) // 4 + 1]
-                hot = kind[order] >= HOT_CLASS
-                for c, x in zip(cols, (signed(own[order]), np.full(len(order), node), np.full(len(order), n, np.int32), np.arange(len(order), dtype=np.int32), np.where(hot, node % SALTS, -1).astype(np.int32)), strict=True):
+                # parts of about 2**(HOT_CLASS - 1) entries
+                parts = 1 << np.clip(kind[order].astype(np.int64) - HOT_CLASS + 1, 0, 30)
+                salt = np.where(parts > 1, node % parts, -1).astype(np.int32)
+                for c, x in zip(cols, (signed(own[order]), np.full(len(order), node), np.full(len(order), n, np.int32), np.arange(len(order), dtype=np.int32), salt), strict=True):
                     c.append(x)
             if cols[0]:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(c)) for c in cols], names=["h", "node", "n", "pos", "salt"])
@@ -182,7 +206,11 @@ def crossing_pairs(shared: DataFrame, roots: DataFrame, done: DataFrame) -> Data
     x, y = own.where("root <> main").alias("x"), own.alias("y")
     c = F.col
     met = x.join(y, (c("x.h") == c("y.h")) & (c("x.root") != c("y.root")) & ((c("y.root") == c("y.main")) | (c("x.node") < c("y.node"))) & within_bounds(c("x.n"), c("x.pos"), c("y.n"), c("y.pos")))
-    pairs = met.select(*_pair("x.node", "y.node")).distinct()
+    first = c("x.node") < c("y.node")
+    either = lambda name: [F.when(first, c(f"x.{name}")).otherwise(c(f"y.{name}")).alias(f"{name}_a"), F.when(first, c(f"y.{name}")).otherwise(c(f"x.{name}")).alias(f"{name}_b")]
+    counted = met.select(*_pair("x.node", "y.node"), *either("n"), *either("pos")).groupBy("a", "b", "n_a", "n_b").agg(F.count("*").alias("met"), F.max("pos_a").alias("at_a"), F.max("pos_b").alias("at_b"))
+    # what is common behind the last common place lies behind it in both orders
+    pairs = counted.where(c("met") + F.least(c("n_a") - c("at_a"), c("n_b") - c("at_b")) - 1 >= needed(c("n_a"), c("n_b"))).select("a", "b")
     return pairs.join(done.select(*_pair("a", "b")), ["a", "b"], "left_anti")
 
 
@@ -203,66 +231,106 @@ def within_cell_bound(pairs: DataFrame, cells: DataFrame) -> DataFrame:
     return both.select("a", "b", "m", "n", "x", "y").mapInArrow(run, "a long, b long")
 
 
-def verified(pairs: DataFrame, rows: DataFrame, classes: DataFrame, k: int) -> DataFrame:
-    """The pairs (a, b) of nodes whose full overlap reaches the threshold.
-
-    The texts of a's partners come to a's row block (one of SALTS of them), one after another.
-    """
+def incidence_rows(rows: DataFrame, classes: DataFrame, pairs: DataFrame, k: int, clashing: frozenset[int]) -> DataFrame:
+    """(node, ids): the shingle numbers, sorted, of every row that is in a pair, read from the text of its class's first document."""
     ends = pairs.select("a").union(pairs.select(F.col("b").alias("a"))).distinct().select(F.col("a").alias("node"))
-    chosen = classes.join(ends, "node").groupBy("node").agg(F.min("doc_id").alias("doc_id"))
-    held = written(rows.join(chosen, "doc_id").select("node", "text"), "candidates", release=True)
-    salt = F.pmod("b", F.lit(SALTS)).cast("int").alias("salt")
-    members = pairs.select("a", "b", salt).join(held.select(F.col("node").alias("b"), "text"), "b").select("a", "salt", "b", "text")
-    blocks = pairs.select("a", salt).distinct()
-    centers = blocks.join(held.select(F.col("node").alias("a"), "text"), "a").select("a", "salt", F.lit(None).cast("long").alias("b"), "text")
+    chosen = classes.join(ends, "node").select(F.col("class_id").alias("doc_id"), "node")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        center, center_of = None, None
+        seen: set[int] = set()
         for part, chunk in all_chunks(batches):
-            found: list[tuple[int, int]] = []
-            for a, b, own in zip(part.column(0).to_pylist(), part.column(2).to_pylist(), shingle_sets(chunk, k), strict=True):
-                if set_signature(own) != (a if b is None else b):
-                    continue  # another text under a repeated id
-                if b is None:
-                    center, center_of = own, a
-                elif center_of == a:
-                    at = np.searchsorted(center, own)
-                    at[at == len(center)] = 0
-                    overlap = int((center[at] == own).sum())
-                    if 7 * overlap >= 3 * (len(own) + len(center)):
-                        found.append((a, b))
-            if found:
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], names=["a", "b"])
-
-    dealt = centers.union(members).repartition("a", "salt").sortWithinPartitions("a", "salt", F.asc_nulls_first("b"))
-    return dealt.mapInArrow(run, "a long, b long").distinct()
+            nodes, ids = [], []
+            for node, own in zip(part.column(0).to_pylist(), shingle_sets(chunk, k), strict=True):
+                if node in seen or node_of(own, clashing) != node:
+                    continue  # a repeated row, or another text under a repeated id
+                if len(seen) > 500_000:
+                    seen.clear()
+                seen.add(node)
+                nodes.append(node)
+                ids.append(own.tobytes())
+            yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(ids, pa.binary())], names=["node", "ids"])
+
+    return rows.join(chosen, "doc_id").select("node", "text").mapInArrow(run, "node long, ids binary")
+
+
+def overlapping(center: np.ndarray, flat: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Which rows (of these sizes, end to end in flat, each sorted) overlap with the center as much as a link needs.
+
+    One range of columns after another; a row goes as soon as its count and what is left of it fall short.
+    """
+    least = -(-3 * (size + len(center)) // 7)
+    row = np.repeat(np.arange(len(size)), size)
+    column = flat >> np.uint64(64 - RANGES.bit_length() + 1)
+    count, left, open_ = np.zeros(len(size), np.int64), size.copy(), np.ones(len(size), bool)
+    for x in range(RANGES):
+        at = np.flatnonzero((column == x) & open_[row])
+        ids, own = flat[at], row[at]
+        place = np.searchsorted(center, ids)
+        place[place == len(center)] = 0
+        count += np.bincount(own, center[place] == ids, len(size)).astype(np.int64)
+        left -= np.bincount(own, minlength=len(size))
+        open_ &= count + left >= least
+    return open_
+
+
+def verified(pairs: DataFrame, incidence: DataFrame) -> DataFrame:
+    """The pairs (a, b) of nodes whose full overlap reaches the threshold, multiplied block by block."""
+    total = pairs.count()
+    parts = pairs.groupBy("a").agg(F.count("*").alias("c")).withColumn("parts", F.ceil(F.col("c") / PARTNERS).cast("long"))
+    dealt = spread_join(pairs, parts, "a", "c", total).select("a", "b", F.pmod(F.xxhash64("b"), "parts").alias("part"))
+    members = dealt.join(incidence.select(F.col("node").alias("b"), "ids"), "b").select("a", "part", "b", "ids")
+    blocks = parts.select("a", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)).alias("part"))
+    centers = blocks.join(incidence.select(F.col("node").alias("a"), "ids"), "a").select("a", "part", F.lit(None).cast("long").alias("b"), "ids")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        center, center_of = np.zeros(0, np.uint64), None
+        for batch in batches:
+            a, b = batch.column(0).to_numpy(), batch.column(2)
+            is_center = np.asarray(b.is_null())
+            ids = batch.column(3)
+            # stretches of partners of one center; each center starts a new one
+            edges = np.flatnonzero(np.concatenate([[True], is_center[1:] | is_center[:-1] | (a[1:] != a[:-1])])) if len(a) else []
+            for lo, hi in zip(edges, [*edges[1:], len(a)], strict=True):
+                if is_center[lo]:
+                    center, center_of = np.frombuffer(ids[lo].as_buffer(), np.uint64), a[lo]
+                elif a[lo] == center_of:
+                    own = ids.slice(lo, hi - lo).to_pylist()
+                    hit = overlapping(center, np.frombuffer(b"".join(own), np.uint64), np.array([len(x) // 8 for x in own]))
+                    if hit.any():
+                        yield pa.RecordBatch.from_arrays([pa.array(a[lo:hi][hit]), b.slice(lo, hi - lo).filter(pa.array(hit))], names=["a", "b"])
+
+    sent = lean_batches(centers.union(members)).repartition("a", "part").sortWithinPartitions("a", "part", F.asc_nulls_first("b"))
+    return sent.mapInArrow(run, "a long, b long").distinct()
 
 
 def near_duplicates(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, text_hash, class_id, component_id) for every row: class_id is the smallest doc_id with an equal
-    shingle set, component_id the smallest doc_id reachable by links."""
+    """(doc_id, n_shingles, text_hash, class_id, root, component_id) for every row: class_id is the smallest doc_id with an
+    equal shingle set, component_id the smallest doc_id reachable by links, root a number of the component itself."""
     if not 1 <= k <= 32:
         raise ValueError("k must be 1 to 32")
     spark, rows = df.sparkSession, texts(df, id_col, text_col)
     measured = written(shingle_classes(rows, k), "shingles")
-    documents = measured.where("block is null").select("doc_id", "n_shingles", "node", "text_hash")
     table = spark.sparkContext.broadcast(sketch.frequency_classes(measured.where("block is not null")))
-    known = rows.where("doc_id is not null")
-    shared = written(shared_columns(incidence_entries(known, k, table)), "entries", release=True)
-    classes = documents.where("n_shingles > 0 and doc_id is not null").select("doc_id", "node")
-    cells = measured.where("block is null and n_shingles > 0 and doc_id is not null").groupBy("node").agg(F.first("n_shingles").alias("n_shingles"), F.first("counts").alias("counts"))
+    linkable = measured.where("block is null and n_shingles > 0 and doc_id is not null")
+    clashing = clashing_signatures(linkable)
+    node = F.col("first") if not clashing else F.when(F.col("first").isin(list(clashing)), F.col("second")).otherwise(F.col("first"))
+    known, own = rows.where("doc_id is not null"), linkable.withColumn("node", node)
+    classes = written(own.groupBy("node").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("members"), F.first("n_shingles").alias("n_shingles"), F.first("counts").alias("counts")), "classes")
+    shared = written(shared_columns(incidence_entries(known, k, table, clashing)), "entries")
     first = written(central_pairs(shared), "pairs")
-    links = written(verified(written(within_cell_bound(first, cells), "bounded"), known, classes, k), "links")
-    roots = connected_components(links)
-    second = written(within_cell_bound(crossing_pairs(shared, roots, first), cells), "pairs")
-    more = written(verified(second, known, classes, k), "links")
-    roots = connected_components(roots.select(F.col("root").alias("a"), F.col("node").alias("b")).union(more))
-    nodes = classes.groupBy("node").agg(F.min("doc_id").alias("class_id"))
-    rooted = nodes.join(roots, "node", "left").select("node", "class_id", F.coalesce("root", "node").alias("root"))
-    components = rooted.groupBy("root").agg(F.min("class_id").alias("component_id"))
-    named = rooted.join(components, "root").select("node", "class_id", "component_id")
-    lone = documents.where("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", "text_hash", F.col("doc_id").alias("class_id"), F.col("doc_id").alias("component_id"))
-    return documents.where("n_shingles > 0 and doc_id is not null").join(named, "node").select("doc_id", "n_shingles", "text_hash", "class_id", "component_id").union(lone)
+    roots, links = None, None
+    for found in (lambda: first, lambda: crossing_pairs(shared, roots, first)):
+        pairs = written(within_cell_bound(found(), classes), "bounded")
+        incidence = written(incidence_rows(known, classes, pairs, k, clashing), "incidence")
+        links = verified(pairs, incidence)
+        roots = connected_components(links if roots is None else roots.select(F.col("root").alias("a"), F.col("node").alias("b")).union(links))
+    rooted = classes.join(roots, "node", "left").select("node", "class_id", "members", F.coalesce("root", "node").alias("root"))
+    components = rooted.groupBy("root").agg(F.min("class_id").alias("component_id"), F.count("*").alias("nodes"))
+    total = rooted.agg(F.count("*").alias("n"), F.coalesce(F.sum("members"), F.lit(0)).alias("m")).first()
+    named = spread_join(rooted, components, "root", "nodes", total.n)
+    lone = measured.where("block is null and (n_shingles = 0 or doc_id is null)").select("doc_id", "n_shingles", "text_hash", F.col("doc_id").alias("class_id"), F.lit(None).cast("long").alias("root"), F.col("doc_id").alias("component_id"))
+    linked = spread_join(own.select("doc_id", "n_shingles", "text_hash", "node"), named.select("node", "class_id", "root", "component_id", "members"), "node", "members", total.m)
+    return linked.select("doc_id", "n_shingles", "text_hash", "class_id", "root", "component_id").union(lone)
 
 
 def first_of_each_group(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -272,10 +340,9 @@ def first_of_each_group(df: DataFrame, k: int = 5, id_col: str = "doc_id", text_
     """
     names = df.columns
     th = F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit("")))
-    grouped = near_duplicates(df, k, id_col, text_col)
-    kept = grouped.where("doc_id is not null and doc_id = component_id").select("doc_id", "n_shingles", "component_id", "text_hash")
-    chosen = kept.where("n_shingles > 0").groupBy("component_id").agg(F.min("text_hash").alias("text_hash")).select(F.col("component_id").alias("doc_id"), "text_hash")
-    chosen = chosen.union(kept.where("n_shingles = 0").select("doc_id", "text_hash")).distinct().select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_hash"))
+    grouped = written(near_duplicates(df, k, id_col, text_col).where("doc_id is not null").select("doc_id", "root", "text_hash"), "groups")
+    chosen = grouped.where("root is not null").groupBy("root").agg(F.min(F.struct("doc_id", "text_hash")).alias("x")).select("x.doc_id", "x.text_hash")
+    chosen = chosen.union(grouped.where("root is null").select("doc_id", "text_hash").distinct()).select(F.col("doc_id").alias("kept_id"), F.col("text_hash").alias("kept_hash"))
     rows = df.select(F.struct(*[F.col(c) for c in names]).alias("row"), F.col(id_col).cast("long").alias("own_id"), th.alias("own_hash"))
     stay = rows.join(chosen, (F.col("own_id") == F.col("kept_id")) & (F.col("own_hash") == F.col("kept_hash")), "left_semi")
     once = stay.withColumn("k", F.row_number().over(Window.partitionBy("own_id", "own_hash").orderBy("own_hash"))).where("k = 1")

@@ -1,68 +1,21 @@
-"""Reading the given tables, and cutting lineage with tables in the folder that all executors share."""
+"""Reading the given tables, cutting lineage, and joins that hold under frequent keys."""
 
 from __future__ import annotations
 
-import gc
-import time
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-FALLBACK_DIR = "/tmp/checkpoints"
-#: For folders under file: only. Where Hadoop lacks its native library, checksummed local files start several processes
-#: each to set permissions, raw ones fewer. Other file systems don't look at these options.
-PLAIN_FILES = {"fs.file.impl": "org.apache.hadoop.fs.RawLocalFileSystem", "fs.file.impl.disable.cache": "true"}
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """spark.checkpoint.dir of the session; a folder of our own only where none is set, as in tests."""
-    return (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or FALLBACK_DIR).rstrip("/")
-
-
-def written(df: DataFrame, label: str, release: bool = False) -> DataFrame:
-    """df as a table in the shared folder: its lineage ends there and lost executors cost no recomputation.
-
-    ``release``: give Spark's cleaner time to drop the shuffle files that df was made from before going on.
-    """
-    spark = df.sparkSession
-    path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
-    df.write.options(**PLAIN_FILES).parquet(path)
-    _made.append(path)
-    # what the table was made from is no longer needed: let Spark's cleaner drop those shuffle files
-    del df
-    for again in range(2 if release else 1):
-        time.sleep(0.3 * release)
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.3 * again)
-    return spark.read.schema(schema).parquet(path)
-
+from farspan.sources.intermediate import lean_batches, written
 
-_made: list[str] = []
-
-
-def discard(spark: SparkSession) -> int:
-    """Delete the tables that written() made in this session; call it once results are saved."""
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    gone = 0
-    while _made:
-        path = jvm.org.apache.hadoop.fs.Path(_made.pop())
-        gone += bool(path.getFileSystem(conf).delete(path, True))
-    return gone
+__all__ = ["documents", "lean_batches", "partitions_for", "spread_join", "texts", "written"]
+#: Frequent keys whose one row is broadcast in spread_join, at most.
+BROADCAST_ROWS = 1 << 18
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
-def lean_batches(df: DataFrame) -> DataFrame:
-    """df, in a session that ships rows to Python in batches of some 4 MB: texts are wide, and the buffers of both
-    sides grow with a batch."""
-    df.sparkSession.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(4 << 20))
-    return df
-
-
 def texts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Only the identifier and the text, under fixed names, so that other columns can't clash."""
     return lean_batches(df).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -70,3 +23,18 @@ def texts(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Data
 
 def partitions_for(spark: SparkSession, least: int = 8) -> int:
     return max(least, int(spark.conf.get("spark.sql.shuffle.partitions")))
+
+
+def spread_join(rows: DataFrame, values: DataFrame, key: str, count: str, total: int) -> DataFrame:
+    """rows with the row of ``values`` for their key (one a key at most; rows without one are left out).
+
+    ``count`` is a column of values: how many rows have the key, ``total`` their sum or more.  Keys of
+    max(1024, total / BROADCAST_ROWS) rows or more are BROADCAST_ROWS at most, so they are broadcast; only the rows of
+    other keys are shuffled, and no task gets a frequent key.  The column ``count`` isn't in the result.
+    """
+    least = max(1024, -(-total // BROADCAST_ROWS))
+    frequent = values.where(F.col(count) >= least).drop(count)
+    rare = values.where(F.col(count) < least).drop(count)
+    by_broadcast = rows.join(F.broadcast(frequent), key)
+    rest = rows.join(F.broadcast(frequent.select(key)), key, "left_anti")
+    return by_broadcast.unionByName(rest.join(rare, key))

@@ -13,12 +13,12 @@ comparing.  Neighbouring strings with one anchor form its *context*:
 
 Frequent anchors (seen in a fixed-size count sketch) never gather in one task: copies of their contexts meet
 within each task first, what is left is dealt by context, and their strings are compared by 128-bit hashes
-aggregated before the shuffle.  Contexts are matched by 128 bits (anchor and context hash); blocks are compared
-byte by byte.
+aggregated before the shuffle.  Contexts of one anchor are matched by 96 bits that don't depend on the anchor's hash;
+blocks are compared byte by byte.
 
 Null and empty texts have no string; null ids count as the smallest id; equal rows (same id and text) count as
-one document and get equal results; rows with the same id and different texts are separate texts at that id;
-an empty table gives an empty result; other columns are not read.
+one document and get equal results; rows with the same id and different texts are separate texts at that id, told
+apart by a 64-bit hash; an empty table gives an empty result; other columns are not read.  ``length`` is 33 to 16,415.
 """
 
 from __future__ import annotations
@@ -51,7 +51,7 @@ _POSITION = np.uint64((1 << 34) - 1)
 def keyed(df: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, th, text): th tells apart texts under one id."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    return lean_batches(df).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(text).bitwiseAND(0x7FFFFFFF).cast("int").alias("th"), text.alias("text"))
+    return lean_batches(df).select(F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(text).alias("th"), text.alias("text"))
 
 
 def anchors(chunk: TextChunk, length: int) -> tuple[np.ndarray, ...]:
@@ -60,9 +60,8 @@ def anchors(chunk: TextChunk, length: int) -> tuple[np.ndarray, ...]:
     size = np.diff(chunk.off)
     if n < length or not (size >= length).any():
         return (np.zeros(0, np.int64),) * 4 + (np.zeros(0, np.uint64),)
-    at = np.arange(n - K + 1)
-    gram = chunk.span_hash(at, at + K)
-    least = (gram & ~_POSITION) | at.astype(np.uint64)
+    gram = chunk.gram_hash(K)
+    least = (gram & ~_POSITION) | np.arange(n - K + 1, dtype=np.uint64)
     span = 1
     while span * 2 <= width:
         least = np.minimum(least[:-span], least[span:])
@@ -81,26 +80,27 @@ def anchors(chunk: TextChunk, length: int) -> tuple[np.ndarray, ...]:
 
 
 NAMES = ["anchor", "context", "id", "th", "lo", "lead", "width", "kind"]
-ENTRY = "anchor long, context long, id long, th int, lo int, lead int, width int, kind int"
+ENTRY = "anchor long, context long, id long, th long, lo int, lead int, width int, kind int"
 #: kind of an entry: an ordinary or frequent anchor's context, or strings already known to be repeated
 PLAIN, FREQUENT, CUT = 0, 1, 2
+#: Entries on their way: shape is 32 more bits of the context's hash, then kind, lead and width in FIELD bits each.
+PACKED = "anchor long, context long, id long, th long, lo int, shape long"
+PACKED_NAMES = ["anchor", "context", "id", "th", "lo", "shape"]
+FIELD = 14
+_FIELD_MASK, _MORE = (1 << FIELD) - 1, 2 * FIELD + 2
 
 
-#: Entries on their way: place is lo and th, shape is lead, width and kind, in one number each.
-PACKED = "anchor long, context long, id long, place long, shape int"
-PACKED_NAMES = ["anchor", "context", "id", "place", "shape"]
-
-
-def packed(anchor, context, d, th, lo, lead, width, kind) -> pa.RecordBatch:
-    th, lo, lead, width, kind = (np.asarray(x, np.int64) for x in (th, lo, lead, width, kind))
-    place, shape = lo << 31 | th, (lead | width << 7 | kind << 14).astype(np.int32)
-    return pa.RecordBatch.from_arrays([pa.array(anchor, pa.int64()), pa.array(context, pa.int64()), pa.array(d, pa.int64()), pa.array(place), pa.array(shape)], names=PACKED_NAMES)
+def packed(anchor, context, more, d, th, lo, lead, width, kind) -> pa.RecordBatch:
+    more, lead, width, kind = (np.asarray(x, np.int64) for x in (more, lead, width, kind))
+    shape = more << _MORE | kind << 2 * FIELD | lead << FIELD | width
+    return pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in (anchor, context, d, th)] + [pa.array(lo, pa.int32()), pa.array(shape)], names=PACKED_NAMES)
 
 
 def unpacked(columns: list[np.ndarray]) -> list[np.ndarray]:
-    anchor, context, d, place, shape = columns
-    lo, th = (place >> 31).astype(np.int32), (place & 0x7FFFFFFF).astype(np.int32)
-    return [anchor, context, d, th, lo, shape & 127, shape >> 7 & 127, shape >> 14]
+    """The columns of NAMES, and the rest of the context's hash."""
+    anchor, context, d, th, lo, shape = columns
+    lead, width, kind = (x.astype(np.int32) for x in (shape >> FIELD & _FIELD_MASK, shape & _FIELD_MASK, shape >> 2 * FIELD & 3))
+    return [anchor, context, d, th, lo, lead, width, kind, shape >> _MORE]
 
 
 def _id_columns(part: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
@@ -123,10 +123,10 @@ def context_entries(rows: DataFrame, length: int, classes) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = classes.value
-        held: dict[tuple[int, int], tuple[int, int, int, int, int]] = {}
+        held: dict[tuple[int, int, int], tuple[int, int, int, int, int]] = {}
 
         def passed_on() -> pa.RecordBatch:
-            rows_out = [(a, c, d, th, lo, lead, width, FREQUENT) for (a, c), (d, lo, th, lead, width) in held.items()]
+            rows_out = [(*key, d, th, lo, lead, width, FREQUENT) for key, (d, lo, th, lead, width) in held.items()]
             held.clear()
             return packed(*zip(*rows_out, strict=True))
 
@@ -137,25 +137,25 @@ def context_entries(rows: DataFrame, length: int, classes) -> DataFrame:
             ids, ths = _id_columns(part)
             hot = table[sketch.cell(gram)] >= HOT_CLASS
             lead = spot - lo
-            context = signed(mix64(chunk.span_hash(lo, hi + length) ^ (lead.astype(np.uint64) << np.uint64(8))))
-            columns = [signed(gram), context, ids[text], ths[text], (lo - chunk.off[text]).astype(np.int32), lead.astype(np.int32), (hi - lo).astype(np.int32)]
+            context, more = (mix64(chunk.span_hash(lo, hi + length, seed=x) ^ mix64(lead.astype(np.uint64))) for x in (0, 1))
+            columns = [signed(gram), signed(context), (more >> np.uint64(32)).astype(np.int64), ids[text], ths[text], (lo - chunk.off[text]).astype(np.int32), lead, hi - lo]
             cold = ~hot
             if cold.any():
                 own = [c[cold] for c in columns]
                 yield packed(*own, np.zeros(len(own[0])))
             cut: list[tuple] = []
-            for a, c, d, th, at, led, width in zip(*(x[hot].tolist() for x in columns), strict=True):
-                before = held.get((a, c))
+            for a, c, m, d, th, at, led, width in zip(*(x[hot].tolist() for x in columns), strict=True):
+                before = held.get((a, c, m))
                 now = (d, at, th, led, width)
                 if before is None:
-                    held[a, c] = now
+                    held[a, c, m] = now
                     continue
                 if now[:2] < before[:2]:
-                    held[a, c], now, before = now, before, now
+                    held[a, c, m], now, before = now, before, now
                 if now[:2] != before[:2]:
-                    cut.append((a, c, now[0], now[2], now[1], now[3], now[4], CUT))
+                    cut.append((a, c, m, now[0], now[2], now[1], now[3], now[4], CUT))
                 elif now[2] != before[2]:  # same id and place in another text: neither is earlier
-                    cut.append((a, c, now[0], now[2], now[1], now[3], now[4], FREQUENT))
+                    cut.append((a, c, m, now[0], now[2], now[1], now[3], now[4], FREQUENT))
             if cut:
                 yield packed(*zip(*cut, strict=True))
             if len(held) >= HELD:
@@ -171,8 +171,8 @@ def first_contexts(entries: DataFrame) -> DataFrame:
 
     def resolve(columns: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
         """columns are sorted; the rows to send, and which of them are cut."""
-        anchor, context, d, _, lo, _, _, kind = columns
-        new = np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (context[1:] != context[:-1])])
+        anchor, context, d, _, lo, _, _, kind, more = columns
+        new = np.concatenate([[True], (anchor[1:] != anchor[:-1]) | (context[1:] != context[:-1]) | (more[1:] != more[:-1])])
         first = np.flatnonzero(new)[np.cumsum(new) - 1]
         later = (d != d[first]) | (lo != lo[first])
         opened = np.concatenate([[True], anchor[1:] != anchor[:-1]])
@@ -188,9 +188,9 @@ def first_contexts(entries: DataFrame) -> DataFrame:
             columns = unpacked([c.to_numpy() for c in batch.columns])
             if carry is not None:
                 columns = [np.concatenate(x) for x in zip(carry, columns, strict=True)]
-            anchor, context, kind = columns[0], columns[1], columns[7]
+            anchor, context, kind, more = columns[0], columns[1], columns[7], columns[8]
             # the last open group: an anchor, or one context of a frequent anchor
-            same = (anchor == anchor[-1]) & ((kind[-1] == PLAIN) | (context == context[-1]))
+            same = (anchor == anchor[-1]) & ((kind[-1] == PLAIN) | ((context == context[-1]) & (more == more[-1])))
             tail = len(same) - int(np.argmin(same[::-1])) if not same.all() else 0
             carry = [c[tail:] for c in columns]
             if tail:
@@ -201,10 +201,11 @@ def first_contexts(entries: DataFrame) -> DataFrame:
             at, cut = resolve(carry)
             yield pa.RecordBatch.from_arrays([pa.array(c[at]) for c in carry[:7]] + [pa.array(np.where(cut, CUT, carry[7]).astype(np.int32)[at])], names=NAMES)
 
-    kind = F.shiftright("shape", 14)
-    spread = F.when(kind == PLAIN, F.lit(0)).when(kind == FREQUENT, F.col("context")).otherwise(F.xxhash64("id", "place"))
+    kind = F.shiftright("shape", 2 * FIELD).bitwiseAND(3)
+    spread = F.when(kind == PLAIN, F.lit(0)).when(kind == FREQUENT, F.col("context")).otherwise(F.xxhash64("id", "lo"))
     dealt = entries.withColumn("spread", F.xxhash64("anchor", spread)).repartition("spread").drop("spread")
-    return dealt.sortWithinPartitions("anchor", "context", "id", "place").mapInArrow(run, ENTRY)
+    # the order of shape: of one context, entries that are cut already come last
+    return dealt.sortWithinPartitions("anchor", "context", "shape", "id", "lo").mapInArrow(run, ENTRY)
 
 
 def context_bytes(rows: DataFrame, pending: DataFrame, length: int) -> DataFrame:
@@ -229,7 +230,7 @@ def context_bytes(rows: DataFrame, pending: DataFrame, length: int) -> DataFrame
             yield pa.RecordBatch.from_arrays([anchor, pa.array(ids[d]), pa.array(ths[d]), lo, lead, width, kind, pieces], names=names)
 
     joined = rows.join(wanted, ["id", "th"]).select("id", "th", "text", "want")
-    return joined.mapInArrow(run, "anchor long, id long, th int, lo int, lead int, width int, kind int, bytes binary")
+    return joined.mapInArrow(run, "anchor long, id long, th long, lo int, lead int, width int, kind int, bytes binary")
 
 
 def _runs(d: np.ndarray, th: np.ndarray, start: np.ndarray) -> pa.RecordBatch:
@@ -239,10 +240,10 @@ def _runs(d: np.ndarray, th: np.ndarray, start: np.ndarray) -> pa.RecordBatch:
     new = np.concatenate([[True], (d[1:] != d[:-1]) | (th[1:] != th[:-1]) | (start[1:] > start[:-1] + 1)])
     first = np.flatnonzero(new)
     last = np.concatenate([first[1:] - 1, [len(d) - 1]])
-    return pa.RecordBatch.from_arrays([pa.array(d[first]), pa.array(th[first].astype(np.int32)), pa.array(start[first].astype(np.int32)), pa.array(start[last].astype(np.int32))], names=["id", "th", "lo", "hi"])
+    return pa.RecordBatch.from_arrays([pa.array(d[first]), pa.array(th[first]), pa.array(start[first].astype(np.int32)), pa.array(start[last].astype(np.int32))], names=["id", "th", "lo", "hi"])
 
 
-INTERVAL = "id long, th int, lo int, hi int"
+INTERVAL = "id long, th long, lo int, hi int"
 
 
 def later_in_block(pieces: list[bytes], ids: np.ndarray, ths: np.ndarray, lo: np.ndarray, lead: np.ndarray, width: np.ndarray, length: int) -> pa.RecordBatch | None:
@@ -356,10 +357,12 @@ def hashed_strings(contexts: DataFrame, length: int) -> DataFrame:
 
 def repeated_strings(rows: DataFrame, length: int = LENGTH) -> DataFrame:
     """(id, th, starts): sorted array of inclusive intervals of starts of repeated strings, for texts that have any."""
+    if not K < length < K + (1 << FIELD):
+        raise ValueError(f"length must be {K + 1} to {K + (1 << FIELD) - 1}")
     spark = rows.sparkSession
     classes = spark.sparkContext.broadcast(sketch.frequency_classes(anchor_sketch(rows, length)))
-    marked = written(first_contexts(context_entries(rows, length, classes)), "contexts", release=True)
-    contexts = written(context_bytes(rows, marked.where(F.col("kind") != CUT), length), "context-bytes", release=True)
+    marked = written(first_contexts(context_entries(rows, length, classes)), "contexts")
+    contexts = written(context_bytes(rows, marked.where(F.col("kind") != CUT), length), "context-bytes")
     whole = marked.where(F.col("kind") == CUT).select("id", "th", "lo", (F.col("lo") + F.col("width")).alias("hi"))
     parts = whole.union(sorted_blocks(contexts, length)).union(hashed_strings(contexts, length))
     return written(parts.groupBy("id", "th").agg(F.sort_array(F.collect_set(F.struct("lo", "hi"))).alias("starts")), "repeats")
@@ -388,8 +391,6 @@ def cut_out(chunk: TextChunk, starts: pa.Array, length: int) -> tuple[list[list[
 
 def remove_repeats(df: DataFrame, length: int = LENGTH, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, n_bytes, spans, kept) for every row: the removed byte runs as array<struct<start, end>>, and the rest."""
-    if length <= K:
-        raise ValueError(f"length must be above {K}")
     rows = keyed(df, id_col, text_col)
     found = repeated_strings(rows, length)
     spans_type = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
@@ -409,7 +410,7 @@ def without_repeats(df: DataFrame, length: int = LENGTH, id_col: str = "doc_id",
     """df with its texts cut (characters broken by a cut go too) and the number of characters kept up to date;
     rows of whose text nothing is left are dropped."""
     key, names = keyed(df, id_col, text_col), df.columns
-    whole = df.select(F.struct(*[F.col(c) for c in names if c != text_col]).alias("rest"), F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).bitwiseAND(0x7FFFFFFF).cast("int").alias("th"), F.col(text_col).alias("text"))
+    whole = df.select(F.struct(*[F.col(c) for c in names if c != text_col]).alias("rest"), F.coalesce(F.col(id_col).cast("long"), F.lit(NULL_ID)).alias("id"), F.xxhash64(F.coalesce(F.col(text_col).cast("string"), F.lit(""))).alias("th"), F.col(text_col).alias("text"))
     joined = whole.join(repeated_strings(key, length), ["id", "th"], "left").select("rest", "text", "starts")
     schema = joined.drop("starts").schema
 

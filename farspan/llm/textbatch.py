@@ -6,6 +6,7 @@ a document boundary.  A chunk holds whole documents up to ``limit`` bytes, or on
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterable, Iterator
 
 import numpy as np
@@ -13,22 +14,19 @@ import pyarrow as pa
 import pyarrow.compute as pc
 
 CHUNK_BYTES = 1 << 19
+#: Spans beyond this many bytes are hashed by BLAKE2b, one by one; shorter ones eight bytes at a time, all together.
+LONG_SPAN = 256
 
 _rng = np.random.default_rng(20240607)
-_BYTE_CODE = _rng.integers(1, 2**63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_ODD = _rng.integers(1, 2**63, 4, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _MIX_1, _MIX_2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
-_BASE = 0x9E3779B97F4A7C15
-_BASE_INVERSE = pow(_BASE, -1, 2**64)
-_SHINGLE_CODE = _rng.integers(1, 2**63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+_MASK = np.array([(1 << 8 * n) - 1 for n in range(9)], np.uint64)
 
 IS_SPACE = np.zeros(256, bool)
 IS_SPACE[[0x20, *range(0x09, 0x0E)]] = True
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 
-_powers = np.ones(1, np.uint64)
-_inverses = np.ones(1, np.uint64)
-
 
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective finaliser: equal inputs stay equal, different ones stay different."""
@@ -37,14 +35,9 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def _grown(n: int) -> tuple[np.ndarray, np.ndarray]:
-    global _powers, _inverses
-    if len(_powers) < n:
-        size = -(-n // 65_536) * 65_536
-        powers, inverses = np.full(size, _BASE, np.uint64), np.full(size, _BASE_INVERSE, np.uint64)
-        powers[0] = inverses[0] = 1
-        _powers, _inverses = np.cumprod(powers), np.cumprod(inverses)
-    return _powers, _inverses
+def _absorb(state: np.ndarray, lane: np.ndarray, seed: int) -> np.ndarray:
+    """One step of the chain over eight-byte lanes; for a given state it is bijective in the lane."""
+    return mix64((state ^ lane) * _ODD[seed])
 
 
 class TextChunk:
@@ -52,7 +45,7 @@ class TextChunk:
 
     def __init__(self, data: np.ndarray, off: np.ndarray):
         self.data, self.off = data, off
-        self._codes: dict[bool, np.ndarray] = {}
+        self._lanes: dict[bool, np.ndarray] = {}
 
     @classmethod
     def of(cls, column: pa.Array) -> TextChunk:
@@ -72,22 +65,41 @@ class TextChunk:
     def __len__(self) -> int:
         return len(self.off) - 1
 
-    def prefix_hash(self, lower: bool = False) -> np.ndarray:
-        """Running polynomial sums; span_hash() reads the hash of any byte span out of them."""
-        if lower not in self._codes:
-            powers, _ = _grown(len(self.data) + 1)
-            codes = _BYTE_CODE[LOWER[self.data] if lower else self.data]
-            codes *= powers[: len(codes)]
-            total = np.zeros(len(codes) + 1, np.uint64)
-            np.cumsum(codes, out=total[1:])
-            self._codes[lower] = total
-        return self._codes[lower]
-
-    def span_hash(self, start: np.ndarray, end: np.ndarray, lower: bool = False) -> np.ndarray:
-        """64-bit hashes of data[start:end]; equal bytes give equal hashes wherever they lie."""
-        total = self.prefix_hash(lower)
-        _, inverses = _grown(len(self.data) + 1)
-        return mix64((total[end] - total[start]) * inverses[start])
+    def lanes(self, lower: bool = False) -> np.ndarray:
+        """At each position the eight bytes from there as one little-endian number; zeros follow the text."""
+        if lower not in self._lanes:
+            padded = np.zeros(len(self.data) + 8, np.uint8)
+            padded[:-8] = LOWER[self.data] if lower else self.data
+            self._lanes[lower] = np.ndarray(len(self.data) + 1, "<u8", padded, strides=(1,))
+        return self._lanes[lower]
+
+    def span_hash(self, start: np.ndarray, end: np.ndarray, lower: bool = False, seed: int = 0) -> np.ndarray:
+        """64-bit hashes of data[start:end]; equal bytes give equal hashes wherever they lie, and the hashes of two seeds
+        (0 to 2) are independent.  Spans of one length up to eight bytes never share a hash."""
+        lanes, size = self.lanes(lower), end - start
+        state = mix64(size.astype(np.uint64) * _ODD[3] + _ODD[seed])
+        state = _absorb(state, lanes[start] & _MASK[np.minimum(size, 8)], seed)
+        more, done = np.flatnonzero((size > 8) & (size <= LONG_SPAN)), 8
+        while len(more):
+            lane = lanes[start[more] + done] & _MASK[np.minimum(size[more] - done, 8)]
+            state[more] = _absorb(state[more], lane, seed)
+            done += 8
+            more = more[size[more] > done]
+        for i in np.flatnonzero(size > LONG_SPAN).tolist():
+            own = self.data[start[i] : end[i]]
+            digest = hashlib.blake2b((LOWER[own] if lower else own).tobytes(), digest_size=32).digest()
+            state[i] = int.from_bytes(digest[8 * seed : 8 * seed + 8], "little")
+        return state
+
+    def gram_hash(self, k: int, seed: int = 0) -> np.ndarray:
+        """64-bit hashes of the k bytes from every position that has as many."""
+        n = len(self.data) - k + 1
+        if n <= 0:
+            return np.zeros(0, np.uint64)
+        lanes, state = self.lanes(), np.full(n, _ODD[seed])
+        for at in range(0, k, 8):
+            state = _absorb(state, lanes[at : at + n] & _MASK[min(8, k - at)], seed)
+        return state
 
     def words(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Starts and ends of all words ``[^\\x20\\x09-\\x0D]+``, and for each text the index of its first word (n + 1 entries)."""
@@ -134,15 +146,17 @@ def word_shingles(word_hash: np.ndarray, first: np.ndarray, k: int) -> tuple[np.
     n = np.diff(first)
     count = np.where(n >= k, n - k + 1, (n > 0).astype(np.int64))
     at = np.concatenate([[0], np.cumsum(count)])
-    out = np.zeros(at[-1], np.uint64)
     texts = np.repeat(np.arange(len(n)), count)
     begin = first[:-1][texts] + (np.arange(at[-1]) - at[:-1][texts])
-    whole = n[texts] >= k
+    words = np.minimum(n[texts], k)
+    out = mix64(words.astype(np.uint64) * _ODD[3])
     for j in range(k):
-        has = whole | (j < n[texts])
-        out[has] += word_hash[begin[has] + j] * _SHINGLE_CODE[j]
-    out[~whole] += n[texts][~whole].astype(np.uint64) * _SHINGLE_CODE[63]
-    return mix64(out), at
+        has = words > j
+        if has.all():
+            out = _absorb(out, word_hash[begin + j], 0)
+        else:
+            out[has] = _absorb(out[has], word_hash[begin[has] + j], 0)
+    return out, at
 
 
 def shingle_sets(chunk: TextChunk, k: int) -> Iterator[np.ndarray]:

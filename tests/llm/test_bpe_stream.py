@@ -1,8 +1,10 @@
 import hashlib
+import json
+import tracemalloc
 
 import numpy as np
 import pytest
-from hypothesis import given, settings
+from hypothesis import HealthCheck, given, settings
 from hypothesis import strategies as st
 
 from farspan.llm import bpe_stream
@@ -42,16 +44,88 @@ def test_any_text(encoder, peer, text):
     same(encoder, peer, text)
 
 
-@settings(max_examples=40, deadline=None)
-@given(st.text(alphabet="aeinort", min_size=1, max_size=500), st.integers(1, 40))
+@settings(max_examples=60, deadline=None)
+@given(st.one_of(st.text(alphabet="aeinort", min_size=1, max_size=500), st.binary(min_size=1, max_size=300)), st.integers(1, 40))
 def test_transducer_in_parts(encoder, text, step):
-    t = bpe_stream.Transducer(encoder.merges)
-    raw, out, held = text.encode() * 3, [], 0
+    """Tokens come out as soon as they are stable, and nothing but the lookahead is held."""
+    t = encoder.transducer
+    raw, out, held = (text.encode() if isinstance(text, str) else text) * 3, [], 0
     for a in range(0, len(raw), step):
         out += t.feed(raw[a : a + step])
         held = max(held, len(t.tail))
     assert out + t.finish() == encoder.merges.encode_whole(raw)
-    assert held <= 4 * encoder.merges.lookahead
+    assert held <= encoder.merges.lookahead + encoder.transducer.longest
+
+
+def tiny(tmp_path, pairs):
+    """A vocabulary of bytes and the given merges of letters."""
+    vocab = {c: i for i, c in enumerate(bpe_stream.byte_letters())}
+    for x, y in pairs:
+        vocab.setdefault(x + y, len(vocab))
+    path = tmp_path / "tiny.json"
+    path.write_text(json.dumps({"added_tokens": [], "model": {"vocab": vocab, "merges": [[x, y] for x, y in pairs]}}))
+    return bpe_stream.Merges(str(path))
+
+
+def test_lookahead_of_chains(tmp_path):
+    """a stays or goes by what stands up to four letters behind it: (b,c) takes b unless (c,d) takes c first, and so on."""
+    m = tiny(tmp_path, [("d", "e"), ("c", "d"), ("b", "c"), ("a", "b")])
+    assert m.lookahead == 4
+    encode = lambda s: [m.pieces[i].decode() for i in m.encode_whole(s.encode())]
+    assert encode("abcde") == ["a", "bc", "de"] and encode("abcdx") == ["ab", "cd", "x"]
+    assert tiny(tmp_path, [("a", "b"), ("b", "c")]).lookahead == 1 and tiny(tmp_path, []).lookahead == 0
+
+
+@settings(max_examples=150, deadline=None, suppress_health_check=[HealthCheck.function_scoped_fixture])
+@given(st.randoms(use_true_random=False))
+def test_lookahead_suffices_for_any_merge_list(tmp_path, r):
+    """Whatever follows, tokens that end the lookahead before the end stay."""
+    tokens, pairs = list("abc"), []
+    for _ in range(r.randint(1, 14)):
+        x, y = r.choice(tokens), r.choice(tokens)
+        if (x, y) not in pairs and len(x + y) < 9:
+            pairs.append((x, y))
+            tokens.append(x + y)
+    m = tiny(tmp_path, pairs)
+    text = "".join(r.choice("abc") for _ in range(40)).encode()
+    for cut in range(1, 30):
+        part, whole = m.encode_whole(text[:cut]), m.encode_whole(text)
+        end = 0
+        for i, token in enumerate(part):
+            end += len(m.pieces[token])
+            if end > cut - m.lookahead:
+                break
+            assert whole[i] == token
+    t = bpe_stream.Transducer(m)
+    assert [x for a in range(0, 40, 3) for x in t.feed(text[a : a + 3])] + t.finish() == m.encode_whole(text)
+
+
+def test_every_pretoken_goes_through_the_transducer(encoder, monkeypatch):
+    monkeypatch.setattr(bpe_stream, "PART", 50)
+    monkeypatch.setattr(encoder, "known", {})
+    before = encoder.transducer.fed
+    text = "some words, some more words " + "x" * 300 + " " * 120 + "end"
+    encoder.encode(text)
+    pieces = encoder.pattern.findall(text)
+    short = {p for p in pieces if len(p) <= bpe_stream.KEPT_LENGTH}
+    assert encoder.transducer.fed - before == len(short) + sum(len(p) > bpe_stream.KEPT_LENGTH for p in pieces)
+    assert set(encoder.known) == short
+
+
+def test_parts_of_a_text(encoder, peer, monkeypatch):
+    monkeypatch.setattr(bpe_stream, "PART", 7)
+    for text in ODD:
+        same(encoder, peer, text[:400])
+
+
+def test_memory_of_a_long_text(encoder):
+    """One pre-token of a million bytes, and a text of many: what is held beside the text stays small."""
+    for text in ("ab" * 500_000, "some words and 12 more, " * 50_000):
+        tracemalloc.start()
+        n = sum(len(x) for x in encoder.stream(text))
+        _, most = tracemalloc.get_traced_memory()
+        tracemalloc.stop()
+        assert n > 400_000 and most < 24 << 20
 
 
 def test_decoder_in_parts(encoder):

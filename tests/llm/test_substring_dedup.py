@@ -1,6 +1,7 @@
 import random
 
 import numpy as np
+import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
@@ -89,3 +90,30 @@ def test_suffix_order(piece, times, seed):
     assert cut == sorted(cut)
     classes = equal_classes(block, order, 100)
     assert all((classes[i] == classes[i + 1]) == (cut[i] == cut[i + 1]) for i in range(len(cut) - 1))
+
+
+@pytest.mark.parametrize("length", [33, 64, 300, 1000])
+def test_other_lengths(spark, length):
+    r = random.Random(length)
+    word = lambda: "".join(r.choice("abcdé") for _ in range(r.randint(1, 9)))
+    base = [" ".join(word() for _ in range(r.choice([5, 60, 400]))) for _ in range(5)]
+    rows = [(i, (base[i % 5] + base[(i * 3) % 5])[r.randrange(80) :]) for i in range(16)] + [(99, "a" * 2100), (98, None)]
+    assert run(spark, rows, length=length) == brute(rows, length)
+
+
+def test_lengths_out_of_range(spark):
+    df = spark.createDataFrame([(1, "a")], "doc_id long, text string")
+    for length in (32, 16_416):
+        with pytest.raises(ValueError):
+            substring_dedup.remove_repeats(df, length=length)
+
+
+def test_entries_keep_their_fields():
+    one = substring_dedup.packed([5], [6], [2**32 - 1], [7], [-8], [2**31 - 1], [16_383], [16_000], [2])
+    assert [x.tolist() for x in substring_dedup.unpacked([c.to_numpy() for c in one.columns])] == [[5], [6], [7], [-8], [2**31 - 1], [16_383], [16_000], [2], [2**32 - 1]]
+
+
+def test_texts_without_id(spark):
+    passage = "".join(random.Random(3).choice("abcdefgh ") for _ in range(150))
+    rows = [(None, f"{passage}{i}") for i in range(40)] + [(0, passage)]
+    assert run(spark, rows) == brute(rows)
