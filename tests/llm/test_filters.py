@@ -167,17 +167,40 @@ def test_languages_and_spans(spark):
     rows = [(i, make([a, b, c][i % 3], 60), ["en", "fr", "ru"][i % 3]) for i in range(150)]
     model = language_id.fit(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
     mixed = make(a, 30) + " " + make(b, 60)
-    texts = [make(a, 40), make(b, 40), make(c, 40), mixed, None, "", "123 !?", "中文", "THE TIONING SHTHE " * 5]
+    texts = [make(a, 40), make(b, 40), make(c, 40), mixed, None, "", "123 !?", "中文", "THE TIONING SHTHE " * 5, "\u0661\u0662\u0663 \u060c \u2160 \u00b2", make(a, 20) + " " + make(b, 12) + " " + make(c, 20)]
     got = {x.doc_id: x for x in language_id.identify(frame(spark, texts, "language"), model, with_spans=True).collect()}
     assert [got[i].lang_pred for i in (0, 1, 2, 3)] == ["en", "fr", "ru", "fr"]
     assert [s.lang for s in got[3].spans] == ["en", "fr"] and abs(got[3].spans[0].end - 30) <= 1 and 0.5 < got[3].score < 0.8
-    assert [got[i].lang_pred for i in (4, 5, 6)] == ["und"] * 3 and got[7].lang_pred != "und" and got[8].lang_pred == "en"
+    assert [got[i].lang_pred for i in (4, 5, 6, 9)] == ["und"] * 4 and [got[i].score for i in (4, 5, 6, 9)] == [0.0] * 4
+    assert got[7].lang_pred != "und" and got[8].lang_pred == "en"
     kept = {x.doc_id for x in language_id.with_known_language(frame(spark, texts, "language"), model).collect()}
-    assert kept >= {0, 1, 2, 3, 8} and not kept & {4, 5, 6}
+    assert kept == {0, 1, 2, 3, 8, 10}
     empty = language_id.fit(spark.createDataFrame([], "doc_id long, text string, lang string"))
     assert {x.lang_pred for x in language_id.identify(frame(spark, texts, "language"), empty).collect()} == {"und"}
 
 
+def test_letters_are_unicode_letters():
+    import unicodedata
+
+    script = language_id.letter_scripts()
+    assert all((script[c] >= 0) == unicodedata.category(chr(c)).startswith("L") for c in range(0x110000))
+
+
+def test_many_languages(spark, monkeypatch):
+    """All values are learned; with many of them each has fewer cells."""
+    r = random.Random(7)
+    rows = []
+    for i in range(100):
+        syllables = ["".join(r.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(3)) for _ in range(5)]
+        rows += [(10 * i + j, " ".join("".join(r.choice(syllables) for _ in range(2)) for _ in range(40)), f"l{i:03}") for j in range(4)]
+    monkeypatch.setattr(language_id, "MODEL_BYTES", 1 << 22)
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.fit(df.where("doc_id % 10 < 3"))
+    assert len(model.languages) == 100 and model.scores.nbytes <= 1 << 22
+    got = language_id.identify(df.where("doc_id % 10 = 3"), model).collect()
+    assert sum(x.lang_pred == f"l{x.doc_id // 10:03}" for x in got) >= 97
+
+
 # --- media ---
 
 
