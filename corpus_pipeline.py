@@ -21,7 +21,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_unknown_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or in which no learned language holds half of the letters, go."""
+    """Documents without a letter, or with letters of scripts only that no learned language uses, go."""
     return language_id.with_known_language(docs, language_id.fit(docs))
 
 
