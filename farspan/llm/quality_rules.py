@@ -1,12 +1,18 @@
 """Risk-controlled quality rules.
 
-Every document gets whole-text counts and a handful of badness ratios in [0, 1].  On labelled holdouts a
-cut-off is chosen for each (stratum, rule): starting from the mildest, cut-offs are tried in a fixed order
-and accepted while the exact binomial tail shows that at most ``risk / rules`` of the good documents of the
-stratum would be rejected.  Testing in a fixed order needs no correction among the cut-offs of one rule, and
-the confidence is divided by (strata x rules), so all guarantees hold together with probability 1 - delta:
-in every calibrated stratum at most ``risk`` of good documents are rejected by the rules.  A stratum with too
-few good labels to pass any test uses the cut-offs of the pooled stratum.
+Every document gets whole-text counts and a handful of badness ratios in [0, 1].  The labelled documents are dealt into
+two parts by a hash of their id.  From the first part (a third, all strata together) follows a path: for each rule and
+cut-off the share of bad documents among those it rejects, so that a level between 1 and 0 stands for one cut-off of
+each rule, and falling LEVELS tighten all rules together.  The second part is the holdout: in every stratum the levels
+are tested in that order on the stratum's own labels, and one passes while the exact binomial tail shows that the rules
+together reject at most ``risk`` of its good documents.  Tests in a fixed order need no correction among themselves,
+and the confidence is divided by the number of strata, so all guarantees hold together with probability 1 - delta: in
+every stratum at most ``risk`` of the good documents are rejected by the rules.  Of the levels that pass, the one with
+the best difference of caught and lost shares is used.
+
+A stratum whose holdout has too few good labels to certify even a level that loses none (``labels_needed``; 86 at the
+defaults with four strata) rejects nothing by these rules.  Any number of strata is calibrated, by a grouped
+aggregation; nothing but their number and the path (rules x BINS counts) comes to the driver.
 
 Null and empty texts have zero counts and fail the base rule (fewer than 50 words).  Repeated rows are judged
 each on their own; an empty label table leaves the base rule alone; other columns of df are not read.
@@ -18,17 +24,18 @@ import math
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import lean_batches, written
+from farspan.llm.storage import BROADCAST_ROWS, lean_batches, written
 from farspan.llm.textbatch import IS_SPACE, TextChunk, all_chunks, mix64, word_shingles
 
+LEVELS = (0.95, 0.9, 0.85, 0.8, 0.75, 0.7, 0.65, 0.6, 0.55, 0.5, 0.45, 0.4, 0.35, 0.3, 0.25, 0.2, 0.15, 0.1)
 BINS = 64
-POOLED = "*"
-#: A stratum is calibrated on its own only among the most frequent ones; all others are pooled.
-MAX_STRATA = 256
+#: Of the labelled documents, one in so many shapes the path; the others are the holdout.
+PATH_PART = 3
 RULES = ("symbols", "repeated_lines", "repeated_words", "capitals", "shouting", "long_words")
 
 _SYMBOL = np.zeros(256, bool)
@@ -137,70 +144,91 @@ def binomial_tail(k: int, n: int, p: float) -> float:
     return min(1.0, math.exp(top) * math.fsum(math.exp(t - top) for t in terms))
 
 
-def choose_cutoff(good: list[int], bad: list[int], risk: float, level: float) -> int | None:
-    """Bin from which on documents are rejected; None if even the mildest cut-off can't be certified.
+def labels_needed(risk: float, level: float) -> int:
+    """Good labels without which no test can pass: (1 - risk) ** n <= level."""
+    return math.ceil(math.log(level) / math.log1p(-risk))
 
-    good, bad: labelled documents of each bin.  The exact upper bound of the false rejection rate at
-    confidence 1 - level is below ``risk`` just if P(Binomial(n, risk) <= k) <= level.  Among certified
-    cut-offs the mildest of those that reject most bad documents wins.
+
+def choose_step(good: list[int], bad: list[int], risk: float, level: float) -> int | None:
+    """The step to use, None if no step is certified or none does any good.
+
+    good, bad: labelled documents by the first step that rejects them; the last entry counts those that no step rejects.
+    The exact upper bound of the false rejection rate at confidence 1 - level is below ``risk`` just if
+    P(Binomial(n, risk) <= k) <= level.
     """
-    n, k, caught, best, most = sum(good), 0, 0, None, 0
-    for b in range(len(good) - 1, 0, -1):
-        k += good[b]
-        caught += bad[b]
+    n, m, k, caught, best, most = sum(good), sum(bad), 0, 0, None, 0.0
+    for i in range(len(good) - 1):
+        k, caught = k + good[i], caught + bad[i]
         if n == 0 or binomial_tail(k, n, risk) > level:
             break
-        if caught > most:
-            best, most = b, caught
+        if m and caught / m - k / n > most:
+            best, most = i, caught / m - k / n
     return best
 
 
-def calibrate(measured: DataFrame, labels: DataFrame, risk: float = 0.05, delta: float = 0.05) -> dict[str, dict[str, int]]:
-    """Cut-off bin of each rule by stratum (and POOLED); the histogram brought to the driver has at most
-    (MAX_STRATA + 1) x rules x BINS x 2 cells."""
-    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("good")).where("doc_id is not null and good in (0, 1)").distinct()
-    bins = F.array(*[F.struct(F.lit(r).alias("rule"), F.least(F.lit(BINS - 1), F.floor(v * BINS)).cast("int").alias("bin")) for r, v in ratios().items()])
-    cells = (
-        measured.select("doc_id", "stratum", F.explode(bins).alias("x"))
-        .join(marks, "doc_id")
-        .groupBy("stratum", "x.rule", "x.bin", "good")
-        .count()
-    )
-    own = cells.where("good = 1").groupBy("stratum").agg(F.sum("count").alias("n")).orderBy(F.desc("n"), "stratum").limit(MAX_STRATA).select("stratum", F.lit(True).alias("own"))
-    both = cells.join(F.broadcast(own), "stratum", "left").select(F.array_distinct(F.array(F.lit(POOLED), F.when(F.col("own"), F.col("stratum")).otherwise(F.lit(POOLED)))).alias("s"), "rule", "bin", "good", "count")
-    table: dict[tuple[str, str], list[list[int]]] = {}
-    for r in both.select(F.explode("s").alias("stratum"), "rule", "bin", "good", "count").groupBy("stratum", "rule", "bin", "good").agg(F.sum("count").alias("n")).collect():
-        table.setdefault((r.stratum, r.rule), [[0] * BINS, [0] * BINS])[1 - r.good][r.bin] += r.n
-    level = delta / max(1, len(table))
-    cuts: dict[str, dict[str, int]] = {}
-    pooled = {r: choose_cutoff(*table[POOLED, r], risk / len(RULES), level) for r in RULES if (POOLED, r) in table}
-    least = math.log(level) / math.log1p(-risk / len(RULES))
-    for stratum in {s for s, _ in table}:
-        enough = all(sum(table[stratum, r][0]) >= least for r in RULES)
-        chosen = {r: choose_cutoff(*table[stratum, r], risk / len(RULES), level) for r in RULES} if enough else pooled
-        cuts[stratum] = {r: b for r, b in chosen.items() if b is not None}
-    return cuts
+def bins() -> dict[str, F.Column]:
+    """Bin of each ratio, finer near 0; bin 0 is that of ratio 0 alone."""
+    return {r: F.when(v > 0, F.least(F.lit(BINS - 1), F.floor(F.sqrt(v) * (BINS - 1)) + 1)).otherwise(0).cast("int") for r, v in ratios().items()}
 
 
-def base_failed() -> F.Column:
-    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
+def for_path() -> F.Column:
+    return F.pmod(F.xxhash64("doc_id"), F.lit(PATH_PART)) == 0
+
+
+def path_scores(measured: DataFrame, marks: DataFrame) -> dict[str, list[float]]:
+    """For each rule and bin the best share of bad documents among those that a cut-off there or below rejects."""
+    each = F.explode(F.array(*[F.struct(F.lit(r).alias("rule"), v.alias("bin")) for r, v in bins().items()])).alias("x")
+    cells = measured.join(marks.where(for_path()), "doc_id").select("good", each).groupBy("x.rule", "x.bin", "good").count().collect()
+    table = {r: np.zeros((2, BINS), np.int64) for r in RULES}
+    for c in cells:
+        table[c.rule][c.good, c.bin] += c["count"]
+    scores = {}
+    for r, (bad, good) in table.items():
+        tail_bad, tail_all = bad[::-1].cumsum()[::-1], (bad + good)[::-1].cumsum()[::-1]
+        share = tail_bad / (tail_all + 1)
+        share[0] = 0
+        scores[r] = np.maximum.accumulate(share).tolist()
+    return scores
+
+
+def severity(scores: dict[str, list[float]], measured: DataFrame) -> DataFrame:
+    """measured with ``step``, the first level that rejects the row (len(LEVELS) if none does), and ``rule``, which rule does so."""
+    per = F.array(*[F.struct(F.element_at(F.array(*map(F.lit, scores[r])), v + 1).alias("score"), F.lit(-i).alias("at"), F.lit(r).alias("rule")) for i, (r, v) in enumerate(bins().items())])
+    marked = measured.withColumn("worst", F.array_max(per))
+    step = F.size(F.filter(F.array(*map(F.lit, LEVELS)), lambda x: x > F.col("worst.score")))
+    return marked.select(*measured.columns, step.alias("step"), F.col("worst.rule").alias("rule"))
 
 
-def apply_rules(measured: DataFrame, cuts: dict[str, dict[str, int]]) -> DataFrame:
-    """kept, and the first rule that rejected the row (null if none did)."""
-    pooled, failed = cuts.get(POOLED, {}), F.lit(None).cast("string")
-    for rule, value in reversed(ratios().items()):
-        by_stratum = {s: own.get(rule) for s, own in cuts.items() if s != POOLED}
-        cut = F.lit(pooled.get(rule)).cast("int")
-        if by_stratum:
-            known = F.create_map(*[x for s in sorted(by_stratum) for x in (F.lit(s), F.lit(by_stratum[s] if by_stratum[s] is not None else BINS).cast("int"))])
-            cut = F.coalesce(F.try_element_at(known, F.col("stratum")), cut)
-        failed = F.when(F.floor(value * BINS) >= F.when(cut < BINS, cut), F.lit(rule)).otherwise(failed)
-    out = measured.withColumns({"base_failed": base_failed(), "rejected_by": failed})
-    return out.withColumn("kept", ~F.col("base_failed") & F.col("rejected_by").isNull())
+def calibrate(stepped: DataFrame, marks: DataFrame, risk: float = 0.05, delta: float = 0.05) -> DataFrame:
+    """(stratum, allowed): the last step whose rejections hold, for strata that have one; tested on the holdout, stratum by stratum."""
+    cells = stepped.select("doc_id", "stratum", "step").join(marks.where(~for_path()), "doc_id").groupBy("stratum", "step", "good").count()
+    level = delta / max(1, cells.select("stratum").distinct().count())
+    steps = len(LEVELS) + 1
+
+    def choose(rows: pd.DataFrame) -> pd.DataFrame:
+        good, bad = [0] * steps, [0] * steps
+        for step, mark, n in zip(rows["step"], rows["good"], rows["count"], strict=True):
+            (good if mark else bad)[step] += n
+        chosen = choose_step(good, bad, risk, level)
+        return pd.DataFrame([(rows["stratum"].iloc[0], chosen)] if chosen is not None else [], columns=["stratum", "allowed"])
+
+    return cells.groupBy("stratum").applyInPandas(choose, "stratum string, allowed int")
+
+
+def base_failed() -> F.Column:
+    return (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
 
 
 def judge(df: DataFrame, labels: DataFrame, risk: float = 0.05, delta: float = 0.05, stratum_col: str | None = "lang") -> DataFrame:
-    """Counts, calibration on the labelled rows, and the verdict on every row."""
+    """The counts of every row, kept, and the rule that rejected it (null if none did): calibrated on the labelled rows.
+
+    Of several labels of a document the worst counts.  Steps are broadcast if there are at most BROADCAST_ROWS strata.
+    """
+    marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("good")).where("doc_id is not null and good in (0, 1)").groupBy("doc_id").agg(F.min("good").alias("good"))
     measured = written(measure(df, stratum_col=stratum_col), "quality")
-    return apply_rules(measured, calibrate(measured, labels, risk, delta))
+    stepped = severity(path_scores(measured, marks), measured)
+    allowed = written(calibrate(stepped, marks, risk, delta), "quality-steps")
+    held = F.broadcast(allowed) if allowed.count() <= BROADCAST_ROWS else allowed
+    out = stepped.join(held, "stratum", "left").withColumn("base_failed", base_failed())
+    rejected = F.when(F.col("step") <= F.col("allowed"), F.col("rule"))
+    return out.select(*measured.columns, "base_failed", rejected.alias("rejected_by"), (~F.col("base_failed") & rejected.isNull()).alias("kept"))

@@ -25,7 +25,7 @@ def partitions_for(spark: SparkSession, least: int = 8) -> int:
     return max(least, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def spread_join(rows: DataFrame, values: DataFrame, key: str, count: str, total: int) -> DataFrame:
+def spread_join(rows: DataFrame, values: DataFrame, key: str | list[str], count: str, total: int) -> DataFrame:
     """rows with the row of ``values`` for their key (one a key at most; rows without one are left out).
 
     ``count`` is a column of values: how many rows have the key, ``total`` their sum or more.  Keys of
@@ -36,5 +36,5 @@ def spread_join(rows: DataFrame, values: DataFrame, key: str, count: str, total:
     frequent = values.where(F.col(count) >= least).drop(count)
     rare = values.where(F.col(count) < least).drop(count)
     by_broadcast = rows.join(F.broadcast(frequent), key)
-    rest = rows.join(F.broadcast(frequent.select(key)), key, "left_anti")
+    rest = rows.join(F.broadcast(frequent.select(*([key] if isinstance(key, str) else key))), key, "left_anti")
     return by_broadcast.unionByName(rest.join(rare, key))

@@ -4,11 +4,14 @@ A url gets the verdict of the longest explicit rule that fits; any other gets th
 Templates form a tree per host: variable segments (numbers, hexadecimal runs, dates, words that hold digits) are
 wildcards from the start; then, level by level from the host down, branches whose labelled rate of bad pages
 doesn't differ significantly from that of their siblings together, or that have too few labels to tell, become
-one wildcard branch; of the others, those that are alike on the worse or the better side become one branch each.  A final template is blocked if its smoothed share of bad labelled pages reaches a threshold:
-the share is drawn towards the host's, and the host's towards that of all pages.
+one wildcard branch; of the others, those that are alike on the worse or the better side become one branch each.
+The tree is as deep as the paths are: only where no branch has labels enough to be split any further is the rest
+filled up with the wildcards that it would get anyway.  A final template is blocked if its smoothed share of bad
+labelled pages reaches a threshold: the share is drawn towards the host's, and the host's towards that of all pages.
 
 Urls are counted per host and raw template before anything is compared, so the tree is built from one row per
-raw template, however many pages share it; the join back splits frequent templates adaptively.
+raw template, however many pages share it.  What belongs to a frequent host, branch or template is broadcast (a
+bounded number of rows), so no task gets all of its rows.
 
 A null url, or one without ``://``, has an empty host and path.  Labels are (page_id, bad) with bad 0 or 1; null or
 unknown labels count as none, of several the largest counts.  Without labels nothing is blocked but by rules.
@@ -20,11 +23,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from farspan.llm.storage import written
+from farspan.llm.storage import spread_join, written
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Segments of a path that the tree tells apart; what lies deeper is one wildcard.
-DEPTH = 6
 #: Labelled pages a branch needs before it can differ from its siblings.
 LEAST_LABELS = 8
 Z = 2.58
@@ -60,8 +61,7 @@ def raw_template(path: Column) -> Column:
         s = F.regexp_replace(s, r"^[0-9a-fA-F-]{8,}(?=\.|$)", "{x}")
         return F.regexp_replace(s, r"^[^.{]*[0-9][^.]*(?=\.|$)", "{w}")
 
-    shown = F.transform(parts, general)
-    return F.when(F.size(shown) > DEPTH, F.concat(F.slice(shown, 1, DEPTH), F.array(F.lit("**")))).otherwise(shown)
+    return F.transform(parts, general)
 
 
 def _differs(n: str, b: str, nn: str, bb: str) -> Column:
@@ -71,25 +71,32 @@ def _differs(n: str, b: str, nn: str, bb: str) -> Column:
     return F.when((n >= LEAST_LABELS) & (m >= LEAST_LABELS), F.when(spread > 0, F.abs(b / n - c / m) >= Z * spread).otherwise(False)).otherwise(False)
 
 
-def template_tree(counted: DataFrame, levels: int) -> DataFrame:
-    """counted (host, raw, labelled, bad) with the final template of each raw one; ``levels``: the longest raw one."""
-    tree = counted.withColumn("template", F.array().cast("array<string>"))
-    for level in range(1, levels + 1):
-        seg = F.try_element_at("raw", F.lit(level))
-        now = tree.withColumn("seg", seg)
-        branch = now.where(F.col("seg").isNotNull()).groupBy("host", "template", "seg").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"))
-        above = branch.groupBy("host", "template").agg(F.sum("n").alias("nn"), F.sum("b").alias("bb"))
-        beside = branch.join(above, ["host", "template"]).withColumn("differs", _differs("n", "b", "nn", "bb"))
+def template_tree(counted: DataFrame, total: int) -> DataFrame:
+    """counted (host, raw, labelled, bad, pages; ``total`` rows) with the final template of each raw one."""
+    tree, level, node = counted.withColumn("template", F.array().cast("array<string>")), 0, ["host", "template"]
+    while True:
+        deeper = tree.where(F.size("raw") > level)
+        # a branch can differ only if it and its siblings have labels enough
+        if not deeper.groupBy(*node).agg(F.sum("labelled").alias("n")).where(F.col("n") >= 2 * LEAST_LABELS).take(1):
+            break
+        level += 1
+        now = deeper.withColumn("seg", F.element_at("raw", F.lit(level)))
+        branch = written(now.groupBy(*node, "seg").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"), F.count("*").alias("rows")), "url-branches")
+        above = branch.groupBy(*node).agg(F.sum("n").alias("nn"), F.sum("b").alias("bb"), F.count("*").alias("branches"))
+        beside = spread_join(branch, above, node, "branches", total).withColumn("differs", _differs("n", "b", "nn", "bb"))
         beside = beside.withColumn("side", F.col("differs") & (F.col("b") * F.col("nn") > F.col("bb") * F.col("n")))
-        sides = beside.where("differs").groupBy("host", "template", "side").agg(F.sum("n").alias("sn"), F.sum("b").alias("sb"))
-        named = beside.join(sides, ["host", "template", "side"], "left")
+        differing = beside.where("differs")
+        sides = differing.groupBy(*node, "side").agg(F.sum("n").alias("sn"), F.sum("b").alias("sb"), F.count("*").alias("branches"))
         alone = (F.col("sn") == F.col("n")) | _differs("n", "b", "sn", "sb")
-        name = F.when(~F.col("differs"), "*").when(alone, F.col("seg")).when(F.col("side"), "*worse").otherwise("*better")
-        merged = now.join(named.select("host", "template", "seg", name.alias("name")), ["host", "template", "seg"], "left")
-        step = F.when(F.col("seg").isNull(), F.col("template")).otherwise(F.concat("template", F.array("name")))
-        # written, as the next level reads it three times
-        tree = written(merged.select("host", "raw", "labelled", "bad", step.alias("template")), "url-tree")
-    return tree
+        own = spread_join(differing, sides, [*node, "side"], "branches", total)
+        own = own.select(*node, "seg", "rows", F.when(alone, F.col("seg")).when(F.col("side"), "*worse").otherwise("*better").alias("name"))
+        named = own.unionByName(beside.where(~F.col("differs")).select(*node, "seg", "rows", F.lit("*").alias("name")))
+        merged = spread_join(now, named, [*node, "seg"], "rows", total)
+        columns = ["host", "raw", "labelled", "bad", "pages"]
+        # written, as the next level reads it several times
+        tree = written(merged.select(*columns, F.concat("template", F.array("name")).alias("template")).unionByName(tree.where(F.size("raw") < level).select(*columns, "template")), "url-tree")
+    rest = F.array_repeat(F.lit("*"), F.greatest(F.lit(0), F.size("raw") - F.size("template")))
+    return tree.withColumn("template", F.concat("template", rest))
 
 
 def judge(pages: DataFrame, labels: DataFrame, rules: list[Rule], id_col: str = "page_id", url_col: str = "url", block_at: float = BLOCK_AT) -> DataFrame:
@@ -98,18 +105,18 @@ def judge(pages: DataFrame, labels: DataFrame, rules: list[Rule], id_col: str =
     seen = pages.select(F.col(id_col).cast("long").alias("page_id"), host.alias("host"), path.alias("path"))
     seen = seen.withColumn("raw", raw_template(F.col("path")))
     marks = labels.select(F.col("page_id").cast("long").alias("page_id"), F.col("bad").cast("int").alias("bad")).where("page_id is not null and bad in (0, 1)").groupBy("page_id").agg(F.max("bad").alias("bad"))
-    counted = seen.join(marks, "page_id", "left").groupBy("host", "raw").agg(F.count("bad").alias("labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("bad"))
+    counted = seen.join(marks, "page_id", "left").groupBy("host", "raw").agg(F.count("bad").alias("labelled"), F.coalesce(F.sum("bad"), F.lit(0)).alias("bad"), F.count("*").alias("pages"))
     counted = written(counted, "url-templates")
-    whole = counted.agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"), F.coalesce(F.max(F.size("raw")), F.lit(0)).alias("levels")).first()
+    whole = counted.agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"), F.coalesce(F.sum("pages"), F.lit(0)).alias("pages"), F.count("*").alias("rows")).first()
     overall = whole.b / whole.n if whole.n else 0.0
-    tree = template_tree(counted, whole.levels)
-    final = tree.groupBy("host", "template").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"))
-    hosts = counted.groupBy("host").agg(F.sum("labelled").alias("hn"), F.sum("bad").alias("hb"))
+    tree = template_tree(counted, whole.rows)
+    final = tree.groupBy("host", "template").agg(F.sum("labelled").alias("n"), F.sum("bad").alias("b"), F.count("*").alias("rows"))
+    hosts = counted.groupBy("host").agg(F.sum("labelled").alias("hn"), F.sum("bad").alias("hb"), F.count("*").alias("branches"))
     base = (F.col("hb") + SMOOTHING * overall) / (F.col("hn") + SMOOTHING)
     purity = 1 - (F.col("b") + SMOOTHING * base) / (F.col("n") + SMOOTHING)
-    judged = final.join(hosts, "host").select("host", "template", purity.alias("purity"))
-    verdicts = tree.select("host", "raw", "template").join(judged, ["host", "template"])
+    judged = spread_join(final, hosts, "host", "branches", whole.rows).select("host", "template", "rows", purity.alias("purity"))
+    verdicts = spread_join(tree.select("host", "raw", "template", "pages"), judged, ["host", "template"], "rows", whole.rows)
     rule, ruled = matching_rule(F.col("host"), F.col("path"), rules)
     own = F.when(1 - F.col("purity") >= block_at, "block").otherwise("allow")
     shown = F.concat(F.lit("/"), F.concat_ws("/", "template"))
-    return seen.join(verdicts, ["host", "raw"], "left").select("page_id", "host", "path", rule.alias("rule"), F.coalesce(ruled, own).alias("verdict"), shown.alias("template"), "purity")
+    return spread_join(seen, verdicts, ["host", "raw"], "pages", whole.pages).select("page_id", "host", "path", rule.alias("rule"), F.coalesce(ruled, own).alias("verdict"), shown.alias("template"), "purity")

@@ -49,11 +49,42 @@ def test_quality_counts(spark):
 
 def test_exact_binomial_cutoffs():
     assert quality_rules.binomial_tail(2, 10, 0.3) == pytest.approx(0.3827827864)
-    good, bad = [0] * 64, [0] * 64
-    good[0], good[40], bad[50], bad[10] = 1000, 1, 30, 5
-    cut = quality_rules.choose_cutoff(good, bad, 0.02, 0.01)
-    assert cut == 10 and quality_rules.choose_cutoff([5] + [0] * 63, bad, 0.02, 0.01) is None
-    assert quality_rules.choose_cutoff([0] * 64, bad, 0.02, 0.01) is None
+    # 1,000 good documents: 26 lost at the third step are too many for a risk of 2 in a hundred
+    good, bad = [0, 1, 25, 0, 974], [20, 5, 30, 1, 9]
+    assert quality_rules.choose_step(good, bad, 0.02, 0.01) == 1
+    assert quality_rules.choose_step([0, 0, 0, 0, 50], bad, 0.02, 0.01) is None  # too few to tell
+    assert quality_rules.choose_step([0] * 5, bad, 0.02, 0.01) is None
+    assert quality_rules.choose_step(good, [0] * 5, 0.02, 0.01) is None
+    for risk, level in ((0.05, 0.0125), (0.02, 0.01)):
+        n = quality_rules.labels_needed(risk, level)
+        assert quality_rules.binomial_tail(0, n, risk) <= level < quality_rules.binomial_tail(0, n - 1, risk)
+    assert quality_rules.labels_needed(0.05, 0.0125) == 86
+
+
+def test_guarantee_over_repeated_draws():
+    """True false-rejection rates of the chosen step are above the risk in at most a share delta of draws."""
+    r = np.random.default_rng(4)
+    rate = np.array([0.01, 0.02, 0.03, 0.04, 0.9])  # of good documents, by first rejecting step
+    above = 0
+    for _ in range(400):
+        good = r.multinomial(400, rate / rate.sum())
+        step = quality_rules.choose_step(good.tolist(), [5, 5, 5, 5, 5], 0.05, 0.05)
+        above += step is not None and (rate / rate.sum())[: step + 1].sum() > 0.05
+    assert above <= 400 * 0.05 + 3 * (400 * 0.05 * 0.95) ** 0.5
+
+
+def test_no_stratum_borrows_from_others(spark):
+    """Junk of a stratum with few labels stays; that of one with many goes. The bound holds over repeated draws."""
+    r = random.Random(8)
+    prose = lambda: " ".join(f"w{r.randrange(5000)}" for _ in range(80))
+    junk = lambda: " ".join(w + "***" for w in prose().split())
+    rows = [(i, junk() if i % 10 == 0 else prose(), "many" if i % 20 < 18 else "few") for i in range(1200)] + [(5000, junk(), "few"), (5001, junk(), "none"), (5002, junk(), None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(i, int(i % 10 != 0)) for i in range(0, 1000) if i % 20 < 18 or i < 400], "doc_id long, quality int")
+    out = {x.doc_id: x for x in quality_rules.judge(df, labels).collect()}
+    assert sum(out[i].kept for i in range(1200) if i % 10 == 0 and i % 20 < 18) <= 5 and out[5000].kept and out[5001].kept and out[5002].kept
+    good = [out[i].kept for i in range(1200) if i % 10]
+    assert sum(good) >= 0.95 * len(good)
 
 
 def test_false_rejections_stay_below_the_risk(spark):
@@ -110,6 +141,89 @@ def test_bad_branches_are_blocked(spark):
     assert got[0].template == got[2].template and got[1].template != got[0].template
 
 
+def test_branches_differ_at_any_depth(spark):
+    rows, labels = [], []
+    for i in range(400):
+        bad = i % 4 == 0
+        rows.append((i, "http://deep.org/" + "a/" * 9 + ("spam" if bad else "ham") + "/b" * (i % 3)))
+        labels.append((i, int(bad)))
+    rows += [(400, "http://deep.org/" + "a/" * 9), (401, "http://deep.org/" + "x/" * 60), (402, "http://other.org/" + "y/" * 30)]
+    got = {x.page_id: x for x in url_templates.judge(spark.createDataFrame(rows, "page_id long, url string"), spark.createDataFrame(labels, "page_id long, bad int"), RULES).collect()}
+    assert len(got) == 403 and all((got[i].verdict == "block") == (i % 4 == 0) for i in range(400))
+    assert got[0].template.split("/")[10] == "spam" and got[402].template == "/*" * 30 and got[401].template == "/*" * 60
+
+
+def plain_tree(pages, labels):
+    """The tree spelled out for one small table: (host, raw template) to (template, purity)."""
+
+    def general(x):
+        x = re.sub(r"^[0-9]+", "{n}", x)
+        x = re.sub(r"^[0-9a-fA-F-]{8,}(?=\.|$)", "{x}", x)
+        return re.sub(r"^[^.{]*[0-9][^.]*(?=\.|$)", "{w}", x)
+
+    def differs(n, b, nn, bb):
+        m, c, p = nn - n, bb - b, bb / nn if nn else 0
+        spread = (p * (1 - p) * (1 / n + 1 / m)) ** 0.5 if n and m else 0
+        return n >= url_templates.LEAST_LABELS and m >= url_templates.LEAST_LABELS and spread > 0 and abs(b / n - c / m) >= url_templates.Z * spread
+
+    counted = {}
+    for i, u in pages:
+        host, path = split(u)
+        own = counted.setdefault((host, tuple(general(x) for x in path.split("/") if x)), [0, 0])
+        if i in labels:
+            own[0] += 1
+            own[1] += labels[i]
+    tree, depth = {k: () for k in counted}, max((len(r) for _, r in counted), default=0)
+    for level in range(depth):
+        branch = {}
+        for (host, raw), t in tree.items():
+            if len(raw) > level:
+                own = branch.setdefault((host, t), {}).setdefault(raw[level], [0, 0])
+                own[0] += counted[host, raw][0]
+                own[1] += counted[host, raw][1]
+        names = {}
+        for k, segs in branch.items():
+            nn, bb = (sum(x[j] for x in segs.values()) for j in (0, 1))
+            odd = {s: x for s, x in segs.items() if differs(*x, nn, bb)}
+            for s, (n, b) in segs.items():
+                names[k, s] = "*"
+                if s in odd:
+                    worse = b * nn > bb * n
+                    same = [x for x in odd.values() if (x[1] * nn > bb * x[0]) == worse]
+                    sn, sb = (sum(x[j] for x in same) for j in (0, 1))
+                    names[k, s] = s if sn == n or differs(n, b, sn, sb) else "*worse" if worse else "*better"
+        tree = {(h, r): t + (names[(h, t), r[level]],) if len(r) > level else t for (h, r), t in tree.items()}
+    total, bad = (sum(x[j] for x in counted.values()) for j in (0, 1))
+    out = {}
+    for (h, r), t in tree.items():
+        n, b = (sum(counted[k][j] for k, u in tree.items() if k[0] == h and u == t) for j in (0, 1))
+        hn, hb = (sum(x[j] for k, x in counted.items() if k[0] == h) for j in (0, 1))
+        base = (hb + url_templates.SMOOTHING * (bad / total if total else 0)) / (hn + url_templates.SMOOTHING)
+        out[h, r] = ("/" + "/".join(t), 1 - (b + url_templates.SMOOTHING * base) / (n + url_templates.SMOOTHING))
+    return out, general
+
+
+@pytest.mark.parametrize("seed", [1, 2])
+def test_tree_equals_the_plain_one(spark, seed):
+    r = random.Random(seed)
+    rates = {}
+    pages, labels = [], {}
+    for i in range(1500):
+        host = r.choice(["a.org", "a.org", "b.net", "c.com"])
+        segs = [r.choice(["news", "shop", "x", "tag"]) for _ in range(r.randint(0, 4))] + ([f"{r.randrange(99)}.html"] if r.random() < 0.5 else [])
+        pages.append((i, f"http://{host}/" + "/".join(segs)))
+        rate = rates.setdefault((host, *segs[:2]), r.choice([0.0, 0.1, 0.9, 1.0]))
+        if r.random() < 0.7:
+            labels[i] = int(r.random() < rate)
+    want, general = plain_tree(pages, labels)
+    got = url_templates.judge(spark.createDataFrame(pages, "page_id long, url string"), spark.createDataFrame(list(labels.items()), "page_id long, bad int"), []).collect()
+    assert len(got) == 1500
+    for x in got:
+        template, purity = want[x.host, tuple(general(s) for s in x.path.split("/") if s)]
+        assert x.template == template and x.purity == pytest.approx(purity) and x.verdict == ("block" if 1 - purity >= url_templates.BLOCK_AT else "allow")
+    assert {x.verdict for x in got} == {"allow", "block"} and len({x.template for x in got}) > 8
+
+
 # --- toxicity ---
 
 
