@@ -1,6 +1,6 @@
 """Best-fit packing into sequences of several permitted lengths.
 
-Documents are dealt into blocks of bounded size by a hash of their id; each block is packed on its own: pieces in
+Documents are dealt into blocks of bounded size by a hash of their row's place; each block is packed on its own: pieces in
 decreasing length go where they leave the least room, a new sequence is opened with the capacity that costs least
 per token it can be expected to hold, and at the end every sequence is cut down to the least permitted length that
 holds its contents.  The plans of several opening policies (all lengths jointly, and each single length) are made
@@ -111,9 +111,11 @@ def pack(df: DataFrame, capacities: tuple[int, ...] = CAPACITIES, id_col: str =
     most = capacities[-1]
     total = sized.agg(F.sum(F.ceil(F.col("n") / most)).alias("p")).first().p or 0
     blocks = max(1, -(-total // block_rows))
-    pieces = sized.where("n > 0").select("doc_id", "n", F.posexplode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / most))).alias("piece", "k"))
-    pieces = pieces.select("doc_id", "piece", (F.col("k") * most).alias("first_token"), F.least(F.lit(most).cast("long"), F.col("n") - F.col("k") * most).cast("int").alias("n_tokens"))
-    dealt = pieces.withColumn("block", F.pmod(F.xxhash64("doc_id", "piece", "n_tokens"), F.lit(blocks)).cast("long"))
+    # a row's place in the written table: repeated rows and rows without an id spread as well
+    placed = sized.withColumn("place", F.monotonically_increasing_id())
+    pieces = placed.where("n > 0").select("doc_id", "n", "place", F.posexplode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("n") - 1) / most))).alias("piece", "k"))
+    pieces = pieces.select("doc_id", "place", "piece", (F.col("k") * most).alias("first_token"), F.least(F.lit(most).cast("long"), F.col("n") - F.col("k") * most).cast("int").alias("n_tokens"))
+    dealt = pieces.withColumn("block", F.pmod(F.xxhash64("place", "piece"), F.lit(blocks)).cast("long")).drop("place")
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["n_tokens", "doc_id", "piece"], ascending=[False, True, True], kind="stable", na_position="first").reset_index(drop=True)

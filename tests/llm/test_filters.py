@@ -232,6 +232,12 @@ def test_folding():
     assert toxicity.fold("L0SER") == toxicity.fold("loser") and toxicity.fold("ＬＯＳＥＲ") == toxicity.fold("loser")
 
 
+def test_neighbours_at_any_distance():
+    far = "cheese" + " -" * 400 + " " + "x" * 300 + "12" * 200 + " " * 500 + "after"
+    at = far.index("x" * 300)
+    assert toxicity.neighbours(far, at) == ("cheese", "after") and toxicity.neighbours("one", 0) == ("", "")
+
+
 def test_lexicon_finds_disguised_words_and_spares_exceptions(spark):
     r = random.Random(2)
     word = lambda: "".join(r.choice("bcdfgmnpruvxz") + r.choice("aeu") for _ in range(3))
@@ -345,6 +351,48 @@ def test_picture_formats(shape):
     assert (media.decode_netpbm(b"P4\n%d %d\n" % shape[::-1] + np.packbits(~bits, axis=1).tobytes()) == bits * 255).all()
 
 
+def test_decode_column(spark):
+    r = np.random.default_rng(1)
+    grey, colour = r.integers(0, 256, (9, 7), dtype=np.uint8), r.integers(0, 256, (5, 6, 3), dtype=np.uint8)
+    deep = b"P5 3 2 65535\n" + r.integers(0, 65_536, 6).astype(">u2").tobytes()
+    good = [media.encode_pgm(grey), media.encode_bmp(colour), deep]
+    broken = [b"", b"P5", b"P5 9", b"P5 x y 255\n", b"P5\n4 4\n255\n12", b"P5\n0 3\n255\n", b"P2\n2 2\n255\n1 2 z 4", b"P4\n9 9\n1", b"GIF89a", b"BM", media.encode_bmp(grey)[:80], media.encode_bmp(grey)[:28] + b"\x01\x00" + media.encode_bmp(grey)[30:], b"P5\n99999999999999999999 1\n255\n1", b"P1\n2 2\n1 0"]
+    rows = [(i, bytearray(x), "clash") for i, x in enumerate(good + broken)] + [(50, None, "clash"), (0, bytearray(good[0]), "clash")]
+    got = media.decode_pictures(spark.createDataFrame(rows, "n long, media binary, error string").repartition(3), "n", "media", 4, 3).collect()
+    assert len(got) == len(rows)
+    for x in got:
+        if x.id in (0, 1, 2):
+            want = media.decode(good[x.id])
+            back = media.from_tiles([bytes(t) for t in x.tiles])
+            assert x.error is None and (back == want).all() and back.dtype == want.dtype and (x.height, x.width) == want.shape[:2]
+            assert x.feature == media.difference_hash(want) and media.from_tiles([bytes(x.thumbnail)]).shape[:2] == (4, 3)
+            assert (x.channels, x.bits) == [(1, 8), (3, 8), (1, 16)][x.id]
+        else:
+            assert x.error and x.height is None and x.tiles is None and x.feature is None
+    assert media.decode_pictures(spark.createDataFrame([], "n long, media binary"), "n", "media").collect() == []
+
+
+def test_resize_over_blocks(monkeypatch):
+    p = np.random.default_rng(2).integers(0, 256, (103, 11), dtype=np.uint8)
+    whole, mark = media.area_resize(p, 8, 9), media.difference_hash(p)
+    monkeypatch.setattr(media, "TILE_ROWS", 7)
+    assert np.allclose(media.area_resize(p, 8, 9), whole) and media.difference_hash(p) == mark
+    assert np.allclose(media.area_resize(p, 1, 1), p.mean())
+
+
+def test_feature_is_the_difference_hash_of_the_payload(spark):
+    texts = ["", "y" * 50 + "b" * 900, "".join(random.Random(3).choice("abcdefgh") for _ in range(300_000))]
+    for x in media.store_documents(frame(spark, texts)).collect():
+        raw = texts[x.doc_id].encode()
+        payload = np.frombuffer(raw + bytes(-len(raw) % 64 or (0 if raw else 64)), np.uint8).reshape(-1, 64)
+        cells = np.zeros((8, 9))
+        fine = np.kron(payload.astype(float), np.ones((8, 9))) if len(payload) < 500 else None
+        if fine is not None:  # every cell is a whole number of fine samples
+            cells = fine.reshape(8, len(payload), 9, 64).mean(axis=(1, 3))
+            assert x.feature == np.packbits(cells[:, 1:] > cells[:, :-1] + 1e-9).tobytes().hex()
+        assert x.feature == media.difference_hash(payload)
+
+
 def test_area_resize_is_the_mean_of_covered_area():
     p = np.arange(24, dtype=np.uint8).reshape(4, 6)
     assert np.allclose(media.area_resize(p, 2, 3), p.reshape(2, 2, 3, 2).mean(axis=(1, 3)))
@@ -379,6 +427,12 @@ def test_packing(spark):
     assert packing.pack(df.where("doc_id < 0")).collect() == []
 
 
+def test_repeated_rows_are_dealt_over_blocks(spark):
+    df = spark.createDataFrame([(None, "a b c")] * 400 + [(7, "a b c")] * 400, "doc_id long, text string").repartition(2)
+    blocks = Counter(x.sequence_id.split("-")[0] for x in packing.pack(df, block_rows=100).collect())
+    assert len(blocks) == 8 and max(blocks.values()) < 160
+
+
 def test_packing_is_near_the_lower_bound():
     r = random.Random(1)
     lengths = sorted((min(4096, int(r.lognormvariate(5.5, 1)) + 1) for _ in range(3000)), reverse=True)
