@@ -11,7 +11,8 @@ WORD = r"[^\x20\x09-\x0D]+"
 def tokens(text: Column, mode: str = "word") -> Column:
     """array<string> of a text's tokens; a null or blank text has none.
 
-    word: runs without white space; wordpunct: words and single marks; char: code points; utf8: bytes as hex pairs.
+    word: runs without white space; wordpunct: words and single marks; char: code points; utf8: bytes as hex pairs;
+    lines: words, with U+2029 behind the last one of a line.
     """
     text = F.coalesce(text, F.lit(""))
     if mode == "word":
@@ -22,6 +23,8 @@ def tokens(text: Column, mode: str = "word") -> Column:
         return F.filter(F.split(text, ""), lambda c: c != "")
     if mode == "utf8":
         return F.regexp_extract_all(F.hex(F.encode(text, "utf-8")), F.lit("[0-9A-F]{2}"), F.lit(0))
+    if mode == "lines":
+        return tokens(F.regexp_replace(text, r"([^\x20\x09-\x0D])[\x20\x09-\x0D]*\n[\x20\x09-\x0D]*", "$1\u2029 "))
     if mode.startswith("hash"):  # hash(V): words as numbers below V
         size = int(mode[5:-1])
         return F.transform(tokens(text), lambda t: F.pmod(F.conv(F.substring(F.md5(t), 1, 8), 16, 10).cast("bigint"), F.lit(size)).cast("string"))

@@ -2,12 +2,35 @@
 
 from __future__ import annotations
 
+from functools import lru_cache
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 
+@lru_cache(maxsize=2)
+def _piece_model(path: str):
+    import sentencepiece
+
+    if not path:
+        import public_tokenizers
+
+        path = public_tokenizers.path("piece_bpe_32k.model")
+    return sentencepiece.SentencePieceProcessor(model_file=path)
+
+
+def pieces(path: str = ""):
+    """A vectorised UDF: text to the pieces of a sentencepiece model (a public one unless a path is given)."""
+
+    @F.pandas_udf("array<string>")
+    def cut(text: pd.Series) -> pd.Series:
+        return pd.Series(_piece_model(path).encode(text.tolist(), out_type=str))
+
+    return cut
+
+
 def cosine(a: pd.Series, b: pd.Series) -> pd.Series:
     """Cosine of two vectors; 0 if one is the zero vector, null if one is null."""
 

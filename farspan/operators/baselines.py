@@ -6,10 +6,11 @@ The segment scorer is a reconstruction from its two named ingredients, relative
 from __future__ import annotations
 
 import math
+import re
 import time
-from collections import Counter
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from farspan.sources.intermediate import written
@@ -54,41 +55,46 @@ def segment_pairs(windows: DataFrame, length: int = 32, beta: float = 0.3) -> Da
     return out.select("doc_id", "category", "start", "si", "sj", ppl.alias("ppl"), cond.alias("ppl_given"), ((ppl - cond) / ppl).alias("gain"), (F.col("si") - F.col("sj")).alias("hops"))
 
 
-def _combined(gain: Column, dist: Column, how: str) -> Column:
-    return {"product": gain * dist, "gain": gain, "dist": dist, "sum": gain + dist}[how]
-
+COMBINED = {"product": lambda gain, dist: gain * dist, "gain": lambda gain, dist: gain, "dist": lambda gain, dist: dist, "sum": lambda gain, dist: gain + dist}
+#: Units whose counts are broadcast, at most, and their bytes; beyond, the counts meet the windows in a shuffle.
+HEAD, HEAD_BYTES = 1 << 19, 64 << 20
+_LOCAL = "len int, spb double, model_calls long, cpu_ms double"
 
-def segment_scores(windows: DataFrame, length: int = 32, beta: float = 0.3, how: str = "product") -> DataFrame:
-    """spb: mean over the segment pairs of positive relative perplexity gain and relative distance, combined."""
-    pairs = segment_pairs(windows, length, beta)
-    dist = F.col("hops") / F.floor(F.col("len") / length)
-    sized = pairs.join(windows.select("doc_id", "start", "len"), ["doc_id", "start"])
-    return sized.groupBy("doc_id", "category", "start", "len").agg(F.avg(_combined(F.greatest(F.lit(0.0), F.col("gain")), dist, how)).alias("spb"))
 
+def _bags(toks: list[str], length: int, order: int) -> tuple[list[str], np.ndarray]:
+    """Distinct units of the full segments, and how often each segment holds them (segments x units)."""
+    m = len(toks) // length
+    held = toks[: m * length]
+    units = held if order == 1 else [f"{'' if i % length == 0 else held[i - 1]}\u0001{t}" for i, t in enumerate(held)]
+    names = {u: i for i, u in enumerate(dict.fromkeys(units))}
+    at = np.fromiter((names[u] for u in units), np.int64, len(units))
+    cells = np.repeat(np.arange(m), length) * len(names) + at
+    return list(names), np.bincount(cells, minlength=m * len(names)).reshape(m, len(names)).astype(np.float64)
 
-_LOCAL = "len int, spb double, model_calls long, cpu_ms double"
 
+def _scored_locally(toks: list[str], counts, total: int, types: int, length: int, beta: float, order: int, hows: tuple[str, ...] = ("product",)) -> list[dict]:
+    """Mean over the segment pairs of positive relative perplexity gain and relative distance, combined.
 
-def _scored_locally(toks: list[str], counts: dict[str, int], total: int, types: int, length: int, beta: float, order: int) -> list[dict]:
+    All pairs at once: what segment i gains from segment j is a product of two segment x unit matrices.
+    """
     began = time.process_time()
-    m = len(toks) // length
-    parts = [toks[i * length : (i + 1) * length] for i in range(m)]
-    units = [p if order == 1 else [f"{a}\u0001{b}" for a, b in zip(["", *p], p, strict=False)] for p in parts]
-    bags = [Counter(u) for u in units]
-    p0 = {w: (counts.get(w, 0) + 1) / (total + types) for bag in bags for w in bag}
-    alone = [sum(c * math.log(p0[w]) for w, c in bag.items()) for bag in bags]
-    found = []
-    for i in range(m):
-        for j in range(i):
-            more = sum(c * math.log1p(bags[j][w] * beta / (p0[w] * length * (1 - beta))) for w, c in bags[i].items() if w in bags[j])
-            ppl = math.exp(-alone[i] / length)
-            given = math.exp(-(alone[i] + length * math.log(1 - beta) + more) / length)
-            found.append(max(0.0, (ppl - given) / ppl) * (i - j) / m)
-    return [{"len": len(toks), "spb": sum(found) / len(found), "model_calls": len(found), "cpu_ms": (time.process_time() - began) * 1e3}] if found else []
+    names, bag = _bags(toks, length, order)
+    m = len(bag)
+    if m < 2:
+        return []
+    p0 = (np.array([counts.get(u, 0) for u in names], np.float64) + 1) / (total + types)
+    alone = bag @ np.log(p0)
+    more = bag @ np.log1p(bag * (beta / (p0 * (length * (1 - beta))))).T
+    i, j = np.tril_indices(m, -1)
+    # (perplexity alone - perplexity given j) / perplexity alone
+    gain = np.maximum(0.0, 1 - np.exp(-(length * math.log(1 - beta) + more[i, j]) / length))
+    dist = (i - j) / m
+    row = {"len": len(toks), "model_calls": len(gain)} | {f"spb_{h}" if len(hows) > 1 else "spb": float(COMBINED[h](gain, dist).mean()) for h in hows}
+    return [row | {"cpu_ms": (time.process_time() - began) * 1e3}]
 
 
 def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int = 32, beta: float = 0.3, order: int = 1) -> DataFrame:
-    """The same score window by window, pairs never leaving the task; ``counts``: a whole background that is small.
+    """The score window by window, pairs never leaving the task; ``counts``: a whole background that is small.
 
     order 2 conditions each token on its left neighbour as well (the larger stand-in model).
     """
@@ -96,15 +102,21 @@ def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int
     return per_window(windows, lambda toks: _scored_locally(toks, counts, total, types, length, beta, order), _LOCAL)
 
 
-def segment_scores_joined(windows: DataFrame, length: int = 32, beta: float = 0.3, order: int = 1) -> DataFrame:
-    """segment_scores_local against the whole background, of any size: the units of the windows meet their counts in a
-    shuffle, and each window gets its own.
+def segment_scores(windows: DataFrame, length: int = 32, beta: float = 0.3, how: str | tuple[str, ...] = "product", order: int = 1) -> DataFrame:
+    """spb of every window (one column spb_<how> each, if ``how`` names several), against the whole background.
 
-    The background is written first, as its sums and the join read it; so both sides of the join are shuffled and a
-    common unit can be split.
+    Scoring is a map over the windows.  A background of up to HEAD units and HEAD_BYTES is broadcast.  Beyond, the units of the windows
+    meet their counts in a shuffle and each window gets its own; the background is written first, as its sums and the
+    join read it, so both sides of the join are shuffled and a common unit can be split.
     """
+    hows = (how,) if isinstance(how, str) else tuple(how)
+    schema = _LOCAL if len(hows) == 1 else _LOCAL.replace("spb double", ", ".join(f"spb_{h} double" for h in hows))
     counts = written(background(windows, order), f"background{order}")
-    total, types = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
+    total, types, size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*"), F.coalesce(F.sum(F.octet_length("tok")), F.lit(0))).first()
+    if types <= HEAD and size <= HEAD_BYTES:
+        rows = counts.toArrow()
+        held = windows.sparkSession.sparkContext.broadcast(dict(zip(rows["tok"].to_pylist(), rows["c"].to_pylist(), strict=True)))
+        return per_window(windows, lambda toks: _scored_locally(toks, held.value, total, types, length, beta, order, hows), schema)
     held = F.slice("toks", F.lit(1), (F.floor(F.size("toks") / length) * length).cast("int"))
     before = lambda i: F.when(i % length == 0, F.lit("")).otherwise(F.try_element_at("toks", i.cast("int")))
     units = held if order == 1 else F.transform(held, lambda t, i: F.concat(before(i), F.lit("\u0001"), t))
@@ -114,24 +126,51 @@ def segment_scores_joined(windows: DataFrame, length: int = 32, beta: float = 0.
 
     def compute(row: dict) -> list[dict]:
         known = {x["tok"]: x["c"] for x in row["known"] or []}
-        return _scored_locally(row["toks"] or [], known, total, types, length, beta, order)
-
-    return per_window(both.withColumn("both", F.struct("toks", "known")), compute, _LOCAL, "both")
-
-
-def linguistic(windows: DataFrame, unit: int = 32) -> DataFrame:
-    """complexity (share of distinct words, entropy of words), coherence (cosine of neighbouring units' counts) and
-    cohesion (share of a unit's distinct words found in the unit before), over units of ``unit`` tokens."""
-    toks = windows.select("doc_id", "category", "start", F.posexplode("toks").alias("i", "tok")).withColumn("u", F.floor(F.col("i") / unit))
-    per_word = toks.groupBy("doc_id", "category", "start", "tok").agg(F.count("*").alias("c"))
-    share = F.col("c") / F.col("n")
-    sized = per_word.join(windows.select("doc_id", "start", F.col("len").alias("n")), ["doc_id", "start"])
-    whole = sized.groupBy("doc_id", "category", "start").agg((F.count("*") / F.max("n")).alias("type_token"), F.sum(-share * F.log(share)).alias("entropy"))
-    unit_words = toks.groupBy("doc_id", "start", "u", "tok").agg(F.count("*").alias("c"))
-    norms = unit_words.groupBy("doc_id", "start", "u").agg(F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("norm"), F.count("*").alias("types"))
-    before = unit_words.select("doc_id", "start", (F.col("u") + 1).alias("u"), "tok", F.col("c").alias("c0"))
-    met = unit_words.join(before, ["doc_id", "start", "u", "tok"]).groupBy("doc_id", "start", "u").agg(F.sum(F.col("c") * F.col("c0")).alias("dot"), F.count("*").alias("common"))
-    last = norms.select("doc_id", "start", (F.col("u") + 1).alias("u"), F.col("norm").alias("norm0"))
-    pairs = norms.join(last, ["doc_id", "start", "u"]).join(met, ["doc_id", "start", "u"], "left")
-    near = pairs.groupBy("doc_id", "start").agg(F.avg(F.coalesce(F.col("dot") / (F.col("norm") * F.col("norm0")), F.lit(0.0))).alias("coherence"), F.avg(F.coalesce(F.col("common") / F.col("types"), F.lit(0.0))).alias("cohesion"))
-    return whole.join(near, ["doc_id", "start"], "left").fillna(0.0, ["coherence", "cohesion"])
+        return _scored_locally(row["toks"] or [], known, total, types, length, beta, order, hows)
+
+    return per_window(both.withColumn("both", F.struct("toks", "known")), compute, schema, "both")
+
+
+#: What ends a unit: so many tokens; a token that ends like a sentence; a token before a line break (mode "lines").
+UNITS = ("tokens", "sentences", "paragraphs")
+LINE_MARK = "\u2029"
+_SENTENCE_END = re.compile(r"[.!?\u2026][\"')\]\u00bb\u201d\u2019]*$")
+
+
+def _unit_numbers(toks: list[str], units: str, length: int) -> np.ndarray:
+    if units == "tokens":
+        return np.arange(len(toks)) // length
+    ends = (t.endswith(LINE_MARK) if units == "paragraphs" else bool(_SENTENCE_END.search(t.rstrip(LINE_MARK))) for t in toks)
+    last = np.fromiter(ends, bool, len(toks))
+    return np.concatenate([[0], np.cumsum(last)[:-1]])
+
+
+def linguistic(windows: DataFrame, unit: int = 32, units: str = "tokens") -> DataFrame:
+    """complexity (share of distinct words, entropy of words), coherence (mean cosine of neighbouring units' counts) and
+    cohesion (mean share of a unit's distinct words found in the unit before); a map over the windows.
+
+    units: pieces of ``unit`` tokens, sentences, or paragraphs (for windows tokenised in mode "lines").
+    """
+    if units not in UNITS:
+        raise ValueError(f"units must be one of {UNITS}")
+
+    def compute(toks: list[str]) -> list[dict]:
+        if not toks:
+            return []
+        words = [t.rstrip(LINE_MARK) for t in toks]
+        names = {w: i for i, w in enumerate(dict.fromkeys(words))}
+        at = np.fromiter((names[w] for w in words), np.int64, len(words))
+        share = np.bincount(at) / len(at)
+        cells, count = np.unique(_unit_numbers(toks, units, unit) * len(names) + at, return_counts=True)
+        u, w = cells // len(names), cells % len(names)
+        m = int(u[-1]) + 1
+        norm, types = np.sqrt(np.bincount(u, count * count, m)), np.bincount(u, minlength=m)
+        # a cell meets that of the same word in the unit before
+        place = np.searchsorted(cells, cells - len(names))
+        met = (u > 0) & (cells[np.minimum(place, len(cells) - 1)] == cells - len(names))
+        dot = np.bincount(u[met], count[met] * count[place[met]], m)[1:]
+        common = np.bincount(u[met], minlength=m)[1:]
+        near = {"coherence": float((dot / (norm[1:] * norm[:-1])).mean()), "cohesion": float((common / types[1:]).mean())} if m > 1 else {"coherence": 0.0, "cohesion": 0.0}
+        return [{"type_token": len(names) / len(at), "entropy": float(-(share * np.log(share)).sum()), "units": m} | near]
+
+    return per_window(windows, compute, "type_token double, entropy double, units int, coherence double, cohesion double")

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from farspan.sources.intermediate import lean_batches
 from farspan.operators import kernel
+from farspan.operators.ranks import in_ranges, running
 from farspan.operators.score import per_window
 
 NIAH = ("single_1", "single_2", "single_3", "multikey_1", "multikey_2", "multikey_3", "multivalue", "multiquery")
@@ -34,46 +35,58 @@ def agreement(a: DataFrame, b: DataFrame) -> DataFrame:
 def rank_correlation(scored: DataFrame, x: str, y: str) -> DataFrame:
     """Spearman correlation of two scores; ranks with ties averaged, counted per distinct value."""
 
-    def ranked(df: DataFrame, c: str) -> DataFrame:
-        per = df.groupBy(c).agg(F.count("*").alias("m"))
-        upto = F.sum("m").over(Window.orderBy(c))
-        return per.select(c, (upto - (F.col("m") - 1) / 2).alias(f"r_{c}"))
+    def mean_ranks(df: DataFrame, c: str) -> DataFrame:
+        per = df.groupBy(c).agg(F.count("*").alias("m")).withColumn("all", F.lit(0))
+        upto = running(in_ranges(per, "all", F.col(c)), "all", [F.col(c)], {"upto": F.col("m")})
+        return upto.select(c, (F.col("upto") - (F.col("m") - 1) / 2).alias(f"r_{c}"))
 
     both = scored.select(F.round(x, 6).alias("x"), F.round(y, 6).alias("y"))
-    return both.join(ranked(both, "x"), "x").join(ranked(both, "y"), "y").agg(F.corr("r_x", "r_y").alias("spearman"))
+    return both.join(mean_ranks(both, "x"), "x").join(mean_ranks(both, "y"), "y").agg(F.corr("r_x", "r_y").alias("spearman"))
 
 
 def diversity(picked_windows: DataFrame, by: str) -> DataFrame:
-    """Distinct tokens, distinct windows and documents of each choice."""
+    """Distinct tokens, distinct windows and documents of each choice, the largest category's share of its windows, and
+    the share of windows that nearly repeat another one: eight words in a row that start at a hash divisible by 16 are
+    compared, and half of a window's being found in windows before it (by doc_id and start) counts."""
     words = picked_windows.select(by, F.explode("toks").alias("tok")).groupBy(by).agg(F.count_distinct("tok").alias("types"), F.count("*").alias("tokens"))
     texts = picked_windows.groupBy(by).agg(F.count("*").alias("windows"), F.count_distinct("doc_id").alias("documents"), F.count_distinct(F.md5(F.concat_ws(" ", "toks"))).alias("distinct_windows"))
-    return texts.join(words, by)
+    share = picked_windows.groupBy(by, "category").agg(F.count("*").alias("n")).groupBy(by).agg((F.max("n") / F.sum("n")).alias("largest_category"))
+    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.lit(1), F.size("toks") - 7)), lambda i: F.md5(F.concat_ws(" ", F.slice("toks", i, 8))))
+    marks = picked_windows.select(by, "doc_id", "start", F.explode(F.array_distinct(F.filter(grams, lambda g: F.endswith(g, F.lit("0"))))).alias("g"))
+    first = marks.groupBy(by, "g").agg(F.min(F.struct("doc_id", "start")).alias("first"))
+    again = marks.join(first, [by, "g"]).groupBy(by, "doc_id", "start").agg(F.avg((F.struct("doc_id", "start") != F.col("first")).cast("int")).alias("again"))
+    near = again.groupBy(by).agg(F.count_if(F.col("again") >= 0.5).alias("near"))
+    return texts.join(words, by).join(share, by).join(near, by, "left").withColumn("near_copies", F.coalesce(F.col("near"), F.lit(0)) / F.col("windows")).drop("near")
 
 
 def auc(scored: DataFrame, score: str, label: str, digits: int = 9) -> DataFrame:
-    """Probability that a positive scores above a negative (ties half), from counts per distinct score.
-
-    Ranks are prefix sums over distinct values, so the single sorted stream holds no rows but their counts.
-    """
+    """Probability that a positive scores above a negative (ties half), from running counts over distinct scores."""
     x = scored.select(F.round(score, digits).alias("x"), F.col(label).cast("long").alias("y"))
-    per = x.groupBy("x").agg(F.sum("y").alias("p"), F.sum(1 - F.col("y")).alias("n"))
-    below = F.sum("n").over(Window.orderBy("x").rowsBetween(Window.unboundedPreceding, -1))
-    won = per.select("p", "n", (F.col("p") * (F.coalesce(below, F.lit(0)) + F.col("n") / 2)).alias("w"))
+    per = x.groupBy("x").agg(F.sum("y").alias("p"), F.sum(1 - F.col("y")).alias("n")).withColumn("all", F.lit(0))
+    upto = running(in_ranges(per, "all", F.col("x")), "all", [F.col("x")], {"upto": F.col("n")})
+    won = upto.select("p", "n", (F.col("p") * (F.col("upto") - F.col("n") / 2)).alias("w"))
     return won.agg(F.sum("p").alias("positives"), F.sum("n").alias("negatives"), (F.sum("w") / (F.sum("p") * F.sum("n"))).alias("auc"))
 
 
 def planted(windows: DataFrame, length: int = 32, seed: int = 7) -> DataFrame:
     """Pairs of windows that differ only in a far link: in the last quarter of each window (of L tokens, L >= 4 x
-    length) stands a passage of its own first quarter (label 1), or of another window's (label 0)."""
+    length) stands a passage of its own first quarter (label 1), or of another window's (label 0).  Every window is used;
+    the only window of a category is its own other one."""
     key = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("doc_id").cast("string"), F.col("start").cast("string")))
-    keyed = windows.withColumn("key", key)
-    # the other window is the next one in key order within one of 256 ranges
-    ring = Window.partitionBy("category", F.substring("key", 1, 2)).orderBy("key")
-    other = keyed.withColumn("other", F.lead("toks").over(ring)).where("other is not null")
+    keyed = windows.withColumn("key", key).withColumn("slot", F.conv(F.substring("key", 1, 2), 16, 10).cast("int"))
+    # the other window is the next one of the category in key order, the first one after the last: looked for in 256 ranges
+    # of the key, whose first windows form a small ring of their own
+    ring, names = Window.partitionBy("category", "slot").orderBy("key", "doc_id", "start"), ["category", "slot"]
+    nearby = keyed.withColumn("next", F.lead(F.slice("toks", 1, length)).over(ring))
+    firsts = keyed.withColumn("k", F.row_number().over(ring)).where("k = 1").select(*names, F.slice("toks", 1, length).alias("first"))
+    round_ = Window.partitionBy("category").orderBy("slot")
+    begins = Window.partitionBy("category").orderBy("slot").rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    after = firsts.select(*names, F.coalesce(F.lead("first").over(round_), F.first("first").over(begins)).alias("after"))
+    other = nearby.join(F.broadcast(after), names).withColumn("other", F.coalesce("next", "after"))
     head = lambda c: F.slice(c, 1, length)
     keep = F.slice("toks", 1, F.col("len") - length)
     both = other.withColumn("label", F.explode(F.array(F.lit(1), F.lit(0))))
-    toks = F.when(F.col("label") == 1, F.concat(keep, head(F.col("toks")))).otherwise(F.concat(keep, head(F.col("other"))))
+    toks = F.when(F.col("label") == 1, F.concat(keep, head(F.col("toks")))).otherwise(F.concat(keep, F.col("other")))
     return both.select("doc_id", "category", (F.col("start") * 2 + F.col("label")).alias("start"), "len", "label", toks.alias("toks"))
 
 
@@ -256,28 +269,43 @@ def ratios(costs: DataFrame, measure: str) -> DataFrame:
 
 
 def proxy_lm(picked: DataFrame, heldout: DataFrame, k: int, vocabulary: int = 2_000) -> DataFrame:
-    """Held-out nats per token of an interpolated unigram and far-cache model fitted on a choice.
+    """Held-out nats per token of an interpolated unigram, bigram and far-cache model fitted on a choice.
 
-    The cache's weight is the rate at which a token of the choice stood k or more places earlier already, within
-    [0.01, 0.5].  The vocabulary is the commonest tokens of the choice (at most ``vocabulary``) and one unknown class.
+    The vocabulary is the commonest tokens of the choice (at most ``vocabulary``) and one unknown class.  Behind a class
+    that the choice holds, bigram and unigram count half each.  The cache's weight is the rate at which a token of the
+    choice stood k or more places earlier already, within [0.01, 0.5].
     """
-    flat = picked.select("doc_id", "start", F.posexplode("toks").alias("i", "tok"))
-    top = flat.groupBy("tok").agg(F.count("*").alias("c")).orderBy(F.desc("c"), "tok").limit(vocabulary)
-    total = flat.agg(F.count("*").alias("n"))
-    known = top.join(F.broadcast(total), F.lit(True)).select("tok", (F.col("c") / (F.col("n") + 1)).alias("p"))
-    rest = known.agg((1 - F.sum("p")).alias("p_rest"))
+    unknown, c = F.lit(" "), F.col
+
+    def flat(df: DataFrame) -> DataFrame:
+        at = F.transform("toks", lambda t, i: F.struct(i.alias("i"), t.alias("tok"), F.when(i > 0, F.try_element_at("toks", i)).alias("prev")))
+        return df.select("doc_id", "start", F.inline(at))
 
     def far(df: DataFrame) -> DataFrame:
         first = Window.partitionBy("doc_id", "start", "tok")
-        return df.withColumn("again", (F.col("i") - F.min("i").over(first) >= k).cast("int"))
+        return df.withColumn("again", (c("i") - F.min("i").over(first) >= k).cast("int"))
+
+    own = flat(picked)
+    top = own.groupBy("tok").agg(F.count("*").alias("c")).orderBy(F.desc("c"), "tok").limit(vocabulary)
+    known = top.join(F.broadcast(own.agg(F.count("*").alias("n"))), F.lit(True)).select("tok", (c("c") / (c("n") + 1)).alias("p"))
+    rest = known.agg((1 - F.sum("p")).alias("p_rest"))
+    before = known.select(c("tok").alias("prev"), F.lit(1).alias("prev_known"))
+
+    def classed(df: DataFrame) -> DataFrame:
+        met = df.join(F.broadcast(known), "tok", "left").join(F.broadcast(before), "prev", "left")
+        return met.withColumns({"now": F.when(c("p").isNotNull(), c("tok")).otherwise(unknown), "last": F.when(c("prev").isNotNull(), F.when(c("prev_known") == 1, c("prev")).otherwise(unknown))})
 
-    weight = far(flat).agg(F.greatest(F.lit(0.01), F.least(F.lit(0.5), F.avg("again"))).alias("lam"))
-    held = far(heldout.select("doc_id", "start", "len", F.posexplode("toks").alias("i", "tok")))
-    per_tok = held.join(F.broadcast(known), "tok", "left").join(F.broadcast(rest), F.lit(True)).join(F.broadcast(weight), F.lit(True))
+    pairs = classed(own).where("last is not null").groupBy("last", "now").agg(F.count("*").alias("n2"))
+    heads = pairs.groupBy("last").agg(F.sum("n2").alias("n1"))
+    weight = far(own).agg(F.greatest(F.lit(0.01), F.least(F.lit(0.5), F.avg("again"))).alias("lam"))
+    held = classed(flat(heldout)).join(pairs, ["last", "now"], "left").join(F.broadcast(heads), "last", "left")
+    held = held.join(F.broadcast(rest), F.lit(True)).join(F.broadcast(weight), F.lit(True))
     seen = F.count("*").over(Window.partitionBy("doc_id", "start", "tok").orderBy("i").rangeBetween(Window.unboundedPreceding, -k))
-    cached = per_tok.withColumn("cache", F.when(F.col("i") >= k, seen / F.greatest(F.lit(1), F.col("i") - k + 1)).otherwise(0.0))
-    lam = F.when(F.col("i") >= k, F.col("lam")).otherwise(0.0)
-    p = (1 - lam) * F.coalesce(F.col("p"), F.col("p_rest")) + lam * F.col("cache")
+    cached = held.withColumn("cache", F.when(c("i") >= k, seen / F.greatest(F.lit(1), c("i") - k + 1)).otherwise(0.0))
+    lam = F.when(c("i") >= k, c("lam")).otherwise(0.0)
+    one = F.coalesce(c("p"), c("p_rest"))
+    context = F.when(c("n1").isNotNull(), 0.5 * one + 0.5 * F.coalesce(c("n2"), F.lit(0)) / c("n1")).otherwise(one)
+    p = (1 - lam) * context + lam * c("cache")
     return cached.agg(F.avg(-F.log(F.greatest(p, F.lit(1e-12)))).alias("nats"), F.count("*").alias("tokens"), F.max("lam").alias("far_rate"))
 
 

@@ -31,7 +31,13 @@ def token_strengths(profile, tokens: list, ks: list[int], block: int = 128, head
             inside = chosen[(chosen >= a) & (chosen < b)] - a
             if len(inside) == 0:
                 continue
-        p = profile.rows(state, a, b)
+        if chosen is None:
+            p = profile.rows(state, a, b)
+        elif hasattr(profile, "some_rows"):
+            _some(profile, state, inside + a, ks, head_agg, far, squares)
+            continue
+        else:
+            p = profile.rows(state, a, b)
         if head_agg == "mean":
             p = p.mean(axis=0, keepdims=True)
         elif head_agg.startswith("head:"):
@@ -50,6 +56,16 @@ def token_strengths(profile, tokens: list, ks: list[int], block: int = 128, head
     return far, squares, float(sink / max(1, seen))
 
 
+def _some(profile, state, rows: np.ndarray, ks: list[int], head_agg: str, far: np.ndarray, squares: np.ndarray) -> None:
+    """Far sums of single rows, each computed on its own."""
+    p = profile.some_rows(state, rows)
+    p = p.mean(axis=0, keepdims=True) if head_agg == "mean" else p[int(head_agg[5:])][None] if head_agg.startswith("head:") else p
+    for j, k in enumerate(ks):
+        left = p * (np.arange(p.shape[2])[None, :] <= (rows - k)[:, None])
+        far[j, : len(p), rows] = left.sum(axis=2).T
+        squares[j, : len(p), rows] = np.einsum("hqi,hqi->hq", left, left).T
+
+
 def strength(far: np.ndarray) -> float:
     """Mean over all tokens of the window (and over heads, if they are kept apart)."""
     return float(far.mean(axis=1).mean()) if far.size else 0.0
@@ -89,7 +105,7 @@ def score_sampled(profile, tokens: list, k: int, rows: int, block: int = 64) ->
         return {"ds_hat": 0.0, "du_hat": 0.0, "se": 0.0, "rows": 0}
     edges = np.linspace(k, L, min(rows, L - k) + 1)
     chosen = np.unique(((edges[:-1] + edges[1:]) / 2).astype(int))
-    far, squares, _ = token_strengths(profile, tokens, [k], block, chosen=chosen)
+    far, squares, _ = token_strengths(profile, tokens, [k], max(block, 1024), chosen=chosen)
     f, s, r = far[0, 0, chosen], squares[0, 0, chosen], len(chosen)
     n, weight = far_cells(L, k), (L - k) / r
     mean = f.sum() * weight / n

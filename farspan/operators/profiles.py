@@ -37,6 +37,15 @@ class DotProfile:
         q, k = state
         return causal_softmax((q[:, a:b] @ k[:, :b].transpose(0, 2, 1)).astype(np.float64) / np.sqrt(q.shape[2]), a)
 
+    def some_rows(self, state: tuple[np.ndarray, np.ndarray], rows: np.ndarray) -> np.ndarray:
+        """(heads, len(rows), last row + 1): these rows only."""
+        q, k = state
+        logits = (q[:, rows] @ k[:, : rows[-1] + 1].transpose(0, 2, 1)).astype(np.float64) / np.sqrt(q.shape[2])
+        logits[:, np.arange(logits.shape[2])[None, :] > rows[:, None]] = -np.inf
+        logits -= logits.max(axis=2, keepdims=True)
+        np.exp(logits, out=logits)
+        return logits / logits.sum(axis=2, keepdims=True)
+
     def pair_ops(self, L: int, heads: int = 1, width: int = 16) -> int:
         return heads * width * L * (L + 1) // 2
 

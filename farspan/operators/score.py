@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from farspan.operators import kernel
 from farspan.operators.profiles import TableVectors
+from farspan.operators.ranks import ranked
 
 RAW = "doc_id long, category string, start long, len int, k int, profile string, ds double, du double, far_mean double, far_cells long, sink_share double, pair_ops long, cpu_ms double"
 _FIELDS = ("len", "k", "ds", "du", "far_mean", "far_cells", "sink_share", "pair_ops", "cpu_ms")
@@ -49,12 +50,16 @@ def per_window(windows: DataFrame, compute, schema: str, tokens: str = "toks") -
     return windows.select(F.col("doc_id").cast("long"), "category", F.col("start").cast("long"), tokens).mapInArrow(run, whole)
 
 
-def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int = 128, var_over: str = "triangle", ddof: int = 0, head_agg: str = "mean") -> DataFrame:
-    """raw_scores: one row per window and k.  Map only; nothing of size L x L is held."""
+def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int = 128, var_over: str = "triangle", ddof: int = 0, head_agg: str = "mean", front: str | None = None) -> DataFrame:
+    """raw_scores: one row per window and k.  Map only; nothing of size L x L is held.
+
+    ``front``: a special token put before every window, as language models do; it takes part like any other token.
+    """
     ks = [ks] if isinstance(ks, int) else list(ks)
     name = profile.name
     schema = ", ".join(RAW.split(", ")[3:])
-    return per_window(windows, lambda t: [r | {"profile": name} for r in kernel.score(profile, t, ks, block, var_over, ddof, head_agg)], schema)
+    lead = [front] if front else []
+    return per_window(windows, lambda t: [r | {"profile": name} for r in kernel.score(profile, lead + t, ks, block, var_over, ddof, head_agg)], schema)
 
 
 def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int = 32, name: str = "corpus", block: int = 1024) -> DataFrame:
@@ -167,9 +172,15 @@ def alpha_sweep(scored: DataFrame, alphas: list[float]) -> DataFrame:
 
 
 def magnitudes(scored: DataFrame) -> DataFrame:
-    """Distribution of both scores before and after standardising."""
+    """Distribution of both scores before and after standardising; quartiles are exact, interpolated between ranks."""
     long = scored.select(F.expr("stack(4, 'ds', ds, 'du', du, 'ds_z', ds_z, 'du_z', du_z) as (score, x)"))
-    return long.groupBy("score").agg(F.count("*").alias("n"), F.min("x").alias("low"), F.percentile("x", 0.25).alias("q1"), F.percentile("x", 0.5).alias("mid"), F.percentile("x", 0.75).alias("q3"), F.max("x").alias("high"), F.stddev_pop("x").alias("sd"))
+    whole = long.groupBy("score").agg(F.count("*").alias("n"), F.min("x").alias("low"), F.max("x").alias("high"), F.stddev_pop("x").alias("sd"))
+    names, c = {"q1": 0.25, "mid": 0.5, "q3": 0.75}, F.col
+    found = ranked(long, "score", c("x"), [c("x")]).join(F.broadcast(whole.select("score", "n")), "score")
+    # a row counts for a quartile by how near its rank is to the wanted one
+    share = lambda p: F.greatest(F.lit(0.0), 1 - F.abs((c("n") - 1) * p + 1 - c("rnk")))
+    near = found.groupBy("score").agg(*[F.sum(c("x") * share(p)).alias(q) for q, p in names.items()])
+    return whole.join(near, "score").select("score", "n", "low", "q1", "mid", "q3", "high", "sd")
 
 
 def by_document(lds: DataFrame) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from farspan.functions.columns import shuffle_key
+from farspan.operators.ranks import in_ranges, ranked
 
 LADDER = (1, 3, 5, 10, 20)
 #: Decimals of a score that count in a ranking, so that equal windows tie whatever the order of summation.
@@ -17,6 +18,13 @@ def unit_tokens(windows: int, L: int, share: int = 40) -> int:
     return windows * L // share
 
 
+def distinct_tokens(picked: DataFrame) -> DataFrame:
+    """category, windows, tokens, distinct: tokens of a choice, and those counted once where windows of a document overlap."""
+    after = F.lead("start").over(Window.partitionBy("category", "doc_id").orderBy("start"))
+    own = picked.select("category", "len", F.least(F.col("len").cast("long"), F.coalesce(after - F.col("start"), F.col("len").cast("long"))).alias("fresh"))
+    return own.groupBy("category").agg(F.count("*").alias("windows"), F.sum("len").alias("tokens"), F.sum("fresh").alias("distinct"))
+
+
 def wanted_windows(budget: int, L: int) -> int:
     return budget // L
 
@@ -58,13 +66,18 @@ def _quota_column(quota: dict[str, int]) -> Column:
     return out
 
 
-def _ranked(df: DataFrame, quota: dict[str, int], order: list[Column], bound: bool = True) -> DataFrame:
-    """Rank within the category and cut; the literal bound lets Spark stop each sort early when it is small."""
-    rnk = F.row_number().over(Window.partitionBy("category").orderBy(*order))
-    out = df.withColumn("rnk", rnk)
-    if bound:
-        out = out.where(F.col("rnk") <= max(quota.values(), default=0))
-    return out.where(F.col("rnk") <= _quota_column(quota))
+def _ranked(df: DataFrame, quota: dict[str, int], order: list[Column], key: Column) -> DataFrame:
+    """Rank within the category and cut; ``key`` is the leading part of the order, ascending. No task sorts a category."""
+    return ranked(df, "category", key, order, F.col("doc_id")).where(F.col("rnk") <= _quota_column(quota))
+
+
+def _falling(score: str) -> Column:
+    return -F.round(F.col(score), DIGITS)
+
+
+def _hashed(key: str = "key") -> Column:
+    """The head of a hexadecimal key as a number."""
+    return F.conv(F.substring(key, 1, 8), 16, 10).cast("double")
 
 
 def _picked(df: DataFrame, method: str, budget: int, score: str | None, L: int) -> DataFrame:
@@ -74,42 +87,44 @@ def _picked(df: DataFrame, method: str, budget: int, score: str | None, L: int)
 def top_by_budget(scored: DataFrame, budget: int, L: int, score: str = "lds", method: str = "attention", quota: str | dict = "proportional") -> DataFrame:
     """The best windows of each category, whole windows only, never above the budget."""
     if quota == "none":
-        rnk = scored.orderBy(*_order(score)).limit(wanted_windows(budget, L))
-        return _picked(rnk.withColumn("rnk", F.row_number().over(Window.orderBy(*_order(score)))), method, budget, score, L)
+        whole = ranked(scored.withColumn("all", F.lit(0)), "all", _falling(score), _order(score), F.col("doc_id")).drop("all")
+        return _picked(whole.where(F.col("rnk") <= wanted_windows(budget, L)), method, budget, score, L)
     q = quotas(category_counts(scored), wanted_windows(budget, L), quota)
-    return _picked(_ranked(scored, q, _order(score)), method, budget, score, L)
+    return _picked(_ranked(scored, q, _order(score), _falling(score)), method, budget, score, L)
 
 
-def top_by_threshold(scored: DataFrame, budget: int, L: int, score: str = "lds", method: str = "attention", accuracy: int = 10_000) -> DataFrame:
-    """The same choice without sorting a category: a quantile sketch gives two cuts around the wanted rank; rows above
-    both are taken, rows between them are ranked.  Counts check the sketch; a missed band is widened and tried again."""
-    counts = category_counts(scored)
-    quota = quotas(counts, wanted_windows(budget, L))
-    x = F.round(F.col(score), DIGITS)
-    slack = 2.0 / accuracy + 0.01
-    for _ in range(6):
-        at = {c: (max(0.0, 1 - quota[c] / n - slack), min(1.0, 1 - quota[c] / n + slack)) for c, n in counts.items() if n}
-        cuts = {c: scored.where(F.col("category") == c).agg(F.percentile_approx(x, list(p), accuracy).alias("q")).first().q for c, p in at.items()}
-        low, high = F.lit(None).cast("double"), F.lit(None).cast("double")
-        for c, (a, b) in cuts.items():
-            low, high = F.when(F.col("category") == c, a).otherwise(low), F.when(F.col("category") == c, b).otherwise(high)
-        marked = scored.withColumns({"zone": F.when(x > high, 2).when(x >= low, 1).otherwise(0)})
-        seen = {(r.category, r.zone): r["count"] for r in marked.groupBy("category", "zone").count().collect()}
-        if all(seen.get((c, 2), 0) <= quota[c] <= seen.get((c, 2), 0) + seen.get((c, 1), 0) for c in cuts):
-            break
-        slack *= 4
-    rest = {c: quota[c] - seen.get((c, 2), 0) for c in cuts}
-    sure = marked.where("zone = 2")
-    band = _ranked(marked.where("zone = 1"), rest, _order(score), bound=False).drop("rnk")
-    out = sure.unionByName(band)
-    return out.select(F.lit(method).alias("method"), F.lit(budget).cast("long").alias("budget_tokens"), "category", "doc_id", "start", "len", F.round(F.col(score), DIGITS).alias("score"))
+def top_by_threshold(scored: DataFrame, budget: int, L: int, score: str = "lds", method: str = "attention", quota: str | dict = "proportional") -> DataFrame:
+    """The same choice by thresholds: ranges of scores that lie within the quota whole are taken unsorted, only the one
+    range of each category that the quota cuts is ranked."""
+    return _by_threshold(scored, quotas(category_counts(scored), wanted_windows(budget, L), quota), _falling(score), _order(score)).select(
+        F.lit(method).alias("method"), F.lit(budget).cast("long").alias("budget_tokens"), "category", "doc_id", "start", "len", F.round(F.col(score), DIGITS).alias("score")
+    )
+
+
+def _by_threshold(df: DataFrame, quota: dict[str, int], key: Column, order: list[Column]) -> DataFrame:
+    """The first rows of each category, as many as its quota, and no rank."""
+    names = ["category", "range", "part"]
+    ranged = in_ranges(df, "category", key, F.col("doc_id"))
+    sizes = ranged.groupBy(*names).agg(F.count("*").alias("range_rows"))
+    upto = F.sum("range_rows").over(Window.partitionBy("category").orderBy("range", "part").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    room = sizes.withColumn("room", _quota_column(quota) - upto + F.col("range_rows")).where("room > 0").select(*names, "range_rows", "room")
+    met = ranged.join(F.broadcast(room), names)
+    band = met.where("range_rows > room").withColumn("rnk", F.row_number().over(Window.partitionBy(*names).orderBy(*order))).where(F.col("rnk") <= F.col("room"))
+    return met.where("range_rows <= room").unionByName(band.drop("rnk")).drop("range", "part", "range_rows", "room")
+
+
+def random_by_threshold(windows: DataFrame, budget: int, L: int, seed: int = 7) -> DataFrame:
+    """random_by_budget without ranks: (category, doc_id, start, len) below a threshold of the seeded hash."""
+    q = quotas(category_counts(windows), wanted_windows(budget, L))
+    keyed = windows.withColumn("key", shuffle_key(seed, F.col("doc_id"), F.col("start")))
+    return _by_threshold(keyed, q, _hashed(), _order("key", descending=False)).select("category", "doc_id", "start", "len")
 
 
 def random_by_budget(windows: DataFrame, budget: int, L: int, seed: int = 7) -> DataFrame:
     """A choice that ignores content: the least keys of a seeded hash order, with the same quotas."""
     q = quotas(category_counts(windows), wanted_windows(budget, L))
     keyed = windows.withColumn("key", shuffle_key(seed, F.col("doc_id"), F.col("start")))
-    return _picked(_ranked(keyed, q, _order("key", descending=False)), "random", budget, None, L)
+    return _picked(_ranked(keyed, q, _order("key", descending=False), _hashed()), "random", budget, None, L)
 
 
 def ladder(scored: DataFrame, L: int, steps: tuple[int, ...] = LADDER, score: str | None = "lds", method: str = "attention", seed: int = 7, share: int = 40) -> DataFrame:
@@ -117,12 +132,13 @@ def ladder(scored: DataFrame, L: int, steps: tuple[int, ...] = LADDER, score: st
     counts = category_counts(scored)
     unit = unit_tokens(sum(counts.values()), L, share)
     df = scored if score else scored.withColumn("key", shuffle_key(seed, F.col("doc_id"), F.col("start")))
-    order = _order(score) if score else _order("key", descending=False)
-    ranked = df.withColumn("rnk", F.row_number().over(Window.partitionBy("category").orderBy(*order)))
+    order, key = (_order(score), _falling(score)) if score else (_order("key", descending=False), _hashed())
+    most = quotas(counts, wanted_windows(max(steps) * unit, L))
+    found = _ranked(df, most, order, key)
     step = F.lit(None).cast("int")
     for s in sorted(steps, reverse=True):
         step = F.when(F.col("rnk") <= _quota_column(quotas(counts, wanted_windows(s * unit, L))), s).otherwise(step)
-    out = ranked.withColumn("step", step).where(F.col("step").isNotNull())
+    out = found.withColumn("step", step).where(F.col("step").isNotNull())
     return out.select(F.lit(method).alias("method"), "step", "category", "doc_id", "start", "len", F.col("rnk").cast("long").alias("rnk"))
 
 

@@ -1,6 +1,6 @@
 """Documents to windows: tokenise, gate, cut, and the naive constructions beside them.
 
-A document stays one row until its windows are cut; nothing here shuffles except packing.
+A document stays one row until its windows are cut; nothing here shuffles except packing, and a scan of too few tasks.
 """
 
 from __future__ import annotations
@@ -10,16 +10,28 @@ from pyspark.sql import functions as F
 
 from farspan.functions.columns import shuffle_key, starts, tokens
 
+#: Short documents of one chain, about.
+BUCKET_ROWS = 100_000
+
 
 def tokenize(df: DataFrame, mode: str = "word") -> DataFrame:
-    """doc_id, category, toks, n."""
-    cut = df.select("doc_id", "category", tokens(F.col("text"), mode).alias("toks"))
+    """doc_id, category, toks, n.
+
+    Mode ``piece`` or ``piece:<path>`` cuts into pieces of a sentencepiece model, in vectorised batches; all others are
+    column expressions.
+    """
+    if mode.startswith("piece"):
+        from farspan.functions.udfs import pieces
+
+        cut = df.select("doc_id", "category", pieces(mode[6:])(F.coalesce("text", F.lit(""))).alias("toks"))
+    else:
+        cut = df.select("doc_id", "category", tokens(F.col("text"), mode).alias("toks"))
     return cut.withColumn("n", F.size("toks").cast("long"))
 
 
 def long_only(df: DataFrame, L: int, mode: str = "word") -> DataFrame:
     """Documents that can hold L tokens, judged by n_chars before the text is read: n words need 2n - 1 characters."""
-    least = 2 * L - 1 if mode == "word" else L if mode == "char" else 0
+    least = 2 * L - 1 if mode in ("word", "lines") else L if mode == "char" else 0
     return df.where(F.col("n_chars") >= least) if "n_chars" in df.columns and least else df
 
 
@@ -61,28 +73,33 @@ def stride(df: DataFrame, L: int, step: int) -> DataFrame:
     return out.select("doc_id", "category", "start", "ord", F.lit("stride").alias("part"), "n", F.slice("toks", (F.col("start") + 1).cast("int"), L).alias("toks"), F.lit(L).alias("len"))
 
 
-def spread(windows: DataFrame, partitions: int | None = None) -> DataFrame:
-    """Windows dealt evenly before scoring: one scan task may hold many."""
-    keys = ("doc_id", "start")
-    return windows.repartition(partitions, *keys) if partitions else windows.repartition(*keys)
+def spread(documents: DataFrame) -> DataFrame:
+    """Documents over all cores: a scan with fewer tasks than the cluster has cores (a small table, one large file that
+    can't be split) is dealt anew, as text and before any tokens exist.  Any larger scan stays as it is."""
+    cores = documents.sparkSession.sparkContext.defaultParallelism
+    return documents.repartition(2 * cores, "doc_id") if documents.rdd.getNumPartitions() < cores else documents
+
 
+def concat_order(df: DataFrame, L: int, seed: int, buckets: int | None = None) -> DataFrame:
+    """Short documents laid end to end in random order, by category and bucket: where each begins in its chain.
 
-def concat_order(df: DataFrame, L: int, seed: int, buckets: int = 16) -> DataFrame:
-    """Short documents laid end to end in random order, by category and bucket: where each begins in its chain."""
+    There is a bucket for about BUCKET_ROWS short documents, 16 at least.
+    """
     shorts = df.where((F.col("n") < L) & (F.col("n") > 0))
+    buckets = buckets or max(16, -(-shorts.count() // BUCKET_ROWS))
     key = shuffle_key(seed, F.col("doc_id"))
-    dealt = shorts.withColumn("key", key).withColumn("bucket", F.pmod(F.conv(F.substring("key", 1, 4), 16, 10).cast("bigint"), F.lit(buckets)).cast("int"))
+    dealt = shorts.withColumn("key", key).withColumn("bucket", F.pmod(F.conv(F.substring("key", 1, 8), 16, 10).cast("bigint"), F.lit(buckets)).cast("int"))
     chain = Window.partitionBy("category", "bucket").orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return dealt.withColumn("begin", F.sum("n").over(chain) - F.col("n"))
 
 
-def concat_pack(df: DataFrame, L: int, seed: int = 7, buckets: int = 16) -> DataFrame:
+def concat_pack(df: DataFrame, L: int, seed: int = 7, buckets: int | None = None) -> DataFrame:
     """Windows of L tokens made of short documents end to end; an incomplete last window is left out."""
     placed = concat_order(df, L, seed, buckets)
     flat = placed.select("category", "bucket", "begin", F.posexplode("toks").alias("i", "tok"))
     at = flat.select("category", "bucket", F.floor((F.col("begin") + F.col("i")) / L).alias("bin"), ((F.col("begin") + F.col("i")) % L).alias("q"), "tok")
     packed = at.groupBy("category", "bucket", "bin").agg(F.transform(F.sort_array(F.collect_list(F.struct("q", "tok"))), lambda x: x["tok"]).alias("toks")).where(F.size("toks") == L)
-    return packed.select(F.xxhash64("category", "bucket", "bin").alias("doc_id"), "category", F.lit(0).cast("long").alias("start"), F.lit(0).alias("ord"), F.lit("packed").alias("part"), F.lit(L).cast("long").alias("n"), "toks", F.lit(L).alias("len"))
+    return packed.select(F.xxhash64("category", "bucket", "bin").alias("doc_id"), "category", "bucket", "bin", F.lit(0).cast("long").alias("start"), F.lit(0).alias("ord"), F.lit("packed").alias("part"), F.lit(L).cast("long").alias("n"), "toks", F.lit(L).alias("len"))
 
 
 def coverage(df: DataFrame, L: int) -> DataFrame:

@@ -115,9 +115,10 @@ ORACLES: dict[str, str] = {
     "stride_windows": with_(tokens()) + f"select doc_id, unnest(range(0, n - {L} + 1, 64))::bigint as start from tok where n >= {L}",
     "concat_pack": with_(tokens())
     + f""", shorts as (select *, md5(concat_ws(':', '7', doc_id::varchar)) as key from tok where n < {L} and n > 0),
- dealt as (select *, ('0x' || substr(key, 1, 4))::bigint % 16 as bucket from shorts),
- placed as (select *, sum(n) over (partition by category, bucket order by key, doc_id) - n as b from dealt)
- select category, (sum(n) // {L})::bigint as windows, sum(n)::bigint as tokens, bucket::int as bucket from dealt group by category, bucket""",
+ dealt as (select *, (('0x' || substr(key, 1, 8))::bigint % greatest(16, ((select count(*) from shorts) + 99999) // 100000))::int as bucket from shorts),
+ placed as (select *, sum(n) over (partition by category, bucket order by key, doc_id) - n as b from dealt),
+ flat as (select category, bucket, (b + i)::bigint as pos, toks[i + 1] as tok from (select *, unnest(range(n)) as i from placed))
+ select category, bucket, (pos // {L})::bigint as bin, md5(string_agg(tok, ' ' order by pos)) as h from flat group by category, bucket, pos // {L} having count(*) = {L}""",
     "attention_scores": with_(*SCORED) + "select doc_id, category, start, round(ds * 1e6)::bigint as ds_e6, round(du * 1e9)::bigint as du_e9, round(sink * 1e6)::bigint as sink_e6 from raw",
     "attention_multi_k": with_(*BASE, cells())
     + ", by_k as (select doc_id, start, k, sum(case when i <= q - k then w / tot else 0 end) as fs, sum(case when i <= q - k then (w / tot) * (w / tot) else 0 end) as ss from cell join row_stat using (doc_id, category, start, q), (select unnest([16, 32, 64])::int as k) group by all), "
@@ -164,9 +165,13 @@ ORACLES: dict[str, str] = {
     ),
     "diversity": with_(*RANKED, choice(5, BY_LDS, "lds", "a"), choice(5, BY_HASH, "win", "b"))
     + f""", picks as (select 'attention' as method, doc_id, start from a union all select 'random', doc_id, start from b),
- pt as (select p.method, p.doc_id, p.start, list_slice(w.toks, p.start + 1, p.start + {L}) as toks from picks p join win w using (doc_id, start)),
- words as (select method, unnest(toks) as tok from pt)
- select method, count(*) as windows, count(distinct doc_id) as documents, count(distinct md5(array_to_string(toks, ' '))) as distinct_windows, (select count(distinct tok) from words x where x.method = pt.method) as types, (select count(*) from words x where x.method = pt.method) as tokens from pt group by method""",
+ pt as (select p.method, p.doc_id, w.category, p.start, list_slice(w.toks, p.start + 1, p.start + {L}) as toks from picks p join win w using (doc_id, start)),
+ words as (select method, unnest(toks) as tok from pt),
+ marks as (select distinct method, doc_id, start, g from (select method, doc_id, start, md5(array_to_string(list_slice(toks, i, i + 7), ' ')) as g from (select *, unnest(range(1, {L} - 6)) as i from pt)) where ends_with(g, '0')),
+ again as (select method, doc_id, start, avg(case when row(doc_id, start) <> f then 1 else 0 end) as again from (select *, min(row(doc_id, start)) over (partition by method, g) as f from marks) group by all),
+ big as (select method, max(n) / sum(n) as largest from (select method, category, count(*) as n from pt group by all) group by method)
+ select method, count(*) as windows, count(distinct doc_id) as documents, count(distinct md5(array_to_string(toks, ' '))) as distinct_windows, (select count(distinct tok) from words x where x.method = pt.method) as types, (select count(*) from words x where x.method = pt.method) as tokens,
+ round((select largest from big where big.method = pt.method), 6) as largest_category, round((select count(*) from again x where x.method = pt.method and x.again >= 0.5) / count(*), 6) as near_copies from pt group by method""",
     "cost_model": with_(*BASE)
     + """, n as (select count(*)::bigint as windows from win), m as (select model, d::bigint as d, heads::bigint as heads, kv::bigint as kv, width::bigint as width from (values ('small', 128, 4, 2, 32), ('large', 512, 8, 2, 64)) t(model, d, heads, kv, width)),
  c as (select model, windows, heads * width * 128 * 129 // 2 + 128 * d * width * (heads + kv) as ops from m, n)
@@ -189,7 +194,7 @@ ORACLES: dict[str, str] = {
  select item_id, doc_id, count(*) as shared from dg join ig using (g) group by all""".replace("\\\\", "\\"),
     "planted_auc": with_(*BASE)
     + f""", keyed as (select doc_id, category, start, list_slice(toks, start + 1, start + {L}) as tk, md5(concat_ws(':', '7', doc_id::varchar, start::varchar)) as key from win),
- nxt as (select *, lead(tk) over (partition by category, substr(key, 1, 2) order by key) as other from keyed),
+ nxt as (select *, coalesce(lead(tk) over (partition by category order by key, doc_id, start), first_value(tk) over (partition by category order by key, doc_id, start)) as other from keyed),
  made as (select doc_id, category, start * 2 + label as start, label, list_concat(list_slice(tk, 1, {L} - 32), list_slice(case when label = 1 then tk else other end, 1, 32)) as toks from nxt, (select unnest([0, 1]) as label) where other is not null),
  """
     + cells(source="made").replace(f"list_slice(toks, start + 1, start + {L})", "toks")
@@ -215,5 +220,95 @@ def scale_cells() -> str:
  from steps join lds z using (doc_id, start) left join labels using (doc_id) group by method, step"""
 
 
-ORACLES["scale_grid"] = scale_cells()
-ORACLES["fixed_scale"] = "select * from (" + scale_cells() + ") where step = 5 or (method = 'random' and step in (10, 20))"
+def scale_sizes() -> str:
+    """Sizes of all sets of the data-scale comparison, from the quotas alone."""
+    sizes = " union all ".join(f"select {s}::int as step, sum(quota)::bigint as windows, sum(quota)::bigint * {L} as tokens, count(*) filter (quota > 0) as categories, max(quota)::bigint as deepest_rank from q{s}" for s in LADDER)
+    return with_(*BASE, *[quota(wanted(s), "win", f"q{s}") for s in LADDER]) + f", sizes as ({sizes}) select method, step, windows, tokens, categories, deepest_rank from sizes, (select unnest(['random', 'segments', 'attention_small', 'attention_large']) as method) where step <= 10 or method = 'random'"
+
+
+def sampled_rows(rows: int) -> list[int]:
+    """Rows (from 1) that the estimator computes: the middles of equal strata of those that can look far."""
+    import numpy as np
+
+    edges = np.linspace(K, L, min(rows, L - K) + 1)
+    return (np.unique(((edges[:-1] + edges[1:]) / 2).astype(int)) + 1).tolist()
+
+
+def sampled_scores(rows: int = 24) -> str:
+    at = sampled_rows(rows)
+    r = len(at)
+    return with_(*SCORED) + f""", own as (select doc_id, start, q, f / tot as f, f / tot - lag(f / tot) over (partition by doc_id, start order by q) as step from row_stat where q in ({", ".join(map(str, at))})),
+ est as (select doc_id, start, {L - K} / {L}.0 * avg(f) as ds_hat, {L - K} / {L}.0 * sqrt(coalesce(sum(step * step), 0) / 2 / {max(1, r - 1)} / {r}) as se from own group by all),
+ met as (select est.*, ds_hat - ds as off from est join raw using (doc_id, start))
+ select count(*) as windows, round(sqrt(avg(off * off)), 6) as rmse, round(avg(off), 6) as bias, round(avg(case when abs(off) <= 2 * se then 1 else 0 end), 6) as within_2se from met"""
+
+
+def proxy(name: str, picked: str, held: str) -> str:
+    """Relation ``out_<name>``: the proxy model fitted on the windows of one relation (doc_id, start, tk), judged on another."""
+    flat = lambda rel: f"select doc_id, start, i, tk[i + 1] as tok, case when i > 0 then tk[i] end as prev from (select *, unnest(range(len(tk))) as i from {rel})"
+    classed = lambda rel: f"select x.*, k.p, coalesce(k.tok, ' ') as now_, case when x.prev is not null then coalesce(h.tok, ' ') end as last_ from {rel} x left join kn_{name} k on k.tok = x.tok left join kn_{name} h on h.tok = x.prev"
+    return f"""fl_{name} as materialized ({flat(picked)}),
+ kn_{name} as (select tok, c / ((select count(*) from fl_{name}) + 1)::double as p from (select tok, count(*) as c from fl_{name} group by tok order by c desc, tok limit 2000)),
+ bi_{name} as (select last_, now_, count(*) as n2 from ({classed(f"fl_{name}")}) where last_ is not null group by all),
+ he_{name} as (select last_, sum(n2) as n1 from bi_{name} group by last_),
+ la_{name} as (select greatest(0.01, least(0.5, avg(case when i - m >= {K} then 1 else 0 end))) as lam from (select i, min(i) over (partition by doc_id, start, tok) as m from fl_{name})),
+ hf_{name} as ({flat(held)}),
+ hc_{name} as (select *, count(*) over (partition by doc_id, start, tok order by i range between unbounded preceding and {K} preceding) as seen from ({classed(f"hf_{name}")})),
+ hp_{name} as (select c.i, coalesce(p, (select 1 - sum(p) from kn_{name})) as one, n1, coalesce(n2, 0) as n2, case when i >= {K} then seen / greatest(1, i - {K} + 1)::double else 0 end as cache, case when i >= {K} then lam else 0 end as w, lam from hc_{name} c left join bi_{name} b on b.last_ = c.last_ and b.now_ = c.now_ left join he_{name} h on h.last_ = c.last_, la_{name}),
+ out_{name} as (select '{name}' as method, round(avg(-ln(greatest((1 - w) * case when n1 is not null then 0.5 * one + 0.5 * n2 / n1::double else one end + w * cache, 1e-12))), 6) as nats, count(*) as tokens, round(max(w), 6) as far_rate from hp_{name})"""
+
+
+def proxy_rows(held: str) -> str:
+    cut = f"wtk as materialized (select doc_id, start, list_slice(toks, start + 1, start + {L}) as tk from win)"
+    chosen = ",\n ".join(f"p_{n} as (select wtk.* from wtk join {r} using (doc_id, start))" for n, r in (("attention", "a"), ("random", "b")))
+    return with_(*RANKED, choice(5, BY_LDS, "lds", "a"), choice(5, BY_HASH, "win", "b"), cut, chosen, held, proxy("attention", "p_attention", "held"), proxy("random", "p_random", "held")) + "select * from out_attention union all select * from out_random"
+
+
+def second_order() -> str:
+    """Segment scores with pairs of neighbours as units, against the counts of all pairs."""
+    return (
+        with_(*BASE, WT)
+        + f""", pw as (select *, (q - 1) // {SEG} as s, lag(tok) over (partition by doc_id, start order by q) as prev from wt),
+ cnt as (select prev || chr(1) || tok as u, count(*) as c from pw where prev is not null group by all),
+ sz as (select sum(c) as n, count(*) as v from cnt),
+ bag as (select doc_id, category, start, s, case when (q - 1) % {SEG} = 0 then '' else prev end || chr(1) || tok as u, count(*) as c from pw group by all),
+ seg as (select bag.*, (coalesce(cnt.c, 0) + 1) / (n + v)::double as p0 from bag left join cnt using (u), sz),
+ shared as (select a.doc_id, a.start, a.s as si, b.s as sj, sum(a.c * ln(1 + b.c * {BETA} / (a.p0 * {SEG} * (1 - {BETA})))) as g from seg a join bag b on a.doc_id = b.doc_id and a.start = b.start and a.u = b.u and b.s < a.s group by all),
+ each as (select doc_id, category, start, unnest(range(0, {L // SEG})) as si from win),
+ pair as (select x.*, y.si as sj, coalesce(g, 0) as g from each x join each y on x.doc_id = y.doc_id and x.start = y.start and y.si < x.si left join shared h on h.doc_id = x.doc_id and h.start = x.start and h.si = x.si and h.sj = y.si)
+ select doc_id, category, start, {L} as len, round(avg(greatest(0, 1 - exp(-({SEG} * ln(1 - {BETA}) + g) / {SEG})) * (si - sj) / {L // SEG}), 6) as spb, count(*) as model_calls from pair group by all"""
+    )
+
+
+def units() -> str:
+    """Coherence and cohesion over sentences and over paragraphs."""
+    text = "regexp_replace(coalesce(text, ''), '([^\\x20\\x09-\\x0D])[\\x20\\x09-\\x0D]*\\n[\\x20\\x09-\\x0D]*', '\\1\u2029 ', 'g')"
+    ends = {"sentences": "regexp_matches(rtrim(tok, '\u2029'), '[.!?\u2026][\"'')\\]\u00bb\u201d\u2019]*$')", "paragraphs": "ends_with(tok, '\u2029')"}
+    parts = []
+    for name, end in ends.items():
+        parts.append(f"""u_{name} as (select doc_id, start, rtrim(tok, '\u2029') as tok, coalesce(sum(case when {end} then 1 else 0 end) over (partition by doc_id, start order by q rows between unbounded preceding and 1 preceding), 0) as u from wt),
+ c_{name} as (select doc_id, start, u, tok, count(*) as c from u_{name} group by all),
+ n_{name} as (select doc_id, start, u, sqrt(sum(c * c)) as norm, count(*) as types from c_{name} group by all),
+ m_{name} as (select a.doc_id, a.start, a.u, sum(a.c * b.c) as dot, count(*) as common from c_{name} a join c_{name} b on a.doc_id = b.doc_id and a.start = b.start and a.tok = b.tok and b.u = a.u - 1 group by all),
+ r_{name} as (select a.doc_id, a.start, avg(coalesce(dot / (a.norm * b.norm), 0)) as coherence, avg(coalesce(common / a.types::double, 0)) as cohesion from n_{name} a join n_{name} b on a.doc_id = b.doc_id and a.start = b.start and b.u = a.u - 1 left join m_{name} m on m.doc_id = a.doc_id and m.start = a.start and m.u = a.u group by all),
+ o_{name} as (select '{name}' as units, x.doc_id, x.start, x.n_units, round(coalesce(coherence, 0), 6) as coherence, round(coalesce(cohesion, 0), 6) as cohesion from (select doc_id, start, count(*) as n_units from n_{name} group by all) x left join r_{name} using (doc_id, start))""")
+    return with_(f"marked as (select doc_id, lang, {text} as text from documents)", tokens("marked"), windows(), WT, *parts) + "select * from o_sentences union all select * from o_paragraphs"
+
+
+_HELD = "used as (select doc_id from a union select doc_id from b), hashed as (select *, md5(array_to_string(tk, ' ')) as h from wtk), held as (select doc_id, start, tk from hashed where doc_id not in (select doc_id from used) and h not in (select h from hashed where doc_id in (select doc_id from used)))"
+_ROBUST = "mid as (select quantile_disc(ds, 0.5) as ds_m, quantile_disc(du, 0.5) as du_m from raw), mad as (select 1.4826 * quantile_disc(abs(ds - ds_m), 0.5) as ds_s, 1.4826 * quantile_disc(abs(du - du_m), 0.5) as du_s from raw, mid)"
+_FRONT = f"pre as (select doc_id, category, start, list_concat(['<s>'], list_slice(toks, start + 1, start + {L})) as toks from win)"
+
+ORACLES["scale_grid_hexdot"] = scale_cells()
+ORACLES["scale_grid"] = scale_sizes()
+ORACLES["fixed_scale"] = "select * from (" + scale_sizes() + ") where step = 5 or (method = 'random' and step in (10, 20))"
+ORACLES["score_sampled"] = sampled_scores()
+ORACLES["lds_scores_robust"] = with_(*SCORED, _ROBUST) + "select doc_id, category, start, round(case when ds_s > 0 then (ds - ds_m) / ds_s else 0 end + 0.5 * case when du_s > 0 then (du - du_m) / du_s else 0 end, 5) as lds from raw, mid, mad"
+ORACLES["spb_scores_pairs_order2"] = second_order()
+ORACLES["proxy_lm"] = proxy_rows(_HELD)
+ORACLES["short_guard"] = proxy_rows(f"held as (select doc_id, 0::bigint as start, toks as tk from tok where n < {L} and n >= 8)")
+ORACLES["linguistic_units"] = units()
+ORACLES["select_random_threshold"] = with_(*BASE, choice(5, BY_HASH, "win", "best")) + "select category, doc_id, start from best"
+ORACLES["distinct_token_counts"] = with_(*BASE) + f"select category, sum((n + {L} - 1) // {L})::bigint as windows, sum((n + {L} - 1) // {L} * {L})::bigint as tokens, sum(n)::bigint as distinct from tok where n >= {L} group by category".replace("as distinct", 'as "distinct"')
+ORACLES["front_token_scores"] = with_(*BASE, _FRONT, cells(L + 1, K, "pre").replace(f"list_slice(toks, start + 1, start + {L + 1})", "toks"), raw(L + 1, K)) + "select doc_id, category, start, len, round(ds * 1e6)::bigint as ds_e6, round(du * 1e9)::bigint as du_e9, round(sink * 1e6)::bigint as sink_e6 from raw"
+ORACLES["cost_ratios"] = with_(*BASE) + ", n as (select count(*)::bigint as n from win) select method, model, n * t as token_evaluations, round(t / 128.0, 6) as ratio from n, (values ('attention', 128::bigint), ('segments', 512::bigint)) m(method, t), (select unnest(['small', 'large']) as model)"

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from farspan.functions.columns import scaled
 from farspan.operators import baselines, cells, evaluate, profiles, score, select, windows
 from farspan.sources import tables
+from farspan.sources.intermediate import written
 
 L, K = 128, 32
 Query = Callable[[SparkSession, str], DataFrame]
@@ -24,9 +25,9 @@ def tok(spark: SparkSession, d: str, mode: str = "word") -> DataFrame:
 
 
 def win(spark: SparkSession, d: str, L: int = L) -> DataFrame:
-    """Windows of all documents, dealt evenly: the scan of a small table is one task."""
-    long = windows.long_only(tables.read_corpus(spark, d), L)
-    return windows.spread(windows.cut(windows.tokenize(long), L))
+    """Windows of all documents; the text rows of a small table, whose scan is one task, are dealt over the cores."""
+    long = windows.spread(windows.long_only(tables.read_corpus(spark, d), L))
+    return windows.cut(windows.tokenize(long), L)
 
 
 def raw(spark: SparkSession, d: str, profile=None, k: int | list[int] = K, **more) -> DataFrame:
@@ -34,8 +35,8 @@ def raw(spark: SparkSession, d: str, profile=None, k: int | list[int] = K, **mor
 
 
 def standard(spark: SparkSession, d: str) -> DataFrame:
-    """Raw scores with z-scores.  Scores are kept: ranking, counting and joining read them more than once."""
-    return score.standardize(raw(spark, d).drop("cpu_ms").persist())
+    """Raw scores with z-scores.  Scores are written: ranking, counting and joining read them more than once."""
+    return score.standardize(written(raw(spark, d).drop("cpu_ms"), "raw"))
 
 
 def combined(spark: SparkSession, d: str, alpha: float = 0.5) -> DataFrame:
@@ -86,8 +87,9 @@ def stride_windows(s: SparkSession, d: str) -> DataFrame:
 
 
 def concat_pack(s: SparkSession, d: str) -> DataFrame:
-    placed = windows.concat_order(tok(s, d), L, 7)
-    return placed.groupBy("category", "bucket").agg(F.floor(F.sum("n") / L).cast("long").alias("windows"), F.sum("n").alias("tokens"))
+    """Short documents packed end to end: the text of every full window."""
+    packed = windows.concat_pack(tok(s, d), L, 7)
+    return packed.select("category", "bucket", F.col("bin").cast("long").alias("bin"), F.md5(F.concat_ws(" ", "toks")).alias("h"))
 
 
 def clean_documents(s: SparkSession, d: str) -> DataFrame:
@@ -128,7 +130,7 @@ def cumulative_attention(s: SparkSession, d: str) -> DataFrame:
 
 
 def score_moments(s: SparkSession, d: str) -> DataFrame:
-    r = raw(s, d).persist()
+    r = written(raw(s, d).drop("cpu_ms"), "raw")
     both = score.moments(r).union(score.moments(r, "category"))
     return both.select("scope", "n", F.round("ds_mean", 6).alias("ds_mean"), F.round("ds_sd", 6).alias("ds_sd"), F.round("du_mean", 9).alias("du_mean"), F.round("du_sd", 9).alias("du_sd"))
 
@@ -138,12 +140,12 @@ def lds_scores(s: SparkSession, d: str) -> DataFrame:
 
 
 def lds_scores_by_category(s: SparkSession, d: str) -> DataFrame:
-    z = score.combine(score.standardize(raw(s, d).persist(), "category"))
+    z = score.combine(score.standardize(written(raw(s, d).drop("cpu_ms"), "raw"), "category"))
     return z.select("doc_id", "category", "start", F.round("lds", 5).alias("lds"))
 
 
 def lds_scores_robust(s: SparkSession, d: str) -> DataFrame:
-    z = score.combine(score.standardize(raw(s, d).persist(), method="robust"))
+    z = score.combine(score.standardize(written(raw(s, d).drop("cpu_ms"), "raw"), method="robust"))
     return z.select("doc_id", "category", "start", F.round("lds", 5).alias("lds"))
 
 
@@ -167,7 +169,7 @@ def score_sampled(s: SparkSession, d: str) -> DataFrame:
     exact = score.score_windows(w, p, K).select("doc_id", "start", "ds")
     met = score.score_sampled(w, p, K, 24).join(exact, ["doc_id", "start"])
     off = F.col("ds_hat") - F.col("ds")
-    return met.agg(F.count("*").alias("windows"), F.sqrt(F.avg(off * off)).alias("rmse"), F.avg(off).alias("bias"), F.avg((F.abs(off) <= 2 * F.col("se")).cast("int")).alias("within_2se"))
+    return met.agg(F.count("*").alias("windows"), F.round(F.sqrt(F.avg(off * off)), 6).alias("rmse"), F.round(F.avg(off), 6).alias("bias"), F.round(F.avg((F.abs(off) <= 2 * F.col("se")).cast("int")), 6).alias("within_2se"))
 
 
 # --- selection ----------------------------------------------------------------------------------------------
@@ -212,18 +214,17 @@ def spb_scores(s: SparkSession, d: str) -> DataFrame:
 
 def spb_parts(s: SparkSession, d: str) -> DataFrame:
     """The segment scorer's ingredients alone, and their sum instead of their product."""
-    w, keys = win(s, d), ["doc_id", "start"]
-    part = lambda how, name: baselines.segment_scores(w, how=how).select(*keys, F.round("spb", 6).alias(name))
-    return part("gain", "gain").join(part("dist", "dist"), keys).join(part("sum", "both"), keys)
+    parts = baselines.segment_scores(win(s, d), how=("gain", "dist", "sum"))
+    return parts.select("doc_id", "start", *[F.round(f"spb_{h}", 6).alias(n) for h, n in (("gain", "gain"), ("dist", "dist"), ("sum", "both"))])
 
 
 def spb_scores_pairs_order2(s: SparkSession, d: str) -> DataFrame:
     """The larger stand-in model, window by window, against the counts of all neighbouring pairs."""
-    return baselines.segment_scores_joined(win(s, d), order=2).drop("cpu_ms")
+    return baselines.segment_scores(win(s, d), order=2).select("doc_id", "category", "start", "len", F.round("spb", 6).alias("spb"), "model_calls")
 
 
 def select_spb(s: SparkSession, d: str) -> DataFrame:
-    return best(baselines.segment_scores(win(s, d)).persist(), 5, "spb", "segments").select("category", "doc_id", "start", "rnk")
+    return best(written(baselines.segment_scores(win(s, d)), "spb"), 5, "spb", "segments").select("category", "doc_id", "start", "rnk")
 
 
 def linguistic_metrics(s: SparkSession, d: str) -> DataFrame:
@@ -231,6 +232,13 @@ def linguistic_metrics(s: SparkSession, d: str) -> DataFrame:
     return m.select("doc_id", "category", "start", *[F.round(c, 6).alias(c) for c in ("type_token", "entropy", "coherence", "cohesion")])
 
 
+def linguistic_units(s: SparkSession, d: str) -> DataFrame:
+    """The same over sentences and over paragraphs."""
+    cut = windows.cut(windows.tokenize(windows.spread(windows.long_only(tables.read_corpus(s, d), L, "lines")), "lines"), L)
+    one = lambda units: baselines.linguistic(cut, units=units).select(F.lit(units).alias("units"), "doc_id", "start", F.col("units").cast("long").alias("n_units"), *[F.round(c, 6).alias(c) for c in ("coherence", "cohesion")])
+    return one("sentences").unionByName(one("paragraphs"))
+
+
 # --- measures and experiments -------------------------------------------------------------------------------
 
 
@@ -272,25 +280,99 @@ def alpha_ablation(s: SparkSession, d: str) -> DataFrame:
 
 def diversity(s: SparkSession, d: str) -> DataFrame:
     picks = select_top_budget(s, d).select("method", "doc_id", "start").unionByName(select_random(s, d).select(F.lit("random").alias("method"), "doc_id", "start"))
-    return evaluate.diversity(picks.join(win(s, d).select("doc_id", "start", "toks"), ["doc_id", "start"]), "method")
+    found = evaluate.diversity(picks.join(win(s, d).select("doc_id", "category", "start", "toks"), ["doc_id", "start"]), "method")
+    return found.select("method", "windows", "documents", "distinct_windows", "types", "tokens", F.round("largest_category", 6).alias("largest_category"), F.round("near_copies", 6).alias("near_copies"))
+
+
+def select_random_threshold(s: SparkSession, d: str) -> DataFrame:
+    w = win(s, d).drop("toks")
+    return select.random_by_threshold(w, budget(select.category_counts(w), 5), L).select("category", "doc_id", "start")
+
+
+def distinct_token_counts(s: SparkSession, d: str) -> DataFrame:
+    """Tokens of all windows, and those counted once where windows overlap."""
+    return select.distinct_tokens(win(s, d).drop("toks"))
+
+
+def front_token_scores(s: SparkSession, d: str) -> DataFrame:
+    """Scores with a special token before every window."""
+    r = raw(s, d, front="<s>")
+    return r.select("doc_id", "category", "start", "len", scaled(F.col("ds"), 6).alias("ds_e6"), scaled(F.col("du"), 9).alias("du_e9"), scaled(F.col("sink_share"), 6).alias("sink_e6"))
+
+
+def piece_tokens(s: SparkSession, d: str) -> DataFrame:
+    """Documents in pieces of a public subword model, and their windows of 512."""
+    t = tok(s, d, "piece")
+    return t.select("doc_id", "category", "n", F.md5(F.concat_ws(" ", "toks")).alias("h"), F.when(F.col("n") >= 512, F.ceil(F.col("n") / 512)).otherwise(0).cast("long").alias("windows"))
+
+
+def profile_scores(s: SparkSession, d: str, name: str) -> DataFrame:
+    """Combined scores under one of the named profiles, kept, as ranking reads them more than once."""
+    return score.combine(score.standardize(written(raw(s, d, profiles.named(name)).drop("cpu_ms"), f"raw-{name}")))
+
+
+def select_small(s: SparkSession, d: str) -> DataFrame:
+    """The choices at 1, 3, 5, 10 (and 20) units by the small profile."""
+    return select.ladder(profile_scores(s, d, "small"), L, method="attention_small")
+
+
+def select_large(s: SparkSession, d: str) -> DataFrame:
+    return select.ladder(profile_scores(s, d, "large"), L, method="attention_large")
+
+
+#: Published sets: random to 20 units, the scorers to 10.
+METHODS = ("random", "segments", "attention_small", "attention_large")
+
+
+def _all_rungs(s: SparkSession, d: str) -> tuple[DataFrame, dict[str, DataFrame]]:
+    """Every (method, step, doc_id, start) of the data-scale comparison, and the scores behind it."""
+    spb = written(baselines.segment_scores(win(s, d)), "spb")
+    scored = {"attention_small": profile_scores(s, d, "small"), "attention_large": profile_scores(s, d, "large")}
+    rungs = select.ladder(spb, L, score="spb", method="segments").unionByName(random_ladder(s, d))
+    for name, z in scored.items():
+        rungs = rungs.unionByName(select.ladder(z, L, method=name))
+    return _steps(rungs).where("step <= 10 or method = 'random'"), scored
+
+
+def scale_grid(s: SparkSession, d: str) -> DataFrame:
+    """All 17 sets of the data-scale comparison: method x budget, with their sizes."""
+    steps, _ = _all_rungs(s, d)
+    return steps.groupBy("method", "step").agg(F.count("*").alias("windows"), (F.count("*") * L).alias("tokens"), F.count_distinct("category").alias("categories"), F.max("rnk").alias("deepest_rank"))
+
+
+def fixed_scale(s: SparkSession, d: str) -> DataFrame:
+    """The six sets of the comparison at one scale."""
+    return scale_grid(s, d).where("step = 5 or (method = 'random' and step in (10, 20))")
+
+
+def scale_measures(s: SparkSession, d: str) -> DataFrame:
+    """The 17 sets with the stand-in measures: strength under both profiles, label rates, documents, and the retrieval
+    accuracy of the profile that chose (null for methods without one)."""
+    steps, scored = _all_rungs(s, d)
+    z = {n: x.select("doc_id", "start", F.col("ds_z").alias(f"z_{n}")) for n, x in scored.items()}
+    met = steps.join(z["attention_small"], ["doc_id", "start"]).join(z["attention_large"], ["doc_id", "start"]).join(tables.table(s, d, "labels", "doc_id", "quality", "toxic"), "doc_id", "left")
+    found = met.groupBy("method", "step").agg(F.count("*").alias("windows"), F.avg("z_attention_small").alias("ds_z_small"), F.avg("z_attention_large").alias("ds_z_large"), F.avg("quality").alias("good"), F.avg("toxic").alias("toxic"), F.count_distinct("doc_id").alias("documents"))
+    accuracy = niah_by_profile(s, d).where("task = 'mean'").select(F.concat(F.lit("attention_"), "profile").alias("method"), F.col("accuracy").alias("retrieval"))
+    return found.join(F.broadcast(accuracy), "method", "left")
 
 
 def _grid(s: SparkSession, d: str) -> DataFrame:
     z = combined(s, d)
-    spb = baselines.segment_scores(win(s, d)).persist()
+    spb = written(baselines.segment_scores(win(s, d)), "spb")
     rungs = select.ladder(z, L).unionByName(random_ladder(s, d)).unionByName(select.ladder(spb, L, score="spb", method="segments"))
     steps = _steps(rungs).where("step <= 10 or method = 'random'")
     met = steps.join(z.select("doc_id", "start", "ds_z"), ["doc_id", "start"]).join(tables.table(s, d, "labels", "doc_id", "quality", "toxic"), "doc_id", "left")
     return met.groupBy("method", "step").agg(F.count("*").alias("windows"), F.round(F.avg("ds_z"), 5).alias("mean_ds_z"), F.round(F.avg("quality"), 6).alias("good"), F.round(F.avg("toxic"), 6).alias("toxic"), F.count_distinct("doc_id").alias("documents"))
 
 
-def scale_grid(s: SparkSession, d: str) -> DataFrame:
-    """Method x budget, each with the stand-in measures."""
+def scale_grid_hexdot(s: SparkSession, d: str) -> DataFrame:
+    """Method x budget under the profile that SQL can follow, each with the stand-in measures."""
     return _grid(s, d)
 
 
-def fixed_scale(s: SparkSession, d: str) -> DataFrame:
-    return _grid(s, d).where("step = 5 or (method = 'random' and step in (10, 20))")
+def cost_ratios(s: SparkSession, d: str) -> DataFrame:
+    """Token evaluations of each method and model against the attention scorer with the small model."""
+    return evaluate.ratios(evaluate.cost_rows(win(s, d).drop("toks"), L, 32), "token_evaluations").select("method", "model", "token_evaluations", F.round("ratio", 6).alias("ratio"))
 
 
 def cost_model(s: SparkSession, d: str) -> DataFrame:
@@ -300,13 +382,13 @@ def cost_model(s: SparkSession, d: str) -> DataFrame:
 
 def cost_grid(s: SparkSession, d: str) -> DataFrame:
     """CPU time of both methods and both model sizes over the same windows."""
-    w = win(s, d).persist()
+    w = written(win(s, d), "windows")
     rows = None
     for name in ("small", "large"):
         own = score.score_windows(w, profiles.named(name), K).agg(F.lit("attention").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("pair_ops").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
         rows = own if rows is None else rows.unionByName(own)
     for name, order in (("small", 1), ("large", 2)):
-        own = baselines.segment_scores_joined(w, order=order).agg(F.lit("segments").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("model_calls").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
+        own = baselines.segment_scores(w, order=order).agg(F.lit("segments").alias("method"), F.lit(name).alias("model"), F.count("*").alias("windows"), F.sum("model_calls").alias("pair_ops"), F.sum("cpu_ms").alias("cpu_ms"))
         rows = rows.unionByName(own)
     return rows
 
@@ -321,9 +403,7 @@ def attention_scores_large(s: SparkSession, d: str) -> DataFrame:
 
 def profile_agreement(s: SparkSession, d: str) -> DataFrame:
     """How alike the small and the large scorer rank and choose."""
-    w, out = win(s, d).persist(), {}
-    for name in ("small", "large"):
-        out[name] = score.combine(score.standardize(score.score_windows(w, profiles.named(name), K).drop("cpu_ms").persist()))
+    out = {name: profile_scores(s, d, name) for name in ("small", "large")}
     same = evaluate.agreement(best(out["small"], 5), best(out["large"], 5))
     ranks = evaluate.rank_correlation(out["small"].select("doc_id", "start", F.col("lds").alias("x")).join(out["large"].select("doc_id", "start", F.col("lds").alias("y")), ["doc_id", "start"]), "x", "y")
     return same.join(F.broadcast(ranks), F.lit(True))
@@ -337,22 +417,44 @@ def corpus_profile_scores(s: SparkSession, d: str) -> DataFrame:
 
 def planted_auc(s: SparkSession, d: str) -> DataFrame:
     """Does strength tell a window with a planted far link from its twin without one?"""
+    return _planted_auc(s, d, profiles.HexDot()).select("positives", "negatives", F.round("auc", 6).alias("auc"))
+
+
+def _planted_auc(s: SparkSession, d: str, profile) -> DataFrame:
     made = evaluate.planted(win(s, d))
-    scored = score.score_windows(windows.spread(made), profiles.HexDot(), K).withColumn("label", F.col("start") % 2)
-    a = evaluate.auc(scored, "ds", "label")
-    return a.select("positives", "negatives", F.round("auc", 6).alias("auc"))
+    scored = written(score.score_windows(made, profile, K).drop("cpu_ms"), "planted").withColumn("label", F.col("start") % 2)
+    return evaluate.auc(scored, "ds", "label")
+
+
+def planted_auc_profiles(s: SparkSession, d: str) -> DataFrame:
+    """The same for the small and the large profile."""
+    out = [_planted_auc(s, d, profiles.named(n)).select(F.lit(n).alias("profile"), "positives", "negatives", "auc") for n in ("small", "large")]
+    return out[0].unionByName(out[1])
 
 
 def sink_by_layer(s: SparkSession, d: str) -> DataFrame:
     return evaluate.sink_by_layer(win(s, d), lambda j: profiles.Decoder(layer=j), 4)
 
 
+def _key(*columns: str):
+    return F.md5(F.concat_ws(":", *columns)).alias("key")
+
+
+def _prose(s: SparkSession, d: str) -> DataFrame:
+    return windows.cut(tok(s, d), L).select(_key("doc_id", "start"), "toks")
+
+
+def _items(s: SparkSession, d: str) -> DataFrame:
+    return tables.table(s, d, "benchmark", "item_id", "text").select(_key("item_id"), windows.tokens(F.col("text")).alias("passage"))
+
+
+def _cores(s: SparkSession) -> int:
+    return max(8, int(s.conf.get("spark.sql.shuffle.partitions")))
+
+
 def _haystacks(s: SparkSession, d: str) -> DataFrame:
     """Every window of every category with the text of a test item to hide in it; see ``evaluate.haystacks``."""
-    key = lambda *c: F.md5(F.concat_ws(":", *c)).alias("key")
-    prose = windows.cut(tok(s, d), L).select(key("doc_id", "start"), "toks")
-    items = tables.table(s, d, "benchmark", "item_id", "text").select(key("item_id"), windows.tokens(F.col("text")).alias("passage"))
-    return evaluate.haystacks(prose, items).repartition(max(8, int(s.conf.get("spark.sql.shuffle.partitions"))))
+    return evaluate.haystacks(_prose(s, d), _items(s, d)).repartition(_cores(s))
 
 
 def niah_probes(s: SparkSession, d: str) -> DataFrame:
@@ -364,9 +466,25 @@ def niah_accuracy(s: SparkSession, d: str) -> DataFrame:
     return evaluate.accuracy(hits)
 
 
+def niah_by_profile(s: SparkSession, d: str) -> DataFrame:
+    """Retrieval of each profile: every test item once, in a window of its rank, at every task and depth."""
+    prose, items = _prose(s, d), _items(s, d)
+    n = max(1, prose.count())
+    ranked = evaluate.numbered(prose, "key", "w").select("w", "toks")
+    none = F.array().cast("array<string>")
+    hay = evaluate.numbered(items, "key", "i").withColumn("w", F.col("i") % n).join(ranked, "w", "left")
+    asked = written(evaluate.probes(hay.select(F.col("i").alias("doc_id"), F.coalesce("toks", none).alias("toks"), "passage").repartition(_cores(s))), "probes")
+    out = None
+    for name in ("hexdot", "small", "large"):
+        row = evaluate.accuracy(evaluate.probe_hits(asked, profiles.named(name), 16)).select(F.lit(name).alias("profile"), "task", "accuracy", "probes")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def ruler_probes(s: SparkSession, d: str) -> DataFrame:
+    """All 13 tasks at all depths."""
     tasks = (*evaluate.NIAH, *evaluate.RULER_MORE)
-    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d), tasks, (0.0, 0.5)), profiles.HexDot(), 16)
+    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d), tasks), profiles.HexDot(), 16)
     return evaluate.accuracy(hits)
 
 
@@ -384,32 +502,34 @@ def longbench_groups(s: SparkSession, d: str) -> DataFrame:
     return groups.join(F.broadcast(means), "method").select("method", "group", "score", "macro_mean", "task_mean")
 
 
+def _choices(s: SparkSession, d: str) -> dict[str, DataFrame]:
+    z = combined(s, d)
+    return {"attention": best(z, 5), "random": select.random_by_budget(z, budget(select.category_counts(z), 5), L)}
+
+
+def _proxy(s: SparkSession, w: DataFrame, choices: dict[str, DataFrame], held: DataFrame) -> DataFrame:
+    out = None
+    for name, picked in choices.items():
+        row = evaluate.proxy_lm(picked.select("doc_id", "start").join(w, ["doc_id", "start"]), held, K)
+        row = row.select(F.lit(name).alias("method"), F.round("nats", 6).alias("nats"), "tokens", F.round("far_rate", 6).alias("far_rate"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 def proxy_lm(s: SparkSession, d: str) -> DataFrame:
     """Held-out nats per token of the proxy model fitted on each choice; held out are windows of other documents
     whose text no choice holds."""
-    w, out = win(s, d).persist(), None
-    z = score.combine(score.standardize(score.score_windows(w, profiles.HexDot(), K).drop("cpu_ms").persist()))
-    choices = {"attention": best(z, 5), "random": select.random_by_budget(z, budget(select.category_counts(z), 5), L)}
+    w, choices = win(s, d), _choices(s, d)
     used = choices["attention"].select("doc_id").union(choices["random"].select("doc_id")).distinct()
     hashed = w.withColumn("h", F.md5(F.concat_ws(" ", "toks")))
-    held = hashed.join(used, "doc_id", "left_anti").join(hashed.join(used, "doc_id", "left_semi").select("h").distinct(), "h", "left_anti").drop("h").persist()
-    for name, picked in choices.items():
-        row = evaluate.proxy_lm(picked.select("doc_id", "start").join(w, ["doc_id", "start"]), held, K).select(F.lit(name).alias("method"), "nats", "tokens", "far_rate")
-        out = row if out is None else out.unionByName(row)
-    return out
+    held = hashed.join(used, "doc_id", "left_anti").join(hashed.join(used, "doc_id", "left_semi").select("h").distinct(), "h", "left_anti").drop("h")
+    return _proxy(s, w, choices, written(held, "held-out"))
 
 
 def short_guard(s: SparkSession, d: str) -> DataFrame:
     """The same proxy on short documents: does the choice hurt them?"""
-    t = tok(s, d)
-    short = t.where((F.col("n") < L) & (F.col("n") >= 8)).select("doc_id", "category", F.lit(0).cast("long").alias("start"), F.col("n").cast("int").alias("len"), "toks")
-    w = win(s, d).persist()
-    z = score.combine(score.standardize(score.score_windows(w, profiles.HexDot(), K).drop("cpu_ms").persist()))
-    out = None
-    for name, picked in {"attention": best(z, 5), "random": select.random_by_budget(z, budget(select.category_counts(z), 5), L)}.items():
-        row = evaluate.proxy_lm(picked.select("doc_id", "start").join(w, ["doc_id", "start"]), short, K).select(F.lit(name).alias("method"), "nats", "tokens")
-        out = row if out is None else out.unionByName(row)
-    return out
+    short = tok(s, d).where((F.col("n") < L) & (F.col("n") >= 8)).select("doc_id", "category", F.lit(0).cast("long").alias("start"), F.col("n").cast("int").alias("len"), "toks")
+    return _proxy(s, win(s, d), _choices(s, d), short)
 
 
 # --- other tables -------------------------------------------------------------------------------------------
@@ -464,8 +584,8 @@ QUERIES: dict[str, Query] = {
     for f in (
         doc_tokens, window_spans, window_spans_char32k, window_branch_counts, window_coverage, naive_truncate, stride_windows, concat_pack, clean_documents,
         attention_scores, attention_multi_k, token_strength, attention_variants, cells_reference, cumulative_attention, score_moments, lds_scores, lds_scores_by_category, lds_scores_robust, score_magnitudes, alpha_sweep, document_rollup, score_sampled,
-        select_top_budget, select_by_threshold, select_no_category, select_random, select_ladder, random_ladder, mix_short, spb_scores, spb_parts, spb_scores_pairs_order2, select_spb, linguistic_metrics,
-        label_rates, selection_agreement, alpha_ablation, diversity, scale_grid, fixed_scale, cost_model, cost_grid, attention_scores_small, attention_scores_large, corpus_profile_scores, profile_agreement, planted_auc, sink_by_layer, niah_probes, niah_accuracy, ruler_probes, longbench_groups, proxy_lm, short_guard,
+        select_top_budget, select_by_threshold, select_no_category, select_random, select_ladder, random_ladder, mix_short, spb_scores, spb_parts, spb_scores_pairs_order2, select_spb, linguistic_metrics, linguistic_units, select_random_threshold, distinct_token_counts, front_token_scores, piece_tokens, select_small, select_large,
+        label_rates, selection_agreement, alpha_ablation, diversity, scale_grid, scale_grid_hexdot, fixed_scale, scale_measures, cost_model, cost_ratios, cost_grid, attention_scores_small, attention_scores_large, corpus_profile_scores, profile_agreement, planted_auc, planted_auc_profiles, sink_by_layer, niah_probes, niah_accuracy, niah_by_profile, ruler_probes, longbench_groups, proxy_lm, short_guard,
         conversation_scores, event_sequence_scores, vector_attention, page_windows, benchmark_overlap,
     )
 }

@@ -15,10 +15,10 @@ class LongDependencySelector:
         self.moments: DataFrame | None = None
 
     def windows(self, documents: DataFrame) -> DataFrame:
-        """documents (doc_id, category, text, ..) to windows, dealt evenly."""
+        """documents (doc_id, category, text, ..) to windows; only a scan of fewer tasks than cores is dealt anew, as text."""
         c = self.config
-        long = windows.long_only(documents, c.L, c.token_mode)
-        return windows.spread(windows.cut(windows.tokenize(long, c.token_mode), c.L))
+        long = windows.spread(windows.long_only(documents, c.L, c.token_mode))
+        return windows.cut(windows.tokenize(long, c.token_mode), c.L)
 
     def raw(self, cut: DataFrame) -> DataFrame:
         c = self.config
@@ -34,6 +34,6 @@ class LongDependencySelector:
         return score.combine(score.standardize(raw, self.config.std_scope, known=self.moments), self.config.alpha)
 
     def select(self, scored: DataFrame, budget: int, distributed: bool = False) -> DataFrame:
-        """``distributed``: by sketch threshold, for categories too large to sort in one task."""
+        """``distributed``: by thresholds, without a rank for every window that is taken."""
         chosen = select.top_by_threshold if distributed else select.top_by_budget
         return chosen(scored, budget, self.config.L)
