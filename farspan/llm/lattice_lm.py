@@ -41,9 +41,9 @@ PRIOR_WORDS = 1_000.0
 DISCOUNT = 0.75
 ROUNDS = 2
 #: Share of a class's spare mass that goes to words of all classes before the lattice.
-SHARED = 0.3
+SHARED = 0.15
 #: Strength of the base in a document's urn, in words.
-URN = 1_000.0
+URN = 3_000.0
 MAX_CLASSES = 7
 #: Words whose values are broadcast, at most (16 bytes and 8 for each class).
 HEAD = 1 << 19
@@ -281,12 +281,12 @@ def head_threshold(values: DataFrame, most: int) -> int:
     return 2**b
 
 
-def score_documents(df: DataFrame, train: Column, class_col: str | None = None, vocabulary: str | None = None, id_col: str = "doc_id", text_col: str = "text", rounds: int = ROUNDS, head: int = HEAD, urn: float = URN) -> DataFrame:
+def score_documents(df: DataFrame, train: Column, class_col: str | None = None, vocabulary: str | None = None, id_col: str = "doc_id", text_col: str = "text", rounds: int = ROUNDS, head: int = HEAD, urn: float | None = None) -> DataFrame:
     """(doc_id, train, n_tokens, n_known, train_tokens, base_score, score) for every row of df; scores in log10.
 
     ``train``: condition over df's columns; rows where it holds are learned from, with their class if class_col is given.
     """
-    spark = df.sparkSession
+    spark, urn = df.sparkSession, URN if urn is None else urn
     label = F.coalesce(F.col(class_col).cast("string"), F.lit("")) if class_col else F.lit("")
     rows = lean_batches(df).select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(train, F.lit(False)).alias("train"), label.alias("label"), F.col(text_col).cast("string").alias("text"))
     ranked = rows.where("train").groupBy("label").count().orderBy(F.desc("count"), "label")
