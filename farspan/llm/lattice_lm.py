@@ -1,5 +1,9 @@
 """Document likelihood by subword lattices.
 
+The vocabulary's scores weight every segmentation of every word, and they alone speak for words that training never
+held.  For words that it held, the lattice has one more arc with the word's own frequency; on most texts that arc
+decides (README has figures), so this is a lattice model with learned words rather than one of the vocabulary alone.
+
 Every word is a lattice over its bytes (behind one blank): an arc for each vocabulary piece, so that a path is a
 segmentation.  Arc weights start from the scores of an existing vocabulary (a piece of rank r gets weight
 1 / (r + RANK_SHIFT)) and are re-estimated by forward-backward expectation over the distinct words of the training
@@ -163,6 +167,13 @@ def log_gamma(x: np.ndarray) -> np.ndarray:
     return series - np.log(x * (x + 1) * (x + 2) * (x + 3) * (x + 4) * (x + 5))
 
 
+def _log_gamma(x: Column) -> Column:
+    """The same over a column."""
+    y = x + 6
+    series = (y - 0.5) * F.ln(y) - y + 0.5 * math.log(2 * math.pi) + 1 / (12 * y) - 1 / (360 * y**3) + 1 / (1260 * y**5)
+    return series - sum((F.ln(x + i) for i in range(1, 6)), F.ln(x))
+
+
 def count_words(rows: DataFrame, classes: int) -> DataFrame:
     """(h, word, total, seen_0, ..): occurrences of each lower-cased word in all rows, and in training rows by class.
 
@@ -360,7 +371,8 @@ def score_documents(df: DataFrame, train: Column, class_col: str | None = None,
 
     def drawn(log_p: Column) -> Column:
         """Log of the urn's factor for c draws of one word."""
-        more = F.aggregate(F.sequence(F.lit(1).cast("long"), c - 1), F.lit(0.0), lambda total, k: total + F.ln(urn * F.exp(log_p) + k))
+        mass = urn * F.exp(log_p)
+        more = _log_gamma(mass + c) - _log_gamma(mass + 1)
         return log_p + log_urn + F.when(c > 1, more).otherwise(0.0)
 
     tails = joined.groupBy("row").agg(F.sum(F.when(F.col("seen") > 0, c).otherwise(0)).alias("t_known"), F.sum(c * (F.log10(F.col("seen") + 1.0) - floor)).alias("t_base"), *[F.sum(drawn(F.col(x))).alias(f"t_{x}") for x in names])
@@ -370,5 +382,5 @@ def score_documents(df: DataFrame, train: Column, class_col: str | None = None,
     logs = [both(x) + F.lit(q) for x, q in zip(names, prior, strict=True)]
     best = F.greatest(*logs) if classes > 1 else logs[0]
     mixed = best + F.ln(sum((F.exp(x - best) for x in logs), F.lit(0.0)))
-    spent = F.aggregate(F.sequence(F.lit(0).cast("long"), F.col("n") - 1), F.lit(0.0), lambda total, k: total + F.ln(urn + k))
+    spent = _log_gamma(urn + F.col("n")) - _log_gamma(F.lit(urn))
     return whole.select("doc_id", "train", F.col("n").alias("n_tokens"), both("known").cast("long").alias("n_known"), F.lit(all_tokens).cast("long").alias("train_tokens"), both("base").alias("base_score"), ((mixed - spent) / LOG10).alias("score"))

@@ -84,3 +84,66 @@ def test_empty_and_untrained(spark):
     one = spark.createDataFrame([(1, "cat"), (None, None)], "doc_id long, text string")
     got = {r.doc_id: r for r in lattice_lm.score_documents(one, F.lit(False)).collect()}
     assert got[1].train_tokens == 0 and got[1].n_known == 0 and got[1].score < 0 and got[None].n_tokens == 1
+
+
+def segmentations(word, known):
+    if not word:
+        yield ()
+    for i in range(1, len(word) + 1):
+        if word[:i] in known:
+            for rest in segmentations(word[i:], known):
+                yield (word[:i], *rest)
+
+
+def test_score_spelled_out(spark, pieces):
+    """Expectation rounds, lattices, urns and classes, all by enumeration."""
+    texts = [("x", "the cat sat the", True), ("x", "the mat", True), ("y", "le chat the", True), ("y", None, True), ("x", "the dog the dog zq", False), ("y", "le le mat", False), ("x", "", False)]
+    rows = [(i, t, c, learn) for i, (c, t, learn) in enumerate(texts)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, learn boolean")
+    got = {r.doc_id: r.score for r in lattice_lm.score_documents(df, F.col("learn"), class_col="lang", urn=50.0).collect()}
+    words = {i: (t or "").encode().split() for i, t, _, _ in rows}
+    classes = ["x", "y"]
+    seen = {z: Counter(w for i, _, c, learn in rows if learn and c == z for w in words[i]) for z in classes}
+    ends = {z: sum(c == z for _, _, c, learn in rows if learn) for z in classes}
+    tokens = {z: sum(seen[z].values()) + ends[z] for z in classes}
+    prior = {t: math.exp(p) for t, p in zip(pieces.texts, pieces.prior, strict=True)}
+
+    def paths(w, weight):
+        return {s: math.prod(weight[x] for x in s) for s in segmentations(b" " + w, prior)}
+
+    weight = {z: dict(prior) for z in classes}
+    for _ in range(lattice_lm.ROUNDS):
+        for z in classes:
+            uses = Counter()
+            for w in seen[z]:
+                own = paths(w, weight[z])
+                for s, p in own.items():
+                    for x in s:
+                        uses[x] += p / sum(own.values())
+            total = sum(uses.values())
+            weight[z] = {t: (uses[t] + lattice_lm.PRIOR_WORDS * prior[t]) / (total + lattice_lm.PRIOR_WORDS) for t in prior}
+
+    def word(w, z):
+        shared = sum(seen[y][w] for y in classes) / sum(tokens.values())
+        back = lattice_lm.SHARED * shared + (1 - lattice_lm.SHARED) * sum(paths(w, weight[z]).values())
+        own = max(seen[z][w] - lattice_lm.DISCOUNT, 0) / tokens[z]
+        return own + lattice_lm.DISCOUNT * (len(seen[z]) + 1) / tokens[z] * back
+
+    for i in words:
+        total = 0.0
+        for z in classes:
+            p, drawn = ends[z] / sum(ends.values()), Counter()
+            for k, w in enumerate(words[i]):
+                p *= (50 * word(w, z) + drawn[w]) / (50 + k)
+                drawn[w] += 1
+            total += p * 50 * ends[z] / tokens[z] / (50 + len(words[i]))
+        assert got[i] == pytest.approx(math.log10(total), abs=1e-6)
+
+
+def test_words_that_polynomials_confuse(spark):
+    from tests.llm.test_ngram_join import alternating
+
+    a, b = alternating(10)
+    df = spark.createDataFrame([(1, f"{a} {a}", True), (2, b, False)], "doc_id long, text string, learn boolean")
+    got = {r.doc_id: r for r in lattice_lm.score_documents(df, F.col("learn")).collect()}
+    assert (got[1].n_known, got[2].n_known) == (3, 1)
