@@ -43,9 +43,9 @@ def main() -> None:
 
     docs = tables.read_corpus(spark, sf)
     timed("warm_up", docs)
-    toks = windows.tokenize(windows.long_only(docs, L))
+    toks = windows.tokenize(windows.spread(windows.long_only(docs, L)))
     timed("window_spans", windows.spans(toks, L))
-    cut = windows.spread(windows.cut(toks, L)).persist()
+    cut = windows.cut(toks, L).persist()
     count = timed("cut_windows", cut)
     raw = {}
     for name in ("hexdot", "small", "large"):

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -14,6 +15,8 @@ from farspan.operators.score import per_window
 
 NIAH = ("single_1", "single_2", "single_3", "multikey_1", "multikey_2", "multikey_3", "multivalue", "multiquery")
 RULER_MORE = ("variable_tracking", "common_words", "frequent_words", "qa_1", "qa_2")
+#: Stand-ins of long-text tasks that are no needles of made-up words: a lead, a repeated line, a pair of turns.
+LONG_TEXT = ("lead", "lines", "turns")
 DEPTHS = tuple(d / 10 for d in range(11))
 
 
@@ -146,6 +149,12 @@ def probe(task: str, number: int, depth: float, haystack: list[str], length: int
         needles = [[key(0), "is", value(0)], [key(1), "is", key(0)], [key(2), "is", key(1)]]
     elif task in ("common_words", "frequent_words"):
         needles = [[key(0), "is", value(0)]] * (3 if task == "common_words" else 5)
+    elif task in LONG_TEXT and haystack:
+        # the lead asked for by its first words, a line by its first three, a pair of turns by the first of the two
+        size, first = {"lead": (16, 4), "lines": (8, 3), "turns": (16, 8)}[task]
+        part = haystack[-size:] if task == "lines" else haystack[:size]
+        haystack = haystack[: -len(part)] if task == "lines" else haystack[len(part) :]
+        needles, asked = [part], part[:first]
     question = ["what", "is", *asked]
     room = max(0, length - len(question) - sum(map(len, needles)) - len(passage))
     if many:
@@ -193,35 +202,52 @@ def probes(haystacks: DataFrame, tasks: tuple[str, ...] = NIAH, depths: tuple[fl
     return lean_batches(haystacks).select("doc_id", "toks", passage.alias("passage")).mapInPandas(run, schema)
 
 
+def hit_share(profile, k: int, toks: list[str], query: list[int], spans: list, answers: int) -> float:
+    """Share of the answer spans that hold one of the most attended far tokens of the question, as many as there are
+    answers (the lowest position wins ties)."""
+    total, state = None, profile.state(toks)
+    for q in query:
+        p = profile.some_rows(state, np.array([q])).mean(axis=0)[0]
+        p[max(0, q - k + 1) :] = 0
+        total = p if total is None else p + _padded(total, len(p))
+    best = (-total).argsort(kind="stable")[:answers]
+    return len({s for b in best for s, (x, y) in enumerate(spans) if x <= b <= y}) / answers
+
+
+def probed(haystacks: DataFrame, profiles: list, k: int, tasks: tuple[str, ...] = NIAH, depths: tuple[float, ...] = DEPTHS, length: int = 256) -> DataFrame:
+    """(profile, task, depth, probe_id, hit): probes made and answered in one pass, so that no probe is ever moved."""
+    schema = "profile string, task string, depth double, probe_id string, hit double"
+
+    def run(batches):
+        import pandas as pd
+
+        for pdf in batches:
+            for doc, toks, passage in zip(pdf["doc_id"], pdf["toks"], pdf["passage"], strict=True):
+                rows = []
+                for task in tasks:
+                    for depth in depths:
+                        p = probe(task, int(doc), depth, list(toks), length, list(passage))
+                        rows += [(x.name, task, depth, f"{task}:{doc}:{depth}:0", hit_share(x, k, p["toks"], p["query_pos"], p["spans"], p["answers"])) for x in profiles]
+                yield pd.DataFrame(rows, columns=[x.split()[0] for x in schema.split(", ")])
+
+    passage = F.col("passage") if "passage" in haystacks.columns else F.array().cast("array<string>")
+    return lean_batches(haystacks).select("doc_id", "toks", passage.alias("passage")).mapInPandas(run, schema)
+
+
 def probe_hits(asked: DataFrame, profile, k: int) -> DataFrame:
-    """Does far attention of the question fall on the answers?  Share of the answer spans that are hit by as many of
-    the most attended far tokens (the lowest position wins ties)."""
+    """Does far attention of the question fall on the answers of these probes?  See ``hit_share``."""
     import pandas as pd
 
     def run(batches):
         for pdf in batches:
-            out = []
-            for task, depth, name, toks, query, spans, answers in zip(pdf["task"], pdf["depth"], pdf["probe_id"], pdf["toks"], pdf["query_pos"], pdf["spans"], pdf["answers"], strict=True):
-                toks, total = list(toks), None
-                state = profile.state(toks)
-                for q in query:
-                    p = profile.rows(state, int(q), int(q) + 1).mean(axis=0)[0].copy()
-                    p[max(0, int(q) - k + 1) :] = 0
-                    total = p if total is None else p + _padded(total, len(p))
-                best, hit = (-total).argsort(kind="stable")[: int(answers)], set()
-                for b in best:
-                    for s, (x, y) in enumerate(spans):
-                        if x <= b <= y:
-                            hit.add(s)
-                out.append((task, depth, name, len(hit) / int(answers)))
+            rows = zip(pdf["task"], pdf["depth"], pdf["probe_id"], pdf["toks"], pdf["query_pos"], pdf["spans"], pdf["answers"], strict=True)
+            out = [(task, depth, name, hit_share(profile, k, list(toks), [int(q) for q in query], spans, int(answers))) for task, depth, name, toks, query, spans, answers in rows]
             yield pd.DataFrame(out, columns=["task", "depth", "probe_id", "hit"])
 
     return asked.mapInPandas(run, "task string, depth double, probe_id string, hit double")
 
 
 def _padded(x, n: int):
-    import numpy as np
-
     return np.concatenate([x, np.zeros(n - len(x))])
 
 

@@ -19,9 +19,8 @@ def _digest(token: str) -> str:
 
 def causal_softmax(logits: np.ndarray, a: int) -> np.ndarray:
     """Rows a.. of a causal attention; logits (heads, rows, columns) are overwritten."""
-    rows, columns = logits.shape[1:]
-    hidden = np.arange(columns)[None, :] > (a + np.arange(rows))[:, None]
-    logits[:, hidden] = -np.inf
+    rows = logits.shape[1]
+    logits[:, :, a:][:, np.triu(np.ones((rows, logits.shape[2] - a), bool), 1)] = -np.inf
     logits -= logits.max(axis=2, keepdims=True)
     np.exp(logits, out=logits)
     logits /= logits.sum(axis=2, keepdims=True)
@@ -65,8 +64,9 @@ class HexDot(DotProfile):
 
     def state(self, tokens: list[str]) -> tuple[np.ndarray, np.ndarray]:
         known = {t: i for i, t in enumerate(dict.fromkeys(tokens))}
-        table = np.array([[int(c, 16) for c in _digest(t)[: self.D]] for t in known], np.float64)
-        x = ((table - 7.5) / self.spread)[[known[t] for t in tokens]][None]
+        raw = np.frombuffer(b"".join([hashlib.md5(t.encode()).digest() for t in known]), np.uint8).reshape(-1, 16)
+        digits = np.stack([raw >> 4, raw & 15], axis=2).reshape(-1, 32)[:, : self.D]
+        x = ((digits - 7.5) / self.spread)[[known[t] for t in tokens]][None]
         return x, x
 
 

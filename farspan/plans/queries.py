@@ -462,8 +462,7 @@ def niah_probes(s: SparkSession, d: str) -> DataFrame:
 
 
 def niah_accuracy(s: SparkSession, d: str) -> DataFrame:
-    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d)), profiles.HexDot(), 16)
-    return evaluate.accuracy(hits)
+    return evaluate.accuracy(evaluate.probed(_haystacks(s, d), [profiles.HexDot()], 16))
 
 
 def niah_by_profile(s: SparkSession, d: str) -> DataFrame:
@@ -473,10 +472,12 @@ def niah_by_profile(s: SparkSession, d: str) -> DataFrame:
     ranked = evaluate.numbered(prose, "key", "w").select("w", "toks")
     none = F.array().cast("array<string>")
     hay = evaluate.numbered(items, "key", "i").withColumn("w", F.col("i") % n).join(ranked, "w", "left")
-    asked = written(evaluate.probes(hay.select(F.col("i").alias("doc_id"), F.coalesce("toks", none).alias("toks"), "passage").repartition(_cores(s))), "probes")
+    hay = hay.select(F.col("i").alias("doc_id"), F.coalesce("toks", none).alias("toks"), "passage").repartition(_cores(s))
+    names = ("hexdot", "small", "large")
+    hits = written(evaluate.probed(hay, [profiles.named(n) for n in names], 16), "probes")
     out = None
-    for name in ("hexdot", "small", "large"):
-        row = evaluate.accuracy(evaluate.probe_hits(asked, profiles.named(name), 16)).select(F.lit(name).alias("profile"), "task", "accuracy", "probes")
+    for name in names:
+        row = evaluate.accuracy(hits.where(F.col("profile") == name)).select(F.lit(name).alias("profile"), "task", "accuracy", "probes")
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -484,8 +485,7 @@ def niah_by_profile(s: SparkSession, d: str) -> DataFrame:
 def ruler_probes(s: SparkSession, d: str) -> DataFrame:
     """All 13 tasks at all depths."""
     tasks = (*evaluate.NIAH, *evaluate.RULER_MORE)
-    hits = evaluate.probe_hits(evaluate.probes(_haystacks(s, d), tasks), profiles.HexDot(), 16)
-    return evaluate.accuracy(hits)
+    return evaluate.accuracy(evaluate.probed(_haystacks(s, d), [profiles.HexDot()], 16, tasks))
 
 
 LONGBENCH = {"single_doc": 4, "multi_doc": 4, "summarising": 4, "few_shot": 4, "synthetic": 3, "code": 2}
@@ -493,9 +493,12 @@ LONGBENCH = {"single_doc": 4, "multi_doc": 4, "summarising": 4, "few_shot": 4, "
 
 def longbench_groups(s: SparkSession, d: str) -> DataFrame:
     """Six stand-in groups scored 0 to 100 by far attention, with the plain and the task-weighted mean."""
-    hay, p = _haystacks(s, d), profiles.HexDot()
-    tasks = {"single_1": "single_doc", "single_2": "single_doc", "multikey_1": "multi_doc", "qa_1": "multi_doc", "common_words": "summarising", "frequent_words": "few_shot", "variable_tracking": "synthetic", "multivalue": "synthetic", "multikey_2": "code"}
-    hits = evaluate.probe_hits(evaluate.probes(hay, tuple(tasks), (0.0, 0.5, 1.0)), p, 16)
+    p = profiles.HexDot()
+    tasks = {"single_1": "single_doc", "single_2": "single_doc", "multikey_1": "multi_doc", "qa_1": "multi_doc", "lead": "summarising", "turns": "few_shot", "variable_tracking": "synthetic", "multivalue": "synthetic", "lines": "code", "multikey_2": "code"}
+    hits = evaluate.probed(_haystacks(s, d), [p], 16, tuple(t for t in tasks if t != "turns"))
+    talk = tables.dialogues(tables.table(s, d, "conversations", "conv_id", "turn", "role", "text"))
+    turns = windows.tokenize(talk).where("n > 0").select("doc_id", "toks").repartition(_cores(s), "doc_id")
+    hits = hits.unionByName(evaluate.probed(turns, [p], 16, ("turns",)))
     name = F.create_map(*[x for t, g in tasks.items() for x in (F.lit(t), F.lit(g))])
     groups = hits.groupBy(F.try_element_at(name, F.col("task")).alias("group")).agg((100 * F.avg("hit")).alias("score")).withColumn("method", F.lit(p.name))
     means = evaluate.grouped_mean(groups, LONGBENCH)
@@ -569,14 +572,17 @@ def page_windows(s: SparkSession, d: str) -> DataFrame:
 
 
 def benchmark_overlap(s: SparkSession, d: str) -> DataFrame:
-    """Documents that hold eight words in a row of a test item; items are few and their size is checked by Spark."""
+    """Documents that hold eight words in a row of a test item.  Up to 2**18 strings of items are broadcast, so that a
+    document's strings meet them where they are read; beyond, both sides are shuffled."""
 
     def grams(df: DataFrame, key: str) -> DataFrame:
         words = df.select(key, windows.tokens(F.col("text")).alias("w")).where(F.size("w") >= 8)
-        return words.select(key, F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.concat_ws(" ", F.slice("w", i, 8)))).alias("g")).distinct()
+        return words.select(key, F.explode(F.transform(F.sequence(F.lit(1), F.size("w") - 7), lambda i: F.concat_ws(" ", F.slice("w", i, 8)))).alias("g"))
 
     docs, items = grams(tables.table(s, d, "documents", "doc_id", "text"), "doc_id"), grams(tables.table(s, d, "benchmark", "item_id", "text"), "item_id")
-    return docs.join(items, "g").groupBy("item_id", "doc_id").agg(F.count("*").alias("shared"))
+    held = items.distinct()
+    held = F.broadcast(held) if held.count() <= 1 << 18 else held
+    return docs.join(held, "g").distinct().groupBy("item_id", "doc_id").agg(F.count("*").alias("shared"))
 
 
 QUERIES: dict[str, Query] = {
