@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 LOCAL_DIR = "/tmp/checkpoints"
 BATCH_BYTES = 4 << 20
 _ARROW_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 _made: ContextVar[list[str] | None] = ContextVar("made", default=None)
 
 
@@ -27,10 +28,18 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def written(df: DataFrame, label: str) -> DataFrame:
-    """df as a table in the shared folder: its lineage ends there, and lost executors cost no recomputation."""
+    """df as a table in the shared folder: its lineage ends there, and lost executors cost no recomputation.
+
+    The shuffle files that it was made from go when it is written, as nothing reads them again.
+    """
     spark = df.sparkSession
     path, schema = f"{shared_dir(spark)}/farspan-{label}-{uuid.uuid4().hex}", df.schema
-    df.write.parquet(path)
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.unset(_CLEANUP) if before is None else spark.conf.set(_CLEANUP, before)
     if (made := _made.get()) is not None:
         made.append(path)
     return spark.read.schema(schema).parquet(path)
@@ -57,6 +66,6 @@ def lean_batches(df: DataFrame) -> DataFrame:
     conf = df.sparkSession.conf
     held = str(conf.get(_ARROW_BYTES, "64m")).lower().rstrip("b")
     size = int(held[:-1]) << {"k": 10, "m": 20, "g": 30}[held[-1]] if held[-1:] in ("k", "m", "g") else int(held)
-    if size <= 0 or size > BATCH_BYTES:
+    if size > BATCH_BYTES:
         conf.set(_ARROW_BYTES, str(BATCH_BYTES))
     return df
