@@ -21,7 +21,7 @@ def read(spark: SparkSession, fmt: str, path: str, schema: str | None = None, **
 
 def whole_text(spark: SparkSession, path: str) -> DataFrame:
     """One row per file: books, code."""
-    return spark.read.option("wholetext", True).text(path).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
+    return spark.read.text(path, wholetext=True).select(F.input_file_name().alias("path"), F.col("value").alias("text"))
 
 
 def register_views(spark: SparkSession, sf_dir: str) -> None:
