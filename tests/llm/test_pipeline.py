@@ -1,6 +1,7 @@
 """The pipeline's stages against plain Python on a small table."""
 
 import random
+from collections import Counter
 
 import pytest
 
@@ -58,4 +59,33 @@ def test_stages(spark, folder):
 
 
 def test_run(spark, folder):
-    assert corpus_pipeline.run(spark, folder).count() > 100
+    """The run is its stages one after another, on all rows, and every word that is left is packed once."""
+    docs = spark.read.parquet(f"{folder}/documents.parquet")
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, folder)
+    want = Counter()
+    for r in docs.select("doc_id", "text").collect():
+        want[r.doc_id] += len((r.text or "").encode().split())
+    got = Counter()
+    bins = {}
+    for r in corpus_pipeline.run(spark, folder).collect():
+        got[r.doc_id] += r.n_tokens
+        if r.sequence_id is not None:
+            bins.setdefault((r.sequence_id, r.capacity), []).append((r.position, r.n_tokens))
+    assert got == want and len(want) > 100
+    for (_, capacity), own in bins.items():
+        own.sort()
+        assert all(p == sum(n for _, n in own[:i]) for i, (p, _) in enumerate(own)) and sum(n for _, n in own) <= capacity
+
+
+@pytest.mark.parametrize("name", [n for n, _ in corpus_pipeline.STAGES])
+def test_stages_take_odd_tables(spark, folder, name):
+    """Empty tables, nulls in every column, repeated rows and further columns with names that clash."""
+    stage, schema = dict(corpus_pipeline.STAGES)[name], "doc_id long, text string, lang string, source string, n_chars long, score double, node long, id long, starts string"
+    odd = [(None,) * 9, (None,) * 9, (1, "the cat sat", None, None, None, 0.5, 1, 2, "z"), (1, "the cat sat", None, None, None, 0.5, 1, 2, "z"), (2, "", "en", "s", 0, None, None, None, None), (3, "x" * 5000, "en", "s", 5000, 1.0, 3, 4, "y")]
+    nothing = stage(spark, spark.createDataFrame([], schema), folder)
+    assert nothing.collect() == []
+    out = stage(spark, spark.createDataFrame(odd, schema), folder)
+    if name != "best_fit_packing":
+        assert out.columns == [x.split()[0] for x in schema.split(", ")]
+    out.collect()
