@@ -31,31 +31,39 @@ def token_strengths(profile, tokens: list, ks: list[int], block: int = 128, head
             inside = chosen[(chosen >= a) & (chosen < b)] - a
             if len(inside) == 0:
                 continue
-        if chosen is None:
-            p = profile.rows(state, a, b)
-        elif hasattr(profile, "some_rows"):
-            _some(profile, state, inside + a, ks, head_agg, far, squares)
-            continue
-        else:
-            p = profile.rows(state, a, b)
-        if head_agg == "mean":
-            p = p.mean(axis=0, keepdims=True)
-        elif head_agg.startswith("head:"):
-            p = p[int(head_agg[5:])][None]
-        sink += p[:, :, 0].mean(axis=0).sum()
+            if hasattr(profile, "some_rows"):
+                _some(profile, state, inside + a, ks, head_agg, far, squares)
+                continue
+        p, scale = _block(profile, state, a, b, head_agg)
+        sink += (p[:, :, 0] * scale).mean(axis=0).sum()
         seen += b - a
         for j, k in enumerate(ks):
             every, some = max(0, a - k + 1), max(0, b - k)  # columns far from all rows of the block, and from some
             left = p[:, :, :every]
-            far[j, : p.shape[0], a:b] = left.sum(axis=2)
-            squares[j, : p.shape[0], a:b] = np.einsum("hqi,hqi->hq", left, left)
+            own, twice = left.sum(axis=2, dtype=np.float64), np.einsum("hqi,hqi->hq", left, left)
             if some > every:
                 edge = p[:, :, every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
-                far[j, : p.shape[0], a:b] += edge.sum(axis=2)
-                squares[j, : p.shape[0], a:b] += np.einsum("hqi,hqi->hq", edge, edge)
+                own, twice = own + edge.sum(axis=2, dtype=np.float64), twice + np.einsum("hqi,hqi->hq", edge, edge)
+            far[j, : p.shape[0], a:b] = own * scale
+            squares[j, : p.shape[0], a:b] = twice * scale * scale
     return far, squares, float(sink / max(1, seen))
 
 
+def _block(profile, state, a: int, b: int, head_agg: str) -> tuple[np.ndarray, np.ndarray]:
+    """Rows a to b of the heads that count, and a factor for each row: what is summed needs no division cell by cell."""
+    if not hasattr(profile, "row_weights"):
+        p = profile.rows(state, a, b)
+        p = p.mean(axis=0, keepdims=True) if head_agg == "mean" else p[int(head_agg[5:])][None] if head_agg.startswith("head:") else p
+        return p, np.ones(p.shape[:2])
+    held, total = profile.row_weights(state, a, b)
+    if head_agg == "mean" and len(held) > 1:
+        return np.einsum("hqi,hq->qi", held, (1 / (len(held) * total)).astype(held.dtype))[None], np.ones((1, b - a))
+    if head_agg.startswith("head:"):
+        j = int(head_agg[5:])
+        held, total = held[j][None], total[j][None]
+    return held, 1 / total
+
+
 def _some(profile, state, rows: np.ndarray, ks: list[int], head_agg: str, far: np.ndarray, squares: np.ndarray) -> None:
     """Far sums of single rows, each computed on its own."""
     p = profile.some_rows(state, rows)

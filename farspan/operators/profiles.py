@@ -17,14 +17,13 @@ def _digest(token: str) -> str:
     return hashlib.md5(token.encode()).hexdigest()
 
 
-def causal_softmax(logits: np.ndarray, a: int) -> np.ndarray:
-    """Rows a.. of a causal attention; logits (heads, rows, columns) are overwritten."""
+def causal_weights(logits: np.ndarray, a: int) -> tuple[np.ndarray, np.ndarray]:
+    """Rows a.. of a causal attention before division, and what to divide each by; logits (heads, rows, columns) are overwritten."""
     rows = logits.shape[1]
     logits[:, :, a:][:, np.triu(np.ones((rows, logits.shape[2] - a), bool), 1)] = -np.inf
     logits -= logits.max(axis=2, keepdims=True)
     np.exp(logits, out=logits)
-    logits /= logits.sum(axis=2, keepdims=True)
-    return logits
+    return logits, logits.sum(axis=2, dtype=np.float64)
 
 
 class DotProfile:
@@ -32,9 +31,14 @@ class DotProfile:
 
     layers = 1
 
-    def rows(self, state: tuple[np.ndarray, np.ndarray], a: int, b: int) -> np.ndarray:
+    def row_weights(self, state: tuple[np.ndarray, np.ndarray], a: int, b: int) -> tuple[np.ndarray, np.ndarray]:
+        """Rows a to b before division, in the precision of the vectors, and their sums."""
         q, k = state
-        return causal_softmax((q[:, a:b] @ k[:, :b].transpose(0, 2, 1)).astype(np.float64) / np.sqrt(q.shape[2]), a)
+        return causal_weights((q[:, a:b] / q.dtype.type(np.sqrt(q.shape[2]))) @ k[:, :b].transpose(0, 2, 1), a)
+
+    def rows(self, state: tuple[np.ndarray, np.ndarray], a: int, b: int) -> np.ndarray:
+        held, total = self.row_weights(state, a, b)
+        return held / total[:, :, None]
 
     def some_rows(self, state: tuple[np.ndarray, np.ndarray], rows: np.ndarray) -> np.ndarray:
         """(heads, len(rows), last row + 1): these rows only."""
