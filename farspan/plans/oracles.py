@@ -133,7 +133,7 @@ ORACLES: dict[str, str] = {
     "lds_scores_by_category": with_(*SCORED, lds(0.5, "category")) + "select doc_id, category, start, round(lds, 5) as lds from lds",
     "score_magnitudes": with_(*RANKED)
     + " union all ".join(f"select '{x}' as score, count(*) as n, round(min({x}), 8) as low, round(quantile_cont({x}, 0.25), 8) as q1, round(quantile_cont({x}, 0.5), 8) as mid, round(quantile_cont({x}, 0.75), 8) as q3, round(max({x}), 8) as high, round(stddev_pop({x}), 8) as sd from lds" for x in ("ds", "du", "ds_z", "du_z")),
-    "alpha_sweep": with_(*RANKED) + "select alpha, count(*) as windows, round(avg(ds_z + alpha * du_z), 6) as mean_lds, round(stddev_pop(ds_z + alpha * du_z), 6) as sd_lds, round(max(ds_z + alpha * du_z), 5) as best_lds from lds, (select unnest([0.0, 0.25, 0.5, 1.0, 2.0])::double as alpha) group by alpha",
+    "alpha_sweep": with_(*RANKED) + "select alpha, count(*) as windows, case when round(avg(ds_z + alpha * du_z), 6) = 0 then 0.0 else round(avg(ds_z + alpha * du_z), 6) end as mean_lds, round(stddev_pop(ds_z + alpha * du_z), 6) as sd_lds, round(max(ds_z + alpha * du_z), 5) as best_lds from lds, (select unnest([0.0, 0.25, 0.5, 1.0, 2.0])::double as alpha) group by alpha",
     "select_top_budget": with_(*RANKED, choice(5, BY_LDS, "lds", "best")) + f"select 'attention' as method, 5 * {UNIT} as budget_tokens, category, doc_id, start, rnk, rnk * {L} as cum_tokens from best",
     "select_by_threshold": with_(*RANKED, choice(5, BY_LDS, "lds", "best")) + "select category, doc_id, start from best",
     "select_no_category": with_(*RANKED) + f"select doc_id, start, row_number() over (order by {BY_LDS}) as rnk from lds qualify rnk <= {wanted(5)}",

@@ -154,9 +154,14 @@ def score_magnitudes(s: SparkSession, d: str) -> DataFrame:
     return m.select("score", "n", *[F.round(c, 8).alias(c) for c in ("low", "q1", "mid", "q3", "high", "sd")])
 
 
+def _unsigned_zero(x):
+    """A mean that rounds to nothing is 0, whatever side it came from."""
+    return F.when(x == 0, 0.0).otherwise(x)
+
+
 def alpha_sweep(s: SparkSession, d: str) -> DataFrame:
     swept = score.alpha_sweep(standard(s, d), [0.0, 0.25, 0.5, 1.0, 2.0])
-    return swept.groupBy("alpha").agg(F.count("*").alias("windows"), F.round(F.avg("lds"), 6).alias("mean_lds"), F.round(F.stddev_pop("lds"), 6).alias("sd_lds"), F.round(F.max("lds"), 5).alias("best_lds"))
+    return swept.groupBy("alpha").agg(F.count("*").alias("windows"), _unsigned_zero(F.round(F.avg("lds"), 6)).alias("mean_lds"), F.round(F.stddev_pop("lds"), 6).alias("sd_lds"), F.round(F.max("lds"), 5).alias("best_lds"))
 
 
 def document_rollup(s: SparkSession, d: str) -> DataFrame:
