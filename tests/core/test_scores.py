@@ -128,6 +128,23 @@ def test_cells_agree_with_the_kernel(spark):
         cells.cells(w.withColumn("len", F.lit(2_000_000)))
 
 
+def test_cells_in_arrays_have_no_limit(spark, monkeypatch):
+    """The registered queries' form of the cells: as the relation, and not refused where the relation is."""
+    w = windows(spark).unionByName(spark.createDataFrame([(50, "en", 0, ["a"], 1), (51, "de", 3, ["b", "a"], 2)], "doc_id long, category string, start long, toks array<string>, len int"))
+    want = {r.doc_id: r for r in cells.scores(cells.cells(w), 2).collect()}
+    upto = {(r.doc_id, r.m): r.a for r in cells.cumulative(cells.cells(w)).where("q = 4").collect()}
+    monkeypatch.setattr(cells, "MOST_CELLS", 10)
+    monkeypatch.setattr(cells, "HELD_CELLS", 40)
+    with pytest.raises(ValueError, match="too many"):
+        cells.cells(w)
+    got = {r.doc_id: r for r in cells.window_scores(w, 2).collect()}
+    assert got.keys() == want.keys()
+    for d, r in got.items():
+        assert (r.ds, r.ds_block, r.du, r.off) == pytest.approx(tuple(want[d][c] for c in ("ds", "ds_block", "du", "off")), abs=1e-12)
+    rows = {(r.doc_id, r.m): r.a for r in cells.cumulative_row(w, 4).collect()}
+    assert rows.keys() == upto.keys() and len(rows) == 48 and all(rows[x] == pytest.approx(upto[x]) for x in upto)
+
+
 def test_learned_vectors_are_kept_for_all_words(spark):
     """More words than the 50,000 that once kept their vectors, in several blocks; unknown words are zero."""
     rng = np.random.default_rng(5)
