@@ -106,6 +106,60 @@ def score(profile, tokens: list, ks: list[int], block: int = 128, over: str = "t
     return [r | {"cpu_ms": spent / max(1, len(ks))} for r in out]
 
 
+#: Weights of attention in memory at a time, and the longest windows that are scored together.
+HELD, TOGETHER = 1 << 17, 1024
+
+
+def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """``token_strengths`` (mean of the heads) of many windows of one length, whose tokens are numbers of words: far sums and
+    sums of squares (ks, windows, L), and each window's share of the first token."""
+    n, L = codes.shape
+    q, keys, small = profile.states(words, codes)
+    heads = q.shape[1]
+    far = np.zeros((len(ks), n, L))
+    squares, sink = np.zeros_like(far), np.zeros(n)
+    for a in range(0, L, block):
+        b = min(L, a + block)
+        step = max(1, HELD // (heads * (b - a) * b))
+        below = (np.arange(b - a)[None, :] <= np.arange(b - a)[:, None]).astype(q.dtype)
+        for i in range(0, n, step):
+            p = q[i : i + step, :, a:b] @ keys[i : i + step, :, :b].transpose(0, 1, 3, 2)
+            if not small:
+                np.copyto(p[..., a:], -np.inf, where=below == 0)
+                p -= p.max(axis=3, keepdims=True)
+            np.exp(p, out=p)
+            p[..., a:] *= below
+            total = p.sum(axis=3)
+            if heads > 1:
+                p *= (1 / (heads * total))[..., None]
+                p, scale = p.sum(axis=1), 1.0
+            else:
+                p, scale = p[:, 0], (1 / total[:, 0]).astype(np.float64)
+            sink[i : i + step] += (p[..., 0] * scale).sum(axis=1)
+            for j, k in enumerate(ks):
+                every, some = max(0, a - k + 1), max(0, b - k)
+                left = p[..., :every]
+                own, twice = left.sum(axis=2, dtype=np.float64), np.einsum("nqi,nqi->nq", left, left)
+                if some > every:
+                    edge = p[..., every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
+                    own, twice = own + edge.sum(axis=2, dtype=np.float64), twice + np.einsum("nqi,nqi->nq", edge, edge)
+                far[j, i : i + step, a:b], squares[j, i : i + step, a:b] = own * scale, twice * scale * scale
+    return far, squares, sink / max(1, L)
+
+
+def score_many(profile, words: list[str], codes: np.ndarray, ks: list[int], over: str = "triangle", ddof: int = 0) -> list[list[dict]]:
+    """``score`` of many windows of one length: a list of rows for each; the CPU time is shared out evenly."""
+    began, (n, L) = time.process_time(), codes.shape
+    far, squares, sink = strengths_many(profile, words, codes, ks)
+    ds = far.mean(axis=2).tolist()
+    du = [[uniformity(f[None], s[None], L, k, over, ddof) for f, s in zip(far[j], squares[j], strict=True)] for j, k in enumerate(ks)]
+    counts = [far_cells(L, k) for k in ks]
+    mean = [(far[j].sum(axis=1) / max(1, c)).tolist() for j, c in enumerate(counts)]
+    ops, first = profile.pair_ops(L, profile.heads, profile.width), sink.tolist()
+    spent = (time.process_time() - began) * 1e3 / max(1, n * len(ks))
+    return [[{"len": L, "k": k, "ds": ds[j][i], "du": du[j][i], "far_mean": mean[j][i] if counts[j] else 0.0, "far_cells": counts[j], "sink_share": first[i], "pair_ops": ops, "cpu_ms": spent} for j, k in enumerate(ks)] for i in range(n)]
+
+
 def score_sampled(profile, tokens: list, k: int, rows: int, block: int = 64) -> dict:
     """Strength estimated from one row in each of ``rows`` equal strata of the rows that can look far, with its standard error."""
     L = len(tokens)

@@ -67,6 +67,46 @@ def test_blocks_equal_the_full_matrix(L, name):
         assert (got["ds"], got["du"]) == (pytest.approx(np.mean([h[0] for h in heads]), abs=near), pytest.approx(np.mean([h[1] for h in heads]), abs=near))
 
 
+def test_windows_together_score_as_alone(spark, monkeypatch):
+    """Windows of several lengths in one pass; each is never scored on its own, unless it is empty or too long."""
+    r = np.random.default_rng(2)
+    rows = [(i, "en", 0, [f"t{x}" for x in r.integers(0, 30, n)]) for i, n in enumerate([0, 1, 40, 130, 40, 130, 7])]
+    w = spark.createDataFrame(rows, "doc_id long, category string, start long, toks array<string>")
+    for p, near in ((profiles.HexDot(), 1e-12), (profiles.named("small"), 1e-6), (profiles.named("large"), 1e-6), (profiles.Decoder(layer=2), 1e-5)):
+        for more in ({}, {"front": "<s>"}, {"var_over": "token"}, {"ddof": 1}):
+            got = {(x.doc_id, x.k): x for x in score.score_windows(w, p, [3, 50], **more).collect()}
+            assert len(got) == 14
+            for d, _, _, toks in rows:
+                toks = ["<s>"] * ("front" in more) + toks
+                for x in kernel.score(p, toks, [3, 50], over=more.get("var_over", "triangle"), ddof=more.get("ddof", 0)):
+                    for c in ("len", "ds", "du", "far_mean", "far_cells", "sink_share", "pair_ops"):
+                        assert got[d, x["k"]][c] == pytest.approx(x[c], abs=near), (p.name, c)
+    small = profiles.named("small")
+    monkeypatch.setattr(profiles, "TABLE", 0)
+    profiles._first_layer.cache_clear()
+    words, codes = [f"t{i}" for i in range(30)], r.integers(0, 30, (5, 40))
+    monkeypatch.setattr(kernel, "token_strengths", None)
+    one = kernel.score_many(small, words, codes, [3])
+    monkeypatch.setattr(profiles, "TABLE", 1 << 22)
+    profiles._first_layer.cache_clear()
+    assert [x[0]["ds"] for x in one] == pytest.approx([x[0]["ds"] for x in kernel.score_many(small, words, codes, [3])], abs=1e-6)
+
+
+def test_sinks_of_all_layers_in_one_pass(spark, monkeypatch):
+    from farspan.operators import evaluate
+
+    r = np.random.default_rng(4)
+    rows = [(i, "en", 0, [f"t{x}" for x in r.integers(0, 30, n)]) for i, n in enumerate([1, 40, 130, 40])]
+    w = spark.createDataFrame(rows, "doc_id long, category string, start long, toks array<string>")
+    want = {j: np.mean([kernel.token_strengths(profiles.Decoder(layer=j), t, [0])[2] for *_, t in rows]) for j in range(1, 5)}
+    got = {x.layer: x for x in evaluate.sink_by_layer(w, lambda j: profiles.Decoder(layer=j), 4).collect()}
+    assert got.keys() == want.keys() and all(got[j].sink_share == pytest.approx(want[j], abs=1e-5) and got[j].windows == 4 for j in want)
+    monkeypatch.setattr(profiles.Decoder, "state", None)
+    assert profiles.Decoder(layer=3).sinks(["a", "b"], np.array([[0, 1, 1]])).shape == (1, 3)
+    mixed = evaluate.sink_by_layer(w, lambda j: profiles.Analytic("sink" if j == 1 else "self"), 2).collect()
+    assert {x.layer: x.windows for x in mixed} == {1: 4, 2: 4}
+
+
 def test_known_attention():
     toks, L = list("abcdefgh"), 8
     get = lambda kind, k: kernel.score(profiles.Analytic(kind), toks, [k])[0]
