@@ -116,11 +116,18 @@ def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int
         profile = TableVectors(dict(zip(right.column("word").to_pylist(), vectors, strict=True)), dim, name)
         out: dict[str, list] = {x.split()[0]: [] for x in RAW.split(", ")}
         for at in range(0, left.num_rows, ROWS_AT_ONCE):
-            for w in left.slice(at, ROWS_AT_ONCE).to_pylist():
-                for row in kernel.score(profile, w["toks"] or [], [k]):
-                    for c, v in ({x: w[x] for x in ("doc_id", "category", "start")} | row | {"profile": name}).items():
-                        if c in out:
-                            out[c].append(v)
+            some = left.slice(at, ROWS_AT_ONCE)
+            keys = some.select(["doc_id", "category", "start"]).to_pylist()
+            words, codes, ends = coded(some.column("toks").combine_chunks())
+            for rows, held in of_one_length(codes, ends, ROWS_AT_ONCE * kernel.TOGETHER):
+                if 0 < held.shape[1] <= kernel.TOGETHER:
+                    found = kernel.score_many(profile, words, held, [k])
+                else:
+                    found = [kernel.score(profile, [words[i] for i in row], [k]) for row in held.tolist()]
+                for w, each in zip(rows.tolist(), found, strict=True):
+                    for row in each:
+                        for c in out:
+                            out[c].append(name if c == "profile" else keys[w][c] if c in keys[w] else row[c])
         return pa.Table.from_batches([_arrow(out, RAW)])
 
     return dealt.groupBy("block").cogroup(held.groupBy("of")).applyInArrow(run, RAW)

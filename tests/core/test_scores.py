@@ -205,6 +205,20 @@ def test_corpus_profile_has_no_cap(spark):
     assert profiles.from_corpus(toks, 2).count() == 51_000
 
 
+def test_corpus_profile_is_learned_in_parts(spark, monkeypatch):
+    """A corpus above the size of one task is dealt over several, and every word still gets its vector."""
+    from pyspark.ml import feature
+
+    used, fit = [], feature.Word2Vec.fit
+    monkeypatch.setattr(feature.Word2Vec, "fit", lambda self, *a: used.append(self.getNumPartitions()) or fit(self, *a))
+    toks = spark.createDataFrame([([f"t{i}" for i in range(a, a + 50)] * 2,) for a in range(0, 500, 50)], "toks array<string>")
+    profiles.from_corpus(toks, 2)
+    monkeypatch.setattr(profiles, "LEARNED_TOGETHER", 300)
+    got = profiles.from_corpus(toks, 2).collect()
+    assert used == [1, 4] and len(got) == 500 and all(np.isfinite(r.vector).all() for r in got)
+    assert profiles.from_corpus(toks.where("false").unionByName(toks.limit(1)), 2).count() == 50
+
+
 def test_standard_scores(spark):
     raw = spark.createDataFrame([(1, "a", 0, 1.0, -3.0), (2, "a", 0, 2.0, -1.0), (3, "a", 0, 3.0, -2.0)], "doc_id long, category string, start long, ds double, du double")
     got = {r.doc_id: (round(r.ds_z, 4), round(r.du_z, 4), round(r.lds, 4)) for r in score.combine(score.standardize(raw)).collect()}
