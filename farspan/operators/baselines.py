@@ -8,12 +8,17 @@ from __future__ import annotations
 import math
 import re
 import time
+from collections.abc import Iterator
 
 import numpy as np
-from pyspark.sql import DataFrame
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from farspan.sources.intermediate import written
+from farspan.operators import kernel
+from farspan.operators.batches import of_one_length
 from farspan.operators.score import per_window
 
 
@@ -56,8 +61,10 @@ def segment_pairs(windows: DataFrame, length: int = 32, beta: float = 0.3) -> Da
 
 
 COMBINED = {"product": lambda gain, dist: gain * dist, "gain": lambda gain, dist: gain, "dist": lambda gain, dist: dist, "sum": lambda gain, dist: gain + dist}
-#: Units whose counts are broadcast, at most, and their bytes; beyond, the counts meet the windows in a shuffle.
-HEAD, HEAD_BYTES = 1 << 19, 64 << 20
+#: Repeated units whose counts are broadcast (12 bytes each), at most; beyond, the counts meet the windows in a shuffle.
+HEAD = 1 << 22
+#: Windows whose units are looked up together, and pairs of their tokens in memory at a time.
+ROWS, CELLS = 256, 1 << 20
 _LOCAL = "len int, spb double, model_calls long, cpu_ms double"
 
 
@@ -102,24 +109,85 @@ def segment_scores_local(windows: DataFrame, counts: dict[str, int], length: int
     return per_window(windows, lambda toks: _scored_locally(toks, counts, total, types, length, beta, order), _LOCAL)
 
 
+def _scored_together(codes: np.ndarray, counts: np.ndarray, total: int, types: int, length: int, beta: float, hows: tuple[str, ...]) -> list[np.ndarray]:
+    """``_scored_locally`` of windows of one size (windows x units, numbers of units and their counts): what segment i gains
+    from segment j is summed over i's tokens, by how often each stands in j."""
+    n, m = len(codes), codes.shape[1] // length
+    factor = beta / ((counts + 1.0) / (total + types) * (length * (1 - beta)))
+    more = np.zeros((n, m, m))
+    for i in range(1, m):
+        own = slice(i * length, (i + 1) * length)
+        step = max(1, CELLS // (length * i * length))
+        for a in range(0, n, step):
+            same = codes[a : a + step, own, None] == codes[a : a + step, None, : i * length]
+            times = same.view(np.uint8).reshape(len(same), length, i, length).sum(axis=3, dtype=np.uint8 if length < 256 else np.int64)
+            more[a : a + step, i, :i] = np.log1p(times * factor[a : a + step, own, None]).sum(axis=1)
+    i, j = np.tril_indices(m, -1)
+    gain = np.maximum(0.0, 1 - np.exp(-(length * math.log(1 - beta) + more[:, i, j]) / length))
+    dist = np.broadcast_to((i - j) / m, gain.shape)
+    return [COMBINED[h](gain, dist).mean(axis=1) for h in hows]
+
+
+def _segment_scores_by_code(windows: DataFrame, units: Column, repeated: DataFrame, total: int, types: int, length: int, beta: float, order: int, hows: tuple[str, ...], schema: str) -> DataFrame:
+    """Units as 64-bit hashes that no two of them share, with the counts of repeated ones broadcast: a unit that isn't there
+    was seen once, and the first one of a segment at order 2 never."""
+    rows = repeated.select(F.xxhash64("tok").alias("code"), F.col("c").cast("int").alias("c")).toArrow()
+    code, c = (rows[x].to_numpy() for x in ("code", "c"))
+    by_code = np.argsort(code)
+    table = windows.sparkSession.sparkContext.broadcast((code[by_code], c[by_code]))
+    names = [x.split()[0] for x in schema.split(", ")]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        keys, held = table.value
+        for big in batches:
+            for at in range(0, big.num_rows, ROWS):
+                batch, began = big.slice(at, ROWS), time.process_time()
+                flat = batch.column(3).flatten().to_numpy(zero_copy_only=False)
+                ends = np.cumsum(pc.fill_null(pc.list_value_length(batch.column(3)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+                met, place = np.unique(flat, return_inverse=True)
+                found = np.minimum(np.searchsorted(keys, met), max(0, len(keys) - 1))
+                counts = (np.where(keys[found] == met, held[found], 1) if len(keys) else np.ones(len(met), np.int32))[place]
+                taken, scored = [], []
+                for (some, codes), (_, known) in zip(of_one_length(flat, ends, len(flat) + 1), of_one_length(counts, ends, len(flat) + 1), strict=True):
+                    if codes.shape[1] < 2 * length:
+                        continue
+                    if order == 2:
+                        known[:, ::length] = 0
+                    taken.append(some)
+                    if codes.shape[1] <= kernel.TOGETHER:
+                        scored.append(np.stack(_scored_together(codes, known, total, types, length, beta, hows)))
+                    else:
+                        alone = [_scored_locally(x.tolist(), dict(zip(x.tolist(), y.tolist(), strict=True)), total, types, length, beta, 1, hows)[0] for x, y in zip(codes, known, strict=True)]
+                        scored.append(np.array([[r[h] for r in alone] for h in names[1:-2]]))
+                if taken:
+                    some = np.concatenate(taken)
+                    segments = np.diff(ends, prepend=0)[some] // length
+                    spent = (time.process_time() - began) * 1e3 / len(some)
+                    columns = [batch.column(i).take(pa.array(some)) for i in (0, 1, 2, 4)]
+                    columns += [*map(pa.array, np.concatenate(scored, axis=1)), pa.array(segments * (segments - 1) // 2), pa.array(np.full(len(some), spent))]
+                    yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "category", "start", *names])
+
+    codes = F.transform(units, lambda u: F.xxhash64(u)).alias("codes")
+    return windows.select(F.col("doc_id").cast("long"), "category", F.col("start").cast("long"), codes, F.size("toks").alias("len")).mapInArrow(run, "doc_id long, category string, start long, " + schema)
+
+
 def segment_scores(windows: DataFrame, length: int = 32, beta: float = 0.3, how: str | tuple[str, ...] = "product", order: int = 1) -> DataFrame:
     """spb of every window (one column spb_<how> each, if ``how`` names several), against the whole background.
 
-    Scoring is a map over the windows.  A background of up to HEAD units and HEAD_BYTES is broadcast.  Beyond, the units of the windows
+    Scoring is a map over the windows.  Units become 64-bit hashes, and the counts of up to HEAD repeated ones are broadcast; all
+    others were seen once.  Beyond that, or if two units share a hash, the units of the windows
     meet their counts in a shuffle and each window gets its own; the background is written first, as its sums and the
     join read it, so both sides of the join are shuffled and a common unit can be split.
     """
     hows = (how,) if isinstance(how, str) else tuple(how)
     schema = _LOCAL if len(hows) == 1 else _LOCAL.replace("spb double", ", ".join(f"spb_{h} double" for h in hows))
     counts = written(background(windows, order), f"background{order}")
-    total, types, size = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*"), F.coalesce(F.sum(F.octet_length("tok")), F.lit(0))).first()
-    if types <= HEAD and size <= HEAD_BYTES:
-        rows = counts.toArrow()
-        held = windows.sparkSession.sparkContext.broadcast(dict(zip(rows["tok"].to_pylist(), rows["c"].to_pylist(), strict=True)))
-        return per_window(windows, lambda toks: _scored_locally(toks, held.value, total, types, length, beta, order, hows), schema)
+    total, types, repeated, most = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*"), F.count_if(F.col("c") > 1), F.coalesce(F.max("c"), F.lit(0))).first()
     held = F.slice("toks", F.lit(1), (F.floor(F.size("toks") / length) * length).cast("int"))
     before = lambda i: F.when(i % length == 0, F.lit("")).otherwise(F.try_element_at("toks", i.cast("int")))
     units = held if order == 1 else F.transform(held, lambda t, i: F.concat(before(i), F.lit("\u0001"), t))
+    if repeated <= HEAD and most < 1 << 31 and counts.select(F.count_distinct(F.xxhash64("tok"))).first()[0] == types:
+        return _segment_scores_by_code(windows, units, counts.where("c > 1"), total, types, length, beta, order, hows, schema)
     own = windows.select(F.col("doc_id").alias("d"), F.col("start").alias("s"), F.explode(F.array_distinct(units)).alias("tok"))
     met = own.join(counts, "tok").groupBy("d", "s").agg(F.collect_list(F.struct("tok", "c")).alias("known"))
     both = windows.join(met, F.col("doc_id").eqNullSafe(F.col("d")) & F.col("start").eqNullSafe(F.col("s")), "left")

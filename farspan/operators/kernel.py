@@ -106,24 +106,34 @@ def score(profile, tokens: list, ks: list[int], block: int = 128, over: str = "t
     return [r | {"cpu_ms": spent / max(1, len(ks))} for r in out]
 
 
-#: Weights of attention in memory at a time, and the longest windows that are scored together.
-HELD, TOGETHER = 1 << 17, 1024
+#: Weights of attention in memory at a time, floats of queries that are made together, and the longest windows that are scored together.
+HELD, QUERIES, TOGETHER = 1 << 18, 1 << 20, 1024
 
 
-def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 32) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """``token_strengths`` (mean of the heads) of many windows of one length, whose tokens are numbers of words: far sums and
     sums of squares (ks, windows, L), and each window's share of the first token."""
     n, L = codes.shape
-    q, keys, small = profile.states(words, codes)
-    heads = q.shape[1]
     far = np.zeros((len(ks), n, L))
     squares, sink = np.zeros_like(far), np.zeros(n)
+    each = max(1, QUERIES // max(1, L * profile.heads * profile.width))
+    for at in range(0, n, each):
+        some = slice(at, at + each)
+        _strengths(*profile.states(words, codes[some]), ks, block, far[:, some], squares[:, some], sink[some])
+    return far, squares, sink / max(1, L)
+
+
+def _strengths(q: np.ndarray, keys: np.ndarray, small: bool, ks: list[int], block: int, far: np.ndarray, squares: np.ndarray, sink: np.ndarray) -> None:
+    """Fills far, squares and sink; heads that share their keys meet them in one product."""
+    n, heads, L, width = q.shape
+    groups = keys.shape[1]
     for a in range(0, L, block):
         b = min(L, a + block)
         step = max(1, HELD // (heads * (b - a) * b))
         below = (np.arange(b - a)[None, :] <= np.arange(b - a)[:, None]).astype(q.dtype)
         for i in range(0, n, step):
-            p = q[i : i + step, :, a:b] @ keys[i : i + step, :, :b].transpose(0, 1, 3, 2)
+            asked = q[i : i + step, :, a:b].reshape(-1, groups, heads // groups * (b - a), width)
+            p = (asked @ keys[i : i + step, :, :b].transpose(0, 1, 3, 2)).reshape(-1, heads, b - a, b)
             if not small:
                 np.copyto(p[..., a:], -np.inf, where=below == 0)
                 p -= p.max(axis=3, keepdims=True)
@@ -144,7 +154,6 @@ def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int],
                     edge = p[..., every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
                     own, twice = own + edge.sum(axis=2, dtype=np.float64), twice + np.einsum("nqi,nqi->nq", edge, edge)
                 far[j, i : i + step, a:b], squares[j, i : i + step, a:b] = own * scale, twice * scale * scale
-    return far, squares, sink / max(1, L)
 
 
 def score_many(profile, words: list[str], codes: np.ndarray, ks: list[int], over: str = "triangle", ddof: int = 0) -> list[list[dict]]:

@@ -92,6 +92,17 @@ def test_windows_together_score_as_alone(spark, monkeypatch):
     assert [x[0]["ds"] for x in one] == pytest.approx([x[0]["ds"] for x in kernel.score_many(small, words, codes, [3])], abs=1e-6)
 
 
+def test_heads_share_their_keys():
+    """Keys that several heads share are held once; positions turn them as one by one."""
+    codes, words = np.arange(12).reshape(2, 6), [f"t{i}" for i in range(12)]
+    for p in (profiles.named("small"), profiles.named("large")):
+        q, k, _ = p.states(words, codes)
+        assert q.shape == (2, p.heads, 6, p.width) and k.shape == (2, p.kv_heads, 6, p.width)
+        one, two = p.state(words[6:])
+        logits = q[1] @ np.repeat(k[1], p.heads // p.kv_heads, axis=0).transpose(0, 2, 1)
+        assert logits == pytest.approx((one / np.sqrt(p.width)) @ two.transpose(0, 2, 1), abs=1e-4)
+
+
 def test_sinks_of_all_layers_in_one_pass(spark, monkeypatch):
     from farspan.operators import evaluate
 
