@@ -84,19 +84,23 @@ def per_batch(windows: DataFrame, compute, alone, schema: str, front: str | None
 
 
 def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int = 128, var_over: str = "triangle", ddof: int = 0, head_agg: str = "mean", front: str | None = None) -> DataFrame:
-    """raw_scores: one row per window and k.  Map only; nothing of size L x L is held.
+    """raw_scores: one row per window, k and profile (one, or a list scored in one pass).  Map only; nothing of size L x L is held.
 
     ``front``: a special token put before every window, as language models do; it takes part like any other token.
     """
     ks = [ks] if isinstance(ks, int) else list(ks)
-    name = profile.name
+    listed = list(profile) if isinstance(profile, (list, tuple)) else [profile]
     schema = ", ".join(RAW.split(", ")[3:])
-    if isinstance(profile, DotProfile) and not isinstance(profile, Vectors) and head_agg == "mean":
-        named = lambda rows: [r | {"profile": name} for r in rows]
-        many = lambda words, codes: [named(r) for r in kernel.score_many(profile, words, codes, ks, var_over, ddof)]
-        return per_batch(windows, many, lambda t: named(kernel.score(profile, t, ks, block, var_over, ddof)), schema, front)
+    named = lambda p, rows: [r | {"profile": p.name} for r in rows]
+    if all(isinstance(p, DotProfile) and not isinstance(p, Vectors) for p in listed) and head_agg == "mean":
+
+        def many(words: list[str], codes: np.ndarray) -> list[list[dict]]:
+            found = [[named(p, r) for r in kernel.score_many(p, words, codes, ks, var_over, ddof)] for p in listed]
+            return [sum(rows, []) for rows in zip(*found, strict=True)]
+
+        return per_batch(windows, many, lambda t: [r for p in listed for r in named(p, kernel.score(p, t, ks, block, var_over, ddof))], schema, front)
     lead = [front] if front else []
-    return per_window(windows, lambda t: [r | {"profile": name} for r in kernel.score(profile, lead + t, ks, block, var_over, ddof, head_agg)], schema)
+    return per_window(windows, lambda t: [r for p in listed for r in named(p, kernel.score(p, lead + t, ks, block, var_over, ddof, head_agg))], schema)
 
 
 def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int = 32, name: str = "corpus", block: int = 1024) -> DataFrame:

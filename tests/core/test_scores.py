@@ -92,6 +92,20 @@ def test_windows_together_score_as_alone(spark, monkeypatch):
     assert [x[0]["ds"] for x in one] == pytest.approx([x[0]["ds"] for x in kernel.score_many(small, words, codes, [3])], abs=1e-6)
 
 
+def test_profiles_in_one_pass(spark):
+    """A list of profiles gives each one's rows, from one reading of the windows."""
+    r = np.random.default_rng(6)
+    rows = [(i, "en", 0, [f"t{x}" for x in r.integers(0, 30, n)]) for i, n in enumerate([1, 40, 1_100, 40])]
+    w = spark.createDataFrame(rows, "doc_id long, category string, start long, toks array<string>")
+    listed = [profiles.named("small"), profiles.named("large")]
+    both = score.score_windows(w, listed, [3, 50])
+    assert str(both._jdf.queryExecution().executedPlan().toString()).count("MapInArrow") == 1
+    key = lambda x: (x.doc_id, x.k, x.profile)
+    got = {key(x): x for x in both.drop("cpu_ms").collect()}
+    alone = {key(x): x for p in listed for x in score.score_windows(w, p, [3, 50]).drop("cpu_ms").collect()}
+    assert got == alone and len(got) == 16
+
+
 def test_heads_share_their_keys():
     """Keys that several heads share are held once; positions turn them as one by one."""
     codes, words = np.arange(12).reshape(2, 6), [f"t{i}" for i in range(12)]
