@@ -107,66 +107,82 @@ def score(profile, tokens: list, ks: list[int], block: int = 128, over: str = "t
 
 
 #: Weights of attention in memory at a time, floats of queries that are made together, and the longest windows that are scored together.
-HELD, QUERIES, TOGETHER = 1 << 18, 1 << 20, 1024
+HELD, QUERIES, TOGETHER = 1 << 18, 1 << 19, 1024
 
 
-def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 32) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 32, first: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """``token_strengths`` (mean of the heads) of many windows of one length, whose tokens are numbers of words: far sums and
-    sums of squares (ks, windows, L), and each window's share of the first token."""
+    sums of squares (ks, windows, L), and each row's share of the first token (windows, L); rows before ``first`` stay zero."""
     n, L = codes.shape
     far = np.zeros((len(ks), n, L))
-    squares, sink = np.zeros_like(far), np.zeros(n)
+    squares, sink = np.zeros_like(far), np.zeros((n, L))
     each = max(1, QUERIES // max(1, L * profile.heads * profile.width))
     for at in range(0, n, each):
         some = slice(at, at + each)
-        _strengths(*profile.states(words, codes[some]), ks, block, far[:, some], squares[:, some], sink[some])
-    return far, squares, sink / max(1, L)
+        _strengths(*profile.states(words, codes[some]), ks, block, first, far[:, some], squares[:, some], sink[some])
+    return far, squares, sink
 
 
-def _strengths(q: np.ndarray, keys: np.ndarray, small: bool, ks: list[int], block: int, far: np.ndarray, squares: np.ndarray, sink: np.ndarray) -> None:
-    """Fills far, squares and sink; heads that share their keys meet them in one product."""
+def _strengths(q: np.ndarray, keys: np.ndarray, small: bool, ks: list[int], block: int, first: int, far: np.ndarray, squares: np.ndarray, sink: np.ndarray) -> None:
+    """Fills far, squares and sink from row ``first`` on; heads that share their keys meet them in one product, and rows are
+    summed up by products with ones."""
     n, heads, L, width = q.shape
-    groups = keys.shape[1]
-    for a in range(0, L, block):
+    groups, ones = keys.shape[1], np.ones(L, q.dtype)
+    for a in range(first, L, block):
         b = min(L, a + block)
         step = max(1, HELD // (heads * (b - a) * b))
         below = (np.arange(b - a)[None, :] <= np.arange(b - a)[:, None]).astype(q.dtype)
+        held = np.empty((min(n, step), groups, heads // groups * (b - a), b), q.dtype)
         for i in range(0, n, step):
             asked = q[i : i + step, :, a:b].reshape(-1, groups, heads // groups * (b - a), width)
-            p = (asked @ keys[i : i + step, :, :b].transpose(0, 1, 3, 2)).reshape(-1, heads, b - a, b)
+            p = np.matmul(asked, keys[i : i + step, :, :b].transpose(0, 1, 3, 2), out=held[: len(asked)]).reshape(-1, heads, b - a, b)
             if not small:
                 np.copyto(p[..., a:], -np.inf, where=below == 0)
                 p -= p.max(axis=3, keepdims=True)
             np.exp(p, out=p)
             p[..., a:] *= below
-            total = p.sum(axis=3)
+            total = p @ ones[:b]
             if heads > 1:
-                p *= (1 / (heads * total))[..., None]
-                p, scale = p.sum(axis=1), 1.0
+                p, scale = np.einsum("nhqi,nhq->nqi", p, 1 / (heads * total)), 1.0
             else:
                 p, scale = p[:, 0], (1 / total[:, 0]).astype(np.float64)
-            sink[i : i + step] += (p[..., 0] * scale).sum(axis=1)
+            sink[i : i + step, a:b] = p[..., 0] * scale
             for j, k in enumerate(ks):
-                every, some = max(0, a - k + 1), max(0, b - k)
+                every, some = max(0, a - k + 1), max(0, b - k)  # columns far from all rows of the block, and from some
                 left = p[..., :every]
-                own, twice = left.sum(axis=2, dtype=np.float64), np.einsum("nqi,nqi->nq", left, left)
+                own, twice = left @ ones[:every], np.einsum("nqi,nqi->nq", left, left)
                 if some > every:
                     edge = p[..., every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
                     own, twice = own + edge.sum(axis=2, dtype=np.float64), twice + np.einsum("nqi,nqi->nq", edge, edge)
                 far[j, i : i + step, a:b], squares[j, i : i + step, a:b] = own * scale, twice * scale * scale
 
 
-def score_many(profile, words: list[str], codes: np.ndarray, ks: list[int], over: str = "triangle", ddof: int = 0) -> list[list[dict]]:
-    """``score`` of many windows of one length: a list of rows for each; the CPU time is shared out evenly."""
-    began, (n, L) = time.process_time(), codes.shape
-    far, squares, sink = strengths_many(profile, words, codes, ks)
-    ds = far.mean(axis=2).tolist()
-    du = [[uniformity(f[None], s[None], L, k, over, ddof) for f, s in zip(far[j], squares[j], strict=True)] for j, k in enumerate(ks)]
+def uniformities(far: np.ndarray, squares: np.ndarray, L: int, k: int, over: str = "triangle", ddof: int = 0) -> np.ndarray:
+    """``uniformity`` of many windows of one length (windows, L), whose heads are averaged."""
+    total, twice = far.sum(axis=1), (far * far if over == "token" else squares).sum(axis=1)
+    n = L if over == "token" else far_cells(L, k) if over == "triangle" else max(0, L - k) ** 2
+    if n - ddof <= 0:
+        return np.zeros(len(far))
+    mean = total / n
+    return -np.maximum(0.0, twice / n - mean * mean) * n / (n - ddof) + 0.0
+
+
+def _scored(profile, far: np.ndarray, squares: np.ndarray, sink: np.ndarray, ks: list[int], over: str, ddof: int) -> list[list[dict]]:
+    """Rows of raw scores for each window, without the CPU time."""
+    L, ds, first = far.shape[2], far.mean(axis=2).tolist(), sink.mean(axis=1).tolist()
+    du = [uniformities(far[j], squares[j], L, k, over, ddof).tolist() for j, k in enumerate(ks)]
     counts = [far_cells(L, k) for k in ks]
     mean = [(far[j].sum(axis=1) / max(1, c)).tolist() for j, c in enumerate(counts)]
-    ops, first = profile.pair_ops(L, profile.heads, profile.width), sink.tolist()
-    spent = (time.process_time() - began) * 1e3 / max(1, n * len(ks))
-    return [[{"len": L, "k": k, "ds": ds[j][i], "du": du[j][i], "far_mean": mean[j][i] if counts[j] else 0.0, "far_cells": counts[j], "sink_share": first[i], "pair_ops": ops, "cpu_ms": spent} for j, k in enumerate(ks)] for i in range(n)]
+    ops = profile.pair_ops(L, profile.heads, profile.width)
+    return [[{"len": L, "k": k, "ds": ds[j][i], "du": du[j][i], "far_mean": mean[j][i] if counts[j] else 0.0, "far_cells": counts[j], "sink_share": first[i], "pair_ops": ops} for j, k in enumerate(ks)] for i in range(len(first))]
+
+
+def score_many(profile, words: list[str], codes: np.ndarray, ks: list[int], over: str = "triangle", ddof: int = 0) -> list[list[dict]]:
+    """``score`` of many windows of one length: a list of rows for each; the CPU time is shared out evenly."""
+    began = time.process_time()
+    out = _scored(profile, *strengths_many(profile, words, codes, ks), ks, over, ddof)
+    spent = (time.process_time() - began) * 1e3 / max(1, len(codes) * len(ks))
+    return [[r | {"cpu_ms": spent} for r in rows] for rows in out]
 
 
 def score_sampled(profile, tokens: list, k: int, rows: int, block: int = 64) -> dict:

@@ -24,15 +24,22 @@ def in_ranges(df: DataFrame, by: str, key: Column, tie: Column | None = None, ra
     cut = lambda x: F.array_distinct(F.percentile_approx(x.cast("double"), shares, ACCURACY))
     cuts = [cut(key).alias("cuts")] + ([cut(tie).alias("ties")] if tie is not None else [])
     points = df.groupBy(F.col(by).alias("cut_by")).agg(*cuts)
-    met = df.join(F.broadcast(points), F.col(by).eqNullSafe(F.col("cut_by")))
-    x = key.cast("double")
-    below = F.size(F.filter("cuts", lambda c: c < x))
-    on = F.array_contains("cuts", x)
-    met = met.withColumn("range", F.when(x.isNull(), 2 * F.size("cuts") + 2).otherwise(2 * below + F.when(on, 1).otherwise(0)))
+    met = df.join(F.broadcast(points), F.col(by).eqNullSafe(F.col("cut_by"))).withColumn("cut_x", key.cast("double"))
+    x = F.col("cut_x")
+    met = met.withColumn("below", _below("cuts", x, ranges + 1))
+    on = F.coalesce(F.get("cuts", F.col("below")) == x, F.lit(False))
+    last = 2 * F.size("cuts") + 2
+    met = met.withColumn("range", F.when(x.isNull(), last).otherwise(2 * F.col("below") + on.cast("int")))
     # only a range of one value may be split by the tie-breaker
-    one = F.coalesce(on, F.lit(True)) & (F.col("range") < 2 * F.size("cuts") + 2)
-    part = F.when(one, F.size(F.filter("ties", lambda c: c < tie.cast("double")))).otherwise(0) if tie is not None else F.lit(0)
-    return met.withColumn("part", part).drop("cuts", "ties", "cut_by")
+    part = F.when(on & (F.col("range") < last), _below("ties", tie.cast("double"), ranges + 1)).otherwise(0) if tie is not None else F.lit(0)
+    return met.withColumn("part", part).drop("cuts", "ties", "cut_by", "cut_x", "below")
+
+
+def _below(cuts: str, x: Column, most: int) -> Column:
+    """How many of an ascending array's values (``most`` or fewer) lie below x, by halving; 0 for a null.  x is read at each
+    step, so it should be a column that is made already."""
+    steps = F.array(*[F.lit(1 << i) for i in reversed(range(most.bit_length()))])
+    return F.aggregate(steps, F.lit(0), lambda at, step: at + F.when(F.get(F.col(cuts), at + step - 1) < x, step).otherwise(0))
 
 
 def running(ranged: DataFrame, by: str, order: list[Column], sums: dict[str, Column], inclusive: bool = True) -> DataFrame:

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -18,6 +19,8 @@ RAW = "doc_id long, category string, start long, len int, k int, profile string,
 _FIELDS = ("len", "k", "ds", "du", "far_mean", "far_cells", "sink_share", "pair_ops", "cpu_ms")
 #: Windows handled at once between JVM and Python; long windows are wide rows.
 ROWS_AT_ONCE = 64
+#: Windows whose words are looked at together, at most, if they have TOKENS_AT_ONCE tokens or fewer.
+ROWS_TOGETHER, TOKENS_AT_ONCE = 1024, 1 << 17
 
 
 def _arrow(columns: dict[str, list], schema: str) -> pa.RecordBatch:
@@ -52,6 +55,17 @@ def per_window(windows: DataFrame, compute, schema: str, tokens: str = "toks") -
     return windows.select(F.col("doc_id").cast("long"), "category", F.col("start").cast("long"), tokens).mapInArrow(run, whole)
 
 
+def _parts(batch: pa.RecordBatch, column: int) -> Iterator[pa.RecordBatch]:
+    """Pieces of a batch with at most ROWS_TOGETHER rows and about TOKENS_AT_ONCE tokens in their lists; ROWS_AT_ONCE rows in any case."""
+    a, sizes = 0, pc.fill_null(pc.list_value_length(batch.column(column)), 0).to_numpy(zero_copy_only=False)
+    upto = np.cumsum(sizes, dtype=np.int64)
+    while a < batch.num_rows:
+        fits = int(np.searchsorted(upto, TOKENS_AT_ONCE + upto[a] - sizes[a], side="right"))
+        b = min(a + ROWS_TOGETHER, max(fits, a + ROWS_AT_ONCE))
+        yield batch.slice(a, b - a)
+        a = b
+
+
 def per_batch(windows: DataFrame, compute, alone, schema: str, front: str | None = None) -> DataFrame:
     """``per_window`` for what is faster for many windows: compute(words, codes) -> a list of dicts for each of some windows of
     one length, from their tokens as numbers of words; alone(token list) for windows that are empty or too long for that."""
@@ -60,8 +74,7 @@ def per_batch(windows: DataFrame, compute, alone, schema: str, front: str | None
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for big in batches:
-            for a in range(0, big.num_rows, ROWS_AT_ONCE):
-                batch = big.slice(a, ROWS_AT_ONCE)
+            for batch in _parts(big, 3):
                 words, codes, ends = coded(batch.column(3))
                 rows, found = [], []
                 for some, at in of_one_length(codes, ends, ROWS_AT_ONCE * kernel.TOGETHER):

@@ -272,3 +272,17 @@ def test_selector(spark):
     assert {(r.doc_id, r.start) for r in few.collect()} == {(r.doc_id, r.start) for r in s.select(scored, 10 * 16, distributed=True).collect()}
     with pytest.raises(ValueError, match="fit first"):
         LongDependencySelector(Config.scaled(16)).transform(raw)
+
+
+def test_rows_from_the_middle_on():
+    """Later rows alone equal those of the whole window; measures of many windows equal those of each."""
+    r = np.random.default_rng(3)
+    words, codes = [f"t{i}" for i in range(30)], r.integers(0, 30, (6, 80))
+    for p in (profiles.HexDot(), profiles.named("small")):
+        whole, part = (kernel.strengths_many(p, words, codes, [5, 40], first=a) for a in (0, 32))
+        for x, y in zip(whole, part, strict=True):
+            assert np.array_equal(x[..., 32:], y[..., 32:]) and not y[..., :32].any()
+        for over in ("triangle", "square", "token"):
+            for k, ddof in ((5, 0), (5, 1), (80, 0)):
+                each = [kernel.uniformity(f[None], s[None], 80, k, over, ddof) for f, s in zip(whole[0][0], whole[1][0], strict=True)]
+                assert kernel.uniformities(whole[0][0], whole[1][0], 80, k, over, ddof).tolist() == pytest.approx(each, abs=1e-15)

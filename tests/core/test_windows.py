@@ -97,3 +97,11 @@ def test_scan_is_pruned_and_filtered(spark, tmp_path):
 
     plan = windows.spans(windows.tokenize(windows.long_only(tables.read_corpus(spark, str(tmp_path)), 4)), 4)._jdf.queryExecution().executedPlan().toString()
     assert "PushedFilters: [IsNotNull(n_chars), GreaterThanOrEqual(n_chars,7)]" in plan and "Exchange" not in plan
+
+
+def test_few_tasks_a_core_are_dealt_anew(spark):
+    """More tasks than cores, but not many more, leave cores idle in the last round."""
+    cores = spark.sparkContext.defaultParallelism
+    for tasks, dealt in ((cores + 1, 4 * cores), (5 * cores, 5 * cores)):
+        df = windows.spread(spark.range(0, 200, 1, tasks).withColumnRenamed("id", "doc_id"))
+        assert df.rdd.getNumPartitions() == dealt and df.distinct().count() == 200
