@@ -185,6 +185,16 @@ def score_many(profile, words: list[str], codes: np.ndarray, ks: list[int], over
     return [[r | {"cpu_ms": spent} for r in rows] for rows in out]
 
 
+def score_twins(profile, words: list[str], codes: np.ndarray, tails: np.ndarray, ks: list[int], block: int = 32) -> tuple[list[list[dict]], list[list[dict]]]:
+    """Raw scores of windows, and of their twins with other last tokens: rows before those are the same and made once."""
+    first = (codes.shape[1] - tails.shape[1]) // block * block
+    own = strengths_many(profile, words, codes, ks, block)
+    twin = strengths_many(profile, words, np.concatenate([codes[:, : codes.shape[1] - tails.shape[1]], tails], axis=1), ks, block, first)
+    for x, y in zip(own, twin, strict=True):
+        y[..., :first] = x[..., :first]
+    return _scored(profile, *own, ks, "triangle", 0), _scored(profile, *twin, ks, "triangle", 0)
+
+
 def score_sampled(profile, tokens: list, k: int, rows: int, block: int = 64) -> dict:
     """Strength estimated from one row in each of ``rows`` equal strata of the rows that can look far, with its standard error."""
     L = len(tokens)

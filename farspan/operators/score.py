@@ -116,6 +116,38 @@ def score_windows(windows: DataFrame, profile, ks: int | list[int], block: int =
     return per_window(windows, lambda t: [r for p in listed for r in named(p, kernel.score(p, lead + t, ks, block, var_over, ddof, head_agg))], schema)
 
 
+def score_twins(windows: DataFrame, profiles: list[DotProfile], k: int) -> DataFrame:
+    """profile, label and ds of windows (toks, label 1) and of their twins (label 0), whose last tokens are those of ``other``
+    instead.  Twins are scored together: what comes before is the same."""
+    schema = "profile string, label int, ds double"
+
+    def alone(p: DotProfile, toks: list[str]) -> float:
+        return kernel.score(p, toks, [k])[0]["ds"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for big in batches:
+            for batch in _parts(big, 0):
+                words, codes, ends = coded(pa.concat_arrays([batch.column(0), batch.column(1).cast(batch.column(0).type)]))
+                lengths = np.diff(ends, prepend=0).reshape(2, -1)
+                out: dict[str, list] = {"profile": [], "label": [], "ds": []}
+                for L, t in np.unique(lengths, axis=1).T.tolist():
+                    rows = np.flatnonzero((lengths[0] == L) & (lengths[1] == t))
+                    own, tails = ((codes[(ends[at] - n)[:, None] + np.arange(n)]) for at, n in ((rows, L), (rows + batch.num_rows, t)))
+                    for p in profiles:
+                        if 0 < L <= kernel.TOGETHER:
+                            found = [[r[0]["ds"] for r in one] for one in kernel.score_twins(p, words, own, tails, [k])]
+                        else:
+                            both = own.tolist(), np.concatenate([own[:, : L - t], tails], axis=1).tolist()
+                            found = [[alone(p, [words[i] for i in row]) for row in one] for one in both]
+                        for label, ds in zip((1, 0), found, strict=True):
+                            out["profile"] += [p.name] * len(ds)
+                            out["label"] += [label] * len(ds)
+                            out["ds"] += ds
+                yield _arrow(out, schema)
+
+    return windows.select("toks", "other").mapInArrow(run, schema)
+
+
 def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int = 32, name: str = "corpus", block: int = 1024) -> DataFrame:
     """raw_scores under a table of token vectors (word, vector) of any size; unknown tokens are the zero vector.
 

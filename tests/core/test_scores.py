@@ -286,3 +286,17 @@ def test_rows_from_the_middle_on():
             for k, ddof in ((5, 0), (5, 1), (80, 0)):
                 each = [kernel.uniformity(f[None], s[None], 80, k, over, ddof) for f, s in zip(whole[0][0], whole[1][0], strict=True)]
                 assert kernel.uniformities(whole[0][0], whole[1][0], 80, k, over, ddof).tolist() == pytest.approx(each, abs=1e-15)
+
+
+def test_twins_score_as_alone(spark):
+    """A pair of windows in one row scores as two windows do, also where its other passage is short or the window long."""
+    r = np.random.default_rng(8)
+    draw = lambda n: [f"t{x}" for x in r.integers(0, 30, n)]
+    rows = [(draw(n), draw(t)) for n, t in ((128, 32), (128, 32), (100, 7), (1_100, 20), (40, 0), (128, 128))]
+    w = spark.createDataFrame(rows, "toks array<string>, other array<string>").coalesce(1)
+    listed = [profiles.HexDot(), profiles.named("small")]
+    found = sorted((x.profile, x.label, round(x.ds, 5)) for x in score.score_twins(w, listed, 10).collect())
+    want = [(p.name, label, round(kernel.score(p, x, [10])[0]["ds"], 5)) for toks, other in rows for label, x in ((1, toks), (0, toks[: len(toks) - len(other)] + other)) for p in listed]
+    assert len(found) == 24
+    for x, y in zip(found, sorted(want), strict=True):
+        assert x[:2] == y[:2] and x[2] == pytest.approx(y[2], abs=3e-5)
