@@ -107,7 +107,7 @@ def score(profile, tokens: list, ks: list[int], block: int = 128, over: str = "t
 
 
 #: Weights of attention in memory at a time, floats of queries that are made together, and the longest windows that are scored together.
-HELD, QUERIES, TOGETHER = 1 << 18, 1 << 19, 1024
+HELD, QUERIES, TOGETHER = 1 << 17, 1 << 19, 1024
 
 
 def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int], block: int = 32, first: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -116,37 +116,44 @@ def strengths_many(profile, words: list[str], codes: np.ndarray, ks: list[int],
     n, L = codes.shape
     far = np.zeros((len(ks), n, L))
     squares, sink = np.zeros_like(far), np.zeros((n, L))
-    each = max(1, QUERIES // max(1, L * profile.heads * profile.width))
+    each, room = max(1, QUERIES // max(1, L * profile.heads * profile.width)), {}
     for at in range(0, n, each):
         some = slice(at, at + each)
-        _strengths(*profile.states(words, codes[some]), ks, block, first, far[:, some], squares[:, some], sink[some])
+        _strengths(*profile.states(words, codes[some], room), ks, block, first, far[:, some], squares[:, some], sink[some])
     return far, squares, sink
 
 
 def _strengths(q: np.ndarray, keys: np.ndarray, small: bool, ks: list[int], block: int, first: int, far: np.ndarray, squares: np.ndarray, sink: np.ndarray) -> None:
     """Fills far, squares and sink from row ``first`` on; heads that share their keys meet them in one product, and rows are
-    summed up by products with ones."""
+    summed up by products with ones.  Heads are averaged only over the columns that are far from a row of the block: of all
+    others the rows' sums take what they need."""
     n, heads, L, width = q.shape
     groups, ones = keys.shape[1], np.ones(L, q.dtype)
+    columns = np.ascontiguousarray(keys.transpose(0, 1, 3, 2))  # small products are faster so
     for a in range(first, L, block):
         b = min(L, a + block)
-        step = max(1, HELD // (heads * (b - a) * b))
+        step, upto = min(n, max(1, HELD // (heads * (b - a) * b))), max(0, b - min(ks, default=b))
         below = (np.arange(b - a)[None, :] <= np.arange(b - a)[:, None]).astype(q.dtype)
-        held = np.empty((min(n, step), groups, heads // groups * (b - a), b), q.dtype)
+        held, asked = np.empty((step, groups, heads // groups * (b - a), b), q.dtype), np.empty((step, heads, b - a, width), q.dtype)
         for i in range(0, n, step):
-            asked = q[i : i + step, :, a:b].reshape(-1, groups, heads // groups * (b - a), width)
-            p = np.matmul(asked, keys[i : i + step, :, :b].transpose(0, 1, 3, 2), out=held[: len(asked)]).reshape(-1, heads, b - a, b)
+            m = min(step, n - i)
+            np.copyto(asked[:m], q[i : i + m, :, a:b])
+            p = np.matmul(asked[:m].reshape(m, groups, -1, width), columns[i : i + m, :, :, :b], out=held[:m]).reshape(m, heads, b - a, b)
             if not small:
                 np.copyto(p[..., a:], -np.inf, where=below == 0)
                 p -= p.max(axis=3, keepdims=True)
             np.exp(p, out=p)
-            p[..., a:] *= below
-            total = p @ ones[:b]
+            total = p[..., :a] @ ones[:a] + np.einsum("nhqi,qi->nhq", p[..., a:], below)
+            share = 1 / (heads * total)
+            sink[i : i + m, a:b] = np.einsum("nhq,nhq->nq", p[..., 0], share)
+            if not upto:
+                continue
+            if upto > a:
+                p[..., a:upto] *= below[:, : upto - a]
             if heads > 1:
-                p, scale = np.einsum("nhqi,nhq->nqi", p, 1 / (heads * total)), 1.0
+                p, scale = np.einsum("nhqi,nhq->nqi", p[..., :upto], share), 1.0
             else:
-                p, scale = p[:, 0], (1 / total[:, 0]).astype(np.float64)
-            sink[i : i + step, a:b] = p[..., 0] * scale
+                p, scale = p[:, 0], share[:, 0].astype(np.float64)
             for j, k in enumerate(ks):
                 every, some = max(0, a - k + 1), max(0, b - k)  # columns far from all rows of the block, and from some
                 left = p[..., :every]
@@ -154,7 +161,7 @@ def _strengths(q: np.ndarray, keys: np.ndarray, small: bool, ks: list[int], bloc
                 if some > every:
                     edge = p[..., every:some] * (np.arange(every, some)[None, :] <= (np.arange(a, b) - k)[:, None])
                     own, twice = own + edge.sum(axis=2, dtype=np.float64), twice + np.einsum("nqi,nqi->nq", edge, edge)
-                far[j, i : i + step, a:b], squares[j, i : i + step, a:b] = own * scale, twice * scale * scale
+                far[j, i : i + m, a:b], squares[j, i : i + m, a:b] = own * scale, twice * scale * scale
 
 
 def uniformities(far: np.ndarray, squares: np.ndarray, L: int, k: int, over: str = "triangle", ddof: int = 0) -> np.ndarray:

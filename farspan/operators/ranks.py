@@ -42,19 +42,26 @@ def _below(cuts: str, x: Column, most: int) -> Column:
     return F.aggregate(steps, F.lit(0), lambda at, step: at + F.when(F.get(F.col(cuts), at + step - 1) < x, step).otherwise(0))
 
 
-def running(ranged: DataFrame, by: str, order: list[Column], sums: dict[str, Column], inclusive: bool = True) -> DataFrame:
-    """ranged with running sums in the order of range, part and ``order``; ranges' totals are broadcast."""
+def running(ranged: DataFrame, by: str, order: list[Column], sums: dict[str, Column], inclusive: bool = True, most: Column | None = None) -> DataFrame:
+    """ranged with running sums in the order of range, part and ``order``; ranges' totals are broadcast.
+
+    most: rows of ranges before which the first sum has come to that already go, and are neither shuffled nor sorted.
+    """
     keys = [by, "range", "part"]
     totals = ranged.groupBy(*keys).agg(*[F.sum(x).alias(f"all_{n}") for n, x in sums.items()])
     ahead = Window.partitionBy(by).orderBy("range", "part").rowsBetween(Window.unboundedPreceding, -1)
     before = totals.select(*[F.col(k).alias(f"at_{k}") for k in keys], *[F.coalesce(F.sum(f"all_{n}").over(ahead), F.lit(0)).alias(f"before_{n}") for n in sums])
     same = [F.col(k).eqNullSafe(F.col(f"at_{k}")) for k in keys]
     within = Window.partitionBy(*keys).orderBy(*order).rowsBetween(Window.unboundedPreceding, Window.currentRow if inclusive else -1)
-    out = ranged.withColumns({f"own_{n}": F.coalesce(F.sum(x).over(within), F.lit(0)) for n, x in sums.items()})
-    out = out.join(F.broadcast(before), same[0] & same[1] & same[2])
+    met = ranged.join(F.broadcast(before), same[0] & same[1] & same[2])
+    met = met if most is None else met.where(F.col(f"before_{next(iter(sums))}") < most)
+    out = met.withColumns({f"own_{n}": F.coalesce(F.sum(x).over(within), F.lit(0)) for n, x in sums.items()})
     return out.withColumns({n: F.col(f"own_{n}") + F.col(f"before_{n}") for n in sums}).drop(*[f"{p}_{n}" for n in sums for p in ("own", "before")], *[f"at_{k}" for k in keys])
 
 
-def ranked(df: DataFrame, by: str, key: Column, order: list[Column], tie: Column | None = None) -> DataFrame:
-    """df with ``rnk``, its rank from 1 within ``by`` in the given order, of which ``key`` is the leading part, ascending."""
-    return running(in_ranges(df, by, key, tie), by, order, {"rnk": F.lit(1).cast("long")}).drop("range", "part")
+def ranked(df: DataFrame, by: str, key: Column, order: list[Column], tie: Column | None = None, most: Column | None = None) -> DataFrame:
+    """df with ``rnk``, its rank from 1 within ``by`` in the given order, of which ``key`` is the leading part, ascending.
+
+    most: only the rows up to that rank (a number, or a column that is constant within ``by``)."""
+    found = running(in_ranges(df, by, key, tie), by, order, {"rnk": F.lit(1).cast("long")}, most=most).drop("range", "part")
+    return found if most is None else found.where(F.col("rnk") <= most)

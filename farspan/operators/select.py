@@ -67,8 +67,9 @@ def _quota_column(quota: dict[str, int]) -> Column:
 
 
 def _ranked(df: DataFrame, quota: dict[str, int], order: list[Column], key: Column) -> DataFrame:
-    """Rank within the category and cut; ``key`` is the leading part of the order, ascending. No task sorts a category."""
-    return ranked(df, "category", key, order, F.col("doc_id")).where(F.col("rnk") <= _quota_column(quota))
+    """Rank within the category and cut; ``key`` is the leading part of the order, ascending. No task sorts a category, and
+    only rows of ranges that the quota reaches are sorted."""
+    return ranked(df, "category", key, order, F.col("doc_id"), _quota_column(quota))
 
 
 def _falling(score: str) -> Column:
@@ -87,8 +88,8 @@ def _picked(df: DataFrame, method: str, budget: int, score: str | None, L: int)
 def top_by_budget(scored: DataFrame, budget: int, L: int, score: str = "lds", method: str = "attention", quota: str | dict = "proportional") -> DataFrame:
     """The best windows of each category, whole windows only, never above the budget."""
     if quota == "none":
-        whole = ranked(scored.withColumn("all", F.lit(0)), "all", _falling(score), _order(score), F.col("doc_id")).drop("all")
-        return _picked(whole.where(F.col("rnk") <= wanted_windows(budget, L)), method, budget, score, L)
+        first = ranked(scored.withColumn("all", F.lit(0)), "all", _falling(score), _order(score), F.col("doc_id"), F.lit(wanted_windows(budget, L)))
+        return _picked(first.drop("all"), method, budget, score, L)
     q = quotas(category_counts(scored), wanted_windows(budget, L), quota)
     return _picked(_ranked(scored, q, _order(score), _falling(score)), method, budget, score, L)
 

@@ -300,3 +300,21 @@ def test_twins_score_as_alone(spark):
     assert len(found) == 24
     for x, y in zip(found, sorted(want), strict=True):
         assert x[:2] == y[:2] and x[2] == pytest.approx(y[2], abs=3e-5)
+
+
+def test_far_columns_of_all_distances(monkeypatch):
+    """Distances below, at and beyond the size of a block, and beyond the window; the arrays of queries and keys are used again."""
+    words, codes = [f"w{i % 17}" for i in range(70)], np.arange(5 * 70).reshape(5, 70) * 7 % 70
+    for p in (profiles.HexDot(), profiles.named("small"), profiles.named("large")):
+        for ks in ([0], [5], [32], [40, 3], [90], []):
+            for held in (1 << 10, kernel.HELD):
+                monkeypatch.setattr(kernel, "HELD", held)
+                far, squares, sink = kernel.strengths_many(p, words, codes, ks)
+                for w, row in enumerate(codes.tolist()):
+                    own, own_squares, own_sink = kernel.token_strengths(p, [words[i] for i in row], ks)
+                    assert np.allclose(far[:, w], own[:, 0], atol=1e-5) and np.allclose(squares[:, w], own_squares[:, 0], atol=1e-5) and abs(sink[w].mean() - own_sink) < 1e-5
+    p, room = profiles.named("small"), {}
+    q, k, _ = p.states(words, codes, room)
+    alone = p.states(words, codes)
+    assert (q == alone[0]).all() and (k == alone[1]).all()
+    assert np.shares_memory(q, p.states(words, codes[::-1], room)[0])
