@@ -10,10 +10,11 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from farspan.operators import kernel
+from farspan.operators import kernel, skipgram
 from farspan.operators.batches import coded, of_one_length
-from farspan.operators.profiles import DotProfile, TableVectors, Vectors
+from farspan.operators.profiles import DotProfile, RowVectors, Vectors
 from farspan.operators.ranks import ranked
+from farspan.sources.intermediate import written
 
 RAW = "doc_id long, category string, start long, len int, k int, profile string, ds double, du double, far_mean double, far_cells long, sink_share double, pair_ops long, cpu_ms double"
 _FIELDS = ("len", "k", "ds", "du", "far_mean", "far_cells", "sink_share", "pair_ops", "cpu_ms")
@@ -148,38 +149,68 @@ def score_twins(windows: DataFrame, profiles: list[DotProfile], k: int) -> DataF
     return windows.select("toks", "other").mapInArrow(run, schema)
 
 
+#: Words whose vectors every task holds, at most, if their occurrences are known.
+KNOWN_WORDS = 1 << 18
+
+
+def _known(vectors: DataFrame, values):
+    """(least occurrences, broadcast): the commonest words' numbers and vectors, for every task."""
+    at, many = None, 0
+    for n, words in sorted(((r.n, r["count"]) for r in vectors.groupBy("n").count().collect()), reverse=True):
+        if (many := many + words) > KNOWN_WORDS:
+            break
+        at = n
+    common = vectors.where(F.col("n") >= at).select("word", "half").toArrow() if at is not None else None
+    held = ({}, None) if common is None else ({w: i for i, w in enumerate(common.column("word").to_pylist())}, values(common.column("half")).astype(np.float16))
+    return at, vectors.sparkSession.sparkContext.broadcast(held)
+
+
 def score_with_vectors(windows: DataFrame, vectors: DataFrame, k: int, dim: int = 32, name: str = "corpus", block: int = 1024) -> DataFrame:
     """raw_scores under a table of token vectors (word, vector) of any size; unknown tokens are the zero vector.
 
-    Windows are dealt into blocks of about ``block``; each block meets the vectors of its own words, so a task holds
-    no more than those.
+    Windows are packed into blocks of about ``block`` where they are cut; each block meets the vectors of its own words, so a task
+    holds no more than those.  If the table holds occurrences and halves (n, half: see ``skipgram``), the commonest words'
+    vectors go to every task, and the others move as halves.
     """
-    n = max(1, -(-windows.count() // block))
-    dealt = windows.select(F.pmod(F.xxhash64("doc_id", "start"), F.lit(n)).alias("block"), F.col("doc_id").cast("long").alias("doc_id"), "category", F.col("start").cast("long").alias("start"), "toks")
-    words = dealt.select(F.col("block").alias("of"), F.explode("toks").alias("word")).distinct()
-    held = words.join(vectors, "word").select("of", "word", "vector")
+    halves = {"n", "half"} <= set(vectors.columns)
+    values = (lambda x: skipgram.from_halves(x.to_pylist(), dim)) if halves else (lambda x: x.combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, dim))
+    least, known = _known(vectors, values) if halves else (None, None)
+    held = written(skipgram.blocks(windows, {"doc_id": "long", "category": "string", "start": "long"}, block, known=known), "window-blocks")
+    rare = F.coalesce("rare", F.transform("words", lambda _, i: i))
+    asked = held.select("block", F.explode(F.transform(rare, lambda i: F.struct(i.alias("at"), F.get("words", i).alias("word")))).alias("x")).select(F.col("block").alias("of"), "x.*")
+    own = vectors.select("word", F.col("half" if halves else "vector").alias("vector"), *(["n"] if halves else []))
+    own = own.where(F.col("n") < least) if least is not None else own
+    met = asked.join(own.select("word", "vector"), "word").select("of", "at", "vector")
     scale = dim**0.5
 
     def run(left: pa.Table, right: pa.Table) -> pa.Table:
-        vectors = right.column("vector").combine_chunks().flatten().to_numpy(zero_copy_only=False).astype("float64").reshape(-1, dim) * scale
-        profile = TableVectors(dict(zip(right.column("word").to_pylist(), vectors, strict=True)), dim, name)
         out: dict[str, list] = {x.split()[0]: [] for x in RAW.split(", ")}
-        for at in range(0, left.num_rows, ROWS_AT_ONCE):
-            some = left.slice(at, ROWS_AT_ONCE)
-            keys = some.select(["doc_id", "category", "start"]).to_pylist()
-            words, codes, ends = coded(some.column("toks").combine_chunks())
-            for rows, held in of_one_length(codes, ends, ROWS_AT_ONCE * kernel.TOGETHER):
-                if 0 < held.shape[1] <= kernel.TOGETHER:
-                    found = kernel.score_many(profile, words, held, [k])
-                else:
-                    found = [kernel.score(profile, [words[i] for i in row], [k]) for row in held.tolist()]
-                for w, each in zip(rows.tolist(), found, strict=True):
-                    for row in each:
-                        for c in out:
-                            out[c].append(name if c == "profile" else keys[w][c] if c in keys[w] else row[c])
+        for one in left.to_pylist():
+            words, codes, ends = skipgram.unpacked(one["packed"])
+            table = np.zeros((len(words), dim))
+            if right.num_rows:
+                table[right.column("at").to_numpy()] = values(right.column("vector"))
+            number, common = known.value if known is not None else ({}, None)
+            if number:
+                at = np.array([number.get(w, -1) for w in words], np.int64)
+                table[at >= 0] = common[at[at >= 0]]
+            profile = RowVectors(table * scale, dim, name)
+            keys = [{"doc_id": d, "category": c, "start": s} for d, c, s in zip(one["doc_id"], one["category"], one["start"], strict=True)]
+            for rows, at in of_one_length(codes, ends, ROWS_AT_ONCE * kernel.TOGETHER):
+                for a in range(0, len(rows), ROWS_AT_ONCE):
+                    some = at[a : a + ROWS_AT_ONCE]
+                    if 0 < some.shape[1] <= kernel.TOGETHER:
+                        rows_of, own = np.unique(some, return_inverse=True)
+                        found = kernel.score_many(profile, rows_of, own.reshape(some.shape), [k])
+                    else:
+                        found = [kernel.score(profile, row, [k]) for row in some.tolist()]
+                    for w, each in zip(rows[a : a + ROWS_AT_ONCE].tolist(), found, strict=True):
+                        for row in each:
+                            for c in out:
+                                out[c].append(name if c == "profile" else keys[w][c] if c in keys[w] else row[c])
         return pa.Table.from_batches([_arrow(out, RAW)])
 
-    return dealt.groupBy("block").cogroup(held.groupBy("of")).applyInArrow(run, RAW)
+    return held.drop("words", "rare").groupBy("block").cogroup(met.groupBy("of")).applyInArrow(run, RAW)
 
 
 def token_strength(windows: DataFrame, profile, k: int) -> DataFrame:

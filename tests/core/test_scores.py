@@ -6,6 +6,7 @@ from pyspark.sql import functions as F
 
 from farspan.config import Config
 from farspan.operators import cells, kernel, profiles, score
+from farspan.sources import intermediate
 from farspan.selector import LongDependencySelector
 
 FIXED = [  # tokens, k, strength, uniformity over the triangle
@@ -318,3 +319,78 @@ def test_far_columns_of_all_distances(monkeypatch):
     alone = p.states(words, codes)
     assert (q == alone[0]).all() and (k == alone[1]).all()
     assert np.shares_memory(q, p.states(words, codes[::-1], room)[0])
+
+
+def _large_vocabulary(spark):
+    """Texts of two kinds whose words never meet, in five documents of each kind, and a word that stands once."""
+    rng = np.random.default_rng(2)
+    rows = [(i, "ab"[i % 2], 0, [f"{'ab'[i % 2]}{j}" for j in rng.permutation(np.repeat(np.arange(40), 40))] + ["once"] * (i == 3)) for i in range(10)]
+    return spark.createDataFrame(rows, "doc_id long, category string, start long, toks array<string>")
+
+
+def test_large_vocabularies_are_learned_in_tasks(spark, monkeypatch):
+    """Beyond VOCABULARY no driver holds the words: Spark's Word2Vec is not asked, each word that stands twice gets its vector in
+    any number of parts, and words of one kind of text are alike."""
+    from pyspark.ml import feature
+
+    from farspan.operators import skipgram
+
+    monkeypatch.setattr(feature.Word2Vec, "fit", lambda *a: pytest.fail("held by the driver"))
+    monkeypatch.setattr(profiles, "VOCABULARY", 79)
+    toks, found = _large_vocabulary(spark), {}
+    for part, block in ((1 << 22, 1 << 17), (6_000, 1_000)):
+        monkeypatch.setattr(skipgram, "PART", part)
+        monkeypatch.setattr(skipgram, "BLOCK", block)
+        monkeypatch.setattr(skipgram, "AVERAGED", 16)
+        got = profiles.from_corpus(toks.select("toks"), 8).collect()
+        assert len(got) == 80 and {r.n for r in got} == {200} and "once" not in {r.word for r in got}
+        x = {r.word: np.array(r.vector) / np.linalg.norm(r.vector) for r in got}
+        assert all(np.float16(v) == v for v in got[0].vector) and len(got[0].vector) == 8
+        same, other = (np.mean([x[f"a{i}"] @ x[f"{k}{j}"] for i in range(40) for j in range(40) if (k, i) != ("a", j)]) for k in "ab")
+        found[part] = same - other
+    assert min(found.values()) > 0.1
+
+
+def test_vectors_of_large_vocabularies_score(spark, monkeypatch):
+    """Halves and the commonest words' broadcast change nothing: scores are those under the whole table."""
+    w = _large_vocabulary(spark)
+    monkeypatch.setattr(profiles, "VOCABULARY", 0)
+    vectors = intermediate.written(profiles.from_corpus(w.select("toks"), 8).withColumn("n", F.when(F.col("word").startswith("a"), 5).otherwise(3).cast("long")), "test")
+    whole = profiles.TableVectors({r.word: np.array(r.vector, float) * 8**0.5 for r in vectors.collect()}, 8)
+    want = {i: kernel.score(whole, toks, [400])[0]["ds"] for i, toks in w.select("doc_id", "toks").collect()}
+    for most in (0, 40, 1 << 17):
+        monkeypatch.setattr(score, "KNOWN_WORDS", most)
+        for table in (vectors, vectors.select("word", "vector")):
+            got = {r.doc_id: r.ds for r in score.score_with_vectors(w, table, 400, 8, block=3).collect()}
+            assert got == pytest.approx(want) and len(got) == 10
+
+
+def test_huffman_tree_of_runs():
+    """Paths of the tree kept as runs are prefix codes as short as those of a tree of single words."""
+    import heapq
+
+    from farspan.operators import skipgram
+
+    rng = np.random.default_rng(1)
+    for most in (2, 4, 30, 1000):
+        for words in (1, 2, 3, 50, 199):
+            counts = np.sort(rng.integers(1, most, words))
+            grown = skipgram.tree([(int(n), int(m)) for n, m in zip(*np.unique(counts, return_counts=True), strict=True)])
+            nodes, sides, begin = grown.paths(np.arange(words))
+            heap, cost = counts.tolist(), 0
+            heapq.heapify(heap)
+            while len(heap) > 1:
+                both = heapq.heappop(heap) + heapq.heappop(heap)
+                cost += both
+                heapq.heappush(heap, both)
+            assert (np.diff(begin) * counts).sum() == cost
+            codes = {tuple(sides[a:b][::-1].tolist()) for a, b in zip(begin, begin[1:], strict=False)}
+            assert len(codes) == words and len(np.unique(nodes)) == words - 1
+
+
+def test_repeated_words_do_not_overshoot():
+    from farspan.operators import skipgram
+
+    grown = skipgram.tree([(2_000, 3)])
+    x = skipgram.learn(np.tile([0, 1, 2, 1, 0, 2], 1_000), np.zeros(6_000, int), np.arange(3), grown, 8, 7)
+    assert np.isfinite(x).all() and np.abs(x).max() < 5
