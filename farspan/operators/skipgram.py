@@ -23,7 +23,7 @@ from farspan.operators.ranks import ranked
 from farspan.sources.intermediate import adopt, lean_batches, scratch, written
 
 #: Neighbours on either side, rate of the first step, and tokens of a step.
-WINDOW, RATE, STEP = 5, 0.025, 32
+WINDOW, RATE, STEP = 5, 0.025, 128
 #: Tokens of a block and of a part, about, and words whose parts are averaged together.
 BLOCK, PART, AVERAGED = 1 << 17, 1 << 22, 1 << 16
 _BLOCK = "block long, words array<string>, rare array<int>, packed binary"
@@ -98,7 +98,7 @@ def first_vectors(leaves: np.ndarray, dim: int, seed: int) -> np.ndarray:
 def learn(tokens: np.ndarray, docs: np.ndarray, leaves: np.ndarray, grown: Tree, dim: int, seed: int) -> np.ndarray:
     """Vectors (words x dim) learned from tokens (numbers of words whose leaves are given) and the documents they stand in.
 
-    STEP tokens make a step together.  As their gradients are added up, a row's rate is at most one over its curvature, so that
+    STEP tokens make a step together.  As their gradients are added up, a row's rate stays below half the inverse of a bound on its curvature, so that
     what comes up many times in a step (the root, a common word) doesn't overshoot.
     """
     above, side, begin = grown.paths(leaves)
@@ -138,14 +138,13 @@ def learn(tokens: np.ndarray, docs: np.ndarray, leaves: np.ndarray, grown: Tree,
         np.exp(np.negative(p, out=p), out=p)
         p += 1
         np.reciprocal(p, out=p)
-        bend = weight * p * (1 - p)
         np.subtract(left[flat][at], p, out=p)
         p *= weight
         pull = np.bincount(cell, p, len(u) * len(v)).astype(np.float32).reshape(len(u), -1)
-        bend_u = np.bincount(row, bend * np.einsum("ij,ij->i", v, v)[column], len(u)).astype(np.float32)
-        bend_v = np.bincount(column, bend * np.einsum("ij,ij->i", u, u)[row], len(v)).astype(np.float32)
-        x[own] = u + (rate / np.maximum(1, rate * bend_u))[:, None] * (pull @ v)
-        y[nodes] = v + (rate / np.maximum(1, rate * bend_v))[:, None] * (pull.T @ u)
+        bend_u = np.bincount(row, weight * np.einsum("ij,ij->i", v, v)[column], len(u)).astype(np.float32)
+        bend_v = np.bincount(column, weight * np.einsum("ij,ij->i", u, u)[row], len(v)).astype(np.float32)
+        x[own] = u + (rate / (1 + rate * bend_u / 2))[:, None] * (pull @ v)
+        y[nodes] = v + (rate / (1 + rate * bend_v / 2))[:, None] * (pull.T @ u)
     return x
 
 
